@@ -96,7 +96,7 @@ class Items:
     item: np.ndarray
     place: np.ndarray
     ids: np.ndarray
-    total: np.ndarray  # windows of each item
+    total: np.ndarray  # usable windows of each item: those with enough literal tokens
     size: np.ndarray  # window size of each item
     templates: Templates
     units: np.ndarray
@@ -120,7 +120,8 @@ def items_of(ids: list[int], texts: list[str | None], window: int = WINDOW, lite
     empty = np.empty(0, np.int64)
     h, w, p = np.concatenate(hs or [np.empty(0, np.uint64)]), np.concatenate(ws or [empty]), np.concatenate(ps or [empty])
     order = np.argsort(h, kind="stable")
-    return Items(h[order], w[order], p[order], np.array(ids, np.int64), np.maximum(n - size + 1, 0) * (size > 0), size, t, units)
+    usable = np.unique(np.column_stack([w, p]), axis=0)[:, 0] if len(w) else empty
+    return Items(h[order], w[order], p[order], np.array(ids, np.int64), np.bincount(usable, minlength=len(n)), size, t, units)
 
 
 def matches(data: np.ndarray, offsets: np.ndarray, items: Items, coverage: float = COVERAGE, run: int = RUN, literal: int = LITERAL) -> list[tuple]:

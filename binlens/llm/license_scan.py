@@ -108,6 +108,15 @@ def document_frequencies(docs: DataFrame, index: Index) -> Index:
     return index
 
 
+def anchors(index: Index) -> np.ndarray:
+    """The rarest word of each template's mandatory phrases; a file without any of them holds no template."""
+    out = []
+    for phrases in index.phrases:
+        h = np.concatenate([p for _, p in phrases])
+        out.append(h[index.idf[np.searchsorted(index.vocabulary, h)].argmax()])
+    return np.unique(np.array(out, np.uint64))
+
+
 def align(h: np.ndarray, index: Index, rarest: int = 8, votes: int = 2, slack: int = 2) -> dict[str, float]:
     """Labels found in one file, each with the share of its template's words that stand in place."""
     where, word = _places(h, index.vocabulary)
@@ -150,8 +159,7 @@ def scan(docs: DataFrame, rarest: int = 8, votes: int = 2, slack: int = 2) -> Da
 
     def run(batches):
         ix = shared.value
-        floor = np.median(ix.idf)
-        rare = ix.vocabulary[ix.idf >= floor]
+        rare = anchors(ix)
         for b in batches:
             data, off = text_buffers(b.column(1))
             for i, j in slices(off):

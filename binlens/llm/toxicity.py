@@ -75,10 +75,11 @@ def grades(buckets: np.ndarray, bounds: np.ndarray, toxic: np.ndarray) -> np.nda
     return out
 
 
-def fit_ordinal(buckets: np.ndarray, bounds: np.ndarray, grade: np.ndarray, rounds: int = 150, ridge: float = 1e-4, lasso: float = 2e-4, min_rows: int = 5) -> OrdinalModel:
+def fit_ordinal(buckets: np.ndarray, bounds: np.ndarray, grade: np.ndarray, rounds: int = 300, ridge: float = 1e-4, lasso: float = 5e-5, min_rows: int = 3, screen: float = 4.0) -> OrdinalModel:
     """Accelerated proximal gradient on the cumulative-link likelihood; features are a row's distinct buckets.
 
-    ``lasso`` zeroes the weights of ordinary words, so long clean texts gather no score.  With one grade only, or
+    Only buckets whose shares among clean and other rows differ by ``screen`` standard errors enter the fit, and
+    ``lasso`` zeroes more of them, so ordinary words have no weight and long clean texts gather no score.  With one grade only, or
     no rows, the model has no weights and rejects nothing.
     """
     size, top = 1 << BITS, int(grade.max(initial=0))
@@ -86,7 +87,11 @@ def fit_ordinal(buckets: np.ndarray, bounds: np.ndarray, grade: np.ndarray, roun
         return OrdinalModel(np.zeros(size, np.float32), np.arange(1.0, 3.0) * 10)
     col, row = _distinct(buckets, bounds)
     seen = np.bincount(col, minlength=size)
-    used = np.flatnonzero(seen >= min_rows)
+    bad = grade > 0
+    hit, n_bad, n_good = np.bincount(col[bad[row]], minlength=size), int(bad.sum()), int((~bad).sum())
+    share = seen / len(grade)
+    gap = (hit / n_bad - (seen - hit) / n_good) / np.sqrt(np.maximum(share * (1 - share), 1e-12) * (1 / n_bad + 1 / n_good))
+    used = np.flatnonzero((seen >= min_rows) & (np.abs(gap) >= screen))
     place = np.full(size, -1, np.int64)
     place[used] = np.arange(len(used))
     keep = place[col] >= 0
