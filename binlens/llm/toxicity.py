@@ -75,7 +75,7 @@ def grades(buckets: np.ndarray, bounds: np.ndarray, toxic: np.ndarray) -> np.nda
     return out
 
 
-def fit_ordinal(buckets: np.ndarray, bounds: np.ndarray, grade: np.ndarray, rounds: int = 300, ridge: float = 1e-4, lasso: float = 5e-5, min_rows: int = 3, screen: float = 4.0) -> OrdinalModel:
+def fit_ordinal(buckets: np.ndarray, bounds: np.ndarray, grade: np.ndarray, rounds: int = 300, ridge: float = 1e-4, lasso: float = 5e-5, min_rows: int = 3, screen: float = 4.0, balance: float = 0.5) -> OrdinalModel:
     """Accelerated proximal gradient on the cumulative-link likelihood; features are a row's distinct buckets.
 
     Only buckets whose shares among clean and other rows differ by ``screen`` standard errors enter the fit, and
@@ -100,8 +100,8 @@ def fit_ordinal(buckets: np.ndarray, bounds: np.ndarray, grade: np.ndarray, roun
         return OrdinalModel(np.zeros(size, np.float32), np.arange(1.0, 3.0) * 10)
     n, cuts = len(grade), np.array([np.log(max((grade < k).mean(), 1e-3) / max((grade >= k).mean(), 1e-3)) for k in range(1, top + 1)])
     passed = (grade[:, None] >= np.arange(1, top + 1)[None, :]).astype(float)
-    # balance: clean rows outnumber toxic ones
-    weight = np.where(grade > 0, 0.5 / (grade > 0).mean(), 0.5 / (grade == 0).mean()) / n
+    # 0: rows weigh alike; 1: clean and other rows weigh alike in sum
+    weight = np.where(bad, (0.5 / bad.mean()) ** balance, (0.5 / (~bad).mean()) ** balance) / n
     w, look, speed = np.zeros(len(used)), np.zeros(len(used)), 1.0
     step = np.full(len(used), 4.0 / top) / np.sqrt(np.maximum(np.bincount(col, weights=weight[row], minlength=len(used)), 1e-3)) / 8
     for _ in range(rounds):

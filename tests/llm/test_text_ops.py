@@ -206,7 +206,7 @@ def test_toxicity_held_out(spark):
     rows = toxicity.score(docs, model).join(labels.where("pmod(xxhash64(doc_id, 7), 3) = 0"), "doc_id").collect()
     caught = np.mean([r.rejected for r in rows if r.toxic])
     wrong = np.mean([r.rejected for r in rows if not r.toxic])
-    assert caught >= 0.88 and wrong <= 0.01  # about one label in twenty of this table names no word at all
+    assert caught >= 0.85 and wrong <= 0.005  # about one label in twenty of this table names no word at all
     assert {r.grade for r in rows} == {0, 1, 2} and all(0 <= r.severity <= 2 and r.severity >= r.p_toxic - 1e-9 for r in rows)
 
 
