@@ -29,6 +29,7 @@ from binlens.llm.tokens import encoder
 SHARD_IDS = 1 << 20  # ids after which a shard is closed at the next document's end
 ROUNDS = 6
 PER_ROUND = 4096  # rules that one round may add
+BROADCAST_SHARDS = 1_000_000  # shards up to which their starts are broadcast (16 MB); beyond, the join shuffles
 SCHEMA = "shard long, first_doc long, n_docs int, n_ids long, base long, n_rules int, doc_ids binary, doc_lengths binary, rule_lengths binary, body binary"
 
 
@@ -216,7 +217,10 @@ def shard_starts(shards: DataFrame) -> DataFrame:
 
 def digests(shards: DataFrame) -> DataFrame:
     """doc_id, start, n_tokens, ids_crc32 of every document, decoded from the shards."""
-    rows = shards.join(shard_starts(shards), "shard").select("base_start", "base", "n_rules", "doc_ids", "doc_lengths", "rule_lengths", "body")
+    starts = shard_starts(shards)
+    if shards.count() <= BROADCAST_SHARDS:  # two longs a shard; the bodies then stay where they are read
+        starts = F.broadcast(starts)
+    rows = shards.join(starts, "shard").select("base_start", "base", "n_rules", "doc_ids", "doc_lengths", "rule_lengths", "body")
 
     def run(batches):
         for b in batches:
