@@ -47,21 +47,37 @@ class Grammar:
         out[rule] = self.lengths[symbols[rule].astype(np.int64) - self.base]
         return out
 
+    def _opened(self) -> tuple[np.ndarray, np.ndarray]:
+        """Expansions of all nonterminals, one after the other, and where each begins."""
+        begin = np.cumsum(self.lengths) - self.lengths
+        out = np.empty(int(self.lengths.sum()), np.uint32)
+        k = 0
+        while k < len(self.left):  # a stretch of rules that only refer to rules before it
+            late = (np.maximum(self.left[k:], self.right[k:]).astype(np.int64) - self.base) >= k
+            n = int(late.argmax()) if late.any() else len(late)
+            pair = np.column_stack([self.left[k : k + n], self.right[k : k + n]]).ravel()
+            stretch = self._gather(pair, out, begin)
+            out[begin[k] : begin[k] + len(stretch)] = stretch
+            k += n
+        return out, begin
+
+    def _gather(self, symbols: np.ndarray, flat: np.ndarray, begin: np.ndarray) -> np.ndarray:
+        """Symbols with nonterminals replaced by their expansions: one copy of the plain ones, one gather of the rest."""
+        rule = symbols >= self.base
+        which = symbols[rule].astype(np.int64) - self.base
+        n = np.ones(len(symbols), np.int64)
+        n[rule] = self.lengths[which]
+        at = np.cumsum(n) - n
+        out = np.empty(int(n.sum()), np.uint32)
+        out[at[~rule]] = symbols[~rule]
+        size = self.lengths[which]
+        inner = np.arange(int(size.sum())) - np.repeat(np.cumsum(size) - size, size)
+        out[inner + np.repeat(at[rule], size)] = flat[inner + np.repeat(begin[which], size)]
+        return out
+
     def expand(self, symbols: np.ndarray) -> np.ndarray:
-        """Ids that ``symbols`` stand for; each pass opens all nonterminals by one level."""
-        out = symbols.astype(np.uint32)
-        while True:
-            rule = out >= self.base
-            if not rule.any():
-                return out
-            at = np.cumsum(1 + rule) - 1 - rule
-            wide = np.empty(len(out) + int(rule.sum()), np.uint32)
-            plain = ~rule
-            wide[at[plain]] = out[plain]
-            k = out[rule].astype(np.int64) - self.base
-            wide[at[rule]] = self.left[k]
-            wide[at[rule] + 1] = self.right[k]
-            out = wide
+        """Ids that ``symbols`` stand for."""
+        return self._gather(symbols, *self._opened())
 
     def decode(self, start: int, stop: int) -> np.ndarray:
         """Ids start:stop, expanding only the symbols that reach into this range."""
@@ -104,9 +120,9 @@ def compress(ids: np.ndarray, rounds: int = ROUNDS, per_round: int = PER_ROUND,
         if not len(pair):
             break
         left, right = (pair >> np.uint64(32)).astype(np.uint32), (pair & np.uint64(0xFFFFFFFF)).astype(np.uint32)
-        starts = np.zeros(fresh, bool)
-        starts[left] = True
-        begin = np.flatnonzero(starts[seq[:-1]])  # only here can a chosen pair stand
+        opens, ends = np.zeros(fresh, bool), np.zeros(fresh, bool)
+        opens[left] = ends[right] = True
+        begin = np.flatnonzero(opens[seq[:-1]] & ends[seq[1:]])  # only here can a chosen pair stand
         ordered = np.sort(pair)
         name = np.argsort(pair, kind="stable").astype(np.uint32) + np.uint32(fresh)
         where = np.minimum(np.searchsorted(ordered, key[begin]), len(ordered) - 1)
