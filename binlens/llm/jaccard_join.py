@@ -6,7 +6,8 @@ never paired.  The join is exact; the sketches only order shingles or prune what
 1. One pass counts in how many entities each shingle occurs and keeps a 2 MB bitmap of the frequent ones.
 2. A second pass lists each entity under its prefix shingles: of a set of n, the first n - ceil(t n) + 1 in the
    order (frequent, hash).  Two sets with Jaccard similarity t share one of those.  Lists travel as packed blocks.
-3. Round one links each list's members to its smallest one only: linear in the lists.  A pair survives if the
+3. Round one pairs each list's members with its centre only, the member that shares most prefix shingles with
+   others (so an original rather than one of its copies): linear in the lists.  A pair survives if the
    summed coordinate minima of its count vectors (shingles hashed into groups, counts of each group) reach the
    overlap that t asks for, and is then verified on the full sets.
 4. Round two looks at lists whose members are still in different components: an R-tree over the members' count
@@ -77,7 +78,7 @@ def group_count(n: int) -> int:
 def count_vector(shingles: np.ndarray) -> bytes:
     g = group_count(len(shingles))
     v = np.bincount(((shingles >> np.uint64(8)) & np.uint64(g - 1)).astype(np.int64), minlength=g)
-    return b"" if v.max(initial=0) > 65535 else v.astype(np.uint16).tobytes()  # empty: no bound, verify
+    return b"" if v.max(initial=0) > 255 else v.astype(np.uint8).tobytes()  # empty: no bound, verify
 
 
 def fold(v: np.ndarray, g: int) -> np.ndarray:
@@ -90,7 +91,7 @@ def overlap_bound(a: bytes, b: bytes) -> int:
     """Summed coordinate minima: no less than the overlap of the two sets."""
     if not a or not b:
         return 1 << 62
-    va, vb = np.frombuffer(a, np.uint16).astype(np.int64), np.frombuffer(b, np.uint16).astype(np.int64)
+    va, vb = np.frombuffer(a, np.uint8).astype(np.int64), np.frombuffer(b, np.uint8).astype(np.int64)
     g = min(len(va), len(vb))
     return int(np.minimum(fold(va, g), fold(vb, g)).sum())
 
@@ -149,7 +150,7 @@ class CountTree:
 def admitted(n: np.ndarray, vectors: list[bytes], side: np.ndarray, percent: int) -> Iterator[tuple[int, int]]:
     """Index pairs whose bound admits a link.  ``side``: 0 and 1 for two blocks (pairs across), or all 0 (pairs within)."""
     across = bool(side.any())
-    tier = np.array([len(v) // 2 for v in vectors])
+    tier = np.array([len(v) for v in vectors])
     free = np.flatnonzero(tier == 0)
     for i in free:
         for j in range(len(n)):
@@ -163,11 +164,11 @@ def admitted(n: np.ndarray, vectors: list[bytes], side: np.ndarray, percent: int
             probes = np.flatnonzero((tier >= g) & (side == (1 - s if across else 0)))
             if not len(own) or not len(probes):
                 continue
-            tree = CountTree(np.array([np.frombuffer(vectors[i], np.uint16) for i in own]).astype(np.int32), n[own])
+            tree = CountTree(np.array([np.frombuffer(vectors[i], np.uint8) for i in own]).astype(np.int32), n[own])
             for i in probes:
                 if across and s == 0 and tier[i] == g:
                     continue  # such a pair is found from the other side
-                for j in own[tree.probe(fold(np.frombuffer(vectors[i], np.uint16).astype(np.int32), int(g)), int(n[i]), percent)]:
+                for j in own[tree.probe(fold(np.frombuffer(vectors[i], np.uint8).astype(np.int32), int(g)), int(n[i]), percent)]:
                     if tier[i] > g or across or i < j:
                         yield int(i), int(j)
 
@@ -271,7 +272,7 @@ def frequent(docs: DataFrame, size: int, hot: int) -> Frequent:
 
 
 def prefix_lists(docs: DataFrame, size: int, percent: int, often: Frequent) -> DataFrame:
-    """(g, center, fp): lists of entities that share a prefix shingle; lists with the same members are one list."""
+    """(g, fp): lists of entities that share a prefix shingle; lists with the same members are one list."""
     spark = docs.sparkSession
     lanes = often.lanes
     known = spark.sparkContext.broadcast(np.packbits(often.bits))
@@ -325,10 +326,19 @@ def prefix_lists(docs: DataFrame, size: int, percent: int, often: Frequent) -> D
                 keep[once] = True
                 keep &= count > 1
                 rows = np.repeat(keep, count)
-                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(name, count)[rows]), pa.array(np.repeat(who[cut], count)[rows]), pa.array(who[rows])], ["g", "center", "fp"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(name, count)[rows]), pa.array(who[rows])], ["g", "fp"])
 
     dealt = docs.mapInArrow(deal, "lane int, low binary, fp binary").repartition(shuffle_width(spark), "lane")
-    return dealt.mapInArrow(lists, "g long, center long, fp long").distinct()
+    return dealt.mapInArrow(lists, "g long, fp long").distinct()
+
+
+def centred(lists: DataFrame) -> DataFrame:
+    """(a, b): the centre of each list with each other member."""
+    size = lists.groupBy("g").agg(F.count("*").alias("k"))
+    degree = lists.join(size, "g").groupBy("fp").agg(F.sum("k").alias("degree"))
+    ranked = lists.join(degree, "fp")
+    centre = ranked.groupBy("g").agg(F.max(F.struct("degree", "fp")).alias("top")).select("g", F.col("top.fp").alias("a"))
+    return lists.join(centre, "g").where("a <> fp").select(F.least("a", "fp").alias("a"), F.greatest("a", "fp").alias("b")).distinct()
 
 
 def sets_of(docs: DataFrame, size: int, wanted: Bitmap) -> DataFrame:
@@ -440,10 +450,10 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     base = settle(entities(docs, size), "entities")
     lists = settle(prefix_lists(docs, size, percent, frequent(docs, size, hot)), "lists")
     vectors = settle(vectors_of(docs, size, bitmap_of(lists, "fp")), "vectors")
-    first = settle(_bounded(lists.where("center <> fp").select(F.col("center").alias("a"), F.col("fp").alias("b")).distinct(), vectors, percent), "pairs")
+    first = settle(_bounded(centred(lists), vectors, percent), "pairs")
     links = settle(_verified(first, docs, size, percent), "links")
     roots = components(links)
-    lists = lists.select("g", "fp").join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("g", "fp", F.coalesce("root", "fp").alias("root"))
+    lists = lists.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("g", "fp", F.coalesce("root", "fp").alias("root"))
     second = settle(_tree_pairs(lists, vectors, percent, block), "pairs")
     if not second.isEmpty():
         links = links.unionByName(settle(_verified(second, docs, size, percent), "links"))
