@@ -72,7 +72,7 @@ class Sets:
 
 def group_count(n: int) -> int:
     """Groups of a count vector; a power of two, so a longer vector folds onto a shorter one."""
-    return 64 if n <= 512 else 256 if n <= 4096 else 1024
+    return 256 if n <= 512 else 1024 if n <= 4096 else 4096
 
 
 def count_vector(shingles: np.ndarray) -> bytes:
