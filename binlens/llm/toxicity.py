@@ -3,7 +3,7 @@
 P(grade > k) = sigmoid(w.x - c_k): one weight vector for all thresholds c_1 < c_2 < ..., so what separates mild
 from clean also helps to separate severe from mild.  The output is the expected grade and P(grade > 0).
 
-The labels are binary, so grades are made from them: unlabelled-toxic rows are 0; toxic rows are split at the
+The labels are binary, so grades are made from them: rows that aren't labelled toxic are 0; toxic rows are split at the
 median of their evidence, the summed smoothed log odds of their features, into 1 (mild) and 2 (severe).
 
 The fit uses at most ``max_labelled`` labelled rows (those with the smallest hash of their id); scoring covers
@@ -24,7 +24,7 @@ from binlens.llm.common import mix64, slices, text_buffers
 from binlens.llm.words import ALPHA, span_hashes, words
 
 BITS = 18  # feature buckets, as a power of two; half for words, half for word beginnings
-MAX_LABELLED = 20_000
+MAX_LABELLED = 12_000
 BEGINNING = 5  # bytes of a word's beginning
 
 
@@ -53,52 +53,60 @@ class OrdinalModel:
         return 1.0 / (1.0 + np.exp(-np.clip(latent[:, None] - self.cuts[None, :], -60, 60)))
 
 
-def _distinct(buckets: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Each row's distinct buckets and row number of each."""
-    row = np.repeat(np.arange(len(bounds) - 1, dtype=np.int64), np.diff(bounds))
-    key = np.unique((row << BITS) | buckets)
-    return (key & ((1 << BITS) - 1)).astype(np.int64), key >> BITS
+def _counted(buckets: np.ndarray, weights: np.ndarray | None = None, step: int = 1 << 20) -> np.ndarray:
+    """Occurrences of each bucket, a stretch at a time, so a long training set needs no wide temporaries."""
+    out = np.zeros(1 << BITS)
+    for k in range(0, len(buckets), step):
+        out += np.bincount(buckets[k : k + step], weights=None if weights is None else weights[k : k + step], minlength=1 << BITS)
+    return out
 
 
-def grades(buckets: np.ndarray, bounds: np.ndarray, toxic: np.ndarray) -> np.ndarray:
-    """0 for clean rows; toxic rows 1 or 2, split at the median evidence."""
-    col, row = _distinct(buckets, bounds)
-    size = 1 << BITS
-    hit = np.bincount(col[toxic[row] > 0], minlength=size)
-    rest = np.bincount(col[toxic[row] == 0], minlength=size)
+def screened(buckets: np.ndarray, bounds: np.ndarray, toxic: np.ndarray, min_rows: int = 3, screen: float = 4.0) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Used buckets, then column and row of each entry in them.  A row's buckets must be distinct.
+
+    A bucket is used if its shares among toxic and clean rows differ by ``screen`` standard errors.
+    """
+    row = np.repeat(np.arange(len(toxic), dtype=np.int32), np.diff(bounds))
+    seen, hit = _counted(buckets), _counted(buckets, toxic.astype(np.float32)[row])
+    n_bad, n_good = max(1, int(toxic.sum())), max(1, int((toxic == 0).sum()))
+    share = seen / max(1, len(toxic))
+    gap = (hit / n_bad - (seen - hit) / n_good) / np.sqrt(np.maximum(share * (1 - share), 1e-12) * (1 / n_bad + 1 / n_good))
+    used = np.flatnonzero((seen >= min_rows) & (np.abs(gap) >= screen))
+    place = np.full(1 << BITS, -1, np.int32)
+    place[used] = np.arange(len(used))
+    col = place[buckets]
+    keep = col >= 0
+    return used, col[keep], row[keep]
+
+
+def grades(col: np.ndarray, row: np.ndarray, toxic: np.ndarray, used: int) -> np.ndarray:
+    """0 for clean rows; toxic rows 1 or 2, split at the median of their summed smoothed log odds."""
+    hit = np.bincount(col[toxic[row] > 0], minlength=used)
+    rest = np.bincount(col[toxic[row] == 0], minlength=used)
     odds = np.log((hit + 0.5) / (toxic.sum() + 1.0)) - np.log((rest + 0.5) / ((toxic == 0).sum() + 1.0))
-    odds[(hit < 5) | (odds < 1.0)] = 0.0
-    evidence = np.bincount(row, weights=odds[col], minlength=len(toxic))
+    evidence = np.bincount(row, weights=np.maximum(odds, 0.0)[col], minlength=len(toxic))
     out = toxic.astype(np.int64)
     if toxic.any():
         out[(toxic > 0) & (evidence > np.median(evidence[toxic > 0]))] = 2
     return out
 
 
-def fit_ordinal(buckets: np.ndarray, bounds: np.ndarray, grade: np.ndarray, rounds: int = 300, ridge: float = 1e-4, lasso: float = 5e-5, min_rows: int = 3, screen: float = 4.0, balance: float = 0.5) -> OrdinalModel:
+def fit_ordinal(buckets: np.ndarray, bounds: np.ndarray, toxic: np.ndarray, rounds: int = 300, ridge: float = 1e-4, lasso: float = 5e-5, min_rows: int = 3, screen: float = 4.0, balance: float = 0.5) -> OrdinalModel:
     """Accelerated proximal gradient on the cumulative-link likelihood; features are a row's distinct buckets.
 
-    Only buckets whose shares among clean and other rows differ by ``screen`` standard errors enter the fit, and
-    ``lasso`` zeroes more of them, so ordinary words have no weight and long clean texts gather no score.  With one grade only, or
-    no rows, the model has no weights and rejects nothing.
+    Screening and ``lasso`` leave ordinary words without weight, so long clean texts gather no score.  With one
+    class only, or no rows, the model has no weights and rejects nothing.
     """
-    size, top = 1 << BITS, int(grade.max(initial=0))
-    if not len(grade) or not top or not (grade == 0).any():
-        return OrdinalModel(np.zeros(size, np.float32), np.arange(1.0, 3.0) * 10)
-    col, row = _distinct(buckets, bounds)
-    seen = np.bincount(col, minlength=size)
-    bad = grade > 0
-    hit, n_bad, n_good = np.bincount(col[bad[row]], minlength=size), int(bad.sum()), int((~bad).sum())
-    share = seen / len(grade)
-    gap = (hit / n_bad - (seen - hit) / n_good) / np.sqrt(np.maximum(share * (1 - share), 1e-12) * (1 / n_bad + 1 / n_good))
-    used = np.flatnonzero((seen >= min_rows) & (np.abs(gap) >= screen))
-    place = np.full(size, -1, np.int64)
-    place[used] = np.arange(len(used))
-    keep = place[col] >= 0
-    col, row = place[col[keep]], row[keep]
+    size = 1 << BITS
+    nothing = OrdinalModel(np.zeros(size, np.float32), np.arange(1.0, 3.0) * 10)
+    if not len(toxic) or toxic.all() or not toxic.any():
+        return nothing
+    used, col, row = screened(buckets, bounds, toxic, min_rows, screen)
     if not len(col):
-        return OrdinalModel(np.zeros(size, np.float32), np.arange(1.0, 3.0) * 10)
-    n, cuts = len(grade), np.array([np.log(max((grade < k).mean(), 1e-3) / max((grade >= k).mean(), 1e-3)) for k in range(1, top + 1)])
+        return nothing
+    grade = grades(col, row, toxic, len(used))
+    bad, n, top = grade > 0, len(grade), int(grade.max())
+    cuts = np.array([np.log(max((grade < k).mean(), 1e-3) / max((grade >= k).mean(), 1e-3)) for k in range(1, top + 1)])
     passed = (grade[:, None] >= np.arange(1, top + 1)[None, :]).astype(float)
     # 0: rows weigh alike; 1: clean and other rows weigh alike in sum
     weight = np.where(bad, (0.5 / bad.mean()) ** balance, (0.5 / (~bad).mean()) ** balance) / n
@@ -139,15 +147,14 @@ def training_rows(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_
 
     # the sample is bounded by max_labelled ids, so it is small enough to broadcast
     joined = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(few), "doc_id").select("doc_id", "text", "y")
-    got = joined.mapInArrow(run, "doc_id long, y int, cols binary").toPandas().sort_values(["doc_id", "y"], kind="stable")
-    parts = [np.frombuffer(c, np.int32) for c in got.cols]
-    bounds = np.concatenate([[0], np.cumsum([len(p) for p in parts])]).astype(np.int64)
-    return (np.concatenate(parts) if parts else np.empty(0, np.int32)), bounds, got.y.to_numpy(np.int64)
+    got = joined.mapInArrow(run, "doc_id long, y int, cols binary").toArrow().sort_by([("doc_id", "ascending"), ("y", "ascending"), ("cols", "ascending")])
+    raw, off = text_buffers(got.column("cols"))
+    return raw.view(np.int32), off // 4, got.column("y").to_numpy()
 
 
 def fit(docs: DataFrame, labels: DataFrame, max_labelled: int = MAX_LABELLED) -> OrdinalModel:
     col, bounds, toxic = training_rows(docs, labels, max_labelled=max_labelled)
-    return fit_ordinal(col, bounds, grades(col, bounds, (toxic > 0).astype(np.int64)))
+    return fit_ordinal(col, bounds, (toxic > 0).astype(np.int64))
 
 
 def _scored(model: OrdinalModel, texts: pa.Array) -> Iterator[np.ndarray]:
