@@ -89,9 +89,9 @@ from sized where good <> bad
 """
 
 _OP9 = """
-with v as (select vec_id, list_transform(embedding, x -> cast(floor(256 * cast(x as double)) as bigint)) as v from embeddings
-    where embedding is not null and not list_bool_or(list_transform(embedding, x -> x is null or not isfinite(x)))),
-s as (select q.vec_id as query_id, c.vec_id as vec_id, cast(list_sum(list_transform(list_zip(q.v, c.v), p -> p[1] * p[2])) as bigint) as score
+with v as (select vec_id, list_transform(embedding, lambda x: cast(floor(256 * cast(x as double)) as bigint)) as v from embeddings
+    where embedding is not null and not list_bool_or(list_transform(embedding, lambda x: x is null or not isfinite(x)))),
+s as (select q.vec_id as query_id, c.vec_id as vec_id, cast(list_sum(list_transform(list_zip(q.v, c.v), lambda p: p[1] * p[2])) as bigint) as score
     from v q join v c on q.vec_id % 50 = 0 and q.vec_id <> c.vec_id),
 r as (select *, cast(row_number() over (partition by query_id order by score desc, vec_id) as integer) as rank from s)
 select query_id, rank, vec_id, score from r where rank <= 5
@@ -100,7 +100,7 @@ select query_id, rank, vec_id, score from r where rank <= 5
 _OP8 = r"""
 with recursive w as (select doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') as w from documents),
 s as (select doc_id, list_distinct(case when len(w) = 0 then [] when len(w) < 5 then [array_to_string(w, ' ')]
-    else list_transform(range(1, len(w) - 3), i -> array_to_string(w[i:i+4], ' ')) end) as s from w),
+    else list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i+4], ' ')) end) as s from w),
 e as (select doc_id, len(s) as n, unnest(s) as t from s),
 o as (select a.doc_id as a, b.doc_id as b, a.n + b.n - count(*) as u, count(*) as k from e a join e b on a.t = b.t and a.doc_id <> b.doc_id
     and 100 * least(a.n, b.n) >= 75 * greatest(a.n, b.n) group by a.doc_id, b.doc_id, a.n, b.n),
