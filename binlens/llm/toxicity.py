@@ -61,7 +61,7 @@ def _counted(buckets: np.ndarray, weights: np.ndarray | None = None, step: int =
     return out
 
 
-def screened(buckets: np.ndarray, bounds: np.ndarray, toxic: np.ndarray, min_rows: int = 6, screen: float = 4.5) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def screened(buckets: np.ndarray, bounds: np.ndarray, toxic: np.ndarray, min_rows: int = 5, screen: float = 4.0) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Used buckets, then column and row of each entry in them.  A row's buckets must be distinct.
 
     A bucket is used if its shares among toxic and clean rows differ by ``screen`` standard errors.
@@ -91,7 +91,7 @@ def grades(col: np.ndarray, row: np.ndarray, toxic: np.ndarray, used: int) -> np
     return out
 
 
-def fit_ordinal(buckets: np.ndarray, bounds: np.ndarray, toxic: np.ndarray, rounds: int = 300, ridge: float = 1e-4, lasso: float = 5e-5, min_rows: int = 6, screen: float = 4.5, balance: float = 0.5) -> OrdinalModel:
+def fit_ordinal(buckets: np.ndarray, bounds: np.ndarray, toxic: np.ndarray, rounds: int = 300, ridge: float = 1e-4, lasso: float = 5e-5, min_rows: int = 5, screen: float = 4.0, balance: float = 0.5) -> OrdinalModel:
     """Accelerated proximal gradient on the cumulative-link likelihood; features are a row's distinct buckets.
 
     Screening and ``lasso`` leave ordinary words without weight, so long clean texts gather no score.  With one
