@@ -21,22 +21,16 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from binlens.llm.common import mix64, slices, text_buffers
-from binlens.llm.words import ALPHA, span_hashes, words
+from binlens.llm.words import ALPHA, words
 
-BITS = 18  # feature buckets, as a power of two; half for words, half for word beginnings
+BITS = 20  # feature buckets, as a power of two
 MAX_LABELLED = 12_000
-BEGINNING = 5  # bytes of a word's beginning
 
 
 def features(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Bucket of each feature, row bounds: for each word its hash and that of its beginning."""
+    """Bucket of each word, row bounds."""
     w = words(data, offsets, ALPHA)
-    half = np.uint64((1 << (BITS - 1)) - 1)
-    head = span_hashes(data, w.start, np.minimum(w.end, w.start + BEGINNING), ALPHA)
-    both = np.empty(2 * len(w.hashes), np.int32)
-    both[0::2] = (mix64(w.hashes) & half).astype(np.int32)
-    both[1::2] = (mix64(head) & half).astype(np.int32) + (1 << (BITS - 1))
-    return both, 2 * w.first
+    return (mix64(w.hashes) & np.uint64((1 << BITS) - 1)).astype(np.int32), w.first
 
 
 @dataclass(frozen=True)
@@ -91,7 +85,7 @@ def grades(col: np.ndarray, row: np.ndarray, toxic: np.ndarray, used: int) -> np
     return out
 
 
-def fit_ordinal(buckets: np.ndarray, bounds: np.ndarray, toxic: np.ndarray, rounds: int = 300, ridge: float = 1e-4, lasso: float = 5e-5, min_rows: int = 5, screen: float = 4.0, balance: float = 0.5) -> OrdinalModel:
+def fit_ordinal(buckets: np.ndarray, bounds: np.ndarray, toxic: np.ndarray, rounds: int = 300, ridge: float = 1e-4, lasso: float = 5e-5, min_rows: int = 5, screen: float = 4.0, balance: float = 0.7) -> OrdinalModel:
     """Accelerated proximal gradient on the cumulative-link likelihood; features are a row's distinct buckets.
 
     Screening and ``lasso`` leave ordinary words without weight, so long clean texts gather no score.  With one
