@@ -231,7 +231,7 @@ def u04(spark, d):
     docs, s = src.corpus(spark, d), _scores(spark, d)
     inf = un.forget_influence(s, 5).where("topic < 'src2'").select(F.concat_ws("/", "arm", "bench", "topic").alias("run_id"), "doc_id")
     rnd = un.forget_random(docs, 25, "42").where("topic < 'src2'").select(F.concat_ws("/", "arm", "topic").alias("run_id"), "doc_id")
-    forget = inf.union(rnd).withColumn("role", F.lit("forget"))
+    forget = inf.union(rnd).withColumn("role", F.lit("forget")).persist()  # a few hundred rows, used four times
     keep = un.retain_set(docs, forget.withColumn("topic", F.lit("")), 300, "43").select(F.lit("all").alias("run_id"), "doc_id", F.lit("retain").alias("role"))
     words = tokens(F.col("text"))
     whole = un.set_stats(docs.select(F.lit("all").alias("run_id"), "doc_id", F.lit("all").alias("role")), docs, words).select("u", "v", (F.col("f") * 1e5).alias("f"))

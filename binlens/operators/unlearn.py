@@ -60,8 +60,8 @@ def shuffle_segments(words, doc_id, seed: str, size: int = 8):
 
 def set_stats(membership: DataFrame, docs: DataFrame, words, v: int = V) -> DataFrame:
     """(run_id, role, u, v, f): mean over a set's documents of their bigram frequencies; runs x V^2 rows at most."""
-    h = F.transform(words, lambda t: (u32(F.lit("v"), t) % v).cast("int"))
-    n = F.size(words)
+    docs = docs.select("doc_id", F.transform(words, lambda t: (u32(F.lit("v"), t) % v).cast("int")).alias("h"))
+    h, n = F.col("h"), F.size("h")
     big = F.zip_with(F.slice(h, 1, F.greatest(n - 1, F.lit(0))), F.slice(h, 2, F.greatest(n - 1, F.lit(0))), lambda a, b: F.struct(a.alias("u"), b.alias("v")))
     rows = docs.where(n > 1).select("doc_id", F.explode(big).alias("b"), (1.0 / (n - 1)).alias("f")).groupBy("doc_id", "b.u", "b.v").agg(F.sum("f").alias("f"))
     size = membership.groupBy("run_id", "role").agg(F.count("*").alias("n"))
