@@ -210,9 +210,9 @@ def c23(spark, d):
     return co.classifier_accuracy(pred, gold, "lang", 0.25)
 
 
-@query("c24_shards", "select (row_number() over (order by doc_id) - 1) % 8 as shard, count(*) as n_docs from documents group by all" if False else "select shard, count(*) as n_docs from (select (row_number() over (order by doc_id) - 1) % 8 as shard from documents) group by shard")
+@query("c24_shards", f"select {U.format(repr('shard') + ' || chr(124) || doc_id')} % 8 as shard, count(*) as n_docs from documents group by all")
 def c24(spark, d):
-    return co.shard(src.table(spark, d, "documents").select("doc_id"), 8, "doc_id").groupBy(F.col("shard").cast("long").alias("shard")).agg(F.count("*").alias("n_docs"))
+    return co.shard(src.table(spark, d, "documents").select("doc_id"), 8, "doc_id").groupBy("shard").agg(F.count("*").alias("n_docs"))
 
 
 @query("c26_receipt", f"with {UP} select count(*) as n_rows, count(distinct doc_id) as n_ids, (select count(*) from labels where doc_id not in (select doc_id from documents)) as n_missing, count(*) - count(distinct doc_id) as n_repeats from up")
@@ -821,4 +821,4 @@ def b06(spark, d):
     return _ci(ag.bin_bootstrap(_star(spark, d), REPS, "star"))
 
 
-from binlens import catalog_more  # noqa: E402, F401  (registers probes, lexical, unlearning, replication, cost and stream queries)
+from binlens import catalog_more, catalog_rest  # noqa: E402, F401  (both register their queries)

@@ -137,6 +137,44 @@ def doc_bootstrap(scores: DataFrame, reps: int, seed: str) -> DataFrame:
     return pick.join(rows.select("bench", *BIN, "i", "score"), ["bench", *BIN, "i"]).groupBy("rep", "bench", *BIN).agg(F.avg("score").alias("mean"))
 
 
+def bin_gradients(grad: DataFrame, labels: DataFrame, d: int) -> DataFrame:
+    """(topic, format, module, g): summed document gradients of a bin over its documents, so that a query's product
+    with it is the bin's mean score and no document is scored."""
+    rows = grad.join(labels, "doc_id")
+    sums = rows.groupBy(*BIN, "module").agg(F.count("*").alias("n"), *[F.sum(F.col("g")[i]).alias(f"g{i}") for i in range(d)])
+    size = Window.partitionBy(*BIN)  # every document with words has the word module, so the larger count is the bin's
+    return sums.withColumn("n", F.max("n").over(size)).select(*BIN, "module", F.array(*[F.col(f"g{i}") / F.col("n") for i in range(d)]).alias("g"))
+
+
+def query_bootstrap(queries: DataFrame, bins: DataFrame, reps: int, seed: str, d: int) -> DataFrame:
+    """(rep, bench, topic, format, delta): correctness differential under queries drawn anew within their benchmark.
+
+    ``queries``: bench, query_id, correct, module, g; ``bins`` of ``bin_gradients``.  Scores are linear in the queries,
+    so each resample is a mean query gradient: reps x queries narrow rows, then reps x bins products."""
+    w = Window.partitionBy("bench")
+    ids = queries.select("bench", "query_id").distinct().withColumn("i", F.row_number().over(w.orderBy("query_id")) - 1).withColumn("n", F.count("*").over(w))
+    pick = ids.select("bench", "n", F.col("i").alias("slot"), F.explode(F.sequence(F.lit(0), F.lit(reps - 1))).alias("rep"))
+    pick = pick.withColumn("i", u32(F.lit(seed), F.col("rep"), F.col("bench"), F.col("slot")) % F.col("n")).groupBy("rep", "bench", "i").agg(F.count("*").alias("k"))
+    rows = pick.join(ids.select("bench", "i", "query_id"), ["bench", "i"]).join(queries, ["bench", "query_id"])
+    means = rows.groupBy("rep", "bench", "correct", "module").agg(*[(F.sum(F.col("k") * F.col("g")[i]) / F.sum("k")).alias(f"q{i}") for i in range(d)])
+    means = means.select("rep", "bench", "correct", "module", F.array(*[f"q{i}" for i in range(d)]).alias("q"))
+    product = F.aggregate(F.zip_with("g", "q", lambda x, y: x * y), F.lit(0.0), lambda a, x: a + x)
+    cells = means.join(F.broadcast(bins), "module").groupBy("rep", "bench", "correct", *BIN).agg(F.sum(product).alias("mean"))  # bins: the grid's cells
+    z = zscore(cells, ("rep", "bench", "correct"))
+    return z.groupBy("rep", "bench", *BIN).agg((F.max(F.when(F.col("correct"), F.col("z"))) - F.max(F.when(~F.col("correct"), F.col("z")))).alias("delta"))
+
+
+def gap_bootstrap(bins: DataFrame, axis: str, target: str, reps: int, seed: str) -> DataFrame:
+    """(rep, axis, gap): target's marginal z less the others' mean, under draws of the other axis' labels."""
+    other = [c for c in BIN if c != axis]
+    b = numbered(bins, other)
+    n = b.agg(F.max("unit")).first()[0] + 1
+    rows = draws(bins.sparkSession, reps, n, seed).join(F.broadcast(b.select("unit", "bench", axis, "z")), "unit")
+    m = rows.where("z is not null").groupBy("rep", "bench", axis).agg((F.sum(F.col("weight") * F.col("z")) / F.sum("weight")).alias("z"))
+    own, rest = F.avg(F.when(F.col("bench") == target, F.col("z"))), F.avg(F.when(F.col("bench") != target, F.col("z")))
+    return m.groupBy("rep", axis).agg((own - rest).alias("gap"))
+
+
 def linkage(r: dict[tuple[str, str], float], names: list[str]) -> list[tuple[str, str, float, int]]:
     """Average linkage on 1 - r over a few probes, on the driver: merges (left, right, height, size)."""
     groups = {n: [n] for n in names}

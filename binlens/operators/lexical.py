@@ -6,6 +6,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from binlens.functions.hashing import u32
+
 #: Own word lists: dimension -> (family, words of four languages).
 LEXICON = {
     "article": ("function", "the a an der die das ein eine le la les un une el los las una"),
@@ -74,3 +76,46 @@ def proxies(p: DataFrame) -> DataFrame:
         "bench", scale(z("article") + z("preposition") - z("pronoun_1") - z("auxiliary") - z("negation")).alias("analytic"), scale(z("affect") - z("negation")).alias("tone"),
         scale(z("pronoun_2") - z("pronoun_1")).alias("clout"), scale(z("pronoun_1") + z("mental_state") - z("negation")).alias("authentic"),
     )
+
+
+def densities(c: DataFrame, sizes: DataFrame) -> DataFrame:
+    """(doc_id, dim, density): occurrences per 1,000 words of the document."""
+    return c.join(sizes, "doc_id").select("doc_id", "dim", (1000 * F.try_divide(F.col("count").cast("double"), F.col("n_words").cast("double"))).alias("density"))
+
+
+def wide_matrix(m: DataFrame) -> DataFrame:
+    """Bins x dimensions; the columns are the lexicon's, so no pass looks for them."""
+    return m.groupBy("topic", "format").agg(*[F.max(F.when(F.col("dim") == d, F.col("rate"))).alias(d) for d in LEXICON])
+
+
+def bimodal_split(top: DataFrame, least: int = 8) -> DataFrame:
+    """Top bins of the interactional and the expository side; bimodal where each side has ``least`` of them."""
+    side = F.coalesce(*[F.when(F.col("format") == f, c) for f, c in CLUSTERS.items()])
+    a, b = F.count_if(side.isin("dialogic", "personal")), F.count_if(side.isin("expository", "structured"))
+    return top.groupBy("bench").agg(a.alias("interactional"), b.alias("expository")).withColumn("bimodal", (F.col("interactional") >= least) & (F.col("expository") >= least))
+
+
+def group_contrast(top: DataFrame, groups: dict[str, tuple], pairs_: list[tuple[str, str]], reps: int, seed: str) -> DataFrame:
+    """(a, b, dim, delta, lo, hi): difference of two groups' mean z over their pooled top bins.
+
+    ``top``: bench, rank, dim, lz.  Each group's pooled rows are drawn anew ``reps`` times; sizes are groups x k x dims."""
+    name = F.coalesce(*[F.when(F.col("bench").isin(*bs), g) for g, bs in groups.items()])
+    rows = top.where("lz is not null").withColumn("grp", name)
+    w = Window.partitionBy("grp", "dim")
+    rows = rows.withColumn("i", F.row_number().over(w.orderBy("bench", "rank")) - 1).withColumn("n", F.count("*").over(w))
+    pick = rows.select("grp", "dim", "n", F.col("i").alias("slot"), F.explode(F.sequence(F.lit(0), F.lit(reps - 1))).alias("rep"))
+    pick = pick.withColumn("i", u32(F.lit(seed), F.col("rep"), F.col("grp"), F.col("slot")) % F.col("n"))
+    drawn = pick.join(rows.select("grp", "dim", "i", "lz"), ["grp", "dim", "i"]).groupBy("rep", "grp", "dim").agg(F.avg("lz").alias("m"))
+    seen = rows.groupBy("grp", "dim").agg(F.avg("lz").alias("m")).withColumn("rep", F.lit(-1))
+    both = seen.unionByName(drawn)
+    which = F.explode(F.array(*[F.struct(F.lit(a).alias("a"), F.lit(b).alias("b")) for a, b in pairs_])).alias("p")
+    cols = both.select("rep", "dim", "grp", "m", which).select("rep", "dim", "grp", "m", "p.*")
+    d = cols.groupBy("rep", "dim", "a", "b").agg((F.max(F.when(F.col("grp") == F.col("a"), F.col("m"))) - F.max(F.when(F.col("grp") == F.col("b"), F.col("m")))).alias("d"))
+    boot = F.when(F.col("rep") >= 0, F.col("d"))
+    return d.groupBy("a", "b", "dim").agg(F.max(F.when(F.col("rep") < 0, F.col("d"))).alias("delta"), F.percentile(boot, 0.025).alias("lo"), F.percentile(boot, 0.975).alias("hi"))
+
+
+def claim_tiers() -> list[tuple[str, str, str]]:
+    """(family, tier, claim): what may be said of each dimension family; families are those of the lexicon."""
+    tiers = {"function": ("descriptive", "style of the supporting bins"), "social": ("supported", "contrast with an interval that excludes 0"), "cognition": ("suggestive", "contrast, same sign in most benchmarks"), "affect": ("suggestive", "contrast, same sign in most benchmarks")}
+    return [(f, *tiers[f]) for f in sorted({f for f, _ in LEXICON.values()})] + [(d, "refused", "no reproducible route") for d in NO_ROUTE]

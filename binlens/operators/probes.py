@@ -10,6 +10,8 @@ from binlens.functions.stats import wilson
 
 #: Formats of the two register groups on the native grid.
 PRESCRIPTIVE, INTERPERSONAL = ("de", "en"), ("es", "fr")
+#: (benchmark, role, whether a split by correctness is defined).
+POLICY = [("SR", "main", True), ("TR", "supporting", True), ("SK", "secondary", False), ("TK", "excluded", True)]
 
 
 def token_counts(df: DataFrame, words) -> DataFrame:
@@ -50,6 +52,15 @@ def gate(out: DataFrame, by: list[str], chance: float = 0.25) -> DataFrame:
     return g.withColumn("tier", F.when(F.col("lo") > chance, "main").when(F.col("hi") >= chance, "caution").otherwise("failure control"))
 
 
+def assign_tiers(gated: DataFrame, policy: list[tuple[str, str, bool]]) -> DataFrame:
+    """(bench, gate, tier, split_used): the policy's role where the gate is passed, else what the gate says; an excluded
+    benchmark stays excluded, and only passed ones with a split are split by correctness."""
+    p = gated.sparkSession.createDataFrame(policy, "bench string, role string, has_split boolean")
+    out, passed = F.col("role") == "excluded", F.col("tier") == "main"
+    tier = F.when(out, F.col("role")).when(passed, F.col("role")).otherwise(F.col("tier"))
+    return gated.join(F.broadcast(p), "bench").select("bench", F.col("tier").alias("gate"), tier.alias("tier"), (F.col("has_split") & passed & ~out).alias("split_used"))
+
+
 def subset_masks(out: DataFrame, chance: float = 0.25) -> DataFrame:
     """Per benchmark: subsets kept (accuracy at chance or better), and accuracy over those only."""
     s = out.groupBy("bench", "subset").agg(F.count("*").alias("n"), F.count_if("correct").alias("k")).withColumn("kept", F.col("k") >= chance * F.col("n"))

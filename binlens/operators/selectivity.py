@@ -163,6 +163,27 @@ def net_effect(runs: DataFrame, control: str = "random") -> DataFrame:
     return runs.where("recipe = 'influence'").groupBy("topic", "bench").agg(F.avg("gamma").alias("g")).join(c, "bench").select("topic", "bench", (F.col("g") - F.col("c")).alias("net"))
 
 
+def control_by_seed(runs: DataFrame, control: str = "random") -> DataFrame:
+    """Each seed's control mean against the quartiles of the topics' damage."""
+    t = runs.where("recipe = 'influence'").groupBy("bench", "topic").agg(F.avg("gamma").alias("g")).groupBy("bench").agg(F.percentile("g", 0.25).alias("q1"), F.percentile("g", 0.75).alias("q3"))
+    c = runs.where(F.col("recipe") == control).groupBy("bench", "seed").agg(F.avg("gamma").alias("control")).join(t, "bench")
+    return c.select("bench", "seed", "control", F.when(F.col("control") > F.col("q3"), "above").when(F.col("control") < F.col("q1"), "below").otherwise("inside").alias("place"))
+
+
+def heldout_unlearning(runs: DataFrame, control: str = "random") -> DataFrame:
+    """One row for each topic: damage less the control's of the same benchmark and seed, pooled over both, with its
+    interval, sign test, range with one benchmark left out, and how far it stands out among the topics."""
+    c = runs.where(F.col("recipe") == control).groupBy("bench", "seed").agg(F.avg("gamma").alias("c"))
+    net = runs.where("recipe = 'influence'").groupBy("topic", "bench", "seed").agg(F.avg("gamma").alias("g")).join(c, ["bench", "seed"]).select("topic", "bench", (F.col("g") - F.col("c")).alias("d"))
+    half = 1.959964 * F.col("sd") / F.sqrt("n")
+    a = net.groupBy("topic").agg(F.count("*").alias("n"), F.count_if(F.col("d") < 0).alias("n_negative"), F.avg("d").alias("mean"), F.stddev_samp("d").alias("sd"))
+    whole = Window.partitionBy()  # one row for each topic
+    a = a.withColumn("lo", F.col("mean") - half).withColumn("hi", F.col("mean") + half).withColumn("z", F.try_divide(F.col("mean") - F.avg("mean").over(whole), F.stddev_pop("mean").over(whole))).drop("sd")
+    signs = sign_test(net.select(F.col("topic").alias("target"), "d")).select(F.col("target").alias("topic"), "p")
+    left = jackknife(net.select(F.col("topic").alias("target"), F.col("bench").alias("topic"), "d")).withColumnRenamed("target", "topic")
+    return a.join(signs, "topic").join(left, "topic")
+
+
 def sign_test(d: DataFrame) -> DataFrame:
     """Two-sided sign test of d by target, exact binomial by log-factorials."""
     s = d.where("d <> 0").groupBy("target").agg(F.count("*").alias("n"), F.count_if(F.col("d") > 0).alias("k"))

@@ -40,6 +40,14 @@ def forget_bin_level(bins: DataFrame, docs: DataFrame, n: int, seed: str) -> Dat
     return rows.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= n).select("bench", "topic", "doc_id", F.lit("bin").alias("arm"))
 
 
+def forget_multi(sets: list[DataFrame]) -> DataFrame:
+    """Union of several bins' forget sets as one run; a document in two of them counts once."""
+    out = sets[0]
+    for s in sets[1:]:
+        out = out.unionByName(s)
+    return out.select("bench", "doc_id").distinct().withColumn("arm", F.lit("multi"))
+
+
 def retain_set(docs: DataFrame, forget: DataFrame, n: int, seed: str, mode: str = "flat") -> DataFrame:
     """Retained documents, disjoint from the forget set: flat, uniform outside its topics, or stratified over topics."""
     rest = docs.join(forget.select("doc_id").distinct(), "doc_id", "left_anti")
@@ -68,6 +76,28 @@ def set_stats(membership: DataFrame, docs: DataFrame, words, v: int = V) -> Data
     return membership.join(rows, "doc_id").groupBy("run_id", "role", "u", "v").agg(F.sum("f").alias("f")).join(size, ["run_id", "role"]).select("run_id", "role", "u", "v", (F.col("f") / F.col("n")).alias("f"))
 
 
+def corpus_stats(docs: DataFrame, words) -> DataFrame:
+    """(u, v, f): bigram frequencies of the whole corpus on the scale of 1e5 documents, for the base head."""
+    s = set_stats(docs.select(F.lit("all").alias("run_id"), "doc_id", F.lit("all").alias("role")), docs, words)
+    return s.select("u", "v", (F.col("f") * 1e5).alias("f"))
+
+
+def forget_stats(members: DataFrame, docs: DataFrame, words, seed: str) -> DataFrame:
+    """(run_id, role, u, v, f) of forget sets (run_id, doc_id), as they are and with their segments shuffled."""
+    plain = set_stats(members.withColumn("role", F.lit("forget")), docs, words)
+    return plain.unionByName(set_stats(members.withColumn("role", F.lit("shuffled")), docs, shuffle_segments(words, F.col("doc_id"), seed)))
+
+
+def stop_targets(everything: DataFrame, stats: DataFrame, v: int = V) -> DataFrame:
+    """(run_id, base_ppl, target_ppl): the base head's perplexity on each forget set and on its shuffled text."""
+    ids = everything.sparkSession.range(v)
+    grid = ids.select(F.col("id").cast("int").alias("u")).crossJoin(F.broadcast(ids.select(F.col("id").cast("int").alias("v"))))  # v x v cells
+    c = grid.join(everything, ["u", "v"], "left").withColumn("c", 0.5 + F.coalesce("f", F.lit(0.0))).drop("f")
+    logp = c.withColumn("lp", F.ln(F.col("c") / F.sum("c").over(Window.partitionBy("u")))).drop("c")
+    p = stats.join(F.broadcast(logp), ["u", "v"]).groupBy("run_id", "role").agg(F.exp(-F.sum(F.col("f") * F.col("lp")) / F.sum("f")).alias("ppl"))
+    return p.groupBy("run_id").agg(F.max(F.when(F.col("role") == "forget", F.col("ppl"))).alias("base_ppl"), F.max(F.when(F.col("role") == "shuffled", F.col("ppl"))).alias("target_ppl"))
+
+
 def loss(w: np.ndarray, f: np.ndarray) -> float:
     """Cross-entropy of bigram frequencies f under row-softmax logits w."""
     logp = w - np.log(np.exp(w - w.max(1, keepdims=True)).sum(1, keepdims=True)) - w.max(1, keepdims=True)
@@ -118,14 +148,43 @@ class LowRankAdapter:
         return base + self.a @ self.b
 
 
-def train_run(base: np.ndarray, forget: np.ndarray, retain: np.ndarray, target: float, held: np.ndarray | None = None, max_steps: int = 200, lr_every: int = 10, guard: float = 1.1, rank: int = 8) -> tuple[np.ndarray, int, str]:
-    """Unlearn until the forget perplexity reaches ``target``; stops on held-out loss beyond the guard, or max_steps."""
+def eval_items(ch: DataFrame, v: int = V) -> dict:
+    """Choices as arrays for ``accuracy``; ``ch`` as of ``probes.choices``.  Its size is the benchmark's, not the corpus'."""
+    h = F.transform(F.concat(F.slice("prompt", -1, 1), "words"), lambda t: (u32(F.lit("v"), t) % v).cast("int"))
+    text = F.length(F.array_join("words", " "))
+    rows = ch.where(F.size("prompt") > 0).select("bench", "query_id", "choice", text.alias("chars"), h.alias("h")).orderBy("bench", "query_id", "choice").collect()
+    sizes = [len(r.h) - 1 for r in rows]
+    return {
+        "u": np.array([x for r in rows for x in r.h[:-1]], int), "v": np.array([x for r in rows for x in r.h[1:]], int), "slot": np.repeat(np.arange(len(rows)), sizes),
+        "chars": np.array([max(r.chars, 1) for r in rows], float), "query": np.array([r.choice == 0 for r in rows], int).cumsum() - 1,
+    }
+
+
+def accuracy(w: np.ndarray, items: dict) -> float:
+    """Share of queries whose first choice has the best log-likelihood for each character; a tie counts for the first."""
+    n = len(items["chars"])
+    if not n:
+        return float("nan")
+    logp = w - np.log(np.exp(w - w.max(1, keepdims=True)).sum(1, keepdims=True)) - w.max(1, keepdims=True)
+    score = np.bincount(items["slot"], weights=logp[items["u"], items["v"]], minlength=n) / items["chars"]
+    starts = np.flatnonzero(np.diff(items["query"], prepend=-1))
+    return float((score[starts] >= np.maximum.reduceat(score, starts) - 1e-12).mean())
+
+
+def train_run(base: np.ndarray, forget: np.ndarray, retain: np.ndarray, target: float, held: np.ndarray | None = None, max_steps: int = 200, lr_every: int = 10, guard: float = 1.1, rank: int = 8, items: dict | None = None, eval_every: int = 250, least: float = 0.9) -> tuple[np.ndarray, int, str]:
+    """Unlearn until the forget perplexity reaches ``target``, at most ``max_steps``.
+
+    Stops early on held-out loss beyond ``guard`` times the base's, or, every ``eval_every`` steps, on accuracy on
+    ``items`` under ``least`` times the base's."""
     adapter, w, lr = LowRankAdapter(len(base), rank), base, 1.0
+    floor = least * accuracy(base, items) if items else None
     for k in range(max_steps):
         if np.exp(loss(w, forget)) >= target:
             return w, k, "ppl_target"
         if held is not None and k % 25 == 0 and loss(w, held) > guard * loss(base, held):
             return w, k, "guard"
+        if items and k and k % eval_every == 0 and accuracy(w, items) < floor:
+            return w, k, "accuracy_guard"
         step = gdiff_step(gradient(w, retain), gradient(w, forget))
         if k % lr_every == 0:
             lr = auto_lr(w, step, retain)
@@ -134,11 +193,12 @@ def train_run(base: np.ndarray, forget: np.ndarray, retain: np.ndarray, target:
     return w, max_steps, "max_steps"
 
 
-def run_grid(stats: DataFrame, retain: DataFrame, everything: DataFrame, v: int = V, factor: float = 1.3, max_steps: int = 60) -> DataFrame:
-    """(run_id, steps, stop_reason, forget_ppl_base, forget_ppl, retain_ppl_base, retain_ppl) of every run, in parallel.
+def run_grid(stats: DataFrame, retain: DataFrame, everything: DataFrame, items: dict, v: int = V, max_steps: int = 60, eval_every: int = 20) -> DataFrame:
+    """(run_id, steps, stop_reason, base and final perplexity of forget and retain set, target, base and final accuracy).
 
-    ``stats``: forget sets; ``retain``: (u, v, f) of the one retain set, fixed for all runs; ``everything``: those of
-    the corpus, from which the base head is made.  Both are at most V^2 numbers."""
+    ``stats``: forget sets and their shuffled forms (``forget_stats``), whose base perplexity is a run's target;
+    ``retain``: (u, v, f) of the one retain set, fixed for all runs; ``everything``: those of the corpus, from which the
+    base head is made.  Both are at most V^2 numbers.  A run without a shuffled form stops at ``max_steps``."""
     kept = np.zeros((v, v))
     for x in retain.collect():
         kept[x.u, x.v] += x.f
@@ -150,13 +210,20 @@ def run_grid(stats: DataFrame, retain: DataFrame, everything: DataFrame, v: int
     def one(pdf):
         import pandas as pd
 
-        f, r = np.zeros((v, v)), kept
-        np.add.at(f, (pdf.u.to_numpy(), pdf.v.to_numpy()), pdf.f.to_numpy())
-        w, steps, why = train_run(base, f, r, np.exp(loss(base, f)) * factor, held=r, max_steps=max_steps)
-        return pd.DataFrame([(pdf.run_id.iloc[0], steps, why, *(float(np.exp(loss(m, s))) for s in (f, r) for m in (base, w)))], columns=["run_id", "steps", "stop_reason", "forget_ppl_base", "forget_ppl", "retain_ppl_base", "retain_ppl"])
+        f, shuffled = np.zeros((v, v)), np.zeros((v, v))
+        for role, m in (("forget", f), ("shuffled", shuffled)):
+            x = pdf[pdf.role == role]
+            np.add.at(m, (x.u.to_numpy(), x.v.to_numpy()), x.f.to_numpy())
+        target = float(np.exp(loss(base, shuffled))) if shuffled.any() else float("inf")
+        w, steps, why = train_run(base, f, kept, target, held=kept, max_steps=max_steps, items=items, eval_every=eval_every)
+        ppl = [float(np.exp(loss(m, s))) for s in (f, kept) for m in (base, w)]
+        return pd.DataFrame([(pdf.run_id.iloc[0], steps, why, *ppl, target, accuracy(base, items), accuracy(w, items))], columns=[x.split()[0] for x in RUN.split(", ")])
 
     # a group is one run's sums: at most 2 V^2 rows, whatever the corpus
-    return stats.groupBy("run_id").applyInPandas(one, "run_id string, steps long, stop_reason string, forget_ppl_base double, forget_ppl double, retain_ppl_base double, retain_ppl double")
+    return stats.groupBy("run_id").applyInPandas(one, RUN)
+
+
+RUN = "run_id string, steps long, stop_reason string, forget_ppl_base double, forget_ppl double, retain_ppl_base double, retain_ppl double, target_ppl double, acc_base double, acc double"
 
 
 def refit_without(counts: np.ndarray, forget: np.ndarray, smooth: float = 0.5) -> np.ndarray:

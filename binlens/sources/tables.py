@@ -77,3 +77,21 @@ def write_index(scores: DataFrame, path: str, partition: str = "bench") -> None:
 def votes(text_tokens, kind: str, n: int) -> F.Column:
     """Label votes of tokens: array of label numbers."""
     return F.transform(text_tokens, lambda t: u32(F.lit(kind), t) % n)
+
+
+#: Blocks of a page that carry no running text, then any tag.
+PAGE_NOISE, PAGE_TAG = r"(?s)<head.*?</head>|<nav.*?</nav>|<footer.*?</footer>|<script.*?</script>|<style.*?</style>|<!--.*?-->", r"<[^>]*>"
+
+
+def page_text(html) -> F.Column:
+    """Plain words of a page, by two replacements inside the plan: enough to label and score a page as a document."""
+    t = F.regexp_replace(F.regexp_replace(html, PAGE_NOISE, " "), PAGE_TAG, " ")
+    return F.trim(F.regexp_replace(F.replace(t, F.lit("&amp;"), F.lit("&")), r"[ \t\r\n]+", " "))
+
+
+def turn_queries(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Assistant turns that answer a user turn: prompt = the user's words, completion = the answer's, nine probes."""
+    c = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", tokens(F.col("text")).alias("w"))
+    asked = c.where("role = 'user'").select("conv_id", (F.col("turn") + 1).alias("turn"), F.col("w").alias("prompt"))
+    rows = c.where("role = 'assistant'").join(asked, ["conv_id", "turn"])
+    return rows.select((F.col("conv_id") * 100 + F.col("turn")).alias("query_id"), (F.col("conv_id") % 9).alias("bench"), "prompt", F.col("w").alias("completion"))

@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+import tempfile
 import uuid
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupStateTimeout
 
 EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 
@@ -44,3 +47,88 @@ def run_once(df: DataFrame, mode: str) -> DataFrame:
     name = f"s_{uuid.uuid4().hex}"
     df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start().awaitTermination()
     return df.sparkSession.table(name)
+
+
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that driver and executors share; a temporary one only for a local master without that setting."""
+    folder = spark.conf.get("spark.checkpoint.dir", None)
+    if not folder and not spark.sparkContext.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
+    return (folder or f"file://{tempfile.mkdtemp(prefix='binlens-stream-')}").rstrip("/")
+
+
+def replayed(first: DataFrame, second: DataFrame, width: str = "1 day", late: str = "1 hour") -> DataFrame:
+    """(start, format, n): window counts when ``second`` arrives after ``first``; rows behind the watermark are dropped.
+
+    Two runs of one query over one checkpoint, so it also shows that a stream goes on where it stopped.  Each batch
+    overwrites its own folder: a batch that is run again after a failure doesn't count twice."""
+    spark, path = first.sparkSession, f"{shared_dir(first.sparkSession)}/late-{uuid.uuid4().hex}"
+
+    def sink(df, batch):
+        df.write.mode("overwrite").parquet(f"{path}/out/batch={batch}")
+
+    for part in (first, second):
+        part.write.mode("append").parquet(f"{path}/in")
+        windows = tumbling(with_bins(spark.readStream.schema(EVENTS).parquet(f"{path}/in")), width, late=late)
+        windows.writeStream.foreachBatch(sink).option("checkpointLocation", f"{path}/state").outputMode("update").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.parquet(f"{path}/out").groupBy("start", "format").agg(F.max("n").alias("n"))
+
+
+def late_report(kept: DataFrame, events: DataFrame) -> DataFrame:
+    """(format, n_kept, n_late): rows that reached a window, and those that came behind the watermark."""
+    k = kept.groupBy("format").agg(F.sum("n").alias("n_kept"))
+    return events.groupBy("format").agg(F.count("*").alias("n")).join(k, "format", "left").select("format", F.coalesce("n_kept", F.lit(0)).alias("n_kept"), (F.col("n") - F.coalesce("n_kept", F.lit(0))).alias("n_late"))
+
+
+def with_owner(s: DataFrame, owners: DataFrame) -> DataFrame:
+    """Stream-static join; the static side is read anew for each batch."""
+    return s.join(owners, "user_id")
+
+
+def followed_by(s: DataFrame, first: str, then: str, within: str = "1 hour") -> DataFrame:
+    """Stream-stream interval join of one user's events; both watermarks let state older than the interval go."""
+    a = s.where(F.col("format") == first).select(F.col("user_id"), F.col("event_id").alias("first_id"), F.col("ts").alias("first_ts")).withWatermark("first_ts", "1 hour")
+    b = s.where(F.col("format") == then).select(F.col("user_id").alias("u"), F.col("event_id").alias("then_id"), F.col("ts").alias("then_ts")).withWatermark("then_ts", "1 hour")
+    near = (F.col("user_id") == F.col("u")) & (F.col("then_ts") >= F.col("first_ts")) & (F.col("then_ts") <= F.col("first_ts") + F.expr(f"interval {within}"))
+    return a.join(b, near).select("user_id", "first_id", "then_id")
+
+
+def running_topk(s: DataFrame, k: int = 5) -> DataFrame:
+    """The k best events of each (topic, format) so far; ``version`` grows with each batch that touches the group.
+
+    State is k ids and k values, and a batch is reduced Arrow batch by Arrow batch, so no group is held whole.
+    Null values take no part; ties go to the smaller id."""
+
+    def step(key, batches, state):
+        ids, values, version = state.get if state.exists else ([], [], 0)
+        best = pd.DataFrame({"event_id": pd.Series(list(ids), dtype="int64"), "value": pd.Series(list(values), dtype="float64")})
+        for b in batches:
+            best = pd.concat([best, b[["event_id", "value"]].dropna()]).sort_values(["value", "event_id"], ascending=[False, True]).head(k)
+        state.update((best.event_id.astype(int).tolist(), best.value.astype(float).tolist(), version + 1))
+        yield pd.DataFrame({"topic": key[0], "format": key[1], "rank": range(1, len(best) + 1), "event_id": best.event_id.to_numpy(), "value": best.value.to_numpy(), "version": version + 1})
+
+    out = "topic long, format string, rank int, event_id long, value double, version long"
+    return s.groupBy("topic", "format").applyInPandasWithState(step, out, "ids array<long>, vals array<double>, version long", "update", GroupStateTimeout.NoTimeout)
+
+
+def latest(versions: DataFrame) -> DataFrame:
+    """The last emitted list of each group."""
+    last = F.max(F.struct("version", "event_id", "value"))
+    return versions.groupBy("topic", "format", "rank").agg(last.alias("x")).select("topic", "format", "rank", "x.event_id", "x.value")
+
+
+def fires_once(s: DataFrame, target: float) -> DataFrame:
+    """Convergence monitor: each group's earliest arrival at or above the target, told once and never again."""
+
+    def step(key, batches, state):
+        done = state.exists
+        first = None
+        for b in batches:
+            hit = b.loc[b.value >= target, "ts"]
+            if len(hit) and (first is None or hit.min() < first):
+                first = hit.min()
+        if not done and first is not None:
+            state.update((True,))
+            yield pd.DataFrame({"topic": [key[0]], "format": [key[1]], "ts": [first]})
+
+    return s.groupBy("topic", "format").applyInPandasWithState(step, "topic long, format string, ts timestamp", "fired boolean", "append", GroupStateTimeout.NoTimeout)
