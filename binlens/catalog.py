@@ -187,8 +187,9 @@ def _votes(spark, d):
     """Topic and format labels of 24 x 24 by token votes, with and without the source name as a stand-in for a URL."""
     docs = src.table(spark, d, "documents").select("doc_id", "lang", tokens(F.col("text")).alias("w"), "source")
     url = F.array_repeat(u32(F.lit("topic"), F.col("source")) % 24, 3)
-    plain = src.votes(F.col("w"), "topic", 24)
-    return docs.select("doc_id", "lang", co.vote_label(plain).alias("no_url"), co.vote_label(F.concat(plain, url)).alias("url"), co.vote_label(src.votes(F.col("w"), "format", 24)).alias("fmt"))
+    v = docs.select("doc_id", "lang", "source", src.votes(F.col("w"), "topic", 24).alias("a"), src.votes(F.col("w"), "format", 24).alias("b"))
+    v = v.select("doc_id", "lang", "a", "b", F.concat("a", url).alias("c"))  # columns, so that no label hashes a word again
+    return v.select("doc_id", "lang", co.vote_label(F.col("a")).alias("no_url"), co.vote_label(F.col("c")).alias("url"), co.vote_label(F.col("b")).alias("fmt"))
 
 
 _VOTE = """{0} as (select doc_id, arg_min(v, (-k, v)) as label, max(k) / sum(k) as conf from (select doc_id, v, count(*) as k from ({1}) group by doc_id, v) group by doc_id)"""

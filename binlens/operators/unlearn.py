@@ -84,8 +84,9 @@ def corpus_stats(docs: DataFrame, words) -> DataFrame:
 
 def forget_stats(members: DataFrame, docs: DataFrame, words, seed: str) -> DataFrame:
     """(run_id, role, u, v, f) of forget sets (run_id, doc_id), as they are and with their segments shuffled."""
-    plain = set_stats(members.withColumn("role", F.lit("forget")), docs, words)
-    return plain.unionByName(set_stats(members.withColumn("role", F.lit("shuffled")), docs, shuffle_segments(words, F.col("doc_id"), seed)))
+    few = docs.join(members.select("doc_id").distinct(), "doc_id", "left_semi").select("doc_id", words.alias("w"))  # split once, members only
+    plain = set_stats(members.withColumn("role", F.lit("forget")), few, F.col("w"))
+    return plain.unionByName(set_stats(members.withColumn("role", F.lit("shuffled")), few.where("size(w) > 0").select("doc_id", shuffle_segments(F.col("w"), F.col("doc_id"), seed).alias("w")), F.col("w")))
 
 
 def stop_targets(everything: DataFrame, stats: DataFrame, v: int = V) -> DataFrame:
