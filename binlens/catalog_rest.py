@@ -90,7 +90,7 @@ def g24(spark, d):
 
 # ---- probes ------------------------------------------------------------------------------------------------
 
-_GT = f"{CH}, g0 as (select bench, count(*) as n, count_if(chosen = 0) as k from ou group by bench), g1 as (select *, (k / n + 3.841443201616 / (2 * n)) / (1 + 3.841443201616 / n) as mid, 1.959964 * sqrt(k / n * (1 - k / n) / n + 3.841443201616 / (4 * n * n)) / (1 + 3.841443201616 / n) as half from g0), gt as (select bench, n, k, k / n as acc, mid - half as lo, mid + half as hi, case when mid - half > 0.25 then 'main' when mid + half >= 0.25 then 'caution' else 'failure control' end as tier from g1)"
+_GT = f"{CH}, g0 as (select bench, count(*) as n, count_if(chosen = 0) as k from ou group by bench), g1 as (select *, (k / n + 1.959964 * 1.959964 / (2 * n)) / (1 + 1.959964 * 1.959964 / n) as mid, 1.959964 * sqrt(k / n * (1 - k / n) / n + 1.959964 * 1.959964 / (4 * n * n)) / (1 + 1.959964 * 1.959964 / n) as half from g0), gt as (select bench, n, k, k / n as acc, mid - half as lo, mid + half as hi, case when mid - half > 0.25 then 'main' when mid + half >= 0.25 then 'caution' else 'failure control' end as tier from g1)"
 
 
 @query("p03_tiers", f"with {_GT}, po(bench, role, has_split) as (values {_values(pr.POLICY)}) select bench, tier as gate, case when role = 'excluded' then role when tier = 'main' then role else tier end as tier, has_split and tier = 'main' and role <> 'excluded' as split_used from gt join po using (bench)")
@@ -187,6 +187,16 @@ def l15(spark, d):
     return spark.createDataFrame(lx.claim_tiers(), "family string, tier string, claim string")
 
 
+@query("l16_composites", f"with {TL}, cp(composite, dim) as (values {_values((c, x) for c, xs in lx.COMPOSITES.items() for x in xs)}) select bench, composite, round(avg(lz), 6) as z from tl join cp using (dim) group by all")
+def l16(spark, d):
+    return _rounded(lx.composites(_top_lex(spark, d)))
+
+
+@query("l17_row_normalised", f"with {TL}, m as (select dim, bench, avg(lz) as m from tl group by all) select dim, bench, round((m - avg(m) over (partition by dim)) / nullif(stddev_pop(m) over (partition by dim), 0), 6) as z from m")
+def l17(spark, d):
+    return _rounded(lx.row_normalised(_top_lex(spark, d)))
+
+
 # ---- unlearning --------------------------------------------------------------------------------------------
 
 _H = f"list_transform({{}}, lambda t: {_key(repr('v'), 't')} % {un.V})"

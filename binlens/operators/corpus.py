@@ -151,9 +151,10 @@ def shard(df: DataFrame, n: int, order: str) -> DataFrame:
 
 def vote_label(vote: Column) -> Column:
     """Struct (label, conf): the label with most votes, the lowest on ties; null without votes."""
-    counted = F.transform(F.array_distinct(vote), lambda v: F.struct(F.size(F.filter(vote, lambda x: x == v)).alias("k"), (-v).alias("neg")))
-    best = F.array_max(counted)
-    return F.when(F.size(vote) > 0, F.struct((-best["neg"]).alias("label"), (best["k"] / F.size(vote)).alias("conf")))
+    n = F.size(vote)
+    counted = F.transform(F.array_distinct(vote), lambda v: F.struct((n - F.size(F.array_remove(vote, v))).alias("k"), (-v).alias("neg")))
+    best = F.transform(F.array(F.array_max(counted)), lambda b: F.struct((-b["neg"]).alias("label"), (b["k"] / n).alias("conf")))  # named once, so found once
+    return F.when(n > 0, best[0])
 
 
 def classifier_accuracy(pred: DataFrame, gold: DataFrame, group: str, min_conf: float) -> DataFrame:

@@ -27,6 +27,10 @@ NO_ROUTE = ("part_of_speech", "moral", "risk", "curiosity", "mental_health")
 CLUSTERS = {"en": "dialogic", "fr": "personal", "de": "expository", "es": "structured"}
 
 
+#: Composite -> dimensions whose z it averages.
+COMPOSITES = {"dialogue": ("pronoun_1", "pronoun_2", "negation"), "social": ("pronoun_2", "pronoun_3"), "mental": ("mental_state",), "expository": ("article", "preposition", "conjunction")}
+
+
 def require_route(dim: str) -> str:
     if dim in NO_ROUTE:
         raise KeyError(f"{dim} has no reproducible route")
@@ -119,3 +123,17 @@ def claim_tiers() -> list[tuple[str, str, str]]:
     """(family, tier, claim): what may be said of each dimension family; families are those of the lexicon."""
     tiers = {"function": ("descriptive", "style of the supporting bins"), "social": ("supported", "contrast with an interval that excludes 0"), "cognition": ("suggestive", "contrast, same sign in most benchmarks"), "affect": ("suggestive", "contrast, same sign in most benchmarks")}
     return [(f, *tiers[f]) for f in sorted({f for f, _ in LEXICON.values()})] + [(d, "refused", "no reproducible route") for d in NO_ROUTE]
+
+
+def composites(top: DataFrame) -> DataFrame:
+    """(bench, composite, z): mean z of a composite's dimensions over a benchmark's top bins."""
+    pairs_ = F.array(*[F.struct(F.lit(c).alias("composite"), F.lit(d).alias("dim")) for c, ds in COMPOSITES.items() for d in ds])
+    rows = top.withColumn("p", F.explode(F.filter(pairs_, lambda x: x["dim"] == F.col("dim"))))
+    return rows.groupBy("bench", "p.composite").agg(F.avg("lz").alias("z"))
+
+
+def row_normalised(top: DataFrame) -> DataFrame:
+    """(dim, bench, z): each dimension's benchmark means standardised across benchmarks; null where they are equal."""
+    m = top.groupBy("dim", "bench").agg(F.avg("lz").alias("m"))
+    w = Window.partitionBy("dim")
+    return m.select("dim", "bench", F.try_divide(F.col("m") - F.avg("m").over(w), F.stddev_pop("m").over(w)).alias("z"))

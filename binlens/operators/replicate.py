@@ -22,9 +22,8 @@ REFUSED = {"descriptive": ("unlearning", "selectivity", "recurrence")}
 def labelled(docs: DataFrame) -> DataFrame:
     """(doc_id, text, topic, format): both labels by votes of the words, without any URL; texts without words go."""
     w = docs.select("doc_id", "text", tokens(F.col("text")).alias("w"))
-    v = w.select("doc_id", "text", votes(F.col("w"), "topic", LABELS).alias("a"), votes(F.col("w"), "format", LABELS).alias("b"))  # columns, so that no label hashes a word again
-    out = v.select("doc_id", "text", vote_label(F.col("a"))["label"].alias("topic"), vote_label(F.col("b"))["label"].alias("format"))
-    return out.where("topic is not null")
+    v = w.select("doc_id", "text", votes(F.col("w"), "topic", LABELS).alias("a"), votes(F.col("w"), "format", LABELS).alias("b")).where(F.size("a") > 0)  # columns, so that no label hashes a word again
+    return v.select("doc_id", "text", vote_label(F.col("a"))["label"].alias("topic"), vote_label(F.col("b"))["label"].alias("format"))
 
 
 def ecosystem_bins(docs: DataFrame, queries: DataFrame) -> DataFrame:
