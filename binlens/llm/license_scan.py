@@ -1,9 +1,9 @@
 """License scan by a positional rare-token index.
 
-Templates are short licence notices.  Their words and positions form postings.  For each file its rarest licence
-words (highest inverse document frequency over all documents) are looked up; each occurrence at word p and
-posting (template, q) votes for the alignment p - q of that template; an alignment with votes of several
-different words is kept if every mandatory phrase of the template stands at its place, give or take ``slack``.
+Templates are short licence notices.  Each is looked up by its anchor, the word of its mandatory phrases that is
+rarest (highest inverse document frequency over all documents): an occurrence at word p proposes the alignments
+p - q, give or take ``slack``, on which all words of the template vote; one with votes of several different words
+is kept if every mandatory phrase of the template stands at its place, give or take ``slack``.
 The base phrases, which need no alignment, are reported wherever they stand.
 """
 
@@ -48,7 +48,6 @@ SCHEMA = "doc_id long, n_words long, n_base long, first_word long, last_word lon
 class Index:
     vocabulary: np.ndarray  # sorted hashes of template words
     idf: np.ndarray
-    postings: list[tuple[np.ndarray, np.ndarray]]  # for each word: templates, positions
     texts: list[np.ndarray]  # word hashes of each template
     phrases: list[list[tuple[int, np.ndarray]]]  # for each template: place and hashes of each mandatory phrase
     labels: list[str]
@@ -62,11 +61,6 @@ def _hashes(text: str) -> np.ndarray:
 def template_index(templates=TEMPLATES, base=BASE) -> Index:
     texts = [_hashes(t) for _, t, _ in templates]
     vocabulary = np.unique(np.concatenate(texts))
-    postings: list[tuple[list[int], list[int]]] = [([], []) for _ in vocabulary]
-    for t, h in enumerate(texts):
-        for q, k in enumerate(np.searchsorted(vocabulary, h)):
-            postings[k][0].append(t)
-            postings[k][1].append(q)
     phrases = []
     for _, text, must in templates:
         parts = text.split()
@@ -75,7 +69,7 @@ def template_index(templates=TEMPLATES, base=BASE) -> Index:
             p = phrase.split()
             own.append((next(q for q in range(len(parts)) if parts[q : q + len(p)] == p), _hashes(phrase)))
         phrases.append(own)
-    return Index(vocabulary, np.zeros(len(vocabulary)), [(np.array(a), np.array(b)) for a, b in postings], texts, phrases, [x for x, _, _ in templates], [(_hashes(p), x) for p, x in base])
+    return Index(vocabulary, np.zeros(len(vocabulary)), texts, phrases, [x for x, _, _ in templates], [(_hashes(p), x) for p, x in base])
 
 
 def _places(h: np.ndarray, known: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -108,39 +102,37 @@ def document_frequencies(docs: DataFrame, index: Index) -> Index:
     return index
 
 
-def anchors(index: Index) -> np.ndarray:
-    """The rarest word of each template's mandatory phrases; a file without any of them holds no template."""
+def anchors(index: Index) -> list[tuple[np.uint64, int]]:
+    """The rarest word of each template's mandatory phrases and its place; a file without it doesn't hold the template."""
     out = []
     for phrases in index.phrases:
         h = np.concatenate([p for _, p in phrases])
-        out.append(h[index.idf[np.searchsorted(index.vocabulary, h)].argmax()])
-    return np.unique(np.array(out, np.uint64))
-
-
-def align(h: np.ndarray, index: Index, rarest: int = 8, votes: int = 2, slack: int = 2) -> dict[str, float]:
-    """Labels found in one file, each with the share of its template's words that stand in place."""
-    where, word = _places(h, index.vocabulary)
-    if not len(where):
-        return {}
-    own = np.unique(word)
-    rare = own[np.argsort(-index.idf[own], kind="stable")][:rarest]
-    seen: dict[tuple[int, int], set[int]] = {}
-    for k in rare.tolist():
-        t, q = index.postings[k]
-        for p in where[word == k].tolist():
-            for a, b in zip(t.tolist(), q.tolist()):
-                seen.setdefault((a, p - b), set()).add(k)
+        places = np.concatenate([np.arange(len(p)) + q for q, p in phrases])
+        k = int(index.idf[np.searchsorted(index.vocabulary, h)].argmax())
+        out.append((h[k], int(places[k])))
+    return out
+
+
+def align(h: np.ndarray, index: Index, votes: int = 2, slack: int = 2) -> dict[str, float]:
+    """Labels found in one file, each with the share of its template's words that stand in place.
+
+    Each template is looked up by its own anchor, so one notice never takes the place of another.  A kept alignment
+    has every mandatory phrase within ``slack`` of its place, hence the anchor too: no other alignment can be kept.
+    """
     found: dict[str, float] = {}
-    for (t, start), who in seen.items():
-        if len(who) < min(votes, len(np.unique(index.texts[t]))):
-            continue
-        if not all(any(_stands(h, start + q + d, p) for d in range(-slack, slack + 1)) for q, p in index.phrases[t]):
+    for t, (word, q) in enumerate(anchors(index)):
+        at = np.flatnonzero(h == word)
+        if not len(at):
             continue
         text = index.texts[t]
-        at = np.arange(len(text)) + start
-        ok = (at >= 0) & (at < len(h))
-        share = float((h[at[ok]] == text[ok]).sum() / len(text))
-        found[index.labels[t]] = max(found.get(index.labels[t], 0.0), share)
+        for start in np.unique(at[:, None] - q + np.arange(-slack, slack + 1)).tolist():
+            if not all(any(_stands(h, start + place + d, p) for d in range(-slack, slack + 1)) for place, p in index.phrases[t]):
+                continue
+            where = np.arange(len(text)) + start
+            ok = (where >= 0) & (where < len(h))
+            same = text[ok][h[where[ok]] == text[ok]]
+            if len(np.unique(same)) >= min(votes, len(np.unique(text))):
+                found[index.labels[t]] = max(found.get(index.labels[t], 0.0), len(same) / len(text))
     return found
 
 
@@ -148,7 +140,7 @@ def _stands(h: np.ndarray, at: int, phrase: np.ndarray) -> bool:
     return 0 <= at and at + len(phrase) <= len(h) and bool((h[at : at + len(phrase)] == phrase).all())
 
 
-def scan(docs: DataFrame, rarest: int = 8, votes: int = 2, slack: int = 2) -> DataFrame:
+def scan(docs: DataFrame, votes: int = 2, slack: int = 2) -> DataFrame:
     """One row for each document: SCHEMA.  score: best share of a template in place, 1 for a base phrase alone, 0 for none.
 
     Null and empty texts have no words, no labels ("") and score 0.  Repeated rows repeat.  Only doc_id and text
@@ -159,7 +151,7 @@ def scan(docs: DataFrame, rarest: int = 8, votes: int = 2, slack: int = 2) -> Da
 
     def run(batches):
         ix = shared.value
-        rare = anchors(ix)
+        rare = np.unique(np.array([word for word, _ in anchors(ix)], np.uint64))
         for b in batches:
             data, off = text_buffers(b.column(1))
             for i, j in slices(off):
@@ -186,7 +178,7 @@ def scan(docs: DataFrame, rarest: int = 8, votes: int = 2, slack: int = 2) -> Da
                 labels, score = [set(x) for x in base], np.array([1.0 if x else 0.0 for x in base])
                 where, _ = _places(w.hashes, rare)
                 for r in np.unique(np.searchsorted(w.first, where, "right") - 1).tolist():
-                    got = align(w.hashes[w.first[r] : w.first[r + 1]], ix, rarest, votes, slack)
+                    got = align(w.hashes[w.first[r] : w.first[r + 1]], ix, votes, slack)
                     if got:
                         labels[r] |= set(got)
                         score[r] = max(got.values())

@@ -146,6 +146,15 @@ def test_license_alignment_is_positional():
     assert "bsd" not in license_scan.align(h("forms binary source use redistribution permitted modification"), index)
 
 
+def test_license_notices_do_not_displace_each_other(spark):
+    notice = {label: text for label, text, _ in license_scan.TEMPLATES}
+    pairs = [("isc", "cc-by-4.0"), ("mit-text", "apache-2.0"), ("bsd", "mit-notice"), ("unlicense", "lgpl")]
+    prose = " hereby granted obtaining redistribution modification unencumbered person charge copy documentation "
+    texts = [notice[a] + prose + notice[b] for a, b in pairs] + [" and ".join(notice.values())]
+    got = [set(r.labels.split(",")) for r in license_scan.scan(docs_of(spark, texts)).orderBy("doc_id").collect()]
+    assert all(set(p) <= g for p, g in zip(pairs, got)) and set(notice) <= got[-1]
+
+
 def test_html_equals_article(spark):
     pages = spark.read.parquet(f"{SF}/pages.parquet")
     got = {r.page_id: r for r in html_text.extract(pages).collect()}
