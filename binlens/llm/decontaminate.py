@@ -2,11 +2,12 @@
 
 Numbers, units after a number, and names (capitalised inside a sentence) become typed placeholders, so a question
 whose parameters were changed keeps its template.  Windows of template tokens are joined by hash with those of
-the benchmark; hits of one item on one diagonal are put together; and the slots in the matched stretch must be
-filled consistently: one value of the item always became one value of the document.
+the benchmark; hits of one item on one diagonal, or on neighbouring ones, are put together; and the slots in the
+matched stretch must be filled consistently: one value of the item always became one value of the document.
 
-Two templates are used for each text: with names as placeholders, and with names kept as words, so a copy in
-another case still matches.
+Several templates are used for each text: with names as placeholders, and with names kept as words, so a copy in
+another case still matches; and both again with a decimal or grouped number, or a run of names, as one placeholder,
+so a value may have another number of words.
 """
 
 from __future__ import annotations
@@ -25,6 +26,7 @@ WINDOW = 8  # template tokens
 LITERAL = 4  # tokens of a window that must not be placeholders
 COVERAGE = 0.5  # share of an item's windows that makes a match
 RUN = 13  # or this many consecutive template tokens
+DRIFT = 8  # words by which document and item may get out of step from one window to the next
 BROADCAST_WINDOWS = 1_000_000  # benchmark windows that one pass may broadcast; a larger benchmark takes several
 
 #: Units, fixed values.
@@ -33,22 +35,37 @@ UNITS = tuple(
     "s sec second seconds min minute minutes h hr hour hours day days week weeks month months year years percent degree degrees dollar dollars "
     "euro euros cent cents usd eur gbp mph kmh km2 m2 m3 hz khz mhz ghz w kw mw v j kj cal kcal b kb mb gb tb".split()
 )
-_NUM, _UNIT, _NAME = np.uint64(11), np.uint64(13), np.uint64(17)
+_NUM, _UNIT, _NAME, _RUN = np.uint64(11), np.uint64(13), np.uint64(17), np.uint64(0x9E3779B97F4A7C15)
 SCHEMA = "doc_id long, item_id long, n_windows long, n_matched long, coverage double, first_word long, last_word long, n_slots long, reparameterised boolean"
 
 
+@dataclass
+class Kind:
+    """One way to read texts as template tokens; a token stands for the words from ``begin`` up to ``end``."""
+
+    tokens: np.ndarray  # token hashes, placeholders as small numbers
+    begin: np.ndarray
+    end: np.ndarray
+    first: np.ndarray  # first token of each row
+    folds: np.ndarray  # whether a token stands for several words
+
+
 @dataclass
 class Templates:
-    tokens: list[np.ndarray]  # for each template kind: token hashes, placeholders as small numbers
-    values: np.ndarray  # hashes of the words themselves
-    first: np.ndarray
+    kinds: list[Kind]  # names as placeholders, names as words, then both with runs folded, then the bare words
+    bare: np.ndarray  # hashes of the words themselves
+    values: np.ndarray  # the same, for a word in a run that of the whole run
+    slot: np.ndarray  # words that are placeholders
+    inner: np.ndarray  # words in a run, after its first
+    first: np.ndarray  # first word of each row
 
 
 def canonical(data: np.ndarray, offsets: np.ndarray, units: np.ndarray) -> Templates:
     w = words(data, offsets, ALNUM)
     h = w.hashes
     if not len(h):
-        return Templates([h, h], h, w.first)
+        no = np.zeros(0, bool)
+        return Templates([Kind(h, no.astype(np.int64), no.astype(np.int64), w.first, no)] * 5, h, h, no, no, w.first)
     head = data[w.start]
     number = (head >= 48) & (head <= 57)
     at = np.minimum(np.searchsorted(units, h), len(units) - 1)
@@ -69,22 +86,58 @@ def canonical(data: np.ndarray, offsets: np.ndarray, units: np.ndarray) -> Templ
     starts[inner] = True
     name = capital & ~starts
     plain = np.where(number, _NUM, np.where(unit, _UNIT, h))
-    return Templates([np.where(name & ~number & ~unit, _NAME, plain), plain], h, w.first)
+    typed = np.where(name & ~number & ~unit, _NAME, plain)
+    between = data[np.minimum(w.end[:-1], len(data) - 1)]
+    near = (w.start[1:] - w.end[:-1] == 1) & (typed[1:] == typed[:-1])
+    near[inner[inner > 0] - 1] = False
+    figures, names = np.zeros(len(h), bool), np.zeros(len(h), bool)
+    figures[1:] = near & (typed[1:] == _NUM) & ((between == 44) | (between == 46))
+    names[1:] = near & (typed[1:] == _NAME) & ((between == 32) | (between == 45) | (between == 39))
+    whole = np.zeros(len(h), bool)
+    kinds = [_folded(x, w.first, y) for x, y in ((typed, whole), (plain, whole), (typed, figures | names), (plain, figures), (h, whole))]
+    return Templates(kinds, h, _together(h, kinds[2]), _hold(typed), figures | names, w.first)
+
+
+def _folded(tokens: np.ndarray, first: np.ndarray, inner: np.ndarray) -> Kind:
+    """Tokens with each run (a word and the ``inner`` words after it) as one."""
+    if not inner.any():
+        at = np.arange(len(tokens))
+        return Kind(tokens, at, at + 1, first, inner)
+    begin = np.flatnonzero(~inner)
+    end = np.append(begin[1:], len(tokens))
+    return Kind(tokens[begin], begin, end, np.searchsorted(begin, first), end - begin > 1)
+
+
+def _together(h: np.ndarray, kind: Kind) -> np.ndarray:
+    """Hash of each word, the same for all words of one run."""
+    if not kind.folds.any():
+        return h
+    n = kind.end - kind.begin
+    place = (np.arange(len(h)) - np.repeat(kind.begin, n)).astype(np.uint64)
+    return np.repeat(np.where(kind.folds, np.add.reduceat(mix64(h + place * _RUN), kind.begin), h[kind.begin]), n)
 
 
 def _hold(tokens: np.ndarray) -> np.ndarray:
     return tokens < np.uint64(32)
 
 
-def _template_windows(t: Templates, size: int, literal: int) -> list[tuple[np.ndarray, np.ndarray]]:
+def _template_windows(t: Templates, size: int, literal: int, kinds=(0, 1, 2, 3)) -> list[tuple[int, np.ndarray, np.ndarray]]:
+    """Kind, hashes and first tokens of the windows; of a folded kind those with a run, as it has the others in common
+    with the kind it is folded from.  A short window needs placeholders in less than half of it, at most."""
     out = []
-    for kind, tokens in enumerate(t.tokens):
-        if kind == 0 and not (tokens != t.tokens[1]).any():
+    for kind in kinds:
+        k = t.kinds[kind]
+        if kind == 0 and not (k.tokens != t.kinds[1].tokens).any() or kind in (2, 3) and not k.folds.any():
             continue
-        h, at = windows(tokens, t.first, size)
-        words_so_far = np.concatenate([[0], np.cumsum(~_hold(tokens))])
-        enough = words_so_far[at + size] - words_so_far[at] >= min(literal, size)
-        out.append((mix64(h[enough] + np.uint64(size)), at[enough]))
+        h, at = windows(k.tokens, k.first, size)
+        words_so_far = np.concatenate([[0], np.cumsum(~_hold(k.tokens))])
+        enough = words_so_far[at + size] - words_so_far[at] >= min(literal, (size + 1) // 2)
+        if kind == 4:
+            enough[:] = True
+        elif kind > 1:
+            runs = np.concatenate([[0], np.cumsum(k.folds)])
+            enough &= runs[at + size] > runs[at]
+        out.append((kind, mix64(h[enough] + np.uint64(size)), at[enough]))
     return out
 
 
@@ -94,73 +147,168 @@ class Items:
 
     hashes: np.ndarray
     item: np.ndarray
-    place: np.ndarray
+    kind: np.ndarray
+    place: np.ndarray  # first token of the window, in its kind
+    size: np.ndarray  # tokens of the window
     ids: np.ndarray
-    total: np.ndarray  # usable windows of each item: those with enough literal tokens
-    size: np.ndarray  # window size of each item
+    starts: list[np.ndarray]  # words of each item at which a usable window begins: one with enough literal tokens
+    apart: list[np.ndarray]  # those of windows without runs
+    bare: np.ndarray  # sizes of windows over bare words
     templates: Templates
     units: np.ndarray
 
 
 def items_of(ids: list[int], texts: list[str | None], window: int = WINDOW, literal: int = LITERAL) -> Items:
-    """An item shorter than a window is one window by itself; items under 4 words are not looked for."""
+    """An item shorter than a window is one window by itself; items under 4 words are not looked for.
+
+    An item whose placeholders stand so densely that it has no usable window is looked for word for word.
+    """
     units = np.sort(np.array([hash_of(u, ALNUM) for u in UNITS], np.uint64))
     data, off = text_buffers(pa.array(texts, pa.string()))
     t = canonical(data, off, units)
-    n = np.diff(t.first)
-    size = np.where(n >= window, window, np.where(n >= 4, n, 0))
-    hs, ws, ps = [], [], []
-    for k in np.unique(size[size > 0]).tolist():
-        for h, at in _template_windows(t, k, literal):
-            row = np.searchsorted(t.first, at, "right") - 1
-            ok = size[row] == k
-            hs.append(h[ok])
-            ws.append(row[ok])
-            ps.append((at - t.first[row])[ok])
     empty = np.empty(0, np.int64)
-    h, w, p = np.concatenate(hs or [np.empty(0, np.uint64)]), np.concatenate(ws or [empty]), np.concatenate(ps or [empty])
+    parts: list[tuple[np.ndarray, ...]] = [(np.empty(0, np.uint64), empty, empty, empty, empty)]
+    has = np.zeros(len(texts), bool)
+    for kinds in ((0, 1), (2,), (3,), (4,)):
+        first = t.kinds[kinds[0]].first
+        n = np.diff(first)
+        sizes = np.where(n >= window, window, np.where(n >= 4, n, 0))
+        if kinds == (4,):
+            sizes[has] = 0
+        for size in np.unique(sizes[sizes > 0]).tolist():
+            for kind, h, at in _template_windows(t, size, literal, kinds):
+                row = np.searchsorted(first, at, "right") - 1
+                ok = sizes[row] == size
+                has[row[ok]] = True
+                parts.append((h[ok], row[ok], np.full(ok.sum(), kind), at[ok], np.full(ok.sum(), size)))
+    h, w, kind, place, size = (np.concatenate(x) for x in zip(*parts))
     order = np.argsort(h, kind="stable")
-    usable = np.unique(np.column_stack([w, p]), axis=0)[:, 0] if len(w) else empty
-    return Items(h[order], w[order], p[order], np.array(ids, np.int64), np.bincount(usable, minlength=len(n)), size, t, units)
+
+    def begins(kinds) -> list[np.ndarray]:
+        at = np.unique(np.concatenate([np.column_stack([w[kind == k], t.kinds[k].begin[place[kind == k]] - t.first[w[kind == k]]]) for k in kinds]), axis=0)
+        return np.split(at[:, 1], np.searchsorted(at[:, 0], np.arange(1, len(texts))))
+
+    return Items(h[order], w[order], kind[order], place[order], size[order], np.array(ids, np.int64), begins(range(5)), begins((0, 1)), np.unique(size[kind == 4]), t, units)
+
+
+def _chain(hits: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """The longest chain of places in item and document that go on together, their distance changing by at most
+    ``DRIFT`` words from one to the next."""
+    ends: dict[int, list[tuple]] = {}  # for each diagonal: length, place, link before
+    top = None
+    for q, p in sorted(hits):
+        before = None
+        for e in range(p - q - DRIFT, p - q + DRIFT + 1):
+            for link in reversed(ends.get(e, ())):
+                if link[1][0] < q and link[1][1] < p:
+                    if before is None or link[0] > before[0]:
+                        before = link
+                    break
+        link = (before[0] + 1 if before else 1, (q, p), before)
+        ends.setdefault(p - q, []).append(link)
+        if top is None or link[0] > top[0]:
+            top = link
+    out = []
+    while top:
+        out.append(top[1])
+        top = top[2]
+    return out[::-1]
+
+
+def _longest(chain: list[tuple], hits: dict) -> int:
+    """Most consecutive template tokens that the windows of a chain cover, both sides going on by one token each time."""
+    best, n, after = 0, 0, set()
+    for at in chain:
+        n = n + 1 if at in after else 1
+        after = {one[2] for one in hits[at]}
+        best = max(best, n + max(one[3] for one in hits[at]) - 1)
+    return best
+
+
+def _share(chain: list[tuple[int, int]], counted: list[set[int]]) -> float:
+    """Share of an item's windows in a chain: of all, of those that don't begin inside a run, or of those without runs."""
+    return max(sum(q in some for q, _ in chain) / max(len(some), 1) for some in counted)
+
+
+def _consistent(chain: list[tuple[int, int]], hits: dict, level: int) -> tuple[dict, list[tuple[int, int]]]:
+    """The windows of a chain if their slots agree, else none."""
+    kept = {at: some for at in chain if (some := [one for one in hits[at] if len(one[4]) > level])}
+    became: dict[int, set[int]] = {}
+    for some in kept.values():
+        for one in some:
+            for a, b in one[4][level]:
+                became.setdefault(a, set()).add(b)
+    torn = {a for a, b in became.items() if len(b) > 1}
+    if torn:
+        kept = {}
+    return kept, [at for at in chain if at in kept]
 
 
 def matches(data: np.ndarray, offsets: np.ndarray, items: Items, coverage: float = COVERAGE, run: int = RUN, literal: int = LITERAL) -> list[tuple]:
-    """(row, item, windows, matched, coverage, first word, last word, slots, reparameterised) for each match."""
-    t = canonical(data, offsets, items.units)
-    found: dict[tuple[int, int, int], set[int]] = {}
+    """(row, item, windows, matched, coverage, first word, last word, slots, reparameterised) for each match.
+
+    Windows of one diagonal are put together, and those of neighbouring diagonals in a chain, as a slot's value may
+    have another number of words.  Where a value of the item became several values, only windows without it, or with
+    it unchanged, count.
+    """
     if not len(items.hashes):
         return []
-    for size in np.unique(items.size[items.size > 0]).tolist():
-        for h, at in _template_windows(t, size, literal):
+    t, known = canonical(data, offsets, items.units), items.templates
+    found: dict[tuple[int, int], dict[tuple[int, int], list[tuple]]] = {}  # places in item and document: end of each, next token of each, tokens, slot values
+    for size in np.unique(items.size).tolist():
+        for kind, h, at in _template_windows(t, size, literal, (0, 1, 2, 3, 4) if size in items.bare else (0, 1, 2, 3)):
             lo = np.searchsorted(items.hashes, h, "left")
             some = np.flatnonzero(items.hashes[np.minimum(lo, len(items.hashes) - 1)] == h)
             hi = np.searchsorted(items.hashes, h[some], "right")
-            row = np.searchsorted(t.first, at[some], "right") - 1
+            theirs = t.kinds[kind]
+            row = np.searchsorted(theirs.first, at[some], "right") - 1
             for r, a, x, y in zip(row.tolist(), at[some].tolist(), lo[some].tolist(), hi.tolist()):
-                p = a - int(t.first[r])
+                p = int(theirs.begin[a] - t.first[r])
                 for k in range(x, y):
-                    if items.size[items.item[k]] == size:
-                        q = int(items.place[k])
-                        found.setdefault((r, int(items.item[k]), p - q), set()).add(q)
-    best: dict[tuple[int, int], tuple] = {}
-    for (r, item, shift), places in found.items():
-        size, total = int(items.size[item]), int(items.total[item])
-        q = np.array(sorted(places))
-        longest = int(np.diff(np.flatnonzero(np.concatenate([[True], np.diff(q) != 1, [True]]))).max()) + size - 1
-        if len(q) < coverage * total and longest < run:
-            continue
-        cover = np.unique((q[:, None] + np.arange(size)).ravel())
-        own = items.templates.first[item] + cover
-        other = t.first[r] + shift + cover
-        slot = _hold(items.templates.tokens[0][own])
-        theirs: dict[int, int] = {}
-        if not all(theirs.setdefault(a, b) == b for a, b in zip(items.templates.values[own[slot]].tolist(), t.values[other[slot]].tolist())):
-            continue
-        changed = any(a != b for a, b in theirs.items())
-        one = (r, item, total, len(q), len(q) / total, int(cover[0] + shift), int(cover[-1] + shift), int(slot.sum()), changed)
-        if (r, item) not in best or one[3] > best[r, item][3]:
-            best[r, item] = one
-    return [best[k] for k in sorted(best)]
+                    if items.size[k] != size:
+                        continue
+                    i, b, own = int(items.item[k]), int(items.place[k]), known.kinds[items.kind[k]]
+                    q = int(own.begin[b] - known.first[i])
+                    slot = np.flatnonzero(known.slot[own.begin[b : b + size]])
+                    ours, other = own.begin[b + slot], theirs.begin[a + slot]
+                    typed = t.slot[other]  # a name in another case is no placeholder there
+                    pairs = [list(zip(np.where(typed, known.values[ours], known.bare[ours]).tolist(), t.values[other].tolist()))]
+                    if not own.folds[b : b + size].any() and not theirs.folds[a : a + size].any():
+                        pairs.append(list(zip(known.bare[ours].tolist(), t.bare[other].tolist())))
+                    q1, p1 = int(own.end[b + size - 1] - known.first[i]), int(theirs.end[a + size - 1] - t.first[r])
+                    step = (int(own.end[b] - known.first[i]), int(theirs.end[a] - t.first[r]))
+                    found.setdefault((r, i), {}).setdefault((q, p), []).append((q1, p1, step, size, pairs))
+    out = []
+    for (r, i), hits in sorted(found.items()):
+        starts = items.starts[i]
+        counted = [set(x.tolist()) for x in (starts, starts[~known.inner[known.first[i] + starts]], items.apart[i])]
+
+        def enough(chain, hits, counted=counted):
+            return bool(chain) and (_share(chain, counted) >= coverage or _longest(chain, hits) >= run)
+
+        diagonals: dict[int, list[tuple[int, int]]] = {}
+        for q, p in sorted(hits):
+            diagonals.setdefault(p - q, []).append((q, p))
+        near: list[list[int]] = []
+        for d in sorted(diagonals):
+            if near and d - near[-1][-1] <= DRIFT:
+                near[-1].append(d)
+            else:
+                near.append([d])
+        chains = list(diagonals.values()) + [_chain([at for d in some for at in diagonals[d]]) for some in near if len(some) > 1]
+        best = None
+        for chain in chains:
+            for level in (0, 1):  # slot values of whole runs, then of single words
+                kept, whole = _consistent(chain, hits, level)
+                if best and len(whole) <= best[3] or not enough(whole, kept):
+                    continue
+                ones = [(at, one) for at in whole for one in kept[at]]
+                cover = np.unique(np.concatenate([np.arange(at[0], one[0]) for at, one in ones]))
+                changed = any(a != b for _, one in ones for a, b in one[4][level])
+                best = (r, i, len(starts), len(whole), _share(whole, counted), whole[0][1], max(one[1] for _, one in ones) - 1, int(known.slot[known.first[i] + cover].sum()), changed)
+        if best:
+            out.append(best)
+    return out
 
 
 def benchmark_blocks(benchmark: DataFrame, window: int = WINDOW, literal: int = LITERAL, most: int = BROADCAST_WINDOWS):

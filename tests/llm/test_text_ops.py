@@ -201,6 +201,23 @@ def test_decontamination_slots_must_agree(spark):
     assert {r.doc_id for r in decontaminate.contaminated(docs_of(spark, [good, bad]), bench).collect()} == {0}
 
 
+def found_in(spark, items, texts):
+    bench = spark.createDataFrame(list(enumerate(items)), "item_id long, text string")
+    return {(r.doc_id, r.item_id) for r in decontaminate.contaminated(docs_of(spark, texts), bench).collect()}
+
+
+def test_decontamination_slots_of_other_lengths(spark):
+    short = "How far is it when Anna walks 60 km and then goes home again slowly"
+    dense = "12 of 30 and 7 of 15 and 4 of 9 and 2"
+    items = [ITEM, short, dense, "add 4 and 5 now", "12 13 14 15 16"]
+    texts = [
+        ITEM.replace("60", "62.5").replace("Anna", "Mary Ann"), ITEM.replace("60", "1,200").replace("Boston", "New York"), "so " + short.replace("60", "62.5").replace("Anna", "Mary Ann"),
+        "x y " + ITEM.replace("walks", "walks for about three more") + " z", "here: " + dense, "now add 4 and 5 now", "see 12 13 14 15 16", "see 12 13 14 15 17",
+    ]
+    assert found_in(spark, items, texts) == {(0, 0), (1, 0), (2, 1), (3, 0), (4, 2), (5, 3), (6, 4)}
+    assert found_in(spark, [texts[0]], [ITEM, texts[0].lower()]) == {(0, 0), (1, 0)}
+
+
 def test_decontamination_finds_planted(spark):
     docs, bench = spark.read.parquet(f"{SF}/documents.parquet"), spark.read.parquet(f"{SF}/benchmark.parquet")
     got = {(r.doc_id, r.item_id) for r in decontaminate.contaminated(docs, bench).collect()}
