@@ -4,6 +4,7 @@ Numbers, units after a number, and names (capitalised inside a sentence) become
 whose parameters were changed keeps its template.  Windows of template tokens are joined by hash with those of
 the benchmark; hits of one item on one diagonal, or on neighbouring ones, are put together; and the slots in the
 matched stretch must be filled consistently: one value of the item always became one value of the document.
+Windows with a value for which that doesn't hold are left out, the others still count.
 
 Several templates are used for each text: with names as placeholders, and with names kept as words, so a copy in
 another case still matches; and both again with a decimal or grouped number, or a run of names, as one placeholder,
@@ -231,7 +232,7 @@ def _share(chain: list[tuple[int, int]], counted: list[set[int]]) -> float:
 
 
 def _consistent(chain: list[tuple[int, int]], hits: dict, level: int) -> tuple[dict, list[tuple[int, int]]]:
-    """The windows of a chain if their slots agree, else none."""
+    """The windows of a chain whose slots agree: where a value became several, those without it or with it unchanged."""
     kept = {at: some for at in chain if (some := [one for one in hits[at] if len(one[4]) > level])}
     became: dict[int, set[int]] = {}
     for some in kept.values():
@@ -240,7 +241,7 @@ def _consistent(chain: list[tuple[int, int]], hits: dict, level: int) -> tuple[d
                 became.setdefault(a, set()).add(b)
     torn = {a for a, b in became.items() if len(b) > 1}
     if torn:
-        kept = {}
+        kept = {at: ok for at, some in kept.items() if (ok := [one for one in some if all(a == b for a, b in one[4][level] if a in torn)])}
     return kept, [at for at in chain if at in kept]
 
 

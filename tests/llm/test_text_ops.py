@@ -218,6 +218,13 @@ def test_decontamination_slots_of_other_lengths(spark):
     assert found_in(spark, [texts[0]], [ITEM, texts[0].lower()]) == {(0, 0), (1, 0)}
 
 
+def test_decontamination_keeps_what_agrees(spark):
+    middle = "then she counts all of the ripe apples that were lying under the old tree behind the house and writes the total down"
+    item = f"take 3 apples first {middle} and add 3 apples to them and 3 more"
+    texts = [item.replace("3", "8", 1), item.replace("3", "8", 1).replace("add 3", "add 5"), "take 3 apples first and add 4 apples to them"]
+    assert found_in(spark, [item], texts) == {(0, 0), (1, 0)}
+
+
 def test_decontamination_finds_planted(spark):
     docs, bench = spark.read.parquet(f"{SF}/documents.parquet"), spark.read.parquet(f"{SF}/benchmark.parquet")
     got = {(r.doc_id, r.item_id) for r in decontaminate.contaminated(docs, bench).collect()}
