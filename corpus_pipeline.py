@@ -22,14 +22,17 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each component the document with the smallest id stays; of rows with one id, one stays."""
-    classes = settle(jaccard_join.jaccard_components(docs), "classes")
-    repeated = classes.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1")
-    gone = classes.where("doc_id <> component_id").select("doc_id").distinct()
+    """Of each component the row with the smallest doc_id stays, null being the largest; rows that link with nothing
+    stay, whatever their ids.  Rows are told apart by a key of their own, as ids may be null or repeat."""
+    key = f"row_{uuid.uuid4().hex}"
+    rows = settle(docs.withColumn(key, F.monotonically_increasing_id()), "rows")
+    classes = settle(jaccard_join.jaccard_components(rows, key), "classes").select(F.col("doc_id").alias(key), "component_id")
+    order = F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", F.col(key).alias("row"))
+    stay = classes.join(rows.select(key, "doc_id"), key).groupBy("component_id").agg(F.min(order)["row"].alias(key)).select(key)
+    gone = settle(classes.select(key).join(stay, key, "left_anti"), "gone")
     if gone.count() <= BROADCAST_IDS:
         gone = F.broadcast(gone)
-    kept = docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
-    return kept if repeated.isEmpty() else kept.dropDuplicates(["doc_id"])
+    return rows.join(gone, key, "left_anti").select(*docs.columns)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -213,3 +213,13 @@ def test_pipeline_stages_take_empty_and_repeated(spark):
         assert stage(spark, docs.limit(0), SF).columns == docs.columns and stage(spark, docs.limit(0), SF).count() == 0
         assert stage(spark, some.union(some), SF).columns == docs.columns
     assert corpus_pipeline.drop_near_copies(spark, some.union(some), SF).groupBy("doc_id").count().where("count > 1").count() == 0
+
+
+def test_pipeline_near_copies_go_by_row(spark):
+    import corpus_pipeline
+
+    a, b, c, d = (" ".join(f"{x}{k}" for k in range(40)) for x in "abcd")
+    rows = [(None, a), (None, b), (None, b + " end"), (7, c), (7, d), (9, d + " end"), (3, c + " end"), (None, None), (5, ""), (5, "")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    got = [tuple(r) for r in corpus_pipeline.drop_near_copies(spark, docs, SF).collect()]
+    assert len(got) == 7 and {(None, a), (7, d), (3, c + " end"), (None, None), (5, "")} <= set(got) and ((None, b) in got) != ((None, b + " end") in got)
