@@ -60,16 +60,21 @@ _BITS = ", ".join(U.format(f"'bloom{j}|' || doc_id") + f" % {_M}" for j in range
 BLOOM = UP + f", at_ as (select pos, unnest([{_BITS}]) as b from up), f as (select b, min(pos) as first from at_ group by b), dropped as (select pos, bool_and(first < pos) as dropped from at_ join f using (b) group by pos)"
 
 
+def _bloom_size(spark, d):
+    """Ids that the filter is made for: BLOOM_N as in the SQL, or the rows of a larger table."""
+    return max(BLOOM_N, src.table(spark, d, "documents").count())
+
+
 @query("c02_dedup_bloom", f"with {BLOOM} select doc_id, pos, dropped from up join dropped using (pos)")
 def c02(spark, d):
-    return co.dedup_bloom(src.upsampled(spark, d), "doc_id", "pos", BLOOM_N).select("doc_id", "pos", "dropped")
+    return co.dedup_bloom(src.upsampled(spark, d), "doc_id", "pos", _bloom_size(spark, d)).select("doc_id", "pos", "dropped")
 
 
 @query("c03_dedup_report", f"with {BLOOM}, e as (select doc_id, min(pos) as pos from up group by doc_id), r as (select up.source as source, dropped, e.pos is not null as first from up join dropped using (pos) left join e using (pos)) "
        "select source, count(*) as n_raw, count_if(first) as n_exact, count_if(not dropped) as n_kept, count_if(dropped and first) as n_false from r group by source")
 def c03(spark, d):
     up = src.upsampled(spark, d)
-    flags = co.dedup_bloom(up, "doc_id", "pos", BLOOM_N)
+    flags = co.dedup_bloom(up, "doc_id", "pos", _bloom_size(spark, d))
     first = co.dedup_exact(up, ["doc_id"], "pos").select("pos", F.lit(True).alias("first"))
     rows = flags.join(first, "pos", "left").fillna(False, ["first"])
     return rows.groupBy("source").agg(F.count("*").alias("n_raw"), F.count_if("first").alias("n_exact"), F.count_if(~F.col("dropped")).alias("n_kept"), F.count_if(F.col("dropped") & F.col("first")).alias("n_false"))
