@@ -6,9 +6,11 @@ driver see it, so a lost executor costs only a re-read.  Nothing is kept in a ma
 
 from __future__ import annotations
 
+import ctypes
+import sys
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -16,8 +18,8 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: Bytes of text hashed at once; bounds the numpy temporaries of one Python worker.
-SLICE_BYTES = 4 << 20
+#: Bytes of text hashed at once; bounds the numpy temporaries of one Python worker (some 15 times as much).
+SLICE_BYTES = 512 << 10
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -41,6 +43,31 @@ def settle(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: What workers keep between batches of one task, emptied at its end: functions without arguments.
+KEPT: list[Callable[[], None]] = []
+
+
+def give_back() -> None:
+    """Empty what this worker has kept and return its free memory to the system."""
+    for empty in KEPT:
+        empty()
+    pa.default_memory_pool().release_unused()
+    if sys.platform == "linux":
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+def narrow(df: DataFrame, run: Callable, schema) -> DataFrame:
+    """``mapInArrow`` by a worker that gives its memory back when a task ends, as Spark keeps workers for later stages."""
+
+    def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from run(batches)
+        finally:
+            give_back()
+
+    return df.mapInArrow(task, schema)
+
+
 def shuffle_width(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
@@ -81,40 +108,62 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x
 
 
-BITMAP_BITS = 24
+BITMAP_BITS = 24, 28  # least and most cells of a bitmap, as powers of two: 2 MB to 32 MB
+_SEGMENT = 15  # cells of a segment, as a power of two
+
+
+def bitmap_bits(keys: int) -> int:
+    """Some 16 cells a key, within the bounds; beyond them a bitmap prunes less, and stays right."""
+    return min(max(BITMAP_BITS[0], max(1, keys).bit_length() + 4), BITMAP_BITS[1])
 
 
 class Bitmap:
-    """A fixed-size set sketch over 64-bit keys: never a false "absent", so it may only prune or order.
+    """A set sketch over 64-bit keys: never a false "absent", so it may only prune or order.
 
-    Its size (2 MB) doesn't depend on the data; that is the bound under which it is broadcast.
+    It has at most 2^28 cells (32 MB) whatever the data; that is the bound under which it is broadcast.
     """
 
-    def __init__(self, bits: np.ndarray | None = None):
-        self.bits = np.zeros(1 << (BITMAP_BITS - 3), np.uint8) if bits is None else bits
+    def __init__(self, bits: np.ndarray):
+        self.bits, self.shift = bits, np.uint64(64 - (len(bits) * 8).bit_length() + 1)
 
     def has(self, keys: np.ndarray) -> np.ndarray:
-        at = keys.astype(np.uint64) >> np.uint64(64 - BITMAP_BITS)
+        at = keys.astype(np.uint64) >> self.shift
         return (self.bits[at >> np.uint64(3)] >> (at & np.uint64(7)).astype(np.uint8)) & 1 != 0
 
 
 def bitmap_of(df: DataFrame, key: str) -> Bitmap:
-    """Bitmap over a long column: positions are de-duplicated, then packed in 512 segments of 4 KB by the executors."""
-    cells = 1 << (BITMAP_BITS - 9)
-    at = df.select(F.shiftrightunsigned(F.col(key), 64 - BITMAP_BITS).alias("at")).distinct()
+    """Bitmap over a long column: positions are de-duplicated, then packed in segments of 4 KB by the executors."""
+    size = bitmap_bits(df.count())
+    at = df.select(F.shiftrightunsigned(F.col(key), 64 - size).alias("at")).distinct()
 
     def pack(batches):
-        found = np.zeros(1 << BITMAP_BITS, bool)
-        for b in batches:
-            found[b.column(0).to_numpy(zero_copy_only=False)] = True
-        used = np.flatnonzero(found.reshape(512, cells).any(axis=1))
-        rows = [np.packbits(found[s * cells : (s + 1) * cells], bitorder="little").tobytes() for s in used]
-        yield pa.RecordBatch.from_arrays([pa.array(used, pa.int32()), pa.array(rows, pa.binary())], ["seg", "bits"])
+        for segment, cells in runs(batches, lambda b: b.column(0).to_numpy() >> _SEGMENT):
+            found = np.zeros(1 << _SEGMENT, bool)
+            for c in cells:
+                found[c.column(0).to_numpy() & ((1 << _SEGMENT) - 1)] = True
+            packed = np.packbits(found, bitorder="little").tobytes()
+            yield pa.RecordBatch.from_arrays([pa.array([segment], pa.int32()), pa.array([packed], pa.binary())], ["seg", "bits"])
 
     width = min(64, shuffle_width(df.sparkSession))
-    packed = at.repartition(width, F.shiftrightunsigned("at", BITMAP_BITS - 9)).mapInArrow(pack, "seg int, bits binary")
-    out = Bitmap()
-    for row in packed.collect():  # at most 512 segments of 4 KB, once for each of the partitions that hold some of them
-        part = out.bits[row.seg * cells // 8 : (row.seg + 1) * cells // 8]
-        part |= np.frombuffer(row.bits, np.uint8)
-    return out
+    dealt = at.repartition(width, F.shiftrightunsigned("at", _SEGMENT)).sortWithinPartitions("at")
+    out = np.zeros(1 << (size - 3), np.uint8)
+    for row in narrow(dealt, pack, "seg int, bits binary").toLocalIterator():  # a segment is whole in one partition
+        out[row.seg << (_SEGMENT - 3) : (row.seg + 1) << (_SEGMENT - 3)] = np.frombuffer(row.bits, np.uint8)
+    return Bitmap(out)
+
+
+def runs(batches: Iterator[pa.RecordBatch], key: Callable) -> Iterator[tuple[int, list[pa.RecordBatch]]]:
+    """Batches sorted by a whole-number key, cut up into one list of slices for each key."""
+    now, held = None, []
+    for b in batches:
+        k = key(b)
+        cut = np.concatenate([[0], np.flatnonzero(k[1:] != k[:-1]) + 1, [len(k)]])
+        for i, j in zip(cut[:-1].tolist(), cut[1:].tolist()):
+            if i < j:
+                if held and int(k[i]) != now:
+                    yield now, held
+                    held = []
+                now = int(k[i])
+                held.append(b.slice(i, j - i))
+    if held:
+        yield now, held

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from binlens.llm.common import mix64, slices, text_buffers
+from binlens.llm.common import mix64, narrow, slices, text_buffers
 from binlens.llm.words import ALNUM, hash_of, windows, words
 
 WINDOW = 8  # template tokens
@@ -349,7 +349,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, coverage: float = COVERA
                         kinds = [pa.int64(), pa.int64(), pa.float64(), pa.int64(), pa.int64(), pa.int64(), pa.bool_()]
                         yield pa.RecordBatch.from_arrays([ids, pa.array(known.ids[item]), *(pa.array(x, k) for x, k in zip(rest, kinds))], [c.split()[0] for c in SCHEMA.split(", ")])
 
-        out = out.unionByName(rows.mapInArrow(find, SCHEMA))
+        out = out.unionByName(narrow(rows, find, SCHEMA))
     return out
 
 
@@ -368,5 +368,5 @@ def keep_clean(docs: DataFrame, benchmark: DataFrame, coverage: float = COVERAGE
                         good[i + m[0]] = False
                 yield b.filter(pa.array(good))
 
-        docs = docs.mapInArrow(keep, docs.schema)
+        docs = narrow(docs, keep, docs.schema)
     return docs

@@ -3,7 +3,7 @@
 A document's entity is its *set* of word shingles, so copies of a set are one entity from the start and are
 never paired.  The join is exact; the sketches only order shingles or prune what a bound rules out.
 
-1. One pass counts in how many entities each shingle occurs and keeps a 2 MB bitmap of the frequent ones.
+1. One pass counts in how many entities each shingle occurs and keeps a bitmap (2 to 32 MB) of the frequent ones.
 2. A second pass lists each entity under its prefix shingles: of a set of n, the first n - ceil(t n) + 1 in the
    order (frequent, hash).  Two sets with Jaccard similarity t share one of those.  Lists travel as packed blocks.
 3. Round one pairs each list's members with its centre only, the member that shares most prefix shingles with
@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from binlens.llm.common import BITMAP_BITS, Bitmap, bitmap_of, mix64, settle, shuffle_width, slices, text_buffers
+from binlens.llm.common import Bitmap, bitmap_bits, bitmap_of, mix64, narrow, runs, settle, shuffle_width, slices, text_buffers
 from binlens.llm.components import components
 from binlens.llm.words import SPACED, windows, words
 
@@ -173,12 +173,11 @@ def admitted(n: np.ndarray, vectors: list[bytes], side: np.ndarray, percent: int
                         yield int(i), int(j)
 
 
-def _rows(batches: Iterator[pa.RecordBatch], size: int) -> Iterator[tuple[np.ndarray, Sets]]:
+def _rows(batches: Iterator[pa.RecordBatch], size: int) -> Iterator[tuple[pa.Array, Sets]]:
     for batch in batches:
         data, off = text_buffers(batch.column(1))
-        ids = batch.column(0).to_numpy(zero_copy_only=False)
         for a, b in slices(off):
-            yield ids[a:b], Sets(data[off[a] : off[b]], off[a : b + 1] - off[a], size)
+            yield batch.column(0)[a:b], Sets(data[off[a] : off[b]], off[a : b + 1] - off[a], size)
 
 
 def entities(docs: DataFrame, size: int) -> DataFrame:
@@ -187,9 +186,9 @@ def entities(docs: DataFrame, size: int) -> DataFrame:
     def run(batches):
         for ids, s in _rows(batches, size):
             fp = pa.array(s.prints(), pa.int64(), mask=s.n == 0)
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(s.n, pa.int64()), fp], ["doc_id", "n", "fp"])
+            yield pa.RecordBatch.from_arrays([ids, pa.array(s.n, pa.int64()), fp], ["doc_id", "n", "fp"])
 
-    return docs.mapInArrow(run, "doc_id long, n long, fp long")
+    return narrow(docs, run, "doc_id long, n long, fp long")
 
 
 def _fresh(s: Sets, seen: set) -> np.ndarray:
@@ -225,20 +224,20 @@ def lanes_of(docs: DataFrame) -> int:
 
 
 class Frequent:
-    """Which shingles are frequent: a segment of one fixed-size bitmap for each lane."""
+    """Which shingles are frequent: a segment of one bitmap, of 2 to 32 MB, for each lane."""
 
-    def __init__(self, lanes: int):
-        self.lanes, self.cells = lanes, (1 << BITMAP_BITS) // lanes
+    def __init__(self, lanes: int, size: int):
+        self.lanes, self.size, self.cells = lanes, size, (1 << size) // lanes
         self.bits = np.zeros(lanes * self.cells, bool)
 
     def has(self, h: np.ndarray) -> np.ndarray:
         return self.bits[_lane(h, self.lanes) * self.cells + ((h & _LOW) % np.uint64(self.cells)).astype(np.int64)]
 
 
-def frequent(docs: DataFrame, size: int, hot: int) -> Frequent:
+def frequent(docs: DataFrame, size: int, hot: int, n_sets: int) -> Frequent:
     """Counts every shingle of every entity, as 32 bits in one of the lanes, and keeps the frequent ones' bitmap."""
-    lanes = lanes_of(docs)
-    cells = (1 << BITMAP_BITS) // lanes
+    out = Frequent(lanes_of(docs), bitmap_bits(4 * n_sets))
+    lanes, cells = out.lanes, out.cells
 
     def deal(batches):
         seen: set = set()
@@ -250,13 +249,8 @@ def frequent(docs: DataFrame, size: int, hot: int) -> Frequent:
                 yield pa.RecordBatch.from_arrays([lane, low], ["lane", "low"])
 
     def count(batches):
-        held: dict[int, list[bytes]] = {}
-        for b in batches:
-            for lane, low in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
-                held.setdefault(lane, []).append(low)
-        for lane, parts in held.items():
-            low = np.sort(np.frombuffer(b"".join(parts), np.uint32))
-            parts.clear()
+        for lane, parts in runs(batches, lambda b: b.column(0).to_numpy()):
+            low = np.sort(_joined(parts, 1, np.uint32))
             if len(low) >= hot:
                 often = low[hot - 1 :][low[hot - 1 :] == low[: len(low) - hot + 1]]
                 if len(often):
@@ -264,9 +258,8 @@ def frequent(docs: DataFrame, size: int, hot: int) -> Frequent:
                     bits[often % np.uint32(cells)] = True
                     yield pa.RecordBatch.from_arrays([pa.array([lane], pa.int32()), pa.array([np.packbits(bits).tobytes()], pa.binary())], ["lane", "bits"])
 
-    out = Frequent(lanes)
-    found = docs.mapInArrow(deal, "lane int, low binary").repartition(shuffle_width(docs.sparkSession), "lane").mapInArrow(count, "lane int, bits binary")
-    for row in found.collect():  # one segment for each lane: 2 MB in all, whatever the input
+    dealt = narrow(docs, deal, "lane int, low binary").repartition(shuffle_width(docs.sparkSession), "lane").sortWithinPartitions("lane")
+    for row in narrow(dealt, count, "lane int, bits binary").toLocalIterator():  # one segment for each lane: 32 MB in all at most
         out.bits[row.lane * cells : (row.lane + 1) * cells] = np.unpackbits(np.frombuffer(row.bits, np.uint8))[:cells].astype(bool)
     return out
 
@@ -274,11 +267,11 @@ def frequent(docs: DataFrame, size: int, hot: int) -> Frequent:
 def prefix_lists(docs: DataFrame, size: int, percent: int, often: Frequent) -> DataFrame:
     """(g, fp): lists of entities that share a prefix shingle; lists with the same members are one list."""
     spark = docs.sparkSession
-    lanes = often.lanes
+    lanes, cells = often.lanes, often.size
     known = spark.sparkContext.broadcast(np.packbits(often.bits))
 
     def deal(batches):
-        order = Frequent(lanes)
+        order = Frequent(lanes, cells)
         order.bits = np.unpackbits(known.value)[: len(order.bits)].astype(bool)
         seen: set = set()
         for _, s in _rows(batches, size):
@@ -298,15 +291,8 @@ def prefix_lists(docs: DataFrame, size: int, percent: int, often: Frequent) -> D
             yield pa.RecordBatch.from_arrays([lane, low, fp], ["lane", "low", "fp"])
 
     def lists(batches):
-        held: dict[int, list[list[bytes]]] = {}
-        for b in batches:
-            for lane, low, fp in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist()):
-                one = held.setdefault(lane, [[], []])
-                one[0].append(low)
-                one[1].append(fp)
-        for low, fp in held.values():
-            key, who = np.frombuffer(b"".join(low), np.uint32), np.frombuffer(b"".join(fp), np.int64)
-            low.clear(), fp.clear()
+        for _, parts in runs(batches, lambda b: b.column(0).to_numpy()):
+            key, who = _joined(parts, 1, np.uint32), _joined(parts, 2, np.int64)
             order = np.argsort(key, kind="stable")
             key, who = key[order], who[order]
             twin = key[1:] == key[:-1]
@@ -328,8 +314,8 @@ def prefix_lists(docs: DataFrame, size: int, percent: int, often: Frequent) -> D
                 rows = np.repeat(keep, count)
                 yield pa.RecordBatch.from_arrays([pa.array(np.repeat(name, count)[rows]), pa.array(who[rows])], ["g", "fp"])
 
-    dealt = docs.mapInArrow(deal, "lane int, low binary, fp binary").repartition(shuffle_width(spark), "lane")
-    return dealt.mapInArrow(lists, "g long, fp long").distinct()
+    dealt = narrow(docs, deal, "lane int, low binary, fp binary").repartition(shuffle_width(spark), "lane").sortWithinPartitions("lane")
+    return narrow(dealt, lists, "g long, fp long").distinct()
 
 
 def centred(lists: DataFrame) -> DataFrame:
@@ -341,6 +327,36 @@ def centred(lists: DataFrame) -> DataFrame:
     return lists.join(centre, "g").where("a <> fp").select(F.least("a", "fp").alias("a"), F.greatest("a", "fp").alias("b")).distinct()
 
 
+def _joined(parts: list[pa.RecordBatch], column: int, kind: type) -> np.ndarray:
+    """One array from a binary column of packed numbers."""
+    return np.concatenate([_packed(p.column(column))[0].view(kind) for p in parts])
+
+
+def _packed(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    raw, off = text_buffers(column)
+    return np.require(raw, requirements="A"), off
+
+
+def _bodies(column: pa.Array) -> Iterator[np.ndarray]:
+    raw, off = _packed(column)
+    for i, j in zip(off[:-1].tolist(), off[1:].tolist()):
+        yield raw[i:j].view(np.uint64)
+
+
+def _groups(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[tuple, list[tuple]]]:
+    """Rows sorted by their first three columns, one list for each value of those."""
+    key, held = None, []
+    for t in batches:
+        for g, i, j, *rest in zip(*(t.column(c).to_pylist() for c in range(8))):
+            if held and key != (g, i, j):
+                yield key, held
+                held = []
+            key = (g, i, j)
+            held.append(tuple(rest))
+    if held:
+        yield key, held
+
+
 def sets_of(docs: DataFrame, size: int, wanted: Bitmap) -> DataFrame:
     """(fp, n, vec, body) of the entities in a bitmap, each once; a few others may come along."""
     known = docs.sparkSession.sparkContext.broadcast(wanted.bits)
@@ -354,7 +370,7 @@ def sets_of(docs: DataFrame, size: int, wanted: Bitmap) -> DataFrame:
             if len(rows):
                 yield pa.RecordBatch.from_arrays([pa.array(fps[rows]), pa.array(s.n[rows]), pa.array([count_vector(s[i]) for i in rows], pa.binary()), pa.array([s[i].tobytes() for i in rows], pa.binary())], ["fp", "n", "vec", "body"])
 
-    return docs.mapInArrow(run, "fp long, n long, vec binary, body binary").dropDuplicates(["fp"])
+    return narrow(docs, run, "fp long, n long, vec binary, body binary").dropDuplicates(["fp"])
 
 
 def vectors_of(docs: DataFrame, size: int, wanted: Bitmap) -> DataFrame:
@@ -370,7 +386,7 @@ def vectors_of(docs: DataFrame, size: int, wanted: Bitmap) -> DataFrame:
             if len(rows):
                 yield pa.RecordBatch.from_arrays([pa.array(fps[rows]), pa.array(s.n[rows]), pa.array([count_vector(s[i]) for i in rows], pa.binary())], ["fp", "n", "vec"])
 
-    return docs.mapInArrow(run, "fp long, n long, vec binary").dropDuplicates(["fp"])
+    return narrow(docs, run, "fp long, n long, vec binary").dropDuplicates(["fp"])
 
 
 def _bounded(pairs: DataFrame, vectors: DataFrame, percent: int) -> DataFrame:
@@ -390,7 +406,7 @@ def _bounded(pairs: DataFrame, vectors: DataFrame, percent: int) -> DataFrame:
     left = vectors.select(F.col("fp").alias("a"), F.col("n").alias("na"), F.col("vec").alias("va"))
     right = vectors.select(F.col("fp").alias("b"), F.col("n").alias("nb"), F.col("vec").alias("vb"))
     both = pairs.join(left, "a").join(right, "b").where(F.least("na", "nb") * 100 >= F.greatest("na", "nb") * percent)
-    return both.select("a", "b", "na", "va", "nb", "vb").mapInArrow(keep, "a long, b long")
+    return narrow(both.select("a", "b", "na", "va", "nb", "vb"), keep, "a long, b long")
 
 
 def _verified(pairs: DataFrame, docs: DataFrame, size: int, percent: int) -> DataFrame:
@@ -399,8 +415,7 @@ def _verified(pairs: DataFrame, docs: DataFrame, size: int, percent: int) -> Dat
     def check(batches):
         for t in batches:
             ok = []
-            for x, y in zip(t.column(2).to_pylist(), t.column(3).to_pylist()):
-                x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
+            for x, y in zip(_bodies(t.column(2)), _bodies(t.column(3))):
                 both = len(np.intersect1d(x, y, assume_unique=True))
                 ok.append(both * 100 >= percent * (len(x) + len(y) - both))
             t = t.filter(pa.array(ok, pa.bool_()))
@@ -410,7 +425,7 @@ def _verified(pairs: DataFrame, docs: DataFrame, size: int, percent: int) -> Dat
     full = settle(sets_of(docs, size, bitmap_of(ends, "fp")), "sets")
     left = full.select(F.col("fp").alias("a"), F.col("body").alias("x"))
     right = full.select(F.col("fp").alias("b"), F.col("body").alias("y"))
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(check, "a long, b long")
+    return narrow(pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y"), check, "a long, b long")
 
 
 def _tree_pairs(lists: DataFrame, vectors: DataFrame, percent: int, block: int) -> DataFrame:
@@ -422,11 +437,8 @@ def _tree_pairs(lists: DataFrame, vectors: DataFrame, percent: int, block: int)
     members = members.join(vectors.select("fp", "n", "vec"), "fp")
 
     def search(batches):
-        held: dict[tuple, list] = {}
-        for t in batches:
-            for g, i, j, *rest in zip(*(t.column(c).to_pylist() for c in range(8))):
-                held.setdefault((g, i, j), []).append(rest)
-        for (_, i, j), rows in held.items():
+        for key, rows in _groups(batches):
+            _, i, j = key
             own, fp, root, n, vec = zip(*rows)
             side = np.array([int(o != i) for o in own]) if i != j else np.zeros(len(own), np.int64)
             out = {(min(fp[p], fp[q]), max(fp[p], fp[q])) for p, q in admitted(np.array(n), list(vec), side, percent) if root[p] != root[q]}
@@ -435,7 +447,7 @@ def _tree_pairs(lists: DataFrame, vectors: DataFrame, percent: int, block: int)
                 yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
 
     dealt = members.select("g", "i", "j", "own", "fp", "root", "n", "vec").repartition(shuffle_width(lists.sparkSession), "g", "i", "j")
-    return dealt.select("g", "i", "j", "own", "fp", "root", "n", "vec").mapInArrow(search, "a long, b long").distinct()
+    return narrow(dealt.sortWithinPartitions("g", "i", "j"), search, "a long, b long").distinct()
 
 
 def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = 5, percent: int = 75, hot: int = HOT_DF, block: int = BLOCK) -> DataFrame:
@@ -448,7 +460,7 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     """
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     base = settle(entities(docs, size), "entities")
-    lists = settle(prefix_lists(docs, size, percent, frequent(docs, size, hot)), "lists")
+    lists = settle(prefix_lists(docs, size, percent, frequent(docs, size, hot, base.count())), "lists")
     vectors = settle(vectors_of(docs, size, bitmap_of(lists, "fp")), "vectors")
     first = settle(_bounded(centred(lists), vectors, percent), "pairs")
     links = settle(_verified(first, docs, size, percent), "links")

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from binlens.llm.common import slices, text_buffers
+from binlens.llm.common import narrow, slices, text_buffers
 from binlens.llm.words import ALNUM, hash_of, words
 
 #: Fixed values of the task: phrase and label.
@@ -94,7 +94,7 @@ def document_frequencies(docs: DataFrame, index: Index) -> Index:
                 total[-1] += j - i
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(total)), pa.int32()), pa.array(total)], ["word", "df"])
 
-    counted = docs.select("text").mapInArrow(run, "word int, df long").groupBy("word").agg(F.sum("df").alias("df")).collect()
+    counted = narrow(docs.select("text"), run, "word int, df long").groupBy("word").agg(F.sum("df").alias("df")).collect()
     df = np.zeros(len(index.vocabulary) + 1)
     for r in counted:
         df[r.word] = r.df
@@ -191,4 +191,4 @@ def scan(docs: DataFrame, votes: int = 2, slack: int = 2) -> DataFrame:
                     ["doc_id", "n_words", "n_base", "first_word", "last_word", "base_labels", "labels", "score"],
                 )
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, SCHEMA)
+    return narrow(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), run, SCHEMA)

@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from binlens.llm.common import settle
+from binlens.llm.common import narrow, settle
 
 SHARD = 8192  # vectors of one shard
 QUERIES = 1024  # queries of one block
@@ -99,7 +99,7 @@ def _packed(rows: DataFrame, size: int, key: str) -> DataFrame:
         for d in list(held):
             yield out(d)
 
-    return rows.mapInArrow(run, "dim int, wide int, ids binary, body binary").withColumn(key, F.monotonically_increasing_id())
+    return narrow(rows, run, "dim int, wide int, ids binary, body binary").withColumn(key, F.monotonically_increasing_id())
 
 
 def _matrix(body: bytes, wide: int, dim: int) -> np.ndarray:
@@ -138,6 +138,6 @@ def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, scale: int = 256,
                     out_s.append(score)
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x).astype(np.int64)) for x in (out_q, out_v, out_s)], ["query_id", "vec_id", "score"])
 
-    found = pairs.mapInArrow(search, "query_id long, vec_id long, score long")
+    found = narrow(pairs, search, "query_id long, vec_id long, score long")
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

@@ -14,6 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from binlens.llm.common import narrow
 from binlens.llm.tokens import encoder
 
 SIZE = 2048
@@ -63,7 +64,7 @@ def pack(docs: DataFrame, tokenizer: str, end_id: int = 1, size: int = SIZE, wit
                     names.append("ids")
                 yield pa.RecordBatch.from_arrays(columns, names)
 
-    pieces = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, schema)
+    pieces = narrow(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), run, schema)
     return pieces.withColumn("sequence_id", F.monotonically_increasing_id()).withColumn("offset", F.lit(0).cast("long"))
 
 

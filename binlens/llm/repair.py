@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from binlens.llm.common import shared_dir, shuffle_width
+from binlens.llm.common import narrow, shared_dir, shuffle_width
 from binlens.llm.tokens import encoder
 
 SHARD_IDS = 1 << 20  # ids after which a shard is closed at the next document's end
@@ -211,7 +211,7 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, sh
         if ids:
             yield close()
 
-    rows.mapInArrow(run, SCHEMA).write.parquet(path)
+    narrow(rows, run, SCHEMA).write.parquet(path)
 
 
 SHARD_TYPE = pa.schema([("shard", pa.int64()), ("first_doc", pa.int64()), ("n_docs", pa.int32()), ("n_ids", pa.int64()), ("base", pa.int64()), ("n_rules", pa.int32()), ("doc_ids", pa.binary()), ("doc_lengths", pa.binary()), ("rule_lengths", pa.binary()), ("body", pa.binary())])
@@ -249,7 +249,7 @@ def digests(shards: DataFrame) -> DataFrame:
                 doc = np.frombuffer(row["doc_ids"], "<i8")
                 yield pa.RecordBatch.from_arrays([pa.array(doc), pa.array(row["base_start"] + ends - n), pa.array(n), pa.array(crc, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    return rows.mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return narrow(rows, run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def document(shards: DataFrame, doc_id: int) -> list[int]:

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from binlens.llm.common import settle, shuffle_width
+from binlens.llm.common import narrow, settle, shuffle_width
 
 START, SYSTEM, USER, ASSISTANT = range(4)
 ROLES = {"system": SYSTEM, "user": USER, "assistant": ASSISTANT}
@@ -153,7 +153,7 @@ def repair(conversations: DataFrame) -> DataFrame:
             k += 1
 
     # written once: the ranges must be the same for the matrices and for the way back
-    turns = settle(rows.mapInArrow(cut, "conv_id long, piece long, at int, turn long, role string, text string"), "turns")
+    turns = settle(narrow(rows, cut, "conv_id long, piece long, at int, turn long, role string, text string"), "turns")
 
     def matrices(batches):
         out = []
@@ -167,7 +167,7 @@ def repair(conversations: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out[k : k + 10_000]), (pa.int64(), pa.int64(), pa.binary()))], ["conv_id", "piece", "matrix"])
 
     order = turns.repartition(shuffle_width(conversations.sparkSession), "piece").sortWithinPartitions("piece", "at")
-    small = order.mapInArrow(matrices, "conv_id long, piece long, matrix binary")
+    small = narrow(order, matrices, "conv_id long, piece long, matrix binary")
 
     def solve(batches):
         for b in batches:
@@ -180,7 +180,7 @@ def repair(conversations: DataFrame) -> DataFrame:
 
     # a conversation's pieces: at most one for each range or 4,096 turns, of 128 bytes
     listed = small.groupBy("conv_id").agg(F.sort_array(F.collect_list(F.struct("piece", "matrix"))).alias("pieces"))
-    ways = listed.mapInArrow(solve, "conv_id long, piece long, enter int, leave int, cost long, final boolean").select("piece", "enter", "leave", "cost", "final")
+    ways = narrow(listed, solve, "conv_id long, piece long, enter int, leave int, cost long, final boolean").select("piece", "enter", "leave", "cost", "final")
 
     def write(batches):
         for _, run in _pieces(batches):
@@ -202,7 +202,8 @@ def repair(conversations: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out), kinds)], [c.split()[0] for c in SCHEMA.split(", ")])
 
     back = turns.join(ways, "piece").select("conv_id", "piece", "at", "turn", "role", "text", "enter", "leave", "cost", "final")
-    return back.repartition(shuffle_width(conversations.sparkSession), "piece").sortWithinPartitions("piece", "at").mapInArrow(write, SCHEMA)
+    back = back.repartition(shuffle_width(conversations.sparkSession), "piece").sortWithinPartitions("piece", "at")
+    return narrow(back, write, SCHEMA)
 
 
 def _pieces(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, list[tuple]]]:

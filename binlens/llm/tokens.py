@@ -19,10 +19,11 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 
-from binlens.llm.common import slices, text_buffers
+from binlens.llm.common import KEPT, slices, text_buffers
 from binlens.llm.words import Alphabet, span_hashes
 
-SLOTS = 21  # table slots, as a power of two; it is emptied when half full
+SLOTS = 17  # table slots at first, as a power of two; it grows when half full
+MOST_SLOTS = 21  # and is emptied when half full at this size
 _EXACT = Alphabet(np.ones(256, bool), np.arange(256, dtype=np.uint8))
 _SPACE = np.zeros(256, bool)
 _SPACE[list(b" \t\n\x0b\x0c\r\x1c\x1d\x1e\x1f")] = True
@@ -54,7 +55,7 @@ def cuts(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
 
 
 class Encoder:
-    """One tokenizer and its table of known chunks; a worker process keeps it between tasks (see ``encoder``)."""
+    """One tokenizer and its table of known chunks; a worker process keeps it until its task ends (see ``encoder``)."""
 
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -72,16 +73,34 @@ class Encoder:
     def _one(self, text: str) -> list[int]:
         return self.library.encode(text, add_special_tokens=False).ids
 
-    def _forget(self) -> None:
-        self.keys = np.zeros(1 << SLOTS, np.uint64)
-        self.slot_entry = np.zeros(1 << SLOTS, np.int32)
-        self.at, self.n, self.entries = np.zeros(1 << (SLOTS - 1), np.int64), np.zeros(1 << (SLOTS - 1), np.int32), 0
-        self.flat, self.used = np.empty(1 << 20, np.uint32), 0
+    def _forget(self, slots: int = SLOTS) -> None:
+        self._room(slots)
+        self.entries, self.used = 0, 0
+        self.at, self.n = np.zeros(1 << (slots - 1), np.int64), np.zeros(1 << (slots - 1), np.int32)
+        self.flat = np.empty(1 << 17, np.uint32)
+
+    def _room(self, slots: int) -> None:
+        self.slots = slots
+        self.keys, self.slot_entry = np.zeros(1 << slots, np.uint64), np.zeros(1 << slots, np.int32)
+
+    def _grow(self, slots: int) -> None:
+        known = self.keys != 0
+        h, entry = self.keys[known], self.slot_entry[known]
+        self._room(slots)
+        self._insert(h, entry)
+        for name in ("at", "n"):
+            old = getattr(self, name)
+            wider = np.zeros(1 << (slots - 1), old.dtype)
+            wider[: len(old)] = old
+            setattr(self, name, wider)
+
+    def _slot(self, h: np.ndarray) -> np.ndarray:
+        return (h >> np.uint64(64 - self.slots)).astype(np.int64)
 
     def _find(self, h: np.ndarray) -> np.ndarray:
         """Entry of each hash, -1 where unknown."""
         out = np.full(len(h), -1, np.int32)
-        todo, slot, mask = np.arange(len(h)), (h >> np.uint64(64 - SLOTS)).astype(np.int64), (1 << SLOTS) - 1
+        todo, slot, mask = np.arange(len(h)), self._slot(h), (1 << self.slots) - 1
         while len(todo):
             key = self.keys[slot]
             hit = key == h[todo]
@@ -90,10 +109,9 @@ class Encoder:
             todo, slot = todo[on], (slot[on] + 1) & mask
         return out
 
-    def _insert(self, h: np.ndarray) -> None:
-        """Distinct new hashes become entries self.entries, ..."""
-        entry = np.arange(self.entries, self.entries + len(h), dtype=np.int32)
-        todo, slot, mask = np.arange(len(h)), (h >> np.uint64(64 - SLOTS)).astype(np.int64), (1 << SLOTS) - 1
+    def _insert(self, h: np.ndarray, entry: np.ndarray) -> None:
+        """Distinct hashes that the table doesn't hold yet."""
+        todo, slot, mask = np.arange(len(h)), self._slot(h), (1 << self.slots) - 1
         while len(todo):
             free = self.keys[slot] == 0
             self.keys[slot[free]] = h[todo[free]]
@@ -102,7 +120,7 @@ class Encoder:
             todo, slot = todo[~won], (slot[~won] + 1) & mask
 
     def _learn(self, h: np.ndarray, raw: bytes, start: np.ndarray, end: np.ndarray) -> None:
-        self._insert(h)
+        self._insert(h, np.arange(self.entries, self.entries + len(h), dtype=np.int32))
         texts = [raw[a:b] for a, b in zip(start.tolist(), end.tolist())]
         plain = np.ones(len(texts), bool)
         for k, t in enumerate(texts):
@@ -134,7 +152,7 @@ class Encoder:
         self.used += len(new)
         self.entries += len(n)
 
-    def encode(self, column: pa.Array, end_id: int | None = None, slice_bytes: int = 1 << 21) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    def encode(self, column: pa.Array, end_id: int | None = None, slice_bytes: int = 1 << 19) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
         """For runs of rows: first row, ids of all rows (uint32, each row closed by the end id), row bounds."""
         data, offsets = text_buffers(column)
         for a, b in slices(offsets, slice_bytes):
@@ -148,12 +166,13 @@ class Encoder:
         lost = np.flatnonzero(entry < 0)
         if len(lost):
             new, first = np.unique(h[lost], return_index=True)
-            if self.entries + len(new) > len(self.at):
-                self._forget()
-                lost = np.arange(len(h))
-                new, first = np.unique(h, return_index=True)
-                if len(new) > len(self.at):
-                    raise ValueError("a slice holds more distinct chunks than the table")
+            if (wanted := (self.entries + len(new)).bit_length() + 1) > self.slots:
+                if wanted <= MOST_SLOTS:
+                    self._grow(wanted)
+                else:  # begin anew; only a row longer than a slice may need a larger table
+                    lost = np.arange(len(h))
+                    new, first = np.unique(h, return_index=True)
+                    self._forget(max(SLOTS, len(new).bit_length() + 1))
             first = lost[first]
             self._learn(new, data.tobytes(), start[first], end[first])
             entry[lost] = self._find(h[lost])
@@ -167,11 +186,12 @@ class Encoder:
         return ids, bounds
 
 
-_KEPT: dict[str, Encoder] = {}
+_KNOWN: dict[str, Encoder] = {}
+KEPT.append(_KNOWN.clear)
 
 
 def encoder(path: str) -> Encoder:
-    """The worker's encoder for a tokenizer file, with what it has learnt so far."""
-    if path not in _KEPT:
-        _KEPT[path] = Encoder(path)
-    return _KEPT[path]
+    """The worker's encoder for a tokenizer file, with what it has learnt in this task."""
+    if path not in _KNOWN:
+        _KNOWN[path] = Encoder(path)
+    return _KNOWN[path]

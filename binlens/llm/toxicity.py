@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from binlens.llm.common import mix64, slices, text_buffers
+from binlens.llm.common import mix64, narrow, slices, text_buffers
 from binlens.llm.words import ALPHA, words
 
 BITS = 20  # feature buckets, as a power of two
@@ -141,7 +141,7 @@ def training_rows(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_
 
     # the sample is bounded by max_labelled ids, so it is small enough to broadcast
     joined = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(few), "doc_id").select("doc_id", "text", "y")
-    got = joined.mapInArrow(run, "doc_id long, y int, cols binary").toArrow().sort_by([("doc_id", "ascending"), ("y", "ascending"), ("cols", "ascending")])
+    got = narrow(joined, run, "doc_id long, y int, cols binary").toArrow().sort_by([("doc_id", "ascending"), ("y", "ascending"), ("cols", "ascending")])
     raw, off = text_buffers(got.column("cols"))
     return raw.view(np.int32), off // 4, got.column("y").to_numpy()
 
@@ -181,7 +181,7 @@ def score(docs: DataFrame, model: OrdinalModel, reject_at: float = 0.5) -> DataF
                 [b.column(0), pa.array(above.sum(axis=1)), pa.array(above[:, 0]), pa.array(mass.argmax(axis=1), pa.int32()), pa.array(above[:, 0] >= reject_at)], ["doc_id", "severity", "p_toxic", "grade", "rejected"]
             )
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, severity double, p_toxic double, grade int, rejected boolean")
+    return narrow(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), run, "doc_id long, severity double, p_toxic double, grade int, rejected boolean")
 
 
 def keep_clean(docs: DataFrame, model: OrdinalModel, reject_at: float = 0.5) -> DataFrame:
@@ -195,4 +195,4 @@ def keep_clean(docs: DataFrame, model: OrdinalModel, reject_at: float = 0.5) ->
             parts = list(_scored(m, b.column(at))) or [np.zeros((0, 2))]
             yield b.filter(pa.array(np.concatenate(parts)[:, 1] < reject_at))
 
-    return docs.mapInArrow(run, docs.schema)
+    return narrow(docs, run, docs.schema)

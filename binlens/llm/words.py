@@ -6,16 +6,24 @@ from dataclasses import dataclass
 
 import numpy as np
 
-from binlens.llm.common import mix64
+from binlens.llm.common import KEPT, mix64
 
 _BASE = 0x9E3779B97F4A7C15 | 1
 _POWERS = np.ones(1, np.uint64)
 
 
+def _forget_powers() -> None:
+    global _POWERS
+    _POWERS = np.ones(1, np.uint64)
+
+
+KEPT.append(_forget_powers)
+
+
 def _powers(n: int) -> np.ndarray:
     global _POWERS
     if len(_POWERS) < n:
-        size = max(n, 1 << 20)
+        size = max(n, (1 << 17) + 64)
         with np.errstate(over="ignore"):
             grown = np.full(size, _BASE, np.uint64)
             grown[0] = 1
@@ -79,7 +87,7 @@ def spans(data: np.ndarray, offsets: np.ndarray, a: Alphabet) -> tuple[np.ndarra
     return np.flatnonzero(begins), np.flatnonzero(ends) + 1
 
 
-def span_hashes(data: np.ndarray, start: np.ndarray, end: np.ndarray, a: Alphabet, block: int = 1 << 22) -> np.ndarray:
+def span_hashes(data: np.ndarray, start: np.ndarray, end: np.ndarray, a: Alphabet, block: int = 1 << 17) -> np.ndarray:
     """Hash of each span: a polynomial over its folded bytes modulo 2^64, from one running sum, then mixed.
 
     Long buffers are cut into blocks between spans, so the running sum and the table of powers stay small.

@@ -223,3 +223,10 @@ def test_pipeline_near_copies_go_by_row(spark):
     docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
     got = [tuple(r) for r in corpus_pipeline.drop_near_copies(spark, docs, SF).collect()]
     assert len(got) == 7 and {(None, a), (7, d), (3, c + " end"), (None, None), (5, "")} <= set(got) and ((None, b) in got) != ((None, b + " end") in got)
+
+
+def test_components_keep_null_ids(spark):
+    text = " ".join(f"w{i}" for i in range(40))
+    rows = [(None, text), (7, text + " more"), (None, "quite another text of six words"), (None, None), (3, "one")]
+    got = jaccard_join.jaccard_components(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert sorted(((r.doc_id, r.n_shingles, r.component_id) for r in got), key=str) == sorted([(None, 36, 7), (7, 37, 7), (None, 2, None), (None, 0, None), (3, 1, 3)], key=str)
