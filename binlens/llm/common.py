@@ -147,7 +147,7 @@ def bitmap_of(df: DataFrame, key: str) -> Bitmap:
     width = min(64, shuffle_width(df.sparkSession))
     dealt = at.repartition(width, F.shiftrightunsigned("at", _SEGMENT)).sortWithinPartitions("at")
     out = np.zeros(1 << (size - 3), np.uint8)
-    for row in narrow(dealt, pack, "seg int, bits binary").toLocalIterator():  # a segment is whole in one partition
+    for row in narrow(dealt, pack, "seg int, bits binary").collect():  # 32 MB at most, and a segment is whole in one partition
         out[row.seg << (_SEGMENT - 3) : (row.seg + 1) << (_SEGMENT - 3)] = np.frombuffer(row.bits, np.uint8)
     return Bitmap(out)
 

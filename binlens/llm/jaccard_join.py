@@ -259,7 +259,7 @@ def frequent(docs: DataFrame, size: int, hot: int, n_sets: int) -> Frequent:
                     yield pa.RecordBatch.from_arrays([pa.array([lane], pa.int32()), pa.array([np.packbits(bits).tobytes()], pa.binary())], ["lane", "bits"])
 
     dealt = narrow(docs, deal, "lane int, low binary").repartition(shuffle_width(docs.sparkSession), "lane").sortWithinPartitions("lane")
-    for row in narrow(dealt, count, "lane int, bits binary").toLocalIterator():  # one segment for each lane: 32 MB in all at most
+    for row in narrow(dealt, count, "lane int, bits binary").collect():  # one segment for each lane: 32 MB in all at most
         out.bits[row.lane * cells : (row.lane + 1) * cells] = np.unpackbits(np.frombuffer(row.bits, np.uint8))[:cells].astype(bool)
     return out
 
