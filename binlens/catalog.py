@@ -12,8 +12,10 @@ from binlens.functions.stats import r6
 from binlens.operators import aggregate as ag
 from binlens.operators import attribution as at
 from binlens.operators import corpus as co
+from binlens.operators import probes as pr
 from binlens.operators import selectivity as se
 from binlens.sources import tables as src
+from binlens.sources.index import base_model, corpus_index, kept
 from binlens.sources.tables import BENCHES, UNBINNED, tokens
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -264,8 +266,8 @@ BINS = SCORES + ", bins0 as (select bench, topic, format, count(*) as n_docs, av
 
 
 def _index(spark, d):
-    sums = at.sign_sums(src.table(spark, d, "documents"), ["doc_id"], tokens(F.col("text")))
-    return sums, at.model_means(sums)
+    """Sign sums of all documents, from the kept index, and the base model made from them."""
+    return corpus_index(spark, d), base_model(spark, d)
 
 
 def _query_grad(spark, d, model):
@@ -274,10 +276,8 @@ def _query_grad(spark, d, model):
 
 def _scores(spark, d, model=None):
     sums, base = _index(spark, d)
-    grad = at.gradients(sums, base)
-    s = at.score_index(grad, at.reduce_queries(_query_grad(spark, d, model(spark, d, sums) if model else base), ["bench"]), ["doc_id"], ["bench"])
-    labels = src.table(spark, d, "documents").select("doc_id", F.col("source").alias("topic"), F.col("lang").alias("format"))
-    return s.join(labels, "doc_id").select("doc_id", "topic", "format", "bench", "score")
+    means = at.reduce_queries(_query_grad(spark, d, model(spark, d, sums) if model else base), ["bench"])
+    return at.score_index(at.gradients(sums, base), means, ["doc_id", "topic", "format"], ["bench"])
 
 
 def _bins(spark, d):
@@ -298,7 +298,7 @@ def a01(spark, d):
 @query("a03_gradients", f"with {DOCS} select doc_id, module, round(g[1], 6) as g1, round(g[8], 6) as g8, round(g[16], 6) as g16 from dg")
 def a03(spark, d):
     sums, base = _index(spark, d)
-    return at.gradients(sums, base).select("doc_id", "module", *[r6(F.col("g")[i - 1]).alias(f"g{i}") for i in (1, 8, 16)])
+    return at.by_module(at.gradients(sums, base)).select("doc_id", "module", *[r6(F.col("g")[i - 1]).alias(f"g{i}") for i in (1, 8, 16)])
 
 
 _VEC = """parts as (select vec_id, label as topic, vec_id % 4 as format, m as module, list_transform(embedding[m * 16 + 1 : m * 16 + 16], lambda x: x::double) as v from embeddings, range(4) t(m)),
@@ -327,8 +327,7 @@ PAIRS = DOCS + ", " + QRYS + ", " + _grad("qg", "qs", "bench, query_id", "base")
 
 def _pairs(spark, d):
     sums, base = _index(spark, d)
-    q = _query_grad(spark, d, base).withColumnRenamed("g", "q")
-    return at.score_index(at.gradients(sums, base), q, ["doc_id"], ["bench", "query_id"])  # queries: a bounded benchmark
+    return at.score_index(at.gradients(sums, base), _query_grad(spark, d, base), ["doc_id", "topic", "format"], ["bench", "query_id"])
 
 
 @query("a07_reduced_equals_mean", f"with {SCORES} select doc_id, bench, round(score, 6) as score from scores")
@@ -358,11 +357,12 @@ def a08d(spark, d):
     sums, base = _index(spark, d)
     g, q = at.gradients(sums, base), _query_grad(spark, d, base)
 
-    def diag(x, name):
-        return x.groupBy("module").agg(F.array(*[F.avg(F.col("g")[i] * F.col("g")[i]) for i in range(at.D)]).alias(name))
+    def diag(x, tag):
+        return x.agg(*[F.array(*[F.avg(F.col(m)[i] * F.col(m)[i]) for i in range(at.D)]).alias(f"{tag}_{m}") for m in at.MODULES])
 
-    w = diag(g, "h").join(diag(q, "k"), "module").select("module", F.zip_with("h", "k", lambda x, y: 0.5 * x + 0.5 * y + 1e-6).alias("w"))
-    scaled = g.join(F.broadcast(w), "module").withColumn("g", F.zip_with("g", "w", lambda x, y: x / y))
+    w = diag(g, "h").crossJoin(F.broadcast(diag(q, "k")))  # one row each
+    w = w.select(*[F.zip_with(f"h_{m}", f"k_{m}", lambda x, y: 0.5 * x + 0.5 * y + 1e-6).alias(f"w_{m}") for m in at.MODULES])
+    scaled = g.crossJoin(F.broadcast(w)).withColumns({m: F.zip_with(m, f"w_{m}", lambda x, y: x / y) for m in at.MODULES})
     return at.score_index(scaled, at.reduce_queries(q, ["bench"]), ["doc_id"], ["bench"]).select("doc_id", "bench", r6("score").alias("score"))
 
 
@@ -373,9 +373,7 @@ def a09(spark, d):
 
 @query("a10_topk_bin_stats", f"with {PAIRS}, k as (select *, row_number() over (partition by query_id order by score desc, doc_id) as rank from pairs qualify rank <= 20) select bench, source as topic, lang as format, count(*) as hits, round(avg(score), 6) as mean_score, round(avg(rank), 6) as mean_rank from k join documents using (doc_id) group by all")
 def a10(spark, d):
-    top = at.topk_docs(_pairs(spark, d), 20, ["query_id"])
-    labels = src.table(spark, d, "documents").select("doc_id", F.col("source").alias("topic"), F.col("lang").alias("format"))
-    return top.join(labels, "doc_id").groupBy("bench", "topic", "format").agg(F.count("*").alias("hits"), r6(F.avg("score")).alias("mean_score"), r6(F.avg("rank")).alias("mean_rank"))
+    return at.topk_docs(_pairs(spark, d), 20, ["query_id"]).groupBy("bench", "topic", "format").agg(F.count("*").alias("hits"), r6(F.avg("score")).alias("mean_score"), r6(F.avg("rank")).alias("mean_rank"))
 
 
 @query("a11_planted_recall", f"with {PAIRS}, k as (select doc_id, query_id, row_number() over (partition by query_id order by score desc, doc_id) as rank from pairs), h as (select k.* from k join documents d using (doc_id) join benchmark b on b.item_id = query_id where contains(d.text, b.text)) select count(*) as n_pairs, round(avg((rank <= 1)::int::double), 6) as recall_1, round(avg((rank <= 10)::int::double), 6) as recall_10, round(avg(1.0 / rank), 6) as mrr from h")
@@ -460,6 +458,17 @@ def g08(spark, d):
     return ag.extremes(ag.marginal_z(_bins(spark, d), "topic"), "topic")
 
 
+@query("g08f_format_extremes", f"with {BINS}{FM} select bench, format, cast(row_number() over (partition by bench order by z desc, format) as integer) as up, cast(row_number() over (partition by bench order by z, format) as integer) as down, round(z, 6) as z from fm qualify up <= 3 or down <= 3")
+def g08f(spark, d):
+    return ag.extremes(ag.marginal_z(_bins(spark, d), "format"), "format")
+
+
+@query("g25_signed_split", f"with {BINS} select bench, count_if(mean > 0) as n_supportive, count_if(mean < 0) as n_suppressive, round(avg(abs(mean)), 6) as absolute, round(avg(case when mean > 0 then mean end), 6) as supportive, round(avg(case when mean < 0 then mean end), 6) as suppressive, "
+       "round(sum(case when mean > 0 then mean else 0 end) / nullif(sum(abs(mean)), 0), 6) as share_supportive from bins group by bench")
+def g25(spark, d):
+    return _rounded(ag.signed_split(_bins(spark, d)))
+
+
 @query("g09_vs_rest", f"with {BINS}{FM} select format, round(avg(case when bench = 'SR' then z end) - avg(case when bench <> 'SR' then z end), 6) as gap from fm group by format")
 def g09(spark, d):
     return ag.vs_rest(ag.marginal_z(_bins(spark, d), "format"), "format", "SR").select("format", r6("gap").alias("gap"))
@@ -511,19 +520,26 @@ def g16(spark, d):
     return ag.outlier_stat(ag.profile_corr(_bins(spark, d)), BENCHES).select("bench", r6("c").alias("c"), r6("delta").alias("delta"))
 
 
+@query("g16f_outlier_on_formats", f"with {BINS}{FM}, r as (select x.bench as a, y.bench as b, corr(x.z, y.z) as r from fm x join fm y using (format) group by all) {_OUT}")
+def g16f(spark, d):
+    return ag.outlier_stat(ag.profile_corr(ag.marginal_z(_bins(spark, d), "format"), ["format"]), BENCHES).select("bench", r6("c").alias("c"), r6("delta").alias("delta"))
+
+
 @query("g16m_outlier_on_marginals", f"with {BINS}{TM}, r as (select x.bench as a, y.bench as b, corr(x.z, y.z) as r from tm x join tm y using (topic) group by all) {_OUT}")
 def g16m(spark, d):
     return ag.outlier_stat(ag.profile_corr(ag.marginal_z(_bins(spark, d), "topic"), ["topic"]), BENCHES).select("bench", r6("c").alias("c"), r6("delta").alias("delta"))
 
 
-REPS = 50
+#: Resamples of bins and axes, of label permutations, of queries, of documents, and of pooled rows: those of the reference.
+BIN_REPS, PERM_REPS, QUERY_REPS, DOC_REPS, REPS = 10_000, 10_000, 2_000, 1_000, 1_000
 
 
-def _boot_sql(unit: str, bins: str, key: str) -> str:
+def _boot_sql(unit: str, bins: str, key: str, reps: int = BIN_REPS) -> str:
     return (
-        f", un as (select {key}, row_number() over (order by {key}) - 1 as unit from (select distinct {key} from {bins})), n as (select count(*) as n from un),"
-        f"dr as (select rep, {U.format(repr(unit) + ' || chr(124) || rep || chr(124) || i')} % n as unit from n, range({REPS}) a(rep), range(n) b(i)),"
-        f"bt as (select rep, x.bench as a, y.bench as b, corr(x.z, y.z) as r from dr join un using (unit) join {bins} x using ({key}) join {bins} y using ({key}) where x.bench < y.bench group by all)"
+        f", un as (select {key}, row_number() over (order by {key}) - 1 as unit from (select distinct {key} from {bins})), n as (select count(*) as n from un), "
+        f"dr as (select rep, {U.format(repr(unit) + ' || chr(124) || rep || chr(124) || i')} % n as unit from n, range({reps}) a(rep), range(n) b(i)), "
+        f"bw as (select unit, x.bench as a, y.bench as b, x.z as za, y.z as zb from un join {bins} x using ({key}) join {bins} y using ({key}) where x.bench < y.bench and x.z is not null and y.z is not null), "
+        "bt as (select rep, a, b, case when min(za) < max(za) and min(zb) < max(zb) then corr(za, zb) end as r from dr join bw using (unit) group by all)"
     )
 
 
@@ -535,21 +551,51 @@ def _ci(boot):
     return c.select("a", "b", r6("lo").alias("lo"), r6("hi").alias("hi"))
 
 
+_DCI = (
+    ", ob as (select rep, bench, avg(case when a = bench or b = bench then r end) as c, avg(case when a <> bench and b <> bench then r end) - avg(case when a = bench or b = bench then r end) as delta "
+    "from bt, (select unnest(['SR', 'TR', 'SK', 'TK']) as bench) group by rep, bench) "
+    "select bench, round(quantile_cont(c, 0.025), 6) as c_lo, round(quantile_cont(c, 0.975), 6) as c_hi, round(quantile_cont(delta, 0.025), 6) as delta_lo, round(quantile_cont(delta, 0.975), 6) as delta_hi from ob group by bench"
+)
+
+
+def _outlier_ci(boot):
+    """Intervals of c_b and Delta_b over the resamples of a bootstrap."""
+    o = ag.outlier_stat(boot, BENCHES, ["rep"])
+    c, e = (ag.percentile_ci(o, ["bench"], v).withColumnsRenamed({"lo": f"{v}_lo", "hi": f"{v}_hi"}) for v in ("c", "delta"))
+    return _rounded(c.join(e, "bench"))
+
+
 @query("g17_bin_bootstrap", f"with {BINS}{_boot_sql('bin', 'bins', 'topic, format')}{_CI}")
 def g17(spark, d):
-    return _ci(ag.bin_bootstrap(_bins(spark, d), REPS, "bin"))
+    return _ci(ag.bin_bootstrap(_bins(spark, d), BIN_REPS, "bin"))
+
+
+@query("g17d_outlier_ci", f"with {BINS}{_boot_sql('bin', 'bins', 'topic, format')}{_DCI}")
+def g17d(spark, d):
+    return _outlier_ci(ag.bin_bootstrap(_bins(spark, d), BIN_REPS, "bin"))
 
 
 @query("g18_axis_bootstrap", f"with {BINS}{TM}{_boot_sql('axis', 'tm', 'topic')}{_CI}")
 def g18(spark, d):
-    return _ci(ag.bin_bootstrap(ag.marginal_z(_bins(spark, d), "topic"), REPS, "axis", ["topic"]))
+    return _ci(ag.bin_bootstrap(ag.marginal_z(_bins(spark, d), "topic"), BIN_REPS, "axis", ["topic"]))
+
+
+@query("g18d_topic_outlier_ci", f"with {BINS}{TM}{_boot_sql('axis', 'tm', 'topic')}{_DCI}")
+def g18d(spark, d):
+    return _outlier_ci(ag.bin_bootstrap(ag.marginal_z(_bins(spark, d), "topic"), BIN_REPS, "axis", ["topic"]))
+
+
+@query("g18f_format_outlier_ci", f"with {BINS}{FM}{_boot_sql('axis', 'fm', 'format')}{_DCI}")
+def g18f(spark, d):
+    return _outlier_ci(ag.bin_bootstrap(ag.marginal_z(_bins(spark, d), "format"), BIN_REPS, "axis", ["format"]))
 
 
 _PERM = U.format("'perm|' || rep || '|' || topic || '|' || format || '|' || bench")
 
 
-@query("g19_permutation", f"with {BINS}, q as (select rep, topic, format, bench, z, row_number() over (partition by rep, topic, format order by bench) as own, row_number() over (partition by rep, topic, format order by {_PERM}, bench) as slot from bins, range({REPS}) t(rep)), "
-       "pb as (select a.rep, a.topic, a.format, b.bench, a.z from q a join q b on a.rep = b.rep and a.topic = b.topic and a.format = b.format and a.slot = b.own), "
+@query("g19_permutation", f"with {BINS}, own as (select topic, format, list(bench order by bench) as names, list(z order by bench) as zs from bins group by all), "
+       f"pm as (select rep, topic, format, names, list_transform(list_sort(list_transform(range(1, len(names) + 1), lambda i: {{'k': {U.format("'perm|' || rep || '|' || topic || '|' || format || '|' || names[i]")}, 'b': names[i], 'z': zs[i]}})), lambda x: x.z) as zs from own, range({PERM_REPS}) t(rep)), "
+       "pb as (select rep, topic, format, unnest(names) as bench, unnest(zs) as z from pm), "
        "r as (select x.rep, x.bench as a, y.bench as b, corr(x.z, y.z) as r from pb x join pb y using (rep, topic, format) where x.bench < y.bench group by all), "
        "o as (select rep, avg(case when a <> 'SR' and b <> 'SR' then r end) - avg(case when a = 'SR' or b = 'SR' then r end) as delta from r group by rep), "
        "r0 as (select x.bench as a, y.bench as b, corr(x.z, y.z) as r from bins x join bins y using (topic, format) where x.bench < y.bench group by all), "
@@ -557,29 +603,62 @@ _PERM = U.format("'perm|' || rep || '|' || topic || '|' || format || '|' || benc
 def g19(spark, d):
     b = _bins(spark, d)
     seen = ag.outlier_stat(ag.profile_corr(b), BENCHES).where("bench = 'SR'").select(F.col("delta").alias("observed"))
-    null = ag.outlier_stat(ag.profile_corr(ag.permute_labels(b, REPS, "perm"), extra=["rep"]), BENCHES, ["rep"]).where("bench = 'SR'")
+    null = ag.outlier_stat(ag.permuted_corr(b, PERM_REPS, "perm"), BENCHES, ["rep"]).where("bench = 'SR'")
     return null.crossJoin(F.broadcast(seen)).groupBy("observed").agg((1 + F.count_if(F.col("delta") >= F.col("observed"))).alias("k"), F.count("*").alias("n")).select(r6("observed").alias("observed"), r6(F.col("k") / (1 + F.col("n"))).alias("p"))
 
 
 _DB = U.format("'doc|' || rep || '|' || topic || '|' || format || '|' || slot")
+DOCB = (
+    f"{SCORES}, bl as (select bench, topic, format, {U.format("'doc|' || doc_id")} % {ag.BLOCKS} as block, count(*) as n, sum(score) as total from scores group by all), "
+    "nb as (select *, row_number() over (partition by bench, topic, format order by block) - 1 as i, count(*) over (partition by bench, topic, format) as m from bl), "
+    f"dr as (select topic, format, rep, {_DB} % m as i from (select distinct topic, format, m from nb), range({DOC_REPS}) t(rep), unnest(range(m)) s(slot)), "
+    "bm as (select rep, bench, topic, format, sum(total) / sum(n) as mean from dr join nb using (topic, format, i) group by all)"
+)
 
 
-@query("g20_doc_bootstrap", f"with {SCORES}, i as (select *, row_number() over (partition by bench, topic, format order by doc_id) - 1 as i, count(*) over (partition by bench, topic, format) as n from scores), p as (select bench, topic, format, rep, {_DB} % n as i from (select bench, topic, format, n, i as slot, rep from i, range({REPS}) t(rep))), "
-       "m as (select rep, bench, topic, format, avg(score) as mean from p join i using (bench, topic, format, i) group by all) select bench, topic, format, round((quantile_cont(mean, 0.975) - quantile_cont(mean, 0.025)) / 2, 6) as floor from m group by all")
+@query("g20_doc_bootstrap", f"with {DOCB} select bench, topic, format, round((quantile_cont(mean, 0.975) - quantile_cont(mean, 0.025)) / 2, 6) as floor from bm group by all")
 def g20(spark, d):
-    c = ag.percentile_ci(ag.doc_bootstrap(_scores(spark, d), REPS, "doc"), ["bench", "topic", "format"], "mean")
+    c = ag.percentile_ci(ag.doc_bootstrap(_scores(spark, d), DOC_REPS, "doc"), ["bench", "topic", "format"], "mean")
     return c.select("bench", "topic", "format", r6((F.col("hi") - F.col("lo")) / 2).alias("floor"))
 
 
-COH = DOCS + ", " + QRYS + ", " + _grad("qg", "qs", "bench, query_id", "base") + ", qc as (select bench, query_id % 3 > 0 as correct, module, [" + ", ".join(f"avg(g[{i + 1}])" for i in range(at.D)) + f"] as q from qg group by all), scores as (select doc_id, topic, format, bench, correct, sum({_DOTS}) as score from dg join qc using (module) join dw using (doc_id) group by all), cb0 as (select bench, correct, topic, format, avg(score) as mean from scores group by all), cb as (select *, (mean - avg(mean) over (partition by bench, correct)) / nullif(stddev_pop(mean) over (partition by bench, correct), 0) as z from cb0)"
+@query("g20d_delta_floor", f"with {DOCB}, zb as (select *, (mean - avg(mean) over (partition by rep, bench)) / nullif(stddev_pop(mean) over (partition by rep, bench), 0) as z from bm), "
+       f"db as (select rep, topic, format, {_CON.format('SR', 'TR')} as d from zb group by all), fl as (select topic, format, (quantile_cont(d, 0.975) - quantile_cont(d, 0.025)) / 2 as floor from db group by all), "
+       "b0 as (select bench, topic, format, avg(score) as mean from scores group by all), bins as (select *, (mean - avg(mean) over (partition by bench)) / nullif(stddev_pop(mean) over (partition by bench), 0) as z from b0), "
+       f"ob as (select topic, format, {_CON.format('SR', 'TR')} as delta from bins group by all) select topic, format, round(delta, 6) as delta, round(floor, 6) as floor, abs(delta) > floor as reported from ob join fl using (topic, format)")
+def g20d(spark, d):
+    s = _scores(spark, d)
+    return _rounded(ag.delta_floor(ag.doc_bootstrap(s, DOC_REPS, "doc"), ag.zscore(ag.bin_mean(s)), "SR", "TR"))
+
+
+CH = (
+    f"q as (select item_id as query_id, {_BENCH} as bench, w[1:len(w) // 2] as prompt, w[len(w) // 2 + 1:] as completion from (select item_id, {TOK} as w from benchmark)), qi as (select *, row_number() over (partition by bench order by query_id) - 1 as i, count(*) over (partition by bench) as m from q), "
+    "ch as (select a.bench, a.query_id, c.choice, b.completion as words, a.prompt from qi a, range(4) c(choice), qi b where a.bench = b.bench and b.i = (a.i + c.choice) % a.m), "
+    f"vc as (select t, count(*) as c from (select unnest({TOK}) as t from documents) group by t), tot as (select sum(c) as total, count(*) as v from vc), "
+    "tk as (select bench, query_id, choice, prompt, len(array_to_string(words, ' ')) as chars, unnest(words) as t from ch), "
+    "sc as (select bench, query_id, choice, sum(ln(0.5 * (coalesce(c, 0) + 1) / (total + v) + 0.5 * coalesce(len(list_filter(prompt, lambda x: x = tk.t)) / nullif(len(prompt), 0), 0))) / max(chars) as score from tk left join vc using (t), tot group by all), "
+    "ou as (select bench, query_id, arg_max(choice, (round(score, 9), -choice)) as chosen, max(case when choice = 0 then score end) - max(case when choice > 0 then score end) as margin from sc group by all)"
+)
+
+
+def _outcomes(spark, d):
+    """Which choice of each item the base model prefers: its real outcome, by which items are split into cohorts."""
+    return pr.outcomes(pr.score_choices(pr.choices(src.bench_queries(spark, d)), _token_counts(spark, d)))
+
+
+def _token_counts(spark, d):
+    docs = src.table(spark, d, "documents")
+    return kept(spark, "token_counts", [docs], lambda path: pr.token_counts(src.spread(docs), tokens(F.col("text"))).write.parquet(path))
+
+
+COH = DOCS + ", " + QRYS + ", " + _grad("qg", "qs", "bench, query_id", "base") + ", " + CH + ", qc as (select bench, chosen = 0 as correct, module, [" + ", ".join(f"avg(g[{i + 1}])" for i in range(at.D)) + f"] as q from qg join ou using (bench, query_id) group by all), scores as (select doc_id, topic, format, bench, correct, sum({_DOTS}) as score from dg join qc using (module) join dw using (doc_id) group by all), cb0 as (select bench, correct, topic, format, avg(score) as mean from scores group by all), cb as (select *, (mean - avg(mean) over (partition by bench, correct)) / nullif(stddev_pop(mean) over (partition by bench, correct), 0) as z from cb0)"
 
 
 def _cohorts(spark, d):
     sums, base = _index(spark, d)
-    q = _query_grad(spark, d, base).withColumn("correct", F.col("query_id") % 3 > 0)
-    s = at.score_index(at.gradients(sums, base), at.reduce_queries(q, ["bench", "correct"]), ["doc_id"], ["bench", "correct"])
-    labels = src.table(spark, d, "documents").select("doc_id", F.col("source").alias("topic"), F.col("lang").alias("format"))
-    b = s.join(labels, "doc_id").groupBy("bench", "correct", "topic", "format").agg(F.avg("score").alias("mean"))
+    q = _query_grad(spark, d, base).join(_outcomes(spark, d).select("bench", "query_id", "correct"), ["bench", "query_id"])
+    s = at.score_index(at.gradients(sums, base), at.reduce_queries(q, ["bench", "correct"]), ["doc_id", "topic", "format"], ["bench", "correct"])
+    b = s.groupBy("bench", "correct", "topic", "format").agg(F.avg("score").alias("mean"))
     return ag.zscore(b, ("bench", "correct"))
 
 
@@ -594,6 +673,15 @@ def g22(spark, d):
     return p.select("bench", "topic", "format", r6("delta").alias("delta"))
 
 
+@query("g22x_differential_extremes", f"with {COH}, dl as (select bench, topic, format, max(case when correct then z end) as zc, max(case when not correct then z end) as zi from cb group by all), "
+       "dx as (select bench, topic, format, zc, zi, zc - zi as delta, row_number() over (partition by bench order by zc - zi desc, topic, format) as up, row_number() over (partition by bench order by zc - zi, topic, format) as down, max(abs(zc - zi)) over (partition by bench) as largest from dl where zc - zi is not null), "
+       "lg as (select bench, largest, largest / nullif(max(largest) over (order by largest desc rows between 1 following and 1 following), 0) as ratio_to_next from (select distinct bench, largest from dx)) "
+       "select bench, topic, format, case when up = 1 then 'positive' else 'negative' end as side, round(zc, 6) as z_correct, round(zi, 6) as z_incorrect, round(delta, 6) as delta, round(largest, 6) as largest, round(ratio_to_next, 6) as ratio_to_next from dx join lg using (bench, largest) where up = 1 or down = 1")
+def g22x(spark, d):
+    """The strongest bins on both sides, each cohort's z there, and how far a benchmark's largest difference is beyond the next one's."""
+    return _rounded(ag.differential_extremes(_cohorts(spark, d)))
+
+
 # ---- ledger statistics -------------------------------------------------------------------------------------
 
 LED = """runs as (select case o_orderstatus when 'F' then 'influence' when 'O' then 'random' else 'naive' end as recipe, cast(c_nationkey as bigint) as topic, o_orderkey % 3 + 42 as seed, ['SR', 'TR', 'SK', 'TK'][o_orderkey % 4 + 1] as target,
@@ -827,7 +915,7 @@ def b05(spark, d):
 
 @query("b06_star_bootstrap", f"with {SB}{_boot_sql('star', 'bins', 'topic, format')}{_CI}")
 def b06(spark, d):
-    return _ci(ag.bin_bootstrap(_star(spark, d), REPS, "star"))
+    return _ci(ag.bin_bootstrap(_star(spark, d), BIN_REPS, "star"))
 
 
 from binlens import catalog_more, catalog_rest  # noqa: E402, F401  (both register their queries)

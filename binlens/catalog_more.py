@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from binlens.catalog import _BENCH, _DOTS, _PAIR, BENCHES, BINS, CORPUS, DOCS, PAIRS, QRYS, SCORES, TOK, U, _bins, _grad, _index, _pairs, _query_grad, _rounded, _scores, _sums, query
+from binlens.catalog import _BENCH, _DOTS, _PAIR, BENCHES, BINS, CH, CORPUS, DOCS, PAIRS, QRYS, SCORES, TOK, U, _bins, _grad, _index, _outcomes, _pairs, _query_grad, _rounded, _scores, _sums, query
 from binlens.functions.stats import r6
 from binlens.operators import aggregate as ag
 from binlens.operators import attribution as at
@@ -17,22 +17,6 @@ from binlens.streaming import scores as st
 
 # ---- probes ------------------------------------------------------------------------------------------------
 
-CH = (
-    f"q as (select item_id as query_id, {_BENCH} as bench, w[1:len(w) // 2] as prompt, w[len(w) // 2 + 1:] as completion from (select item_id, {TOK} as w from benchmark)), qi as (select *, row_number() over (partition by bench order by query_id) - 1 as i, count(*) over (partition by bench) as m from q), "
-    "ch as (select a.bench, a.query_id, c.choice, b.completion as words, a.prompt from qi a, range(4) c(choice), qi b where a.bench = b.bench and b.i = (a.i + c.choice) % a.m), "
-    f"vc as (select t, count(*) as c from (select unnest({TOK}) as t from documents) group by t), tot as (select sum(c) as total, count(*) as v from vc), "
-    "tk as (select bench, query_id, choice, prompt, len(array_to_string(words, ' ')) as chars, unnest(words) as t from ch), "
-    "sc as (select bench, query_id, choice, sum(ln(0.5 * (coalesce(c, 0) + 1) / (total + v) + 0.5 * coalesce(len(list_filter(prompt, lambda x: x = tk.t)) / nullif(len(prompt), 0), 0))) / max(chars) as score from tk left join vc using (t), tot group by all), "
-    "ou as (select bench, query_id, arg_max(choice, (round(score, 9), -choice)) as chosen, max(case when choice = 0 then score end) - max(case when choice > 0 then score end) as margin from sc group by all)"
-)
-
-
-def _outcomes(spark, d):
-    docs = src.table(spark, d, "documents")
-    ch = pr.choices(src.bench_queries(spark, d))
-    return pr.outcomes(pr.score_choices(ch, pr.token_counts(docs, tokens(F.col("text")))))
-
-
 @query("p01_choice_scoring", f"with {CH} select bench, query_id, cast(chosen as integer) as chosen, chosen = 0 as correct, round(margin, 6) as margin from ou")
 def p01(spark, d):
     return _rounded(_outcomes(spark, d))
@@ -63,9 +47,8 @@ def _probe_grad(spark, d, base):
 def _probe_bins(spark, d):
     """All probes in one pass over the index."""
     sums, base = _index(spark, d)
-    s = at.score_index(at.gradients(sums, base), at.reduce_queries(_probe_grad(spark, d, base), ["bench"]), ["doc_id"], ["bench"])
-    labels = src.table(spark, d, "documents").select("doc_id", F.col("source").alias("topic"), F.col("lang").alias("format"))
-    return ag.zscore(s.join(labels, "doc_id").groupBy("bench", "topic", "format").agg(F.avg("score").alias("mean")))
+    s = at.score_index(at.gradients(sums, base), at.reduce_queries(_probe_grad(spark, d, base), ["bench"]), ["doc_id", "topic", "format"], ["bench"])
+    return ag.zscore(s.groupBy("bench", "topic", "format").agg(F.avg("score").alias("mean")))
 
 
 @query("p05_probe_bins", f"with {PB} select bench, topic, format, round(z, 6) as z from pb")

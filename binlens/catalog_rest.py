@@ -4,8 +4,8 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from binlens.catalog import _BENCH, _DOTS, _PAIR, BINS, CORPUS, DOCS, LED, PD, QRYS, REPS, SB, SCORES, SEED, TOK, U, _VOTE, _bins, _grad, _index, _instruct, _led, _model, _query_grad, _rounded, _scores, _star, _sums, CONV, query
-from binlens.catalog_more import CH, EV, LC, LM, TL, TOP, _lex, _outcomes, _top_lex
+from binlens.catalog import _BENCH, _DOTS, _PAIR, BIN_REPS, BINS, CH, CORPUS, DOCS, LED, PD, QRYS, QUERY_REPS, REPS, SB, SCORES, SEED, TOK, U, _VOTE, _bins, _grad, _index, _instruct, _led, _model, _outcomes, _query_grad, _rounded, _scores, _star, _sums, CONV, query
+from binlens.catalog_more import EV, LC, LM, TL, TOP, _lex, _top_lex
 from binlens.functions.hashing import u32
 from binlens.functions.stats import average_rank, r6
 from binlens.operators import aggregate as ag
@@ -55,13 +55,12 @@ def a05s(spark, d):
 # ---- inference ---------------------------------------------------------------------------------------------
 
 _QG = ", ".join(f"avg(g[{i + 1}])" for i in range(at.D))
-_BG = ", ".join(f"sum(g[{i + 1}]) / max(n)" for i in range(at.D))
 QB = (
-    DOCS + ", " + QRYS + ", " + _grad("qg", "qs", "bench, query_id", "base")
-    + f", bn as (select topic, format, count(distinct doc_id) as n from dg join dw using (doc_id) group by all), bg as (select topic, format, module, [{_BG}] as g from dg join dw using (doc_id) join bn using (topic, format) group by all), "
-    "qi as (select bench, query_id, row_number() over (partition by bench order by query_id) - 1 as i, count(*) over (partition by bench) as n from (select distinct bench, query_id from qg)), "
-    f"pk as (select bench, rep, {_key(repr('query'), 'rep', 'bench', 'i')} % n as i from qi, range({REPS}) t(rep)), "
-    f"rm as (select rep, bench, query_id % 3 > 0 as correct, module, [{_QG}] as q from pk join qi using (bench, i) join qg using (bench, query_id) group by all), "
+    DOCS + ", " + QRYS + ", " + _grad("qg", "qs", "bench, query_id", "base") + ", " + CH
+    + f", bn as (select topic, format, count(distinct doc_id) as n from dg join dw using (doc_id) group by all), bg as (select topic, format, module, [{', '.join(f'sum(g[{i + 1}]) / max(n)' for i in range(at.D))}] as g from dg join dw using (doc_id) join bn using (topic, format) group by all), "
+    "qo as (select bench, query_id, chosen = 0 as correct, row_number() over (partition by bench order by query_id) - 1 as i, count(*) over (partition by bench) as n from (select distinct bench, query_id from qg) join ou using (bench, query_id)), "
+    f"pk as (select bench, rep, {_key(repr('query'), 'rep', 'bench', 'i')} % n as i from qo, range({QUERY_REPS}) t(rep)), "
+    f"rm as (select rep, bench, correct, module, [{_QG}] as q from pk join qo using (bench, i) join qg using (bench, query_id) group by all), "
     f"rc as (select rep, bench, correct, topic, format, sum({_DOTS}) as mean from bg join rm using (module) group by all), "
     "rz as (select *, (mean - avg(mean) over w) / nullif(stddev_pop(mean) over w, 0) as z from rc window w as (partition by rep, bench, correct)), "
     "rd as (select rep, bench, topic, format, max(case when correct then z end) - max(case when not correct then z end) as delta from rz group by all)"
@@ -71,20 +70,19 @@ QB = (
 @query("g23_query_bootstrap", f"with {QB} select bench, topic, format, round(quantile_cont(delta, 0.025), 6) as lo, round(quantile_cont(delta, 0.975), 6) as hi from rd group by all")
 def g23(spark, d):
     sums, base = _index(spark, d)
-    labels = src.table(spark, d, "documents").select("doc_id", F.col("source").alias("topic"), F.col("lang").alias("format"))
-    cells = ag.bin_gradients(at.gradients(sums, base), labels, at.D)
-    q = _query_grad(spark, d, base).withColumn("correct", F.col("query_id") % 3 > 0)
-    return _rounded(ag.percentile_ci(ag.query_bootstrap(q, cells, REPS, "query", at.D), ["bench", "topic", "format"], "delta"))
+    q = _query_grad(spark, d, base).join(_outcomes(spark, d).select("bench", "query_id", "correct"), ["bench", "query_id"])
+    boot = ag.query_bootstrap(q, ag.bin_gradients(at.gradients(sums, base), at.D), QUERY_REPS, "query", at.D)
+    return _rounded(ag.percentile_ci(boot, ["bench", "topic", "format"], "delta"))
 
 
-@query("g24_gap_ci", f"with {BINS}, un as (select topic, row_number() over (order by topic) - 1 as unit from (select distinct topic from bins)), n as (select count(*) as n from un), dr as (select rep, {_key(repr('gap'), 'rep', 'i')} % n as unit from n, range({REPS}) a(rep), range(n) b(i)), "
+@query("g24_gap_ci", f"with {BINS}, un as (select topic, row_number() over (order by topic) - 1 as unit from (select distinct topic from bins)), n as (select count(*) as n from un), dr as (select rep, {_key(repr('gap'), 'rep', 'i')} % n as unit from n, range({BIN_REPS}) a(rep), range(n) b(i)), "
        "m as (select rep, bench, format, avg(z) as z from dr join un using (unit) join bins using (topic) group by all), gp as (select rep, format, avg(case when bench = 'SR' then z end) - avg(case when bench <> 'SR' then z end) as gap from m group by all), "
        "m0 as (select bench, format, avg(z) as z from bins group by all), g0 as (select format, avg(case when bench = 'SR' then z end) - avg(case when bench <> 'SR' then z end) as gap from m0 group by all), "
        "c as (select format, quantile_cont(gap, 0.025) as lo, quantile_cont(gap, 0.975) as hi from gp group by format) select format, round(gap, 6) as gap, round(lo, 6) as lo, round(hi, 6) as hi, lo > 0 or hi < 0 as excludes_0 from g0 join c using (format)")
 def g24(spark, d):
     b = _bins(spark, d)
     seen = ag.vs_rest(ag.marginal_z(b, "format"), "format", "SR")
-    c = seen.join(ag.percentile_ci(ag.gap_bootstrap(b, "format", "SR", REPS, "gap"), ["format"], "gap"), "format")
+    c = seen.join(ag.percentile_ci(ag.gap_bootstrap(b, "format", "SR", BIN_REPS, "gap"), ["format"], "gap"), "format")
     return _rounded(c.withColumn("excludes_0", (F.col("lo") > 0) | (F.col("hi") < 0)))
 
 
@@ -321,7 +319,7 @@ def k05(spark, d):
     sums, base = _index(spark, d)
     g, q = at.gradients(sums, base), _query_grad(spark, d, base)
     phases = {
-        "labels": lambda: rp.labelled(docs), "index": lambda: g, "queries": lambda: q, "preconditioner": lambda: g.groupBy("module").agg(*[F.avg(F.col("g")[i] * F.col("g")[i]).alias(f"m{i}") for i in range(at.D)]),
+        "labels": lambda: rp.labelled(docs), "index": lambda: g, "queries": lambda: q, "preconditioner": lambda: g.agg(*[F.avg(F.col(m)[i] * F.col(m)[i]).alias(f"{m}{i}") for m in at.MODULES for i in range(at.D)]),
         "scoring": lambda: _scores(spark, d), "unlearning statistics": lambda: un.corpus_stats(docs, words),
     }
     return cost.phase_report(spark, phases)

@@ -65,6 +65,12 @@ def bh(df: DataFrame, p: str, family: list[str], out: str = "p_adj") -> DataFram
     return df.withColumn(out, F.when(F.col(p).isNotNull(), F.least(low, F.lit(1.0)))).drop("_raw", "_rank")
 
 
+def pearson(x: str, y: str) -> Column:
+    """Correlation of two columns without nulls; null where one of them doesn't vary."""
+    varies = (F.min(x) < F.max(x)) & (F.min(y) < F.max(y))
+    return F.when(varies, F.try_divide(F.covar_pop(x, y), F.stddev_pop(x) * F.stddev_pop(y)))
+
+
 def average_rank(df: DataFrame, value: str, by: list[str], out: str) -> DataFrame:
     w = Window.partitionBy(*by)
     ties = F.count("*").over(Window.partitionBy(*by, value))
@@ -81,7 +87,8 @@ def wilcoxon(df: DataFrame, d: str, by: list[str]) -> DataFrame:
     return agg.withColumn("z", z).withColumn("p", normal_upper(F.col("z"))).drop("_corr")
 
 
-def draws(spark, reps: int, n: int, seed: str) -> DataFrame:
-    """(rep, unit, weight): bootstrap multiplicities of n units, made by the executors."""
-    grid = spark.range(reps).withColumnRenamed("id", "rep").withColumn("i", F.explode(F.sequence(F.lit(0), F.lit(n - 1))))
-    return grid.withColumn("unit", u32(F.lit(seed), F.col("rep"), F.col("i")) % n).groupBy("rep", "unit").agg(F.count("*").alias("weight"))
+def draws(spark, reps: int, n: DataFrame, seed: str) -> DataFrame:
+    """(rep, unit): bootstrap draws of n units, made by the executors; ``n`` is one row (n), so it needs no job of its own."""
+    grid = spark.range(reps).withColumnRenamed("id", "rep").crossJoin(F.broadcast(n))
+    grid = grid.select("rep", "n", F.explode(F.sequence(F.lit(0).cast("long"), F.col("n") - 1)).alias("i"))
+    return grid.select("rep", (u32(F.lit(seed), F.col("rep"), F.col("i")) % F.col("n")).alias("unit"))

@@ -2,82 +2,130 @@
 
 A head's gradient for a text is its token distribution less the model's.  Projected on d random signs, the first
 part is the mean sign vector of the text's tokens and the second the mean over all tokens of the model's corpus:
-one narrow pass and one tiny aggregate.  Modules: words, and pairs of adjacent words.
+one narrow pass and one tiny aggregate.  Modules: words, and pairs of adjacent words, as columns of one row a text.
 """
 
 from __future__ import annotations
 
 import numpy as np
-import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from binlens.functions.hashing import sign, u32
+from binlens.functions.hashing import u32
 from binlens.functions.stats import r6
-from binlens.sources.tables import tokens
 
 D = 16
-MODULES = ("bi", "uni")
+MODULES = ("uni", "bi")
 
 
-def module_tokens(words) -> F.Column:
-    """Array of (module, token): words, and adjacent pairs."""
-    uni = F.transform(words, lambda t: F.struct(F.lit("uni").alias("module"), t.alias("token")))
+def pairs_of(words) -> Column:
+    """Adjacent pairs of words, as one token each."""
     n = F.size(words)
-    pairs = F.when(n > 1, F.zip_with(F.slice(words, 1, F.greatest(n - 1, F.lit(0))), F.slice(words, 2, F.greatest(n - 1, F.lit(0))), lambda a, b: F.struct(F.lit("bi").alias("module"), F.concat_ws(" ", a, b).alias("token")))).otherwise(F.slice(uni, 1, 0))
-    return F.concat(uni, pairs)
+    rest = F.greatest(n - 1, F.lit(0))
+    return F.when(n > 1, F.zip_with(F.slice(words, 1, rest), F.slice(words, 2, rest), lambda a, b: F.concat_ws(" ", a, b))).otherwise(F.slice(words, 1, 0))
+
+
+def module_tokens(words) -> Column:
+    """Array of (module, token): words, and adjacent pairs."""
+
+    def named(tokens, module):
+        return F.transform(tokens, lambda t: F.struct(F.lit(module).alias("module"), t.alias("token")))
+
+    return F.concat(named(words, "uni"), named(pairs_of(words), "bi"))
+
+
+def token_signs(df: DataFrame, key: list[str], tokens: dict[str, Column], d: int = D) -> DataFrame:
+    """(key, uni, bi): for each module the number of tokens ``n`` and their summed signs ``s``, an array of ``d``.
+
+    ``tokens``: an array for each module.  A narrow pass: a token is hashed once and nothing is exploded or shuffled."""
+
+    def bits(module):
+        return F.transform(tokens[module], lambda t: u32(F.lit("s"), F.lit(module), t))
+
+    def ones(module, i):
+        return F.aggregate(module, F.lit(0).cast("long"), lambda acc, u: acc + F.shiftright(u, i).bitwiseAND(1))
+
+    hashed = df.select(*key, *[bits(m).alias(m) for m in MODULES])  # a projection of its own, so evaluated once
+    sums = {m: F.array(*[2 * ones(F.col(m), i) - F.size(m) for i in range(d)]) for m in MODULES}
+    return hashed.select(*key, *[F.struct(F.size(m).cast("long").alias("n"), sums[m].alias("s")).alias(m) for m in MODULES])
 
 
 def sign_sums(df: DataFrame, key: list[str], words, d: int = D) -> DataFrame:
-    """(key, module, n, s array<long>): tokens and summed signs of each text and module."""
-    t = df.select(*key, F.explode(module_tokens(words)).alias("t")).select(*key, "t.module", u32(F.lit("s"), F.col("t.module"), F.col("t.token")).alias("u"))
-    sums = t.groupBy(*key, "module").agg(F.count("*").alias("n"), *[F.sum(sign(F.col("u"), i)).alias(f"s{i}") for i in range(d)])
-    return sums.select(*key, "module", "n", F.array(*[f"s{i}" for i in range(d)]).alias("s"))
+    """``token_signs`` of texts given as arrays of words: the index, one row for each text, from which gradients under
+    any model follow row by row."""
+    split = df.select(*key, words.alias("_w"))
+    return token_signs(split, key, {"uni": F.col("_w"), "bi": pairs_of(F.col("_w"))}, d)
 
 
 def model_means(sums: DataFrame, extra: DataFrame | None = None, a: float = 0.5, d: int = D) -> DataFrame:
-    """(module, p array<double>): the model's projected distribution; with ``extra`` an interpolation with a second corpus."""
+    """One row (p_uni, p_bi), arrays of d: the model's projected distribution; with ``extra`` an interpolation with a second corpus."""
 
-    def one(x):
-        cols = [(F.sum(F.col("s")[i]) / F.sum("n")).alias(f"p{i}") for i in range(d)]
-        return x.groupBy("module").agg(*cols).select("module", F.array(*[f"p{i}" for i in range(d)]).alias("p"))
+    def one(x, tag):
+        cols = [F.array(*[F.try_divide(F.sum(F.col(f"{m}.s")[i]).cast("double"), F.sum(f"{m}.n")) for i in range(d)]).alias(f"{tag}_{m}") for m in MODULES]
+        return x.agg(*cols)
 
-    base = one(sums)
+    base = one(sums, "p")
     if extra is None:
         return base
-    both = base.join(one(extra).withColumnRenamed("p", "q"), "module")
-    return both.select("module", F.zip_with("p", "q", lambda x, y: (1 - a) * x + a * y).alias("p"))
+    both = base.crossJoin(F.broadcast(one(extra, "q")))  # one row each
+    return both.select(*[F.zip_with(f"p_{m}", f"q_{m}", lambda x, y: (1 - a) * x + a * y).alias(f"p_{m}") for m in MODULES])
+
+
+def norm(v) -> Column:
+    return F.sqrt(F.aggregate(v, F.lit(0.0), lambda acc, x: acc + x * x))
 
 
-def unit(v) -> F.Column:
-    """v / norm(v); zeros where the norm is 0."""
-    norm = F.sqrt(F.aggregate(v, F.lit(0.0), lambda acc, x: acc + x * x))
-    return F.transform(v, lambda x: F.coalesce(F.try_divide(x, norm), F.lit(0.0)))
+def unit(v) -> Column:
+    """v / norm(v); zeros where the norm is 0.  The norm is bound by a lambda, or it would be taken for each element."""
+    return F.transform(F.array(norm(v)), lambda size: F.transform(v, lambda x: F.coalesce(F.try_divide(x, size), F.lit(0.0))))[0]
 
 
 def gradients(sums: DataFrame, model: DataFrame) -> DataFrame:
-    """Unit gradients: keys, module, g.  The model is one row for each module, so it is broadcast."""
-    g = sums.join(F.broadcast(model), "module")
-    return g.select(*[c for c in sums.columns if c not in ("n", "s")], unit(F.zip_with(F.transform("s", lambda x: x / F.col("n")), "p", lambda x, p: x - p)).alias("g"))
+    """Keys, uni, bi: unit gradients, zeros where the norm is 0, null for a module without tokens.  A narrow pass; the
+    model is one row, so it is broadcast."""
+    key = [c for c in sums.columns if c not in MODULES]
+
+    def less_model(n):
+        return lambda x, p: x / n - p
+
+    raw = [F.when(F.col(f"{m}.n") > 0, F.zip_with(F.col(f"{m}.s"), f"p_{m}", less_model(F.col(f"{m}.n")))).alias(m) for m in MODULES]
+    return sums.crossJoin(F.broadcast(model)).select(*key, *raw).select(*key, *[unit(F.col(m)).alias(m) for m in MODULES])
+
+
+def by_module(grad: DataFrame) -> DataFrame:
+    """Keys, module, g: a row for each module that isn't null."""
+    key = [c for c in grad.columns if c not in MODULES]
+    rows = F.array(*[F.struct(F.lit(m).alias("module"), F.col(m).alias("g")) for m in MODULES])
+    return grad.select(*key, F.inline(rows)).where("g is not null")
 
 
 def reduce_queries(grad: DataFrame, by: list[str], d: int = D) -> DataFrame:
     """Mean query gradient of each group and module: scoring one mean equals the mean of the scores."""
-    m = grad.groupBy(*by, "module").agg(*[F.avg(F.col("g")[i]).alias(f"q{i}") for i in range(d)])
-    return m.select(*by, "module", F.array(*[f"q{i}" for i in range(d)]).alias("q"))
+    means = [F.when(F.count(m) > 0, F.array(*[F.avg(F.col(m)[i]) for i in range(d)])).alias(m) for m in MODULES]
+    return grad.groupBy(*by).agg(*means)
 
 
-def dot(a, b) -> F.Column:
+def dot(a, b) -> Column:
     return F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda acc, x: acc + x)
 
 
+MAX_QUERIES = 100_000  # query groups that one scan of the index carries along (some 30 MB)
+
+
 def score_index(index: DataFrame, means: DataFrame, keys: list[str], by: list[str]) -> DataFrame:
-    """Score of each document for each query group: all groups in one scan of the index.
+    """Score of each document for each query group: all groups in one narrow scan of the index.
 
-    ``means`` is groups x modules x d numbers, independent of the corpus, hence broadcast.
+    The groups travel as one row, broadcast; more than ``MAX_QUERIES`` of them are refused, as they would have to be
+    scored in several scans.
     """
-    return index.join(F.broadcast(means), "module").groupBy(*keys, *by).agg(F.sum(dot("g", "q")).alias("score"))
+    group = F.collect_list(F.struct(*by, *[F.col(m).alias(f"q_{m}") for m in MODULES])).alias("_q")
+    size = F.when(F.count("*") > MAX_QUERIES, F.raise_error(F.lit("too many query groups for one scan"))).otherwise(F.lit(0)).alias("_size")
+    one = means.agg(group, size).where("_size = 0").select("_q")
+    rows = index.crossJoin(F.broadcast(one)).select(*keys, *MODULES, F.explode("_q").alias("_q"))
+    parts = [dot(m, F.col(f"_q.q_{m}")) for m in MODULES]
+    rows = rows.select(*keys, *[F.col(f"_q.{c}").alias(c) for c in by], *[p.alias(m) for p, m in zip(parts, MODULES)])
+    return rows.where("uni is not null or bi is not null").select(*keys, *by, (F.coalesce("uni", F.lit(0.0)) + F.coalesce("bi", F.lit(0.0))).alias("score"))
 
 
 def check_pairing(scores: DataFrame) -> DataFrame:
@@ -89,14 +137,11 @@ def check_pairing(scores: DataFrame) -> DataFrame:
 
 def second_moments(grad: DataFrame, d: int = D) -> dict[str, np.ndarray]:
     """Second-moment matrix of each module: one aggregate of d * d sums, then d x d numbers on the driver."""
-    sums = [F.avg(F.col("g")[i] * F.col("g")[j]).alias(f"m{i}_{j}") for i in range(d) for j in range(i, d)]
-    out = {}
-    for r in grad.groupBy("module").agg(*sums).collect():
-        m = np.zeros((d, d))
-        for i in range(d):
-            for j in range(i, d):
-                m[i, j] = m[j, i] = r[f"m{i}_{j}"]
-        out[r.module] = m
+    cells = [(m, i, j) for m in MODULES for i in range(d) for j in range(i, d)]
+    row = grad.agg(*[F.avg(F.col(m)[i] * F.col(m)[j]).alias(f"{m}_{i}_{j}") for m, i, j in cells]).first()
+    out = {m: np.zeros((d, d)) for m in MODULES}
+    for m, i, j in cells:
+        out[m][i, j] = out[m][j, i] = row[f"{m}_{i}_{j}"] or 0.0
     return out
 
 
@@ -113,11 +158,10 @@ def mix_precond(value: np.ndarray, query: np.ndarray, mix: float = 0.5, leading:
 def whiten(grad: DataFrame, roots: dict[str, np.ndarray]) -> DataFrame:
     """Multiply gradients by a module's inverse root at index build, so that scoring is a bare dot product."""
 
-    @F.pandas_udf("array<double>")
-    def apply(module: pd.Series, g: pd.Series) -> pd.Series:
-        return pd.Series([(roots[m] @ np.asarray(x)).tolist() for m, x in zip(module, g)])
+    def product(m):
+        return F.when(F.col(m).isNotNull(), F.array(*[dot(F.col(m), F.array(*[F.lit(float(x)) for x in row])) for row in roots[m]]))
 
-    return grad.withColumn("g", apply("module", "g"))
+    return grad.withColumns({m: product(m) for m in MODULES})
 
 
 def topk_docs(scores: DataFrame, k: int, by: list[str]) -> DataFrame:
@@ -126,23 +170,23 @@ def topk_docs(scores: DataFrame, k: int, by: list[str]) -> DataFrame:
     return scores.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
 
 
-def vector_scores(vectors: DataFrame, modules: int = 4) -> DataFrame:
-    """Ready vectors as an index: cut into modules, unit in each; every tenth is a query of one of four benchmarks."""
-    size = 64 // modules
-    parts = vectors.select("vec_id", "label", F.explode(F.sequence(F.lit(0), F.lit(modules - 1))).alias("module"), F.transform("embedding", lambda x: x.cast("double")).alias("v"))
-    parts = parts.select("vec_id", F.col("label").alias("topic"), (F.col("vec_id") % 4).alias("format"), "module", unit(F.slice("v", F.col("module") * size + 1, size)).alias("g"))
-    asked = parts.where("vec_id % 10 = 0").withColumn("bench", F.floor(F.col("vec_id") / 10) % 4)
-    return score_index(parts.where("vec_id % 10 <> 0"), reduce_queries(asked, ["bench"], size), ["vec_id", "topic", "format"], ["bench"])
+def vector_scores(vectors: DataFrame, modules: int = 4, width: int = 64) -> DataFrame:
+    """Ready vectors as an index: cut into modules, unit in each; every tenth is a query of one of four benchmarks.
+
+    A vector's unit modules stand side by side in one array, so a score is one product in a narrow scan."""
+    size = width // modules
+    rows = vectors.select("vec_id", F.col("label").alias("topic"), (F.col("vec_id") % 4).alias("format"), F.transform("embedding", lambda x: x.cast("double")).alias("v"))
+    cut = [F.slice("v", k * size + 1, size) for k in range(modules)]
+    whole = F.concat(*[unit(c) for c in cut])
+    rows = rows.select("vec_id", "topic", "format", whole.alias("uni"), F.lit(None).cast("array<double>").alias("bi"))
+    asked = rows.where("vec_id % 10 = 0").withColumn("bench", F.floor(F.col("vec_id") / 10) % 4)
+    return score_index(rows.where("vec_id % 10 <> 0"), reduce_queries(asked, ["bench"], width), ["vec_id", "topic", "format"], ["bench"])
 
 
 def query_sums(q: DataFrame, d: int = D) -> DataFrame:
     """Sign sums of completions: words of the completion, pairs that end in it."""
     both = F.when(F.col("last_word").isNotNull(), F.concat(F.array("last_word"), F.col("completion"))).otherwise(F.col("completion"))
-    pairs = F.filter(module_tokens(both), lambda t: t["module"] == "bi")
-    uni = F.filter(module_tokens(F.col("completion")), lambda t: t["module"] == "uni")
-    t = q.select("bench", "query_id", F.explode(F.concat(uni, pairs)).alias("t")).select("bench", "query_id", "t.module", u32(F.lit("s"), F.col("t.module"), F.col("t.token")).alias("u"))
-    sums = t.groupBy("bench", "query_id", "module").agg(F.count("*").alias("n"), *[F.sum(sign(F.col("u"), i)).alias(f"s{i}") for i in range(d)])
-    return sums.select("bench", "query_id", "module", "n", F.array(*[f"s{i}" for i in range(d)]).alias("s"))
+    return token_signs(q, ["bench", "query_id"], {"uni": F.col("completion"), "bi": pairs_of(both)}, d)
 
 
 def planted_recall(pair_scores: DataFrame, truth: DataFrame, ks=(1, 10)) -> DataFrame:

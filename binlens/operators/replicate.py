@@ -28,11 +28,10 @@ def labelled(docs: DataFrame) -> DataFrame:
 
 def ecosystem_bins(docs: DataFrame, queries: DataFrame) -> DataFrame:
     """Bins with z of one corpus: its own index, its own model, shared benchmarks."""
-    sums = at.sign_sums(docs, ["doc_id"], tokens(F.col("text")))
+    sums = at.sign_sums(docs, ["doc_id", "topic", "format"], tokens(F.col("text")))
     base = at.model_means(sums)
     q = at.reduce_queries(at.gradients(at.query_sums(queries), base), ["bench"])
-    s = at.score_index(at.gradients(sums, base), q, ["doc_id"], ["bench"])
-    return ag.zscore(ag.bin_mean(s.join(docs.select("doc_id", "topic", "format"), "doc_id")))
+    return ag.zscore(ag.bin_mean(at.score_index(at.gradients(sums, base), q, ["doc_id", "topic", "format"], ["bench"])))
 
 
 def register_loading(bins: DataFrame) -> DataFrame:

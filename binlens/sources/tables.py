@@ -15,6 +15,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def spread(rows: DataFrame) -> DataFrame:
+    """Rows dealt out anew where a table has fewer row groups or files than there are cores, which only a small one has."""
+    width = rows.sparkSession.sparkContext.defaultParallelism
+    return rows.repartition(width) if rows.rdd.getNumPartitions() < width else rows
+
+
 def tokens(text) -> F.Column:
     """Lower-case white-space words; empty text has none."""
     return F.filter(F.split(F.trim(F.lower(text)), r"\s+"), lambda t: t != "")
@@ -70,7 +76,8 @@ def read_queries_jsonl(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.schema("query_id long, bench string, prompt string, completion string").json(path)
 
 
-def write_index(scores: DataFrame, path: str, partition: str = "bench") -> None:
+def write_scores(scores: DataFrame, path: str, partition: str = "bench") -> None:
+    """Scores by benchmark, so that a stage reads one benchmark's folder."""
     scores.write.mode("overwrite").partitionBy(partition).parquet(path)
 
 

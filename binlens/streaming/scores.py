@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 import pandas as pd
@@ -10,6 +9,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupStateTimeout
 
+from binlens.sources.index import shared_dir
+
 EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 
 
@@ -49,14 +50,6 @@ def run_once(df: DataFrame, mode: str) -> DataFrame:
     return df.sparkSession.table(name)
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only for a local master without that setting."""
-    folder = spark.conf.get("spark.checkpoint.dir", None)
-    if not folder and not spark.sparkContext.master.startswith("local"):
-        raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
-    return (folder or f"file://{tempfile.mkdtemp(prefix='binlens-stream-')}").rstrip("/")
-
-
 def replayed(first: DataFrame, second: DataFrame, width: str = "1 day", late: str = "1 hour") -> DataFrame:
     """(start, format, n): window counts when ``second`` arrives after ``first``; rows behind the watermark are dropped.
 
