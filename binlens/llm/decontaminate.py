@@ -20,10 +20,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from binlens.llm.common import mix64, narrow, slices, text_buffers
+from binlens.llm.common import mix64, narrow, settle, slices, text_buffers
 from binlens.llm.words import ALNUM, hash_of, windows, words
 
 WINDOW = 8  # template tokens
+SHORT = 4  # words from which on an item is looked for inside documents
 LITERAL = 4  # tokens of a window that must not be placeholders
 COVERAGE = 0.5  # share of an item's windows that makes a match
 RUN = 13  # or this many consecutive template tokens
@@ -160,10 +161,9 @@ class Items:
 
 
 def items_of(ids: list[int], texts: list[str | None], window: int = WINDOW, literal: int = LITERAL) -> Items:
-    """An item shorter than a window is one window by itself; items under 4 words are not looked for.
-
-    An item whose placeholders stand so densely that it has no usable window is looked for word for word.
-    """
+    """An item shorter than a window is one window by itself.  An item whose placeholders stand so densely that it has no
+    usable window is looked for word for word; so is one under 4 words, but only as a whole document, as so few words
+    stand in other texts by chance."""
     units = np.sort(np.array([hash_of(u, ALNUM) for u in UNITS], np.uint64))
     data, off = text_buffers(pa.array(texts, pa.string()))
     t = canonical(data, off, units)
@@ -173,7 +173,7 @@ def items_of(ids: list[int], texts: list[str | None], window: int = WINDOW, lite
     for kinds in ((0, 1), (2,), (3,), (4,)):
         first = t.kinds[kinds[0]].first
         n = np.diff(first)
-        sizes = np.where(n >= window, window, np.where(n >= 4, n, 0))
+        sizes = np.where(n >= window, window, np.where((n >= SHORT) | (kinds == (4,)), n, 0))
         if kinds == (4,):
             sizes[has] = 0
         for size in np.unique(sizes[sizes > 0]).tolist():
@@ -266,7 +266,7 @@ def matches(data: np.ndarray, offsets: np.ndarray, items: Items, coverage: float
             for r, a, x, y in zip(row.tolist(), at[some].tolist(), lo[some].tolist(), hi.tolist()):
                 p = int(theirs.begin[a] - t.first[r])
                 for k in range(x, y):
-                    if items.size[k] != size:
+                    if items.size[k] != size or (size < SHORT and t.first[r + 1] - t.first[r] != size):
                         continue
                     i, b, own = int(items.item[k]), int(items.place[k]), known.kinds[items.kind[k]]
                     q = int(own.begin[b] - known.first[i])
@@ -354,9 +354,14 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, coverage: float = COVERA
 
 
 def keep_clean(docs: DataFrame, benchmark: DataFrame, coverage: float = COVERAGE, run: int = RUN) -> DataFrame:
-    """The rows of ``docs``, all columns, that match no benchmark item; a narrow pass for each benchmark block."""
+    """The rows of ``docs``, all columns, that match no benchmark item; a narrow pass for each benchmark block.
+
+    Null and empty texts match nothing and stay; repeated rows go or stay alike; other columns are kept as they are.
+    Of several passes each is written before the next, so that one task never holds several blocks."""
     at = docs.columns.index("text")
-    for items in benchmark_blocks(benchmark):
+    for n, items in enumerate(benchmark_blocks(benchmark)):
+        if n:
+            docs = settle(docs, "clean")
         shared = docs.sparkSession.sparkContext.broadcast(items)
 
         def keep(batches, shared=shared):

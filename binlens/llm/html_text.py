@@ -1,15 +1,17 @@
 """Main text of raw web pages by two-pass block rules.
 
-A page is cut into blocks at block-level tags.  Pass one decides a block by structure (inside a menu, header,
-footer, form, advert, comment section, ... it is boilerplate), link density, length and stop-word density; short
-blocks stay open.  Pass two gives each open block the label of its nearest decided neighbours: if they differ,
-the nearer one's, and on a tie the one before.
+A page is cut into blocks at block-level tags.  Pass one decides a block by link density, by structure (inside a menu,
+header, footer, form, advert, comment section, ... or beside the page's article it is boilerplate), and by length and
+stop-word density: long running text is main text.  What is short or poor in stop words stays open, inside an article
+too.  Pass two gives each open block the label of its nearest decided neighbours: if they differ, the nearer one's, and
+on a tie the one before, or for a heading the one after.  All steps are linear in the page.
 """
 
 from __future__ import annotations
 
 import html
 import re
+from collections import Counter
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -31,48 +33,74 @@ RAW_TAGS = frozenset("script style noscript template iframe object svg math text
 VOID_TAGS = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 CHROME_TAGS = frozenset("head nav header footer aside form menu dialog button select title".split())
 CONTENT_TAGS = frozenset("article main".split())
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 CHROME_WORDS = frozenset(
     "ad ads advert adverts advertisement advertising sponsor sponsored promo banner nav navbar navigation menu sidebar footer header masthead breadcrumb breadcrumbs cookie cookies consent notice "
     "gdpr popup modal overlay newsletter subscribe signup login social share sharing related recommended comments comment respond disqus reply replies copyright legal widget toolbar pagination pager skip".split()
 )
-_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
+#: First parts of class names that say something about the page, not what the element is.
+MODIFIERS = frozenset("has no with without is not show hide open enable enabled disable disabled".split())
+_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^<>]*+>|<(/?)([a-zA-Z][^\s/><]*+)((?:[^<>\"']|\"[^\"]*+\"|'[^']*+')*+)>", re.S)
 _ATTR = re.compile(r"""\b(class|id|role)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>"']+))""", re.I)
-_SPLIT = re.compile(r"[^a-z0-9]+")
+_PART = re.compile(r"[^a-z0-9]+")
 _ROLES = frozenset("navigation banner contentinfo complementary search form dialog alert menu menubar".split())
+_WHOLE = frozenset("html body article main".split())
 
 
 class Block:
-    __slots__ = ("parts", "linked", "chrome", "content")
+    __slots__ = ("parts", "linked", "chrome", "content", "heading")
 
-    def __init__(self, chrome: bool, content: bool):
+    def __init__(self, chrome: bool, content: bool, heading: bool = False):
         self.parts: list[str] = []
-        self.linked = 0
+        self.linked, self.heading = 0, heading
         self.chrome, self.content = chrome, content
 
 
+def _names_chrome(name: str, content: bool) -> bool:
+    """Whether a class or id says that its element is boilerplate: by its whole, its first or its last part
+    ("cookie-notice", "site-footer"), but not as a remark ("has-sidebar"); headings of an article aren't."""
+    parts = [p for p in _PART.split(name) if p]
+    if not parts or parts[0] in MODIFIERS:
+        return False
+    hits = {p for p in (parts[0], parts[-1]) if p in CHROME_WORDS}
+    return bool(hits - {"header", "masthead"} if content else hits)
+
+
 def _is_chrome(tag: str, attrs: str, content: bool) -> bool:
     if tag in CHROME_TAGS and not (content and tag == "header"):
         return True
-    for _, a, b, c in _ATTR.findall(attrs) if attrs else ():
-        value = (a or b or c).lower()
-        if value in _ROLES or any(w in CHROME_WORDS for w in _SPLIT.split(value)):
-            return True
-    return "hidden" in attrs.lower().split() if attrs else False
-
-
-def blocks(page: str) -> list[tuple[str, float, bool, bool]]:
-    """(text, link density, in chrome, in a content element) of each non-empty block in page order."""
+    if not attrs:
+        return False
+    if tag not in _WHOLE:
+        for kind, a, b, c in _ATTR.findall(attrs):
+            value = (a or b or c).lower()
+            if kind.lower() == "role":
+                if value.strip() in _ROLES:
+                    return True
+            elif any(_names_chrome(name, content) for name in value.split()):
+                return True
+    return "hidden" in attrs.lower().split()
+
+
+def blocks(page: str) -> list[tuple[str, float, bool, bool, bool]]:
+    """(text, link density, in chrome, in a content element, heading) of each non-empty block in page order."""
     out: list[Block] = []
     current = Block(False, False)
     stack: list[tuple[str, bool, bool]] = []  # open elements: tag, chrome, content
+    opened: Counter[str] = Counter()  # how many of each tag are on the stack
     chrome = content = False
     links, at, end = 0, 0, len(page)
 
+    def shut() -> str:
+        tag = stack.pop()[0]
+        opened[tag] -= 1
+        return tag
+
     def turn() -> None:
         nonlocal current
         if current.parts:
             out.append(current)
-        current = Block(chrome, content)
+        current = Block(chrome, content, bool(stack) and stack[-1][0] in HEADINGS)
 
     def say(text: str) -> None:
         if text:
@@ -93,11 +121,9 @@ def blocks(page: str) -> list[tuple[str, float, bool, bool]]:
         if m[1]:
             if tag == "a":
                 links = max(0, links - 1)
-            if any(t == tag for t, _, _ in stack):
-                while stack:
-                    t, _, _ = stack.pop()
-                    if t == tag:
-                        break
+            if opened[tag]:
+                while shut() != tag:
+                    pass
                 was = (chrome, content)
                 chrome, content = (stack[-1][1], stack[-1][2]) if stack else (False, False)
                 if tag in BLOCK_TAGS or was != (chrome, content):
@@ -120,11 +146,11 @@ def blocks(page: str) -> list[tuple[str, float, bool, bool]]:
             links += 1
         bad = _is_chrome(tag, attrs, content)
         if tag in BLOCK_TAGS or bad or tag in CONTENT_TAGS:
-            if tag == "p" and any(t == "p" for t, _, _ in stack):  # a paragraph ends an open one
+            if tag == "p" and opened["p"]:  # a paragraph ends an open one
                 while stack and stack[-1][0] not in BLOCK_TAGS:
-                    stack.pop()
+                    shut()
                 if stack and stack[-1][0] == "p":
-                    stack.pop()
+                    shut()
                 chrome, content = (stack[-1][1], stack[-1][2]) if stack else (False, False)
                 links = 0
             stack.append((tag, chrome or bad, content or tag in CONTENT_TAGS))
@@ -132,55 +158,68 @@ def blocks(page: str) -> list[tuple[str, float, bool, bool]]:
             turn()
         else:
             stack.append((tag, chrome, content))
+        opened[tag] += 1
     turn()
     made = []
     for b in out:
         text = " ".join(html.unescape("".join(b.parts)).split())
         if text:
             size = len(text.replace(" ", ""))
-            made.append((text, min(1.0, b.linked / size) if size else 0.0, b.chrome, b.content))
+            made.append((text, min(1.0, b.linked / size) if size else 0.0, b.chrome, b.content, b.heading))
     return made
 
 
-def decide(found: list[tuple[str, float, bool, bool]], most_links: float = 0.4, short: int = 70, dense: float = 0.2) -> list[bool]:
-    """Pass one and two: which blocks are main text."""
-    inside = any(content and not chrome for _, _, chrome, content in found)
-    label: list[bool | None] = []
-    for text, links, chrome, content in found:
-        if chrome or links > most_links or (inside and not content):
-            label.append(False)
-            continue
-        tokens = text.lower().split()
-        stops = sum(t.strip(".,;:!?\"'()") in STOP for t in tokens) / len(tokens)
-        if len(text) < short:
-            label.append(None)
-        elif stops >= dense or content:
-            label.append(True)
+def decide(found: list[tuple[str, float, bool, bool, bool]], most_links: float = 0.4, short: int = 70, dense: float = 0.2) -> list[tuple[bool, str]]:
+    """Whether each block is main text, and what said so: "links", "structure", "text" (pass one), "neighbours" (pass
+    two) or "alone" (no decided block to go by: main text if in an article)."""
+    inside = any(content and not chrome for _, _, chrome, content, _ in found)
+    first: list[tuple[bool, str] | None] = []
+    for text, links, chrome, content, _ in found:
+        if links > most_links:
+            first.append((False, "links"))
+        elif chrome or (inside and not content):
+            first.append((False, "structure"))
+        elif len(text) >= short and _stop_share(text) >= dense:
+            first.append((True, "text"))
         else:
-            label.append(None)
-    decided = [k for k, x in enumerate(label) if x is not None]
+            first.append(None)
+    # chrome and links between the parts of an article don't speak for it
+    speaks = [[x is not None for x in first], [x is not None and x[1] == "text" for x in first]]
+    before, after = ([_nearest(mask, back) for mask in speaks] for back in (False, True))
     out = []
-    for k, x in enumerate(label):
-        if x is not None:
-            out.append(x)
-            continue
-        content = found[k][3]
-        # chrome between the parts of one content element doesn't speak for it
-        near = [j for j in decided if not content or (found[j][3] and not found[j][2])]
-        before = max((j for j in near if j < k), default=None)
-        after = min((j for j in near if j > k), default=None)
-        if before is None and after is None:
-            out.append(content)
-        elif before is None or (after is not None and after - k < k - before):
-            out.append(bool(label[after]))
-        else:
-            out.append(bool(label[before]))
+    for k, x in enumerate(first):
+        if x is None:
+            content, heading = found[k][3:]
+            i, j = before[content][k], after[content][k]
+            if i is None and j is None:
+                x = (content, "alone")
+            elif i is None or (j is not None and j - k < k - i + heading):
+                x = (first[j][0], "neighbours")
+            else:
+                x = (first[i][0], "neighbours")
+        out.append(x)
+    return out
+
+
+def _stop_share(text: str) -> float:
+    tokens = text.lower().split()
+    return sum(t.strip(".,;:!?\"'()") in STOP for t in tokens) / len(tokens)
+
+
+def _nearest(mask: list[bool], back: bool) -> list[int | None]:
+    """For each place the nearest marked one before it (or, from the back, after it), by one sweep."""
+    out: list[int | None] = [None] * len(mask)
+    last = None
+    for k in range(len(mask) - 1, -1, -1) if back else range(len(mask)):
+        out[k] = last
+        if mask[k]:
+            last = k
     return out
 
 
 def main_text(page: str | None) -> str:
     found = blocks(page or "")
-    return "\n".join(text for (text, *_), keep in zip(found, decide(found)) if keep)
+    return "\n".join(text for (text, *_), keep in zip(found, (x for x, _ in decide(found))) if keep)
 
 
 def extract(pages: DataFrame) -> DataFrame:

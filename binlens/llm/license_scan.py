@@ -181,7 +181,7 @@ def scan(docs: DataFrame, votes: int = 2, slack: int = 2) -> DataFrame:
                     got = align(w.hashes[w.first[r] : w.first[r + 1]], ix, votes, slack)
                     if got:
                         labels[r] |= set(got)
-                        score[r] = max(got.values())
+                        score[r] = max(score[r], *got.values())
                 none = n_base == 0
                 yield pa.RecordBatch.from_arrays(
                     [

@@ -7,11 +7,15 @@ own; scores are gathered over the essential postings, and the other terms are pr
 candidates that are still competitive.  Shards are merged by score, then by smaller id.
 
 Products may be negative, so each query is moved to the shard's lowest impact per dimension first; the moved
-products are >= 0 and the moved part is a constant of the query.
+products are >= 0 and the moved part is a constant of the query.  Where a product could leave 64 bits, Python's whole
+numbers are used; a score that doesn't fit the result's 64 bits is an error, not a wrong number.
 """
 
 from __future__ import annotations
 
+import math
+from fractions import Fraction
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -27,11 +31,13 @@ QUERIES = 1024  # queries of one block
 class Shard:
     def __init__(self, ids: np.ndarray, x: np.ndarray):
         order = np.argsort(ids, kind="stable")
-        self.ids, self.x = ids[order], np.ascontiguousarray(x[order].T).astype(np.int64)  # one row of postings for each dimension
+        self.ids, self.x = ids[order], np.ascontiguousarray(x[order].T)  # one row of postings for each dimension
         self.low, self.high = self.x.min(axis=1), self.x.max(axis=1)
 
     def top(self, q: np.ndarray, own: int | None, k: int) -> tuple[np.ndarray, np.ndarray]:
         """Best ``k`` (ids, scores) for a query of integers; ``own`` is its own id, which is left out."""
+        if not self._fits(q):
+            return self._exact(q, own, k)
         base = np.where(q > 0, self.low, self.high)  # impact that gives the least product
         constant = int((q * base).sum())
         bound = q * (np.where(q > 0, self.high, self.low) - base)
@@ -67,16 +73,29 @@ class Shard:
         return self.ids[live[order]], score[order] + constant
 
 
-def integers(vectors: DataFrame, id_col: str, vector_col: str, scale: int) -> DataFrame:
-    """(vec_id, v array<long>) of the rows that take part: vectors that aren't null and hold finite numbers only."""
+    def _fits(self, q: np.ndarray) -> bool:
+        """Whether sums of moved products stay within 64 bits."""
+        if q.dtype == object or self.x.dtype == object:
+            return False
+        most = max(int(np.abs(self.low).max()), int(np.abs(self.high).max())) * int(np.abs(q).max())
+        return 4 * len(q) * most < 1 << 62
+
+    def _exact(self, q: np.ndarray, own: int | None, k: int) -> tuple[np.ndarray, np.ndarray]:
+        ask, x = [int(a) for a in q], self.x.T.tolist()
+        scored = sorted((-sum(a * int(b) for a, b in zip(ask, row)), i) for i, row in zip(self.ids.tolist(), x) if i != own)[:k]
+        return np.array([i for _, i in scored], np.int64), np.array([-s for s, _ in scored], np.int64)
+
+
+def integers(vectors: DataFrame, id_col: str, vector_col: str) -> DataFrame:
+    """(vec_id, x array<double>) of the rows that take part: vectors that aren't null and hold finite numbers only."""
     x = F.transform(F.col(vector_col), lambda e: e.cast("double"))
     rows = vectors.select(F.col(id_col).cast("long").alias("vec_id"), x.alias("x")).where("vec_id is not null and x is not null and size(x) > 0")
-    rows = rows.where("not exists(x, e -> e is null or isnan(e) or e = double('infinity') or e = double('-infinity'))")
-    return rows.select("vec_id", F.expr(f"transform(x, e -> cast(floor({scale}d * e) as bigint))").alias("v"))
+    return rows.where("not exists(x, e -> e is null or isnan(e) or e = double('infinity') or e = double('-infinity'))")
 
 
-def _packed(rows: DataFrame, size: int, key: str) -> DataFrame:
-    """Blocks of at most ``size`` vectors, one row each; a small table is read by few tasks, so blocks are full."""
+def _packed(rows: DataFrame, size: int, key: str, scale: int) -> DataFrame:
+    """Blocks of at most ``size`` vectors of one length, one row each, of 2 or 8 bytes a component: whole numbers, or
+    (wide = 0) the doubles themselves where they are too large.  A small table is read by few tasks, so blocks are full."""
     rows = rows.coalesce(max(1, -(-rows.count() // size)))
 
     def run(batches):
@@ -84,9 +103,13 @@ def _packed(rows: DataFrame, size: int, key: str) -> DataFrame:
 
         def out(d):
             ids, v = held.pop(d)
-            body = np.array(v, np.int64)
-            wide = 8 if body.size and np.abs(body).max() >= 1 << 15 else 2
-            body = body.astype(np.int64 if wide == 8 else np.int16)
+            body = np.array(v, np.float64)
+            with np.errstate(over="ignore"):
+                whole = np.floor(scale * body)
+            most = np.abs(whole).max(initial=0)
+            wide = 2 if most < 1 << 15 else 8 if most < 1 << 53 else 0
+            if wide:
+                body = whole.astype(np.int64 if wide == 8 else np.int16)
             return pa.RecordBatch.from_arrays([pa.array([d], pa.int32()), pa.array([wide], pa.int32()), pa.array([np.array(ids, np.int64).tobytes()], pa.binary()), pa.array([body.tobytes()], pa.binary())], ["dim", "wide", "ids", "body"])
 
         for b in batches:
@@ -102,23 +125,24 @@ def _packed(rows: DataFrame, size: int, key: str) -> DataFrame:
     return narrow(rows, run, "dim int, wide int, ids binary, body binary").withColumn(key, F.monotonically_increasing_id())
 
 
-def _matrix(body: bytes, wide: int, dim: int) -> np.ndarray:
-    count = len(body) // (wide * dim) if dim else 0
-    return np.frombuffer(body, np.int64 if wide == 8 else np.int16).astype(np.int64)[: count * dim].reshape(count, dim)
+def _matrix(body: bytes, wide: int, dim: int, scale: int) -> np.ndarray:
+    if wide:
+        return np.frombuffer(body, np.int64 if wide == 8 else np.int16).astype(np.int64).reshape(-1, dim)
+    exact = [math.floor(Fraction(x) * scale) for x in np.frombuffer(body, np.float64).tolist()]
+    return np.array(exact, object).reshape(-1, dim)
 
 
 def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, scale: int = 256, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
     """query_id, rank, vec_id, score: the ``k`` highest integer inner products of each query with all other rows.
 
     Ties go to the smaller vec_id.  Null vectors, and those with null or non-finite components, take no part; a
-    vector is compared with those of its length.  Repeated ids count as rows of their own, but none with the
-    query's id is its candidate.  An empty side gives no rows.
+    vector is compared with those of its length.  Repeated ids count as rows of their own, as candidates and as queries
+    (each gives its own ``k`` rows), but none with the query's id is its candidate.  An empty side gives no rows.
     """
     spark = vectors.sparkSession
-    own = integers(vectors, id_col, vector_col, scale)
-    asked = integers(queries, id_col, vector_col, scale).dropDuplicates(["vec_id"])
-    shards = settle(_packed(own, SHARD, "shard"), "shards")
-    blocks = settle(_packed(asked, QUERIES, "block"), "blocks")
+    own, asked = integers(vectors, id_col, vector_col), integers(queries, id_col, vector_col)
+    shards = settle(_packed(own, SHARD, "shard", scale), "shards")
+    blocks = settle(_packed(asked, QUERIES, "block", scale), "blocks")
     # shards and query blocks meet by block number: every shard is sent once to each block of about a thousand queries
     numbers = blocks.select("dim", "block").groupBy("dim").agg(F.collect_list("block").alias("meets"))
     pairs = shards.join(numbers, "dim").withColumn("block", F.explode("meets")).select("dim", "block", "shard", F.col("wide").alias("s_wide"), F.col("ids").alias("s_ids"), F.col("body").alias("s_body"))
@@ -128,16 +152,15 @@ def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, scale: int = 256,
         for b in batches:
             for row in b.to_pylist():
                 d = row["dim"]
-                shard = Shard(np.frombuffer(row["s_ids"], np.int64), _matrix(row["s_body"], row["s_wide"], d))
-                q_ids, q = np.frombuffer(row["ids"], np.int64), _matrix(row["body"], row["wide"], d)
-                out_q, out_v, out_s = [], [], []
-                for i, v in zip(q_ids.tolist(), q):
+                shard = Shard(np.frombuffer(row["s_ids"], np.int64), _matrix(row["s_body"], row["s_wide"], d, scale))
+                q_ids, q = np.frombuffer(row["ids"], np.int64), _matrix(row["body"], row["wide"], d, scale)
+                out: tuple[list, ...] = ([], [], [], [])
+                for at, (i, v) in enumerate(zip(q_ids.tolist(), q)):
                     found, score = shard.top(v, i, k)
-                    out_q.append(np.full(len(found), i))
-                    out_v.append(found)
-                    out_s.append(score)
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x).astype(np.int64)) for x in (out_q, out_v, out_s)], ["query_id", "vec_id", "score"])
+                    for held, new in zip(out, (np.full(len(found), i), np.full(len(found), (row["block"] << 10) + at), found, score)):
+                        held.append(new)
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x).astype(np.int64)) for x in out], ["query_id", "query_row", "vec_id", "score"])
 
-    found = narrow(pairs, search, "query_id long, vec_id long, score long")
-    order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+    found = narrow(pairs, search, "query_id long, query_row long, vec_id long, score long")
+    order = Window.partitionBy("query_id", "query_row").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

@@ -1,7 +1,8 @@
 """Merkle fixity audit of archive records.
 
 A record is a response block (request line, length, payload); its leaf is the SHA-256 of its bytes.  Leaves are
-ordered by record key, and ranges of ``fan`` keys hash to the next level, up to one root.  Two replicas are
+ordered by record key, the order in which records stand in the file, and ranges of ``fan`` keys hash to the next level,
+up to one root; ranges go by key and not by offset, as a lost byte would move all offsets behind it.  Two replicas are
 compared from the root down; only children of mismatching nodes are looked at, so intact branches cost nothing
 beyond their top.  Nodes also carry the byte range that they cover.
 """
@@ -18,16 +19,19 @@ FAN = 64
 
 
 def record_text(url: Column, body: Column) -> Column:
-    """Bytes of a response record, as text: type, target, payload length in bytes, payload."""
-    body, url = F.coalesce(body, F.lit("")), F.coalesce(url, F.lit(""))
-    return F.concat(F.lit("WARC/1.1\nWARC-Type: response\nWARC-Target-URI: "), url, F.lit("\nContent-Length: "), F.octet_length(body).cast("string"), F.lit("\n\n"), body, F.lit("\n\n"))
+    """Bytes of a response record, as text: type, target, payload length in bytes, payload.  A record without a target
+    has no line for it, and one without a payload is marked as truncated, so neither equals one with an empty value."""
+    target = F.coalesce(F.concat(F.lit("\nWARC-Target-URI: "), url), F.lit(""))
+    mark = F.when(body.isNull(), "\nWARC-Truncated: unspecified").otherwise("")
+    body = F.coalesce(body, F.lit(""))
+    return F.concat(F.lit("WARC/1.1\nWARC-Type: response"), target, mark, F.lit("\nContent-Length: "), F.octet_length(body).cast("string"), F.lit("\n\n"), body, F.lit("\n\n"))
 
 
 def records(pages: DataFrame, key: str = "page_id", url: str = "url", body: str = "html") -> DataFrame:
-    """(key, size, hash): one row for each key.  Rows that share a key are one leaf, made from their hashes'
-    smallest and largest, their sum and count, so no list of them is ever held.  Rows without a key are left out."""
+    """(key, size, hash): one row for each key, and one for all rows without a key.  Rows that share a key are one leaf,
+    made from their hashes' smallest and largest, their sum and count, so no list of them is ever held."""
     text = record_text(F.col(url).cast("string"), F.col(body).cast("string"))
-    rows = pages.select(F.col(key).cast("long").alias("key"), text.alias("record")).where("key is not null")
+    rows = pages.select(F.col(key).cast("long").alias("key"), text.alias("record"))
     rows = rows.select("key", F.octet_length("record").cast("long").alias("size"), F.sha2("record", 256).alias("hash"))
     total = F.sum(F.conv(F.substring("hash", 1, 12), 16, 10).cast("decimal(38,0)"))
     several = F.sha2(F.concat_ws("|", F.min("hash"), F.max("hash"), total.cast("string"), F.count("*").cast("string")), 256)
@@ -72,10 +76,15 @@ def _offsets(levels: list[DataFrame], fan: int, wanted: list[DataFrame]) -> Data
 def audit(ours: DataFrame, theirs: DataFrame, fan: int = FAN) -> DataFrame:
     """(key, start, size, our_hash, their_hash, nodes_compared): records that differ, are missing or are added.
 
-    start and size: the byte range in our replica; null where only the other one has the record.  Equal roots end
-    the audit at once with no rows; two empty replicas are equal.
+    start and size: the byte range in our replica, records in key order and those without a key last; null where only
+    the other one has the record.  Keys may be negative: they count from the smallest of both replicas.  The leaf of the
+    rows without a key has a null key.  Equal roots end the audit at once with no rows; two empty replicas are equal.
     """
     a, b = settle(ours, "replica"), settle(theirs, "replica")
+    ends = a.select("key").union(b.select("key")).agg(F.min("key").alias("lo"), F.max("key").alias("hi")).first()
+    lo, hi = ends.lo or 0, ends.hi or 0
+    place = F.coalesce(F.col("key") - lo, F.lit(hi - lo + 1))
+    a, b = (t.withColumn("key", place) for t in (a, b))
     height = max(height_of(a, fan), height_of(b, fan))
     ta, tb = tree(a, fan, height), tree(b, fan, height)
     compared = 0
@@ -99,7 +108,8 @@ def audit(ours: DataFrame, theirs: DataFrame, fan: int = FAN) -> DataFrame:
         out = suspects.join(_offsets(ta, fan, path[1:]), "key", "left")
     else:
         out = suspects.withColumns({"start": F.lit(None).cast("long"), "size": F.lit(None).cast("long")})
-    return out.select("key", "start", "size", "our_hash", "their_hash", F.lit(compared).cast("long").alias("nodes_compared"))
+    key = F.when(F.col("key") <= hi - lo, F.col("key") + lo).alias("key")
+    return out.select(key, "start", "size", "our_hash", "their_hash", F.lit(compared).cast("long").alias("nodes_compared"))
 
 
 def rotten(pages: DataFrame, body: str = "html") -> DataFrame:

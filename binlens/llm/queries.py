@@ -77,11 +77,13 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     }
 
 
-_RECORD = "'WARC/1.1' || chr(10) || 'WARC-Type: response' || chr(10) || 'WARC-Target-URI: ' || coalesce(url, '') || chr(10) || 'Content-Length: ' || cast(strlen({0}) as varchar) || chr(10) || chr(10) || {0} || chr(10) || chr(10)"
+_RECORD = (
+    "'WARC/1.1' || chr(10) || 'WARC-Type: response' || coalesce(chr(10) || 'WARC-Target-URI: ' || url, '') || case when {0} is null then chr(10) || 'WARC-Truncated: unspecified' else '' end "
+    "|| chr(10) || 'Content-Length: ' || cast(strlen(coalesce({0}, '')) as varchar) || chr(10) || chr(10) || coalesce({0}, '') || chr(10) || chr(10)"
+)
 
 _OP2 = f"""
-with pages_ as (select page_id, url, coalesce(html, '') as good,
-    case when md5(html) like '0a%' then substr(html, 2) else coalesce(html, '') end as bad from pages),
+with pages_ as (select page_id, url, html as good, case when md5(html) like '0a%' then substr(html, 2) else html end as bad from pages),
 recs as (select page_id, {_RECORD.format("good")} as good, {_RECORD.format("bad")} as bad from pages_),
 sized as (select page_id, good, bad, strlen(good) as byte_size, sum(strlen(good)) over (order by page_id) - strlen(good) as byte_start from recs)
 select page_id, cast(byte_start as bigint) as byte_start, cast(byte_size as bigint) as byte_size, sha256(good) as our_hash, sha256(bad) as their_hash

@@ -3,7 +3,7 @@
 A shard holds the ids of consecutive documents.  Frequent id pairs are replaced by nonterminals, again and again:
 each round counts all pairs of the sequence, takes the most frequent ones such that no id is the left member of
 one and the right member of another (then replacements can't overlap, but for runs of one id, which are paired
-from their left), and rewrites the sequence at once.  A pair counts if it saves more than its rule costs.
+from their left), and rewrites the sequence at once.  Rounds go on until no pair saves more than its rule costs.
 
 File format: a Parquet table with one row for each shard.  ``body`` is little-endian uint32: the rules (left,
 right of each nonterminal, which are numbered from ``base``), then the sequence.  Expansion lengths of all
@@ -27,10 +27,9 @@ from binlens.llm.common import narrow, shared_dir, shuffle_width
 from binlens.llm.tokens import encoder
 
 SHARD_IDS = 1 << 20  # ids after which a shard is closed at the next document's end
-ROUNDS = 6
-PER_ROUND = 4096  # rules that one round may add
+PER_ROUND = 4096  # rules that one round may add; what is left to do is left to the next round
 BROADCAST_SHARDS = 1_000_000  # shards up to which their starts are broadcast (16 MB); beyond, the join shuffles
-SCHEMA = "shard long, first_doc long, n_docs int, n_ids long, base long, n_rules int, doc_ids binary, doc_lengths binary, rule_lengths binary, body binary"
+SCHEMA = "shard long, first_doc long, last_doc long, n_docs int, n_null int, n_ids long, base long, n_rules int, doc_ids binary, doc_lengths binary, rule_lengths binary, body binary"
 
 
 @dataclass
@@ -100,14 +99,12 @@ def _chosen(left: np.ndarray, right: np.ndarray) -> np.ndarray:
     return keep
 
 
-def compress(ids: np.ndarray, rounds: int = ROUNDS, per_round: int = PER_ROUND, least: int = 4) -> Grammar:
-    """``least``: occurrences from which a pair is replaced (a rule costs three words)."""
+def compress(ids: np.ndarray, per_round: int = PER_ROUND, least: int = 4) -> Grammar:
+    """``least``: occurrences from which a pair is replaced (a rule costs three words); no such pair is left in the end."""
     seq = ids.astype(np.uint32)
     base = int(seq.max(initial=0)) + 1
     lefts, rights, lengths, fresh = [], [], np.empty(0, np.int64), base
-    for _ in range(rounds):
-        if len(seq) < 2:
-            break
+    while len(seq) > 1:
         key = (seq[:-1].astype(np.uint64) << np.uint64(32)) | seq[1:]
         ordered = np.sort(key)
         cut = np.flatnonzero(np.concatenate([[True], ordered[1:] != ordered[:-1]]))
@@ -157,12 +154,14 @@ def compress(ids: np.ndarray, rounds: int = ROUNDS, per_round: int = PER_ROUND,
     return Grammar(base, np.concatenate(lefts or [empty]), np.concatenate(rights or [empty]), lengths, seq)
 
 
-def _packed(docs: list[int], lengths: list[int], parts: list[np.ndarray]) -> dict:
+def _packed(docs: list[int | None], lengths: list[int], parts: list[np.ndarray]) -> dict:
     ids = np.concatenate(parts)
     g = compress(ids)
     body = np.concatenate([np.column_stack([g.left, g.right]).ravel(), g.sequence]).astype("<u4")
+    named = [d for d in docs if d is not None]  # documents without an id come first
     return {
-        "first_doc": docs[0], "n_docs": len(docs), "n_ids": len(ids), "base": g.base, "n_rules": len(g.left), "doc_ids": np.array(docs, "<i8").tobytes(),
+        "first_doc": named[0] if named else None, "last_doc": named[-1] if named else None, "n_docs": len(docs), "n_null": len(docs) - len(named), "n_ids": len(ids),
+        "base": g.base, "n_rules": len(g.left), "doc_ids": np.array([0] * (len(docs) - len(named)) + named, "<i8").tobytes(),
         "doc_lengths": np.array(lengths, "<i8").tobytes(), "rule_lengths": g.lengths.astype("<u4").tobytes(), "body": body.tobytes(),
     }
 
@@ -177,7 +176,7 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, sh
     """Encode every document, in ascending id order, and write shards to ``path``.
 
     Null texts are empty documents (the end id alone).  Equal ids stand next to each other, ordered by a hash of
-    their texts.  Only doc_id and text are read; null ids come first.
+    their texts.  Only doc_id and text are read; documents without an id come first and keep their null.
     """
     width = shuffle_width(docs.sparkSession)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
@@ -187,7 +186,7 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, sh
         from pyspark import TaskContext
 
         coder, part, k = encoder(tokenizer), TaskContext.get().partitionId(), 0
-        ids: list[int] = []
+        ids: list[int | None] = []
         lengths: list[int] = []
         parts: list[np.ndarray] = []
         held = 0
@@ -200,7 +199,7 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, sh
             for a, flat, bounds in coder.encode(batch.column(1), end_id):
                 own = batch.column(0)[a : a + len(bounds) - 1].to_pylist()
                 for d, lo, hi in zip(own, bounds[:-1].tolist(), bounds[1:].tolist()):
-                    ids.append(-1 if d is None else d)
+                    ids.append(d)
                     lengths.append(hi - lo)
                     parts.append(flat[lo:hi])
                     held += hi - lo
@@ -214,7 +213,7 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, sh
     narrow(rows, run, SCHEMA).write.parquet(path)
 
 
-SHARD_TYPE = pa.schema([("shard", pa.int64()), ("first_doc", pa.int64()), ("n_docs", pa.int32()), ("n_ids", pa.int64()), ("base", pa.int64()), ("n_rules", pa.int32()), ("doc_ids", pa.binary()), ("doc_lengths", pa.binary()), ("rule_lengths", pa.binary()), ("body", pa.binary())])
+SHARD_TYPE = pa.schema([("shard", pa.int64()), ("first_doc", pa.int64()), ("last_doc", pa.int64()), ("n_docs", pa.int32()), ("n_null", pa.int32()), ("n_ids", pa.int64()), ("base", pa.int64()), ("n_rules", pa.int32()), ("doc_ids", pa.binary()), ("doc_lengths", pa.binary()), ("rule_lengths", pa.binary()), ("body", pa.binary())])
 
 
 def read_shards(spark: SparkSession, path: str) -> DataFrame:
@@ -236,7 +235,7 @@ def digests(shards: DataFrame) -> DataFrame:
     starts = shard_starts(shards)
     if shards.count() <= BROADCAST_SHARDS:  # two longs a shard; the bodies then stay where they are read
         starts = F.broadcast(starts)
-    rows = shards.join(starts, "shard").select("base_start", "base", "n_rules", "doc_ids", "doc_lengths", "rule_lengths", "body")
+    rows = shards.join(starts, "shard").select("base_start", "base", "n_rules", "n_null", "doc_ids", "doc_lengths", "rule_lengths", "body")
 
     def run(batches):
         for b in batches:
@@ -246,20 +245,21 @@ def digests(shards: DataFrame) -> DataFrame:
                 n = np.frombuffer(row["doc_lengths"], "<i8")
                 ends = np.cumsum(n)
                 crc = [zlib.crc32(flat[4 * (e - k) : 4 * e]) for e, k in zip(ends.tolist(), n.tolist())]
-                doc = np.frombuffer(row["doc_ids"], "<i8")
-                yield pa.RecordBatch.from_arrays([pa.array(doc), pa.array(row["base_start"] + ends - n), pa.array(n), pa.array(crc, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
+                doc = pa.array(np.frombuffer(row["doc_ids"], "<i8"), mask=np.arange(len(n)) < row["n_null"])
+                yield pa.RecordBatch.from_arrays([doc, pa.array(row["base_start"] + ends - n), pa.array(n), pa.array(crc, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
 
     return narrow(rows, run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def document(shards: DataFrame, doc_id: int) -> list[int]:
-    """Random access: the ids of one document; only its shard is read into Python, and only its symbols expanded."""
+    """Random access: the ids of one document (of all rows with its id, in order of writing); only shards that may hold
+    it are read into Python, one at a time, and only its symbols are expanded."""
     out: list[int] = []
-    for row in shards.where(F.col("first_doc") <= doc_id).orderBy(F.desc("first_doc"), F.desc("shard")).limit(1).collect():
+    for row in shards.where((F.col("first_doc") <= doc_id) & (F.col("last_doc") >= doc_id)).orderBy("shard").toLocalIterator():
         ids, n = np.frombuffer(row.doc_ids, "<i8"), np.frombuffer(row.doc_lengths, "<i8")
         g = unpacked(row.base, row.n_rules, bytes(row.rule_lengths), bytes(row.body))
         ends = np.cumsum(n)
-        for k in np.flatnonzero(ids == doc_id):
+        for k in np.flatnonzero((ids == doc_id) & (np.arange(len(ids)) >= row.n_null)):
             out += g.decode(int(ends[k] - n[k]), int(ends[k])).tolist()
     return out
 

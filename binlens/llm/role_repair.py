@@ -11,6 +11,7 @@ piece is then traced back by itself.  So the longest conversation needs no task
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -106,6 +107,15 @@ def chain(matrices: list[np.ndarray]) -> tuple[int, list[int]]:
     return int(total.min()), path[::-1]
 
 
+_MARK = re.compile(r"<(\\*)\|")
+
+
+def escaped(text: str) -> str:
+    """Text that can't be read as one of the template's markers: "<|" gets a backslash between its signs, and one that has
+    backslashes there gets one more, so that taking one away gives the text back."""
+    return _MARK.sub(r"<\1\\|", text) if "|" in text else text
+
+
 def _opening(state: int) -> str:
     return f"<|{NAMES[state]}|>\n"
 
@@ -132,7 +142,7 @@ def repair(conversations: DataFrame) -> DataFrame:
     spell out the repaired conversation; a merged turn continues the one before after a line feed.  ``cost`` is the
     whole conversation's.
 
-    Rows without conv_id are left out.  Null turns come first; null, empty and unknown roles are relabelled; null
+    Texts are escaped, so that none can open or end a turn (``escaped``).  Rows without conv_id are left out.  Null turns come first; null, empty and unknown roles are relabelled; null
     texts are empty.  Turns with one number are ordered by role and a hash of their text; repeated rows are turns
     of their own (and so merge).  Other columns are not read; an empty table gives no rows.
     """
@@ -156,15 +166,21 @@ def repair(conversations: DataFrame) -> DataFrame:
     turns = settle(narrow(rows, cut, "conv_id long, piece long, at int, turn long, role string, text string"), "turns")
 
     def matrices(batches):
-        out = []
+        def made(out):
+            return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out), (pa.int64(), pa.int64(), pa.binary()))], ["conv_id", "piece", "matrix"])
+
+        out: list[tuple] = []
         for key, run in _pieces(batches):
             m = None
             for r in run:
                 step = STEP[role_of(r[4])][0]
                 m = step if m is None else times(m, step)
             out.append((run[0][0], key, m.tobytes()))
-        for k in range(0, len(out), 10_000):
-            yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out[k : k + 10_000]), (pa.int64(), pa.int64(), pa.binary()))], ["conv_id", "piece", "matrix"])
+            if len(out) == 10_000:
+                yield made(out)
+                out = []
+        if out:
+            yield made(out)
 
     order = turns.repartition(shuffle_width(conversations.sparkSession), "piece").sortWithinPartitions("piece", "at")
     small = narrow(order, matrices, "conv_id long, piece long, matrix binary")
@@ -190,9 +206,9 @@ def repair(conversations: DataFrame) -> DataFrame:
             for k, (r, (state, action, inserted)) in enumerate(zip(run, steps)):
                 before = enter if k == 0 else steps[k - 1][0]
                 if action.endswith("merge"):
-                    text = "\n" + r[5]
+                    text = "\n" + escaped(r[5])
                 else:
-                    text = ("" if before == START else CLOSE) + "".join(_opening(s) + CLOSE for s in inserted) + _opening(state) + r[5]
+                    text = ("" if before == START else CLOSE) + "".join(_opening(s) + CLOSE for s in inserted) + _opening(state) + escaped(r[5])
                 tail: tuple[int, ...] = ()
                 if final and k == len(run) - 1:
                     tail = FINISH[leave][1]

@@ -73,7 +73,8 @@ class Encoder:
     def _one(self, text: str) -> list[int]:
         return self.library.encode(text, add_special_tokens=False).ids
 
-    def _forget(self, slots: int = SLOTS) -> None:
+    def _forget(self, slots: int | None = None) -> None:
+        slots = slots or SLOTS
         self._room(slots)
         self.entries, self.used = 0, 0
         self.at, self.n = np.zeros(1 << (slots - 1), np.int64), np.zeros(1 << (slots - 1), np.int32)

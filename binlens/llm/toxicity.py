@@ -6,8 +6,9 @@ from clean also helps to separate severe from mild.  The output is the expected
 The labels are binary, so grades are made from them: rows that aren't labelled toxic are 0; toxic rows are split at the
 median of their evidence, the summed smoothed log odds of their features, into 1 (mild) and 2 (severe).
 
-The fit uses at most ``max_labelled`` labelled rows (those with the smallest hash of their id); scoring covers
-every row and every word.
+The fit uses at most ``max_labelled`` labelled ids (those with the smallest hash), one row of each, and of those the
+rows with at most ``max_words`` different words, so that it is bounded in rows and bytes; scoring covers every row and
+every word.
 """
 
 from __future__ import annotations
@@ -25,6 +26,7 @@ from binlens.llm.words import ALPHA, words
 
 BITS = 20  # feature buckets, as a power of two
 MAX_LABELLED = 12_000
+MAX_WORDS = 8_192
 
 
 def features(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -124,10 +126,11 @@ def fit_ordinal(buckets: np.ndarray, bounds: np.ndarray, toxic: np.ndarray, roun
     return OrdinalModel(full, cuts)
 
 
-def training_rows(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled: int = MAX_LABELLED) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Features, row bounds and labels of at most ``max_labelled`` labelled rows, gathered from the executors."""
+def training_rows(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled: int = MAX_LABELLED, max_words: int = MAX_WORDS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Features, row bounds and labels of at most ``max_labelled`` rows, each of at most ``max_words`` features, gathered
+    from the executors.  Of an id's several rows one is taken, by a hash of its features, and of its labels the largest."""
     few = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("y")).where("doc_id is not null and y is not null")
-    few = few.orderBy(F.xxhash64("doc_id"), "doc_id", "y").limit(max_labelled)
+    few = few.groupBy("doc_id").agg(F.max("y").alias("y")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_labelled)
 
     def run(batches):
         for b in batches:
@@ -141,7 +144,9 @@ def training_rows(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_
 
     # the sample is bounded by max_labelled ids, so it is small enough to broadcast
     joined = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(few), "doc_id").select("doc_id", "text", "y")
-    got = narrow(joined, run, "doc_id long, y int, cols binary").toArrow().sort_by([("doc_id", "ascending"), ("y", "ascending"), ("cols", "ascending")])
+    rows = narrow(joined, run, "doc_id long, y int, cols binary").where(F.octet_length("cols") <= 4 * max_words)
+    rows = rows.groupBy("doc_id").agg(F.min(F.struct(F.xxhash64("cols").alias("k"), "y", "cols")).alias("r")).select("doc_id", "r.y", "r.cols")
+    got = rows.toArrow().sort_by([("doc_id", "ascending"), ("y", "ascending"), ("cols", "ascending")])
     raw, off = text_buffers(got.column("cols"))
     return raw.view(np.int32), off // 4, got.column("y").to_numpy()
 

@@ -3,7 +3,9 @@
 import html
 import random
 import re
+import time
 import zlib
+from collections import Counter
 
 import duckdb
 import numpy as np
@@ -11,7 +13,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from binlens.llm import decontaminate, html_text, license_scan, packing, repair, toxicity
+from binlens.llm import decontaminate, html_text, license_scan, packing, repair, tokens, toxicity
 from binlens.llm.common import text_buffers
 from binlens.llm.queries import tokenizer
 from binlens.llm.tokens import Encoder
@@ -53,10 +55,12 @@ def test_encoder_equals_library(name):
     assert got == [x.ids + [0] for x in e.library.encode_batch_fast(texts, add_special_tokens=False)]
 
 
-def test_encoder_forgets_and_still_agrees():
+@pytest.mark.parametrize("most", [5, 7, 21])
+def test_encoder_grows_forgets_and_still_agrees(monkeypatch, most):
+    monkeypatch.setattr(tokens, "SLOTS", 5)
+    monkeypatch.setattr(tokens, "MOST_SLOTS", most)
     e = Encoder(tokenizer("byte_bpe_50k.json"))
-    e.at, e.n = e.at[:50], e.n[:50]
-    texts = [f"w{i} x{i % 7} common" for i in range(100)]
+    texts = [f"w{i} x{i % 7} common" for i in range(100)] + [" ".join(f"y{i}" for i in range(300)), "common w5"]
     got = [f[b[i] : b[i + 1]].tolist() for _, f, b in e.encode(pa.array(texts), None, 200) for i in range(len(b) - 1)]
     assert got == [x.ids for x in e.library.encode_batch_fast(texts, add_special_tokens=False)]
 
@@ -99,10 +103,35 @@ def test_grammar_round_trip_and_access():
         a = rnd.randrange(len(x))
         b = rnd.randint(a + 1, len(x))
         assert (g.decode(a, b) == x[a:b]).all()
-    g = repair.compress(np.zeros(10_000, np.uint32), rounds=10)
+    g = repair.compress(np.zeros(10_000, np.uint32))
     assert len(g.sequence) + 2 * len(g.left) < 60
 
 
+def test_grammar_leaves_no_pair_that_pays():
+    rnd = np.random.default_rng(2)
+    for per_round in (3, 4096):
+        x = np.concatenate([rnd.zipf(1.3, 20_000) % 500, np.tile(rnd.integers(0, 500, 700), 12)]).astype(np.uint32)
+        g = repair.compress(x, per_round=per_round)
+        pairs = Counter(zip(g.sequence[:-1].tolist(), g.sequence[1:].tolist()))
+        assert max(pairs.values()) < 4 and (g.expand(g.sequence) == x).all()
+
+
+def test_grammar_keeps_null_and_repeated_ids(spark, tmp_path):
+    texts = ["no id", "minus one", "first of seven " * 300, "second of seven " * 300, "third of seven " * 300, "eight", "no id either"]
+    docs = docs_of(spark, texts, [None, -1, 7, 7, 7, 8, None])
+    rows = sorted(repair.round_trip(docs, tokenizer("byte_bpe_50k.json"), shard_ids=400).collect(), key=lambda r: r.start)
+    assert [r.doc_id for r in rows] == [None, None, -1, 7, 7, 7, 8]
+    path = str(tmp_path / "shards")
+    repair.write_shards(docs, path, tokenizer("byte_bpe_50k.json"), shard_ids=400)
+    shards = repair.read_shards(spark, path)
+    got, flat = repair.document(shards, 7), []
+    while got:  # ids of the documents, each closed by 0
+        flat.append(got[: got.index(0) + 1])
+        got = got[got.index(0) + 1 :]
+    assert sorted(flat) == sorted(library_ids(texts[2:5], "byte_bpe_50k.json", 0))
+    assert repair.document(shards, -1) == library_ids(["minus one"], "byte_bpe_50k.json", 0)[0] and repair.document(shards, 0) == []
+
+
 def test_grammar_files(spark, tmp_path):
     texts = ODD + ["word " * 3000, "a"]
     ids = list(range(len(texts) - 1)) + [3]  # one id twice
@@ -155,6 +184,40 @@ def test_license_notices_do_not_displace_each_other(spark):
     assert all(set(p) <= g for p, g in zip(pairs, got)) and set(notice) <= got[-1]
 
 
+def brute_licences(text, votes=2, slack=2):
+    """Labels by trying every start of every template in plain Python, without anchors or hashes."""
+    w = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", lower(text))
+    at = lambda start, words_: 0 <= start and w[start : start + len(words_)] == words_
+    out = {label for phrase, label in license_scan.BASE if any(at(k, phrase.split()) for k in range(len(w)))}
+    for label, notice, must in license_scan.TEMPLATES:
+        parts = notice.split()
+        place = {m: next(q for q in range(len(parts)) if parts[q : q + len(m.split())] == m.split()) for m in must}
+        for start in range(-len(parts), len(w)):
+            if all(any(at(start + place[m] + d, m.split()) for d in range(-slack, slack + 1)) for m in must):
+                same = {p for q, p in enumerate(parts) if 0 <= start + q < len(w) and w[start + q] == p}
+                if len(same) >= min(votes, len(set(parts))):
+                    out.add(label)
+    return out
+
+
+def test_license_labels_brute_force(spark):
+    rnd = random.Random(6)
+    vocabulary = sorted({x for _, t, _ in license_scan.TEMPLATES for x in t.split()}) + ["x", "y"]
+    texts = [None, ""]
+    for _ in range(120):
+        words_ = [rnd.choice(vocabulary) for _ in range(rnd.randint(0, 60))]
+        for _, notice, must in rnd.sample(license_scan.TEMPLATES, rnd.randint(0, 3)):
+            part = [x for x in rnd.choice([notice, *must]).split() if rnd.random() > 0.04]
+            k = rnd.randint(0, len(words_))
+            words_[k:k] = part
+        texts.append(rnd.choice([" ", ", ", "\n"]).join(words_))
+    rows = {r.doc_id: r for r in license_scan.scan(docs_of(spark, texts)).collect()}
+    assert any(rows[k].labels for k in rows)
+    for k, t in enumerate(texts):
+        assert set(filter(None, rows[k].labels.split(","))) == brute_licences(t)
+        assert rows[k].score == (1.0 if rows[k].base_labels else rows[k].score) and (rows[k].score > 0) == bool(rows[k].labels)
+
+
 def test_html_equals_article(spark):
     pages = spark.read.parquet(f"{SF}/pages.parquet")
     got = {r.page_id: r for r in html_text.extract(pages).collect()}
@@ -179,6 +242,43 @@ def test_html_edge_cases(spark):
     assert html_text.extract(frame.limit(0)).count() == 0
 
 
+def test_html_both_passes_decide():
+    """Pages without an article element, and articles whose blocks the text rules decide."""
+    long = "the story of a man that was in the wood and of all that he had to do there"
+    menu = "".join(f"<li><a href=/{k}>entry number {k}</a></li>" for k in range(6))
+    page = f"<body class='single has-sidebar no-comments'><ul>{menu}</ul><h1>The head</h1><p>{long}.</p><p>Yes!</p><p>{long}?</p><div class=left-sidebar>{long}</div><p>{'<a href=x>more to read of this kind</a> ' * 4}</p><p>all rights</p><ul>{menu}</ul></body>"
+    assert html_text.main_text(page) == f"The head\n{long}.\nYes!\n{long}?"
+    why = [(text.split(" ")[0], keep, by) for (text, *_), (keep, by) in zip(html_text.blocks(page), html_text.decide(html_text.blocks(page)))]
+    assert ("Yes!", True, "neighbours") in why and ("all", False, "neighbours") in why and Counter(by for *_, by in why) == {"links": 13, "text": 2, "neighbours": 3, "structure": 1}
+    inside = f"<article><h2>Zzqx</h2><p>{long}</p><p>qqq www</p><p>{'<a href=x>more to read of this kind</a> ' * 4}</p><p>{'zzx qqv ' * 20}</p></article><p>{long}</p>"
+    assert [by for _, by in html_text.decide(html_text.blocks(inside))] == ["neighbours", "text", "neighbours", "links", "neighbours", "structure"]
+    assert [by for _, by in html_text.decide(html_text.blocks("<article><p>one</p></article>"))] == ["alone"]
+
+
+def test_html_ties_go_to_the_block_before():
+    long = "the of and to in a is that for it as was with be by on not he his but at are"
+    rows = [("x", 1.0, False, False, False), ("short", 0.0, False, False, False), (long, 0.0, False, False, False)]
+    assert html_text.decide(rows)[1] == (False, "neighbours") and html_text.decide(rows[::-1])[1] == (True, "neighbours")
+    rows[1] = ("Head", 0.0, False, False, True)
+    assert html_text.decide(rows)[1] == (True, "neighbours") and html_text.decide(rows[::-1])[1] == (False, "neighbours")
+
+
+@pytest.mark.parametrize("part", ["<a ", "<div>", "<p>ab", '<a href="', "<b 'x", "<li>no", "</p>", "<!-", "&amp"])
+def test_html_takes_linear_time(part):
+    def spent(n):
+        began = time.process_time()
+        html_text.main_text(part * n)
+        return time.process_time() - began
+
+    spent(2_000)
+    assert spent(100_000) < 40 * max(spent(10_000), 0.02)
+
+
+def test_html_ignores_clashing_columns(spark):
+    frame = spark.createDataFrame([(1, "u", "<p>x</p>", "t", 5)], "page_id long, url string, html string, text string, n_chars int")
+    assert [tuple(r) for r in html_text.extract(frame).collect()] == [(1, "u", "", 0)]
+
+
 ITEM = "A train leaves Boston at 9 and travels 60 km in 2 hours while Anna walks 4 km to the same old station near the river"
 
 
@@ -218,6 +318,20 @@ def test_decontamination_slots_of_other_lengths(spark):
     assert found_in(spark, [texts[0]], [ITEM, texts[0].lower()]) == {(0, 0), (1, 0)}
 
 
+def test_decontamination_finds_short_items_as_whole_documents(spark):
+    items = ["42", "why not", "7 of 9", "a b c d", "12 30", "km"]
+    texts = ["42", "the 42", "Why not?", "so why not now", "7 of 9.", "x a b c d y", "12 30", "km", None, ""]
+    assert found_in(spark, items, texts) == {(0, 0), (2, 1), (4, 2), (5, 3), (6, 4), (7, 5)}
+
+
+def test_decontamination_by_several_blocks(spark, monkeypatch):
+    docs = docs_of(spark, [ITEM, "clean text of some words", "why not", None, "x " * 50_000 + ITEM])
+    bench = spark.createDataFrame([(0, ITEM), (1, "why not")], "item_id long, text string")
+    monkeypatch.setattr(decontaminate, "benchmark_blocks", lambda b: iter([decontaminate.items_of([r.item_id], [r.text]) for r in b.collect()]))
+    assert sorted(r.doc_id for r in decontaminate.keep_clean(docs, bench).collect()) == [1, 3]
+    assert decontaminate.keep_clean(docs, bench).columns == docs.columns
+
+
 def test_decontamination_keeps_what_agrees(spark):
     middle = "then she counts all of the ripe apples that were lying under the old tree behind the house and writes the total down"
     item = f"take 3 apples first {middle} and add 3 apples to them and 3 more"
@@ -243,6 +357,45 @@ def test_toxicity_held_out(spark):
     assert {r.grade for r in rows} == {0, 1, 2} and all(0 <= r.severity <= 2 and r.severity >= r.p_toxic - 1e-9 for r in rows)
 
 
+def test_toxicity_fit_is_at_its_optimum():
+    """The penalised likelihood's optimality conditions, computed anew from the definition."""
+    rnd = np.random.default_rng(5)
+    toxic = (rnd.random(900) < 0.3).astype(np.int64)
+    rows = [np.unique(np.concatenate([rnd.integers(0, 200, 12), rnd.integers(1000, 1010, 2 * t), rnd.integers(1000, 1010, int(rnd.random() < 0.05))])) for t in toxic]
+    buckets, bounds = np.concatenate(rows).astype(np.int32), np.concatenate([[0], np.cumsum([len(r) for r in rows])])
+    ridge, lasso, balance = 1e-3, 1e-3, 0.7
+    m = toxicity.fit_ordinal(buckets, bounds, toxic, rounds=4000, ridge=ridge, lasso=lasso, balance=balance)
+    used, col, row = toxicity.screened(buckets, bounds, toxic)
+    grade = toxicity.grades(col, row, toxic, len(used))
+    x = np.zeros((900, len(used)))
+    x[row, col] = 1
+    bad = toxic > 0
+    weight = np.where(bad, (0.5 / bad.mean()) ** balance, (0.5 / (~bad).mean()) ** balance) / 900
+    w = m.weights[used].astype(float)
+    p = 1 / (1 + np.exp(-(x @ w)[:, None] + m.cuts[None, :]))
+    slack = (p - (grade[:, None] > np.arange(len(m.cuts))[None, :])) * weight[:, None]
+    grad = x.T @ slack.sum(axis=1) + ridge * w
+    assert len(used) and (np.abs(grad) <= lasso + 2e-4).all() and np.abs(grad + lasso * np.sign(w))[w != 0].max() < 2e-4
+    assert np.abs(slack.sum(axis=0)).max() < 1e-3 and (np.diff(m.cuts) > 0).all()
+
+
+def test_toxicity_fit_is_bounded(spark):
+    texts = [f"word{k} idiot scum" for k in range(300)] + ["many " + " ".join(f"w{chr(97 + a)}{chr(97 + b)}" for a in range(26) for b in range(26))]
+    docs = docs_of(spark, texts, [5] * 300 + [6])
+    labels = spark.createDataFrame([(5, 1), (5, 0), (6, 1)], "doc_id long, toxic int")
+    col, bounds, y = toxicity.training_rows(docs, labels, max_labelled=1)
+    assert len(y) <= 1 and len(bounds) == len(y) + 1
+    assert len(toxicity.training_rows(docs, labels)[2]) == 2 and len(toxicity.training_rows(docs, labels, max_words=100)[2]) == 1
+
+
+def test_toxicity_scores_whole_long_texts(spark):
+    docs, labels = spark.read.parquet("/root/testdata/sf0.01/documents.parquet"), spark.read.parquet("/root/testdata/sf0.01/labels.parquet")
+    model = toxicity.fit(docs, labels)
+    bad = docs.join(toxicity.score(docs, model).orderBy("severity", ascending=False).limit(1), "doc_id").first().text
+    rows = toxicity.score(docs_of(spark, ["plain " * 300_000 + bad, bad]), model).collect()
+    assert rows[0].severity == pytest.approx(rows[1].severity) and rows[0].rejected
+
+
 def test_toxicity_edge_cases(spark):
     docs = docs_of(spark, ODD)
     labels = spark.createDataFrame([(1, 0, None), (2, None, 1), (None, 1, 1)], "doc_id long, toxic int, quality int")
