@@ -162,17 +162,20 @@ def c16(spark, d):
     return co.sample_uniform(src.corpus(spark, d), 500, SEED).select("doc_id", "topic", "format")
 
 
-@query("c17_fill_rates", f"with {STRAT}, {BINS0.split(', ', 1)[1][BINS0.split(', ', 1)[1].index('grid as'):]} select topic, format, count(doc_id) as realised, round(count(doc_id) / 10, 6) as fill, count(doc_id) < 10 as under_filled from cells left join strat using (topic, format) group by topic, format")
+GRID = BINS0[BINS0.index("grid as"):]
+
+
+@query("c17_fill_rates", f"with {STRAT}, {GRID} select topic, format, count(doc_id) as realised, round(count(doc_id) / 10, 6) as fill, count(doc_id) < 10 as under_filled from cells left join strat using (topic, format) group by topic, format")
 def c17(spark, d):
     c = src.corpus(spark, d)
     return co.fill_rates(co.sample_stratified(c, 10, SEED), co.bin_counts(c), 10)
 
 
-@query("c18_allocation", f"""with {STRAT}{UNI}, a as (select topic, format, count(*) as na from strat group by all), b as (select topic, format, count(*) as nb from uni group by all)
-select topic, format, round(log2((na / sum(na) over ()) / (nb / sum(nb) over ())), 6) as log2_ratio from a full join b using (topic, format)""")
+@query("c18_allocation", f"""with {STRAT}{UNI}, {GRID}, a as (select topic, format, count(*) as na from strat group by all), b as (select topic, format, count(*) as nb from uni group by all)
+select topic, format, round(case when na is null and nb is null then 0 else log2((na / sum(na) over ()) / (nb / sum(nb) over ())) end, 6) as log2_ratio from cells left join a using (topic, format) left join b using (topic, format)""")
 def c18(spark, d):
     c = src.corpus(spark, d)
-    return co.allocation_log2(co.sample_stratified(c, 10, SEED), co.sample_uniform(c, 500, SEED))
+    return co.allocation_log2(co.sample_stratified(c, 10, SEED), co.sample_uniform(c, 500, SEED), co.bin_counts(c))
 
 
 @query("c20_ecdf", f"with {CORPUS} select n_words as x, round(sum(count(*)) over (order by n_words) / sum(count(*)) over (), 6) as f from corpus group by n_words")
@@ -223,7 +226,7 @@ def c24(spark, d):
     return co.shard(src.table(spark, d, "documents").select("doc_id"), 8, "doc_id").groupBy("shard").agg(F.count("*").alias("n_docs"))
 
 
-@query("c26_receipt", f"with {UP} select count(*) as n_rows, count(distinct doc_id) as n_ids, (select count(*) from labels where doc_id not in (select doc_id from documents)) as n_missing, count(*) - count(distinct doc_id) as n_repeats from up")
+@query("c26_receipt", f"with {UP} select count(*) as n_rows, count(distinct doc_id) as n_ids, (select count(*) from labels where doc_id not in (select doc_id from documents)) as n_missing, count(*) - count(distinct doc_id) as n_repeats, count(distinct {U.format(repr('shard') + ' || chr(124) || doc_id')} % 8) as n_shards, count(distinct source) as n_sources, bit_xor({U.format("doc_id || '|' || md5(text)")}) as content from up")
 def c26(spark, d):
     return co.coverage_receipt(src.upsampled(spark, d), src.table(spark, d, "labels").select("doc_id"))
 
@@ -371,9 +374,9 @@ def a09(spark, d):
     return at.topk_docs(_scores(spark, d), 5, ["bench", "topic"]).select("bench", "topic", "doc_id", "rank")
 
 
-@query("a10_topk_bin_stats", f"with {PAIRS}, k as (select *, row_number() over (partition by query_id order by score desc, doc_id) as rank from pairs qualify rank <= 20) select bench, source as topic, lang as format, count(*) as hits, round(avg(score), 6) as mean_score, round(avg(rank), 6) as mean_rank from k join documents using (doc_id) group by all")
+@query("a10_topk_bin_stats", f"with {PAIRS}, k as (select *, row_number() over (partition by query_id order by score desc, doc_id) as rank from pairs qualify rank <= 100) select bench, source as topic, lang as format, count(*) as hits, round(avg(score), 6) as mean_score, round(avg(rank), 6) as mean_rank from k join documents using (doc_id) group by all")
 def a10(spark, d):
-    return at.topk_docs(_pairs(spark, d), 20, ["query_id"]).groupBy("bench", "topic", "format").agg(F.count("*").alias("hits"), r6(F.avg("score")).alias("mean_score"), r6(F.avg("rank")).alias("mean_rank"))
+    return at.topk_docs(_pairs(spark, d), 100, ["query_id"]).groupBy("bench", "topic", "format").agg(F.count("*").alias("hits"), r6(F.avg("score")).alias("mean_score"), r6(F.avg("rank")).alias("mean_rank"))
 
 
 @query("a11_planted_recall", f"with {PAIRS}, k as (select doc_id, query_id, row_number() over (partition by query_id order by score desc, doc_id) as rank from pairs), h as (select k.* from k join documents d using (doc_id) join benchmark b on b.item_id = query_id where contains(d.text, b.text)) select count(*) as n_pairs, round(avg((rank <= 1)::int::double), 6) as recall_1, round(avg((rank <= 10)::int::double), 6) as recall_10, round(avg(1.0 / rank), 6) as mrr from h")
@@ -760,11 +763,6 @@ def v10(spark, d):
     return _rounded(se.paired(_led(spark, d)).groupBy("target").agg(F.count("*").alias("n"), F.avg("saved").alias("mean_saved"), F.median("saved").alias("median_saved")))
 
 
-@query("v11_regression", f"with {PD} select recipe, target, round(regr_slope(gamma, steps), 6) as slope, round(regr_intercept(gamma, steps), 6) as intercept, round(regr_r2(gamma, steps), 6) as r2 from tg group by recipe, target")
-def v11(spark, d):
-    return _rounded(se.regression(_led(spark, d)))
-
-
 def _sel(by: str, where: str = "true", name: str = "sel") -> str:
     return (
         f", {name}g as (select {by}, target, bench, avg(gamma) as g from runs where {where} group by all), {name}s as (select {by}, target, sum(case when bench = target then g end) as t, avg(case when bench <> target then abs(g) end) as rest, max(case when bench <> target then abs(g) end) as worst, "
@@ -797,6 +795,11 @@ def _nation_z(spark, d):
     return ag.zscore(s.groupBy(F.col("format").cast("long").alias("topic"), bench.alias("bench")).agg(F.avg("score").alias("mean"))).select("topic", "bench", "z")
 
 
+@query("v11_regression", f"with {PD}{NB} select recipe, target, count(*) as n, round(regr_slope(gamma, z), 6) as slope, round(regr_intercept(gamma, z), 6) as intercept, round(regr_r2(gamma, z), 6) as r2 from (select recipe, target, gamma, z from tg join nb on nb.bench = tg.target and nb.topic = tg.topic) group by recipe, target")
+def v11(spark, d):
+    return _rounded(se.regression(_led(spark, d), _nation_z(spark, d)))
+
+
 @query("v14_head_to_head", f"with {LED}{NB}{_sel('topic', chr(114) + 'ecipe = ' + chr(39) + 'influence' + chr(39))}{_sel('recipe', chr(114) + 'ecipe = ' + chr(39) + 'naive' + chr(39), 'nv')}, top as (select bench as target, arg_max(topic, (z, -topic)) as topic from nb group by bench) select target, topic, round(sel.mean_ratio, 6) as chosen, round(nv.mean_ratio, 6) as naive, round(sel.mean_ratio / nv.mean_ratio, 6) as ratio from sel join top using (target, topic) join nv using (target)")
 def v14(spark, d):
     return _rounded(se.head_to_head(_led(spark, d), _nation_z(spark, d)))
@@ -918,4 +921,4 @@ def b06(spark, d):
     return _ci(ag.bin_bootstrap(_star(spark, d), BIN_REPS, "star"))
 
 
-from binlens import catalog_more, catalog_rest  # noqa: E402, F401  (both register their queries)
+from binlens import catalog_extra, catalog_more, catalog_rest  # noqa: E402, F401  (they register their queries)

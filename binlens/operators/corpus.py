@@ -51,8 +51,7 @@ def bin_counts(df: DataFrame) -> DataFrame:
 
 def marginals(bins: DataFrame) -> DataFrame:
     """Topic, format and grand totals in one scan."""
-    bins.createOrReplaceTempView("_bins")
-    return bins.sparkSession.sql("select topic, format, sum(n_docs) n_docs, sum(n_words) n_words from _bins group by grouping sets ((topic), (format), ())")
+    return bins.sparkSession.sql("select topic, format, sum(n_docs) n_docs, sum(n_words) n_words from {b} group by grouping sets ((topic), (format), ())", b=bins)
 
 
 def gini(bins: DataFrame, measure: str) -> DataFrame:
@@ -92,23 +91,36 @@ def population(df: DataFrame) -> DataFrame:
     return df.agg(F.count("*").alias("n_docs"), F.count_if("is_binned").alias("n_binned"), r6(F.count_if("is_binned") / F.count("*")).alias("share_binned"))
 
 
-def sample_stratified(df: DataFrame, per_bin: int, seed: str) -> DataFrame:
-    """At most ``per_bin`` rows of each bin, uniform within it.
+def lowest(rows: DataFrame, n: int, by: list[str], order: str, bits: int) -> DataFrame:
+    """Exactly the ``n`` rows of each group with the smallest hash ``_u`` (32 bits), ties by ``order``; all rows of a
+    smaller group.
 
-    A bin of n rows first keeps rows whose hash is below about 1.2 quota / n plus slack, so a bin of billions is
-    never ranked whole; the slack makes a short bin improbable, and bins at or below quota keep every row.
+    Rows are counted by the hash's first ``bits`` bits; whole cells are taken up to the one where the group's count
+    passes n, and only that cell's rows are ranked.  So no task ranks a group, however large, or gathers the sample.
     """
-    size = df.groupBy("topic", "format").agg(F.count("*").alias("bin_n"))
-    rows = df.join(F.broadcast(size), ["topic", "format"]).withColumn("_u", u32(F.lit(seed), F.col("doc_id")))
-    limit = (per_bin * 1.2 + 10 * math.sqrt(per_bin) + 30) / F.col("bin_n") * 4294967296.0
-    rows = rows.where(F.col("_u") < limit)
+    cell = F.shiftright("_u", 32 - bits)
+    counts = rows.groupBy(*by, cell.alias("_cell")).agg(F.count("*").alias("_k"))
+    w = Window.partitionBy(*by).orderBy("_cell").rowsBetween(Window.unboundedPreceding, 0)  # at most 2^bits counts a group
+    passed = counts.withColumn("_run", F.sum("_k").over(w)).where(F.col("_run") > n)
+    first = F.min(F.struct("_cell", (F.col("_run") - F.col("_k")).alias("before"))).alias("_edge")
+    edge = F.broadcast(passed.groupBy(*by).agg(first))  # one row for each group
+    known = (rows.join(edge, by, "left") if by else rows.crossJoin(edge)).withColumn("_cell", cell)
+    sure = known.where(F.col("_edge").isNull() | (F.col("_cell") < F.col("_edge._cell")))
+    rank = F.row_number().over(Window.partitionBy(*by).orderBy("_u", order))
+    last = known.where(F.col("_cell") == F.col("_edge._cell")).withColumn("_rank", rank).where(F.col("_rank") <= n - F.col("_edge.before"))
+    return sure.unionByName(last.drop("_rank")).drop("_edge", "_cell")
+
+
+def sample_stratified(df: DataFrame, per_bin: int, seed: str) -> DataFrame:
+    """At most ``per_bin`` rows of each bin, uniform within it, ranked by their draw; short bins keep every row."""
+    rows = lowest(df.withColumn("_u", u32(F.lit(seed), F.col("doc_id"))), per_bin, ["topic", "format"], "doc_id", 12)
     w = Window.partitionBy("topic", "format").orderBy("_u", "doc_id")
-    return rows.withColumn("draw_rank", F.row_number().over(w)).where(F.col("draw_rank") <= per_bin).drop("_u")
+    return rows.withColumn("draw_rank", F.row_number().over(w)).drop("_u")
 
 
 def sample_uniform(df: DataFrame, n: int, seed: str) -> DataFrame:
     """n rows with the smallest hash: a proportional, representative draw."""
-    return df.withColumn("_u", u32(F.lit(seed), F.col("doc_id"))).orderBy("_u", "doc_id").limit(n).drop("_u")
+    return lowest(df.withColumn("_u", u32(F.lit(seed), F.col("doc_id"))), n, [], "doc_id", 20).drop("_u")
 
 
 def fill_rates(sample: DataFrame, cells: DataFrame, target: int) -> DataFrame:
@@ -117,13 +129,15 @@ def fill_rates(sample: DataFrame, cells: DataFrame, target: int) -> DataFrame:
     return out.select("topic", "format", "realised", r6(F.col("realised") / target).alias("fill"), (F.col("realised") < target).alias("under_filled"))
 
 
-def allocation_log2(a: DataFrame, b: DataFrame) -> DataFrame:
-    """log2 of the shares of each bin in two samples; 0 where both are empty, null where one is."""
+def allocation_log2(a: DataFrame, b: DataFrame, cells: DataFrame) -> DataFrame:
+    """log2 of the shares of each cell of the grid in two samples; 0 where both are empty, null where one is."""
     x = a.groupBy("topic", "format").agg(F.count("*").alias("na"))
     y = b.groupBy("topic", "format").agg(F.count("*").alias("nb"))
-    both = x.join(y, ["topic", "format"], "full_outer").fillna(0, ["na", "nb"])
-    whole = Window.partitionBy()
-    return both.select("topic", "format", r6(F.when((F.col("na") > 0) & (F.col("nb") > 0), F.log2((F.col("na") / F.sum("na").over(whole)) / (F.col("nb") / F.sum("nb").over(whole))))).alias("log2_ratio"))
+    both = cells.select("topic", "format").join(x, ["topic", "format"], "left").join(y, ["topic", "format"], "left").fillna(0, ["na", "nb"])
+    whole = Window.partitionBy()  # one row for each cell
+    share = [F.try_divide(F.col(c), F.sum(c).over(whole)) for c in ("na", "nb")]
+    ratio = F.when((F.col("na") > 0) & (F.col("nb") > 0), F.log2(F.try_divide(*share))).when((F.col("na") == 0) & (F.col("nb") == 0), 0.0)
+    return both.select("topic", "format", r6(ratio).alias("log2_ratio"))
 
 
 def ecdf(df: DataFrame, col: str) -> DataFrame:
@@ -164,8 +178,51 @@ def classifier_accuracy(pred: DataFrame, gold: DataFrame, group: str, min_conf:
     return by.agg(F.sum("n").alias("n"), r6(F.sum(F.col("acc") * F.col("n")) / F.sum("n")).alias("mean_acc"), r6(F.min("acc")).alias("worst_group_acc"))
 
 
-def coverage_receipt(df: DataFrame, expected: DataFrame) -> DataFrame:
-    """One row: rows, distinct ids, repeats, expected ids that are missing."""
-    got = df.agg(F.count("*").alias("n_rows"), F.countDistinct("doc_id").alias("n_ids"))
+def accuracy_report(rows: DataFrame, variants: dict[str, str], min_conf: float) -> DataFrame:
+    """(variant, n, mean_acc, worst_group_acc, gold_acc) against the teacher's labels, where it is sure; a group is one of
+    the teacher's labels.  ``variants``: name -> column of labels."""
+    pairs = F.explode(F.array(*[F.struct(F.lit(n).alias("variant"), F.col(c).alias("guess")) for n, c in variants.items()])).alias("p")
+    sure = rows.where(F.col("teacher_conf") >= min_conf).select("teacher", "gold", pairs).select("teacher", "gold", "p.*")
+    by = sure.groupBy("variant", "teacher").agg(F.count("*").alias("n"), F.count_if(F.col("guess") == F.col("teacher")).alias("ok"), F.count_if(F.col("guess") == F.col("gold")).alias("gold_ok"))
+    share = lambda x: r6(F.sum(x) / F.sum("n"))
+    return by.groupBy("variant").agg(F.sum("n").alias("n"), share("ok").alias("mean_acc"), r6(F.min(F.col("ok") / F.col("n"))).alias("worst_group_acc"), share("gold_ok").alias("gold_acc"))
+
+
+def coverage_receipt(df: DataFrame, expected: DataFrame, shards: int = 8) -> DataFrame:
+    """One row: rows, distinct ids, repeats, shards and bins that hold rows, a content hash that no order or partitioning
+    changes, and expected ids that are missing."""
+    content = F.bit_xor(u32(F.col("doc_id"), F.md5("text")))
+    got = df.agg(F.count("*").alias("n_rows"), F.countDistinct("doc_id").alias("n_ids"), F.countDistinct(u32(F.lit("shard"), F.col("doc_id")) % shards).alias("n_shards"), F.countDistinct("source").alias("n_sources"), content.alias("content"))
     missing = expected.join(df.select("doc_id").distinct(), "doc_id", "left_anti").agg(F.count("*").alias("n_missing"))
-    return got.crossJoin(missing).withColumn("n_repeats", F.col("n_rows") - F.col("n_ids"))
+    return got.crossJoin(F.broadcast(missing)).withColumn("n_repeats", F.col("n_rows") - F.col("n_ids"))
+
+
+def naive_bayes(labelled: DataFrame, label: str, feature: str) -> tuple[DataFrame, DataFrame]:
+    """Multinomial naive Bayes from rows (label, features): log weights (feature, label, w) with add-one smoothing, and
+    one row for each label (label, prior, unseen).  Counting is all there is to training, so it is one aggregate."""
+    rows = labelled.select(label, F.explode(feature).alias("t"))
+    seen = rows.groupBy(label, "t").agg(F.count("*").alias("k"))
+    size = seen.agg(F.countDistinct("t").alias("v"))
+    totals = seen.groupBy(label).agg(F.sum("k").alias("n"))
+    docs = labelled.groupBy(label).agg(F.count("*").alias("docs"))
+    labels = docs.join(totals, label, "left").fillna(0, ["n"]).crossJoin(F.broadcast(size))  # a row for each label
+    labels = labels.withColumn("share", F.col("docs") / F.sum("docs").over(Window.partitionBy()))
+    labels = labels.select(label, F.ln("share").alias("prior"), (-F.ln(F.col("n") + F.col("v"))).alias("unseen"))
+    weights = seen.select("t", label, F.ln(F.col("k") + 1).alias("w"))  # beyond that of an unseen feature
+    return weights, labels
+
+
+def classify(docs: DataFrame, model: tuple[DataFrame, DataFrame], label: str, feature: str) -> DataFrame:
+    """(doc_id, label, conf): the most probable label, the smaller one on ties, and its probability."""
+    weights, labels = model
+    rows = docs.select("doc_id", F.size(feature).alias("m"), F.explode_outer(feature).alias("t"))
+    own = rows.join(weights, "t").groupBy("doc_id", label).agg(F.sum("w").alias("w"))
+    size = docs.select("doc_id", F.size(feature).alias("m"))
+    scored = size.crossJoin(F.broadcast(labels)).join(own, ["doc_id", label], "left")  # documents x labels
+    scored = scored.select("doc_id", label, (F.col("prior") + F.col("m") * F.col("unseen") + F.coalesce("w", F.lit(0.0))).alias("s"))
+    best = scored.groupBy("doc_id").agg(F.collect_list(F.struct(F.round("s", 9).alias("s"), label)).alias("all"))  # one entry for each label
+    top = F.array_max(F.transform("all", lambda x: x["s"]))
+    best = best.select("doc_id", "all", top.alias("top"))
+    first = F.array_min(F.transform(F.filter("all", lambda x: x["s"] == F.col("top")), lambda x: x[label]))
+    mass = F.aggregate("all", F.lit(0.0), lambda acc, x: acc + F.exp(x["s"] - F.col("top")))
+    return best.select("doc_id", first.alias("label"), (1 / mass).alias("conf"))

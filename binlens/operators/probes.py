@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from binlens.functions.hashing import u32
 from binlens.functions.stats import wilson
 
 #: Formats of the two register groups on the native grid.
@@ -68,6 +69,19 @@ def subset_masks(out: DataFrame, chance: float = 0.25) -> DataFrame:
     return s.groupBy("bench").agg(F.count_if("kept").alias("n_kept"), F.count("*").alias("n_subsets"), F.try_divide(k.cast("double"), n.cast("double")).alias("masked_acc"))
 
 
+def retained(out: DataFrame, chance: float = 0.25) -> DataFrame:
+    """(bench, query_id, subset): the items of subsets at chance or better."""
+    w = Window.partitionBy("bench", "subset")
+    share = F.avg(F.col("correct").cast("double")).over(w)
+    return out.withColumn("share", share).where(F.col("share") >= chance).select("bench", "query_id", "subset")
+
+
+def cap_queries(queries: DataFrame, n: int, seed: str) -> DataFrame:
+    """At most ``n`` items of each benchmark, those with the smallest hash, ranked."""
+    w = Window.partitionBy("bench").orderBy(u32(F.lit(seed), F.col("query_id")), "query_id")
+    return queries.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= n)
+
+
 def cross_mask(bins: DataFrame) -> DataFrame:
     return bins.groupBy("topic", "format").agg(F.avg("z").alias("mean_z"), F.var_samp("z").alias("var_z"))
 

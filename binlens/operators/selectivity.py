@@ -72,9 +72,11 @@ def box_vs_control(runs: DataFrame, control: str = "random") -> DataFrame:
     return box.join(c, "bench").withColumn("place", F.when(F.col("control") > F.col("q3"), "above").when(F.col("control") < F.col("q1"), "below").otherwise("inside"))
 
 
-def regression(runs: DataFrame) -> DataFrame:
-    """Damage against steps for each target and arm."""
-    return on_target(runs).groupBy("recipe", "target").agg(F.regr_slope("gamma", "steps").alias("slope"), F.regr_intercept("gamma", "steps").alias("intercept"), F.regr_r2("gamma", "steps").alias("r2"))
+def regression(runs: DataFrame, influence: DataFrame) -> DataFrame:
+    """On-target damage against the topic's influence score, for each target and arm.  influence: (bench, topic, z)."""
+    x = influence.select(F.col("bench").alias("target"), "topic", "z")
+    rows = on_target(runs).join(x, ["target", "topic"]).groupBy("recipe", "target")
+    return rows.agg(F.count("*").alias("n"), F.regr_slope("gamma", "z").alias("slope"), F.regr_intercept("gamma", "z").alias("intercept"), F.regr_r2("gamma", "z").alias("r2"))
 
 
 def damage(runs: DataFrame, by: list[str]) -> DataFrame:
@@ -122,9 +124,28 @@ def hindsight(runs: DataFrame) -> DataFrame:
     return s.withColumn("k", F.row_number().over(w)).where("k = 1").select("target", "topic", "mean_ratio")
 
 
+def chosen_topics(bins: DataFrame, rule: str) -> DataFrame:
+    """(target, topic): the topic with the largest marginal z (bins: bench, topic, z), or the one that the bin with the
+    largest z belongs to (bins: bench, topic, format, z)."""
+    if rule not in ("max_topic_marginal", "parent_of_max_bin"):
+        raise ValueError(f"no such rule: {rule}")
+    order = [F.desc_nulls_last("z"), "topic"] + (["format"] if rule == "parent_of_max_bin" else [])
+    top = bins.withColumn("r", F.row_number().over(Window.partitionBy("bench").orderBy(*order))).where("r = 1")
+    return top.select(F.col("bench").alias("target"), "topic")
+
+
+def rank_gap(runs: DataFrame, bins: DataFrame) -> DataFrame:
+    """(target, topic, by_damage, n): where the topic that attribution puts first stands by measured damage."""
+    g = damage(runs.where("recipe = 'influence'"), ["topic"]).where("target = bench").select("target", "topic", "gamma")
+    rows = g.join(bins.select(F.col("bench").alias("target"), "topic", "z"), ["target", "topic"])
+    w = Window.partitionBy("target")
+    rows = rows.withColumn("by_influence", F.row_number().over(w.orderBy(F.desc("z"), "topic"))).withColumn("by_damage", F.row_number().over(w.orderBy(F.desc("gamma"), "topic")))
+    return rows.withColumn("n", F.count("*").over(w)).where("by_influence = 1").select("target", "topic", "by_damage", "n")
+
+
 def head_to_head(runs: DataFrame, bins: DataFrame, rule: str = "max_topic_marginal") -> DataFrame:
-    """Selectivity of the topic chosen by attribution against that of naive selection.  bins: (bench, topic, z)."""
-    top = bins.groupBy("bench").agg(F.max(F.struct(F.col("z"), (-F.col("topic")).alias("neg"))).alias("s")).select(F.col("bench").alias("target"), (-F.col("s.neg")).alias("topic"))
+    """Selectivity of the topic chosen by attribution (``chosen_topics``) against that of naive selection."""
+    top = chosen_topics(bins, rule)
     mine = selectivity(runs.where("recipe = 'influence'"), ["topic"]).join(top, ["target", "topic"]).select("target", "topic", F.col("mean_ratio").alias("chosen"))
     naive = selectivity(runs.where("recipe = 'naive'"), ["recipe"]).select("target", F.col("mean_ratio").alias("naive"))
     return mine.join(naive, "target").withColumn("ratio", F.try_divide("chosen", "naive"))
