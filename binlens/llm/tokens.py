@@ -19,11 +19,11 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 
-from binlens.llm.common import KEPT, slices, text_buffers
+from binlens.llm.common import slices, text_buffers
 from binlens.llm.words import Alphabet, span_hashes
 
 SLOTS = 17  # table slots at first, as a power of two; it grows when half full
-MOST_SLOTS = 21  # and is emptied when half full at this size
+MOST_SLOTS = 20  # and is emptied when half full at this size, some 25 MB
 _EXACT = Alphabet(np.ones(256, bool), np.arange(256, dtype=np.uint8))
 _SPACE = np.zeros(256, bool)
 _SPACE[list(b" \t\n\x0b\x0c\r\x1c\x1d\x1e\x1f")] = True
@@ -55,7 +55,7 @@ def cuts(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
 
 
 class Encoder:
-    """One tokenizer and its table of known chunks; a worker process keeps it until its task ends (see ``encoder``)."""
+    """One tokenizer and its table of known chunks; a worker process keeps it between tasks (see ``encoder``)."""
 
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -188,11 +188,12 @@ class Encoder:
 
 
 _KNOWN: dict[str, Encoder] = {}
-KEPT.append(_KNOWN.clear)
 
 
 def encoder(path: str) -> Encoder:
-    """The worker's encoder for a tokenizer file, with what it has learnt in this task."""
+    """The worker's encoder for a tokenizer file, with what it has learnt so far: learning a chunk costs some ten times
+    as much as finding it, and a tokenizer with its table stays under 60 MB.  Another file takes its place."""
     if path not in _KNOWN:
+        _KNOWN.clear()
         _KNOWN[path] = Encoder(path)
     return _KNOWN[path]
