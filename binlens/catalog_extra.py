@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from binlens.catalog import _DOTS, CH, DOCS, LED, QRYS, SCORES, SEED, _grad, _index, _led, _nation_z, _outcomes, _query_grad, _rounded, _scores, _sel, query
+from binlens.catalog import _DOTS, BENCHES, BINS, CH, CORPUS, DOCS, LED, QRYS, SCORES, SEED, _bins, _grad, _index, _led, _nation_z, _outcomes, _query_grad, _rounded, _scores, _sel, query
 from binlens.catalog import NB as NB_SQL
 from binlens.catalog_rest import _QG, _key
 from binlens.operators import aggregate as ag
@@ -12,8 +12,9 @@ from binlens.operators import attribution as at
 from binlens.operators import corpus as co
 from binlens.operators import probes as pr
 from binlens.operators import selectivity as se
+from binlens.operators import unlearn as un
 from binlens.sources import tables as src
-from binlens.sources.index import corpus_index
+from binlens.sources.index import corpus_index, kept
 from binlens.sources.tables import tokens
 
 # ---- trained classifier ------------------------------------------------------------------------------------
@@ -177,3 +178,113 @@ def v14p(spark, d):
     bench = F.coalesce(*[F.when(F.col("bench") == k, v) for k, v in names.items()], F.lit("TK"))
     bins = ag.zscore(s.groupBy(F.col("format").cast("long").alias("topic"), F.col("topic").alias("format"), bench.alias("bench")).agg(F.avg("score").alias("mean")))
     return _rounded(se.head_to_head(_led(spark, d), bins, "parent_of_max_bin"))
+
+
+# ---- unlearning --------------------------------------------------------------------------------------------------
+
+
+def _unlearning(spark, d):
+    """All runs of the grid, made once for a state of the tables."""
+    docs, items = src.corpus(spark, d), src.bench_queries(spark, d)
+
+    def write(path):
+        s, words, n = _scores(spark, d), tokens(F.col("text")), docs.count()
+        sets = kept(spark, "forget_sets", [src.table(spark, d, "documents"), src.table(spark, d, "benchmark")], lambda at_: un.grid_sets(s, _bins(spark, d), docs, n).write.parquet(at_))
+        gone = sets.select("doc_id").withColumn("topic", F.lit(""))
+        keep = [un.retain_set(docs, gone, max(1, min(un.SIZES["retain"][0], int(un.SIZES["retain"][1] * n))), f"{k}r").select(F.lit(str(k)).alias("run_id"), "doc_id", F.lit("retain").alias("role")) for k in un.SEEDS]
+        keep = keep[0].union(keep[1]).union(keep[2])
+        split = src.spread(docs.select("doc_id", "text"))
+        runs = un.run_grid(un.forget_stats(sets, split, words, "seg"), un.set_stats(keep, split, words), un.corpus_stats(split, words), un.eval_items(pr.choices(items)), n)
+        runs.write.parquet(path)
+
+    return kept(spark, "unlearning", [src.table(spark, d, "documents"), src.table(spark, d, "benchmark")], write)
+
+
+def _run_ledger(spark, d):
+    return un.ledger_of(_unlearning(spark, d), BENCHES)
+
+
+@query("u04_unlearning_grid")
+def u04(spark, d):
+    """Every run: five arms, all topics of the grid, four targets, three seeds, and the null-bin control."""
+    return _rounded(_unlearning(spark, d))
+
+
+@query("u08_paired_tests")
+def u08(spark, d):
+    """The paired analysis on the runs: influence against random in topic, by topic and seed, with both families of p."""
+    p = se.paired(_run_ledger(spark, d))
+    effect = se.cohen_dz(p)
+    return _rounded(se.families(p).join(effect, "target"))
+
+
+@query("u09_arms")
+def u09(spark, d):
+    """Each arm's damage on and off its target, steps, and what it does to general text."""
+    runs = _unlearning(spark, d)
+    led = un.ledger_of(runs, BENCHES)
+    on, off = F.avg(F.when(F.col("target") == F.col("bench"), F.col("gamma"))), F.avg(F.when(F.col("target") != F.col("bench"), F.col("gamma")))
+    g = led.groupBy("recipe").agg(on.alias("on_target"), off.alias("off_target"), F.avg("steps").alias("mean_steps"))
+    return _rounded(g.join(un.collateral_ppl(runs), "recipe"))
+
+
+@query("u10_cross_method")
+def u10(spark, d):
+    """Bin-level against per-document forget sets: the same pilot on both, and whose chosen topic beats naive selection."""
+    led, z = _run_ledger(spark, d), ag.marginal_z(_bins(spark, d), "topic")
+    naive = se.selectivity(led.where("recipe = 'naive'"), ["recipe"]).select("target", F.col("mean_ratio").alias("naive"))
+
+    def pilot(recipe):
+        runs = led.where(F.col("recipe") == recipe).withColumn("recipe", F.lit("influence"))
+        return se.pilot(z, runs).join(naive, "target").select("target", F.try_divide("mean_ratio", "naive").alias("gamma"))
+
+    both = pilot("bin").select("target", F.col("gamma").alias("bin_ratio")).join(pilot("influence").select("target", F.col("gamma").alias("document_ratio")), "target", "full_outer")
+    pattern = F.when((F.col("bin_ratio") > 1) & (F.col("document_ratio") > 1), "both").when(F.col("bin_ratio") > 1, "bin").when(F.col("document_ratio") > 1, "document").otherwise("neither")
+    return _rounded(both.withColumn("pattern", pattern))
+
+
+@query("u11_net_of_null")
+def u11(spark, d):
+    return _rounded(un.net_of_null(_unlearning(spark, d)))
+
+
+@query("u12_exact_reference")
+def u12(spark, d):
+    """Damage by unlearning beside that of the head made anew without the documents, by arm and benchmark."""
+    g = _unlearning(spark, d).groupBy("recipe", "bench").agg(F.count("*").alias("n"), F.avg("gamma").alias("gamma"), F.avg("gamma_exact").alias("gamma_exact"))
+    return _rounded(g)
+
+
+@query("u13_bin_level_sets", f"with {BINS}, w as (select b.bench, topic, d.doc_id, row_number() over (partition by b.bench, topic order by b.z desc, {_key(repr(SEED), 'd.doc_id')}, d.doc_id) as r from bins b join (select doc_id, source as topic, lang as format from documents) d using (topic, format)) select bench, topic, doc_id, cast(r as integer) as rank from w where r <= 5")
+def u13(spark, d):
+    return un.forget_bin_level(_bins(spark, d), src.corpus(spark, d), 5, SEED).select("bench", "topic", "doc_id", "rank")
+
+
+@query("u14_null_bin", f"with {CORPUS} select doc_id from corpus where not is_binned order by {_key(repr(SEED), 'doc_id')}, doc_id limit 10")
+def u14(spark, d):
+    return un.forget_null(src.corpus(spark, d).where("not is_binned"), 10, SEED).select("doc_id")
+
+
+_RND5 = f"f as (select doc_id, source as topic from documents where source in ('src0', 'src3') qualify row_number() over (partition by source order by {_key(repr(SEED), 'doc_id')}, doc_id) <= 5)"
+
+
+def _few(spark, d):
+    return un.forget_random(src.corpus(spark, d).where("topic in ('src0', 'src3')"), 5, SEED)  # the sets that retained documents must avoid
+
+
+@query("u15_retain_uniform", f"with {_RND5} select doc_id, source as topic from documents where doc_id not in (select doc_id from f) and source not in (select topic from f) order by {_key(repr('43'), 'doc_id')}, doc_id limit 60")
+def u15(spark, d):
+    return un.retain_set(src.corpus(spark, d), _few(spark, d), 60, "43", "uniform")
+
+
+@query("u16_retain_stratified", f"with {_RND5}, r as (select doc_id, source as topic, {_key(repr('43'), 'doc_id')} as u, row_number() over (partition by source order by {_key(repr('43'), 'doc_id')}, doc_id) as r from documents where doc_id not in (select doc_id from f)) select doc_id, topic from r order by r, u, doc_id limit 60")
+def u16(spark, d):
+    return un.retain_set(src.corpus(spark, d), _few(spark, d), 60, "43", "stratified")
+
+
+@query("u17_gamma_modes", f"with {LED} select recipe, target, bench, round(avg(gamma), 6) as raw, round(avg(gamma) / 0.6, 6) as relative, sign(avg(gamma)) as sign from runs group by all")
+def u17(spark, d):
+    """The three readings of damage on the synthetic ledger, with a base accuracy of 0.6."""
+    g = _led(spark, d).groupBy("recipe", "target", "bench").agg(F.avg("gamma").alias("g"))
+    base, after = F.lit(0.6), F.lit(0.6) - F.col("g")
+    return g.select("recipe", "target", "bench", *[F.round(un.gamma(base, after, m), 6).alias(m) for m in ("raw", "relative")], un.gamma(F.lit(0.0), -F.round("g", 12), "sign").cast("int").alias("sign"))

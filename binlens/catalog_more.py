@@ -208,20 +208,7 @@ def u03(spark, d):
     return w.select("doc_id", F.md5(F.array_join(un.shuffle_segments(F.col("w"), F.col("doc_id"), "seg"), " ")).alias("digest"))
 
 
-@query("u04_unlearning_grid")
-def u04(spark, d):
-    """Real runs of the stand-in head: influence against random in topic, four targets, some topics."""
-    docs, s = src.corpus(spark, d), _scores(spark, d)
-    inf = un.forget_influence(s, 5).where("topic < 'src2'").select(F.concat_ws("/", "arm", "bench", "topic").alias("run_id"), "doc_id")
-    rnd = un.forget_random(docs, 25, "42").where("topic < 'src2'").select(F.concat_ws("/", "arm", "topic").alias("run_id"), "doc_id")
-    forget = inf.union(rnd).persist()  # a few hundred rows, used several times
-    keep = un.retain_set(docs, forget.withColumn("topic", F.lit("")), 300, "43").select(F.lit("all").alias("run_id"), "doc_id", F.lit("retain").alias("role"))
-    words = tokens(F.col("text"))
-    items = un.eval_items(pr.choices(src.bench_queries(spark, d)))
-    return _rounded(un.run_grid(un.forget_stats(forget, docs, words, "seg"), un.set_stats(keep, docs, words), un.corpus_stats(docs, words), items))
-
-
-@query("u05_bigram_frequencies", f"with w as (select doc_id, list_transform({TOK}, lambda t: {U.format(chr(39) + 'v|' + chr(39) + ' || t')} % 64) as h from documents), b as (select doc_id, h[i] as u, h[i + 1] as v, 1.0::double / (len(h) - 1) as f from w, unnest(range(1, len(h))) r(i) where len(h) > 1) select cast(u as integer) as u, cast(v as integer) as v, round(1000 * sum(f) / (select count(*) from documents), 6) as f from b group by all")
+@query("u05_bigram_frequencies", f"with w as (select doc_id, list_transform({TOK}, lambda t: {U.format(chr(39) + 'v|' + chr(39) + ' || t')} % {un.V}) as h from documents), b as (select doc_id, h[i] as u, h[i + 1] as v, 1.0::double / (len(h) - 1) as f from w, unnest(range(1, len(h))) r(i) where len(h) > 1) select cast(u as integer) as u, cast(v as integer) as v, round(1000 * sum(f) / (select count(*) from documents), 6) as f from b group by all")
 def u05(spark, d):
     docs = src.corpus(spark, d)
     s = un.set_stats(docs.select(F.lit("all").alias("run_id"), "doc_id", F.lit("all").alias("role")), docs, tokens(F.col("text")))

@@ -12,8 +12,18 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from binlens.functions.hashing import u32
+from binlens.operators.corpus import lowest
 
-V = 64
+V = 1024  # hash buckets of words: the head has V x V logits
+#: Set sizes: those of the reference, and the share of a topic (or corpus) that a set may take where there are fewer documents.
+SIZES = {"influence": (200, 0.1), "bin": (200, 0.1), "random": (1000, 0.25), "naive": (2000, 0.05), "global": (1000, 0.05), "null": (200, 0.02), "retain": (9000, 0.3)}
+SEEDS = (42, 43, 44)
+
+
+def size_of(arm: str, total) -> F.Column:
+    """Documents of a set: at least one, at most the arm's, and at most its share of ``total``."""
+    most, share = SIZES[arm]
+    return F.greatest(F.lit(1), F.least(F.lit(most), F.floor(F.lit(share) * total))).cast("int")
 
 
 def forget_influence(scores: DataFrame, n: int) -> DataFrame:
@@ -28,16 +38,16 @@ def forget_naive(scores: DataFrame, n: int) -> DataFrame:
 
 def forget_random(docs: DataFrame, n: int, seed: str, by_topic: bool = True) -> DataFrame:
     """Random arm: in topic, or global."""
-    w = Window.partitionBy(*(["topic"] if by_topic else [F.lit(0)])).orderBy(u32(F.lit(seed), F.col("doc_id")), "doc_id")
-    out = docs.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= n)
-    return out.select(F.lit(None).cast("string").alias("bench"), "topic" if by_topic else F.lit(None).cast("string").alias("topic"), "doc_id", F.lit("random" if by_topic else "global").alias("arm"))
+    rows = lowest(docs.select("topic", "doc_id", u32(F.lit(seed), F.col("doc_id")).alias("_u")), n, ["topic"] if by_topic else [], "doc_id", 12 if by_topic else 20)
+    topic = "topic" if by_topic else F.lit(None).cast("string").alias("topic")
+    return rows.select(F.lit(None).cast("string").alias("bench"), topic, "doc_id", F.lit("random" if by_topic else "global").alias("arm"))
 
 
 def forget_bin_level(bins: DataFrame, docs: DataFrame, n: int, seed: str) -> DataFrame:
     """Documents of a topic, those of its strongest bins first."""
     w = Window.partitionBy("bench", "topic").orderBy(F.desc("z"), u32(F.lit(seed), F.col("doc_id")), "doc_id")
     rows = docs.join(bins.select("bench", "topic", "format", "z"), ["topic", "format"])
-    return rows.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= n).select("bench", "topic", "doc_id", F.lit("bin").alias("arm"))
+    return rows.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= n).select("bench", "topic", "doc_id", "rank", F.lit("bin").alias("arm"))
 
 
 def forget_multi(sets: list[DataFrame]) -> DataFrame:
@@ -48,15 +58,58 @@ def forget_multi(sets: list[DataFrame]) -> DataFrame:
     return out.select("bench", "doc_id").distinct().withColumn("arm", F.lit("multi"))
 
 
+def grid_sets(scores: DataFrame, bins: DataFrame, docs: DataFrame, n_docs: int, seeds: tuple = SEEDS) -> DataFrame:
+    """(run_id, doc_id): the forget sets of the whole grid, run_id "arm/topic/target/seed".
+
+    In each topic of the grid: the target's most influential documents and, by the z of their bins, those of its strongest
+    bins; random ones of each seed.  Without a topic: each target's most influential documents, random ones, and the
+    null-bin control's, from documents outside the grid.  Sizes are those of ``SIZES``."""
+    binned = docs.where("is_binned")
+    total = F.broadcast(binned.groupBy("topic").agg(F.count("*").alias("total")))  # one row for each topic
+
+    def ranked(rows, arm, by, *order):
+        few = rows.withColumn("rank", F.row_number().over(Window.partitionBy(*by).orderBy(*order))).where(F.col("rank") <= SIZES[arm][0])
+        return few.join(total, "topic").where(F.col("rank") <= size_of(arm, F.col("total")))
+
+    def named(rows, arm, topic="topic", target="bench", seed="*"):
+        part = lambda c: F.col(c) if c else F.lit("")
+        return rows.select(F.concat(F.lit(f"{arm}/"), part(topic), F.lit("/"), part(target), F.lit(f"/{seed}")).alias("run_id"), "doc_id")
+
+    inside = scores.join(total.select("topic"), "topic", "left_semi")
+    sets = [named(ranked(inside, "influence", ["topic", "bench"], F.desc("score"), "doc_id"), "influence")]
+    by_bin = forget_bin_level(bins, binned, SIZES["bin"][0], str(seeds[0])).join(total, "topic").where(F.col("rank") <= size_of("bin", F.col("total")))
+    sets.append(named(by_bin, "bin", seed=seeds[0]))
+    few = {arm: max(1, min(SIZES[arm][0], int(SIZES[arm][1] * n_docs))) for arm in ("naive", "global", "null")}
+    sets.append(named(forget_naive(inside, few["naive"]), "naive", topic=None))
+    for s in map(str, seeds):
+        draw = u32(F.lit(s), F.col("doc_id"))
+        sets.append(named(ranked(binned.select("topic", "doc_id", draw.alias("u")), "random", ["topic"], "u", "doc_id"), "random", target=None, seed=s))
+        sets.append(named(forget_random(binned, few["global"], s, False), "global", None, None, s))
+        sets.append(named(forget_null(docs.where("not is_binned"), few["null"], s), "null", None, None, s))
+    out = sets[0]
+    for x in sets[1:]:
+        out = out.unionByName(x)
+    return out
+
+
+def forget_null(pool: DataFrame, n: int, seed: str) -> DataFrame:
+    """Null-bin control: documents of a reserved pool that no topic of the grid uses."""
+    rows = lowest(pool.withColumn("_u", u32(F.lit(seed), F.col("doc_id"))), n, [], "doc_id", 20)
+    return rows.select("doc_id", F.lit("null").alias("arm"))
+
+
 def retain_set(docs: DataFrame, forget: DataFrame, n: int, seed: str, mode: str = "flat") -> DataFrame:
-    """Retained documents, disjoint from the forget set: flat, uniform outside its topics, or stratified over topics."""
+    """Retained documents, disjoint from the forget set: flat, uniform outside its topics, or stratified over topics
+    (each topic gives its lowest draws, as many as any other as long as it has some)."""
     rest = docs.join(forget.select("doc_id").distinct(), "doc_id", "left_anti")
     if mode == "uniform":
         rest = rest.join(forget.select("topic").distinct(), "topic", "left_anti")
-    key = u32(F.lit(seed), F.col("doc_id"))
+    rest = rest.select("doc_id", "topic", u32(F.lit(seed), F.col("doc_id")).alias("_u"))
     if mode == "stratified":
-        return rest.withColumn("r", F.row_number().over(Window.partitionBy("topic").orderBy(key, "doc_id"))).orderBy("r", key, "doc_id").limit(n).select("doc_id", "topic")
-    return rest.orderBy(key, "doc_id").limit(n).select("doc_id", "topic")
+        few = lowest(rest, n, ["topic"], "doc_id", 12)  # no topic can give more than n
+        ranked = few.withColumn("r", F.row_number().over(Window.partitionBy("topic").orderBy("_u", "doc_id")))
+        return ranked.orderBy("r", "_u", "doc_id").limit(n).select("doc_id", "topic")
+    return lowest(rest, n, [], "doc_id", 20).select("doc_id", "topic")
 
 
 def shuffle_segments(words, doc_id, seed: str, size: int = 8):
@@ -73,13 +126,16 @@ def set_stats(membership: DataFrame, docs: DataFrame, words, v: int = V) -> Data
     big = F.zip_with(F.slice(h, 1, F.greatest(n - 1, F.lit(0))), F.slice(h, 2, F.greatest(n - 1, F.lit(0))), lambda a, b: F.struct(a.alias("u"), b.alias("v")))
     rows = docs.where(n > 1).select("doc_id", F.explode(big).alias("b"), (1.0 / (n - 1)).alias("f")).groupBy("doc_id", "b.u", "b.v").agg(F.sum("f").alias("f"))
     size = membership.groupBy("run_id", "role").agg(F.count("*").alias("n"))
-    return membership.join(rows, "doc_id").groupBy("run_id", "role", "u", "v").agg(F.sum("f").alias("f")).join(size, ["run_id", "role"]).select("run_id", "role", "u", "v", (F.col("f") / F.col("n")).alias("f"))
+    return membership.join(rows, "doc_id").groupBy("run_id", "role", "u", "v").agg(F.sum("f").alias("f")).join(F.broadcast(size), ["run_id", "role"]).select("run_id", "role", "u", "v", (F.col("f") / F.col("n")).alias("f"), "n")
+
+
+SCALE = 1e5  # documents that the base head's counts stand for
 
 
 def corpus_stats(docs: DataFrame, words) -> DataFrame:
     """(u, v, f): bigram frequencies of the whole corpus on the scale of 1e5 documents, for the base head."""
     s = set_stats(docs.select(F.lit("all").alias("run_id"), "doc_id", F.lit("all").alias("role")), docs, words)
-    return s.select("u", "v", (F.col("f") * 1e5).alias("f"))
+    return s.select("u", "v", (F.col("f") * SCALE).alias("f"))
 
 
 def forget_stats(members: DataFrame, docs: DataFrame, words, seed: str) -> DataFrame:
@@ -99,15 +155,23 @@ def stop_targets(everything: DataFrame, stats: DataFrame, v: int = V) -> DataFra
     return p.groupBy("run_id").agg(F.max(F.when(F.col("role") == "forget", F.col("ppl"))).alias("base_ppl"), F.max(F.when(F.col("role") == "shuffled", F.col("ppl"))).alias("target_ppl"))
 
 
-def loss(w: np.ndarray, f: np.ndarray) -> float:
+def soft(w: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Row softmax of logits, and the logarithm of each row's mass."""
+    top = w.max(1, keepdims=True)
+    p = np.exp(w - top)
+    mass = p.sum(1, keepdims=True)
+    p /= mass
+    return p, top + np.log(mass)
+
+
+def loss(w: np.ndarray, f: np.ndarray, mass: np.ndarray | None = None) -> float:
     """Cross-entropy of bigram frequencies f under row-softmax logits w."""
-    logp = w - np.log(np.exp(w - w.max(1, keepdims=True)).sum(1, keepdims=True)) - w.max(1, keepdims=True)
-    return float(-(f * logp).sum() / max(f.sum(), 1e-12))
+    mass = soft(w)[1] if mass is None else mass
+    return float((np.vdot(f.sum(1, keepdims=True), mass) - np.vdot(f, w)) / max(f.sum(), 1e-12))
 
 
-def gradient(w: np.ndarray, f: np.ndarray) -> np.ndarray:
-    p = np.exp(w - w.max(1, keepdims=True))
-    p /= p.sum(1, keepdims=True)
+def gradient(w: np.ndarray, f: np.ndarray, p: np.ndarray | None = None) -> np.ndarray:
+    p = soft(w)[0] if p is None else p
     return (f.sum(1, keepdims=True) * p - f) / max(f.sum(), 1e-12)
 
 
@@ -136,8 +200,8 @@ class LowRankAdapter:
     thin QR instead of a full decomposition."""
 
     def __init__(self, v: int, rank: int = 8):
-        self.a, self.b = np.zeros((v, rank)), np.zeros((rank, v))
-        self.basis = np.linalg.qr(np.random.default_rng(0).normal(size=(v, rank)))[0].T
+        self.a, self.b = np.zeros((v, rank), np.float32), np.zeros((rank, v), np.float32)
+        self.basis = np.linalg.qr(np.random.default_rng(0).normal(size=(v, rank)).astype(np.float32))[0].T
 
     def add(self, change: np.ndarray) -> None:
         m = self.a @ self.b + change
@@ -157,19 +221,38 @@ def eval_items(ch: DataFrame, v: int = V) -> dict:
     sizes = [len(r.h) - 1 for r in rows]
     return {
         "u": np.array([x for r in rows for x in r.h[:-1]], int), "v": np.array([x for r in rows for x in r.h[1:]], int), "slot": np.repeat(np.arange(len(rows)), sizes),
-        "chars": np.array([max(r.chars, 1) for r in rows], float), "query": np.array([r.choice == 0 for r in rows], int).cumsum() - 1,
+        "chars": np.array([max(r.chars, 1) for r in rows], float), "query": np.array([r.choice == 0 for r in rows], int).cumsum() - 1, "bench": np.array([r.bench for r in rows if r.choice == 0]),
     }
 
 
-def accuracy(w: np.ndarray, items: dict) -> float:
-    """Share of queries whose first choice has the best log-likelihood for each character; a tie counts for the first."""
+def right(w: np.ndarray, items: dict, mass: np.ndarray | None = None) -> np.ndarray:
+    """Whether each query's first choice has the best log-likelihood for each character; a tie counts for the first."""
     n = len(items["chars"])
     if not n:
-        return float("nan")
-    logp = w - np.log(np.exp(w - w.max(1, keepdims=True)).sum(1, keepdims=True)) - w.max(1, keepdims=True)
-    score = np.bincount(items["slot"], weights=logp[items["u"], items["v"]], minlength=n) / items["chars"]
+        return np.zeros(0, bool)
+    mass = soft(w)[1] if mass is None else mass
+    score = np.bincount(items["slot"], weights=w[items["u"], items["v"]] - mass[items["u"], 0], minlength=n) / items["chars"]
     starts = np.flatnonzero(np.diff(items["query"], prepend=-1))
-    return float((score[starts] >= np.maximum.reduceat(score, starts) - 1e-12).mean())
+    return score[starts] >= np.maximum.reduceat(score, starts) - 1e-6
+
+
+def accuracy(w: np.ndarray, items: dict, bench: str | None = None, mass: np.ndarray | None = None) -> float:
+    ok = right(w, items, mass)
+    if bench is not None:
+        ok = ok[items["bench"] == bench]
+    return float(ok.mean()) if len(ok) else float("nan")
+
+
+def gamma(base, unlearned, mode: str = "raw"):
+    """Accuracy damage: raw difference, relative to the base, or its sign; on numbers and columns."""
+    raw = base - unlearned
+    if mode == "raw":
+        return raw
+    if mode == "relative":
+        return F.try_divide(raw, base) if isinstance(base, F.Column) else raw / base if base else float("nan")
+    if mode == "sign":
+        return F.signum(raw) if isinstance(base, F.Column) else float(np.sign(raw))
+    raise ValueError(f"no such mode: {mode}")
 
 
 def train_run(base: np.ndarray, forget: np.ndarray, retain: np.ndarray, target: float, held: np.ndarray | None = None, max_steps: int = 200, lr_every: int = 10, guard: float = 1.1, rank: int = 8, items: dict | None = None, eval_every: int = 250, least: float = 0.9) -> tuple[np.ndarray, int, str]:
@@ -179,14 +262,16 @@ def train_run(base: np.ndarray, forget: np.ndarray, retain: np.ndarray, target:
     ``items`` under ``least`` times the base's."""
     adapter, w, lr = LowRankAdapter(len(base), rank), base, 1.0
     floor = least * accuracy(base, items) if items else None
+    limit = guard * loss(base, held) if held is not None else None
     for k in range(max_steps):
-        if np.exp(loss(w, forget)) >= target:
+        p, mass = soft(w)
+        if np.exp(loss(w, forget, mass)) >= target:
             return w, k, "ppl_target"
-        if held is not None and k % 25 == 0 and loss(w, held) > guard * loss(base, held):
+        if limit is not None and k % 25 == 0 and loss(w, held, mass) > limit:
             return w, k, "guard"
-        if items and k and k % eval_every == 0 and accuracy(w, items) < floor:
+        if items and k and k % eval_every == 0 and accuracy(w, items, mass=mass) < floor:
             return w, k, "accuracy_guard"
-        step = gdiff_step(gradient(w, retain), gradient(w, forget))
+        step = gdiff_step(gradient(w, retain, p), gradient(w, forget, p))
         if k % lr_every == 0:
             lr = auto_lr(w, step, retain)
         adapter.add(-lr * step)
@@ -194,40 +279,80 @@ def train_run(base: np.ndarray, forget: np.ndarray, retain: np.ndarray, target:
     return w, max_steps, "max_steps"
 
 
-def run_grid(stats: DataFrame, retain: DataFrame, everything: DataFrame, items: dict, v: int = V, max_steps: int = 60, eval_every: int = 20) -> DataFrame:
-    """(run_id, steps, stop_reason, base and final perplexity of forget and retain set, target, base and final accuracy).
+def matrix(rows, v: int = V) -> np.ndarray:
+    """Sums of (u, v, f) rows of an Arrow table or a data frame as a matrix."""
+    m = np.zeros((v, v), np.float32)
+    np.add.at(m, (np.asarray(rows["u"]), np.asarray(rows["v"])), np.asarray(rows["f"], np.float32))
+    return m
 
-    ``stats``: forget sets and their shuffled forms (``forget_stats``), whose base perplexity is a run's target;
-    ``retain``: (u, v, f) of the one retain set, fixed for all runs; ``everything``: those of the corpus, from which the
-    base head is made.  Both are at most V^2 numbers.  A run without a shuffled form stops at ``max_steps``."""
-    kept = np.zeros((v, v))
-    for x in retain.collect():
-        kept[x.u, x.v] += x.f
-    c = np.full((v, v), 0.5)
-    for r in everything.collect():  # at most V^2 numbers
-        c[r.u, r.v] += r.f
-    base = np.log(c / c.sum(1, keepdims=True))
-
-    def one(pdf):
-        import pandas as pd
 
-        f, shuffled = np.zeros((v, v)), np.zeros((v, v))
-        for role, m in (("forget", f), ("shuffled", shuffled)):
-            x = pdf[pdf.role == role]
-            np.add.at(m, (x.u.to_numpy(), x.v.to_numpy()), x.f.to_numpy())
-        target = float(np.exp(loss(base, shuffled))) if shuffled.any() else float("inf")
-        w, steps, why = train_run(base, f, kept, target, held=kept, max_steps=max_steps, items=items, eval_every=eval_every)
-        ppl = [float(np.exp(loss(m, s))) for s in (f, kept) for m in (base, w)]
-        return pd.DataFrame([(pdf.run_id.iloc[0], steps, why, *ppl, target, accuracy(base, items), accuracy(w, items))], columns=[x.split()[0] for x in RUN.split(", ")])
+def base_head(counts: np.ndarray, smooth: float = 0.5) -> np.ndarray:
+    c = counts + np.float32(smooth)
+    return np.log(c / c.sum(1, keepdims=True))
 
-    # a group is one run's sums: at most 2 V^2 rows, whatever the corpus
-    return stats.groupBy("run_id").applyInPandas(one, RUN)
 
+def run_grid(stats: DataFrame, retain: DataFrame, everything: DataFrame, items: dict, n_docs: int, v: int = V, max_steps: int = 60, eval_every: int = 20) -> DataFrame:
+    """RUN: a row for each run and benchmark; a run is a forget set with a seed.
 
-RUN = "run_id string, steps long, stop_reason string, forget_ppl_base double, forget_ppl double, retain_ppl_base double, retain_ppl double, target_ppl double, acc_base double, acc double"
+    ``stats``: forget sets and their shuffled forms (``forget_stats``), whose base perplexity is a run's target, by
+    run_id "arm/topic/target/seed", where seed * stands for all seeds; ``retain``: (run_id = seed, u, v, f), the retain
+    set of each seed; ``everything``: (u, v, f) of the corpus of ``n_docs`` documents, from which the base head is made.
+    Both are at most V^2 numbers.  The exact reference is the head made anew without the set's counts.  Runs are independent, so a lost
+    executor costs the runs that it held."""
+    spark = stats.sparkSession
+    counts = matrix(everything.toArrow(), v)
+    kept = {int(s): matrix(retain.where(F.col("run_id") == s).toArrow(), v) for s in sorted({r.run_id for r in retain.select("run_id").distinct().collect()})}
+    shared = spark.sparkContext.broadcast((counts, kept, items))  # a few matrices of V^2 numbers
 
+    def one(pdf):
+        import pandas as pd
 
-def refit_without(counts: np.ndarray, forget: np.ndarray, smooth: float = 0.5) -> np.ndarray:
-    """Exact reference: the head refitted without the forget set's counts."""
-    c = np.maximum(counts - forget, 0) + smooth
-    return np.log(c / c.sum(1, keepdims=True))
+        every, keep, ask = shared.value
+        base = base_head(every)
+        arm, topic, goal, seed = pdf.run_id.iloc[0].split("/")
+        f, shuffled = matrix(pdf[pdf.role == "forget"], v), matrix(pdf[pdf.role == "shuffled"], v)
+        target = float(np.exp(loss(base, shuffled))) if shuffled.any() else float("inf")
+        share = np.float32(SCALE * float(pdf[pdf.role == "forget"].n.iloc[0]) / max(n_docs, 1))
+        exact = base_head(np.maximum(every - f * share, 0))
+        benches = sorted(set(ask["bench"].tolist()))
+        before, exactly = ({b: accuracy(m, ask, b) for b in benches} for m in (base, exact))
+        out = []
+        for s, retained in keep.items():
+            if seed not in ("*", str(s)):
+                continue
+            w, steps, why = train_run(base, f, retained, target, held=retained, max_steps=max_steps, items=ask, eval_every=eval_every)
+            ppl = [float(np.exp(loss(m, x))) for x in (f, retained, every) for m in (base, w)]
+            after = {b: accuracy(w, ask, b) for b in benches}
+            for b in benches:
+                out.append((arm, topic or None, s, goal or None, b, before[b], after[b], gamma(before[b], after[b]), gamma(before[b], exactly[b]), steps, why, *ppl, target))
+        return pd.DataFrame(out, columns=[x.split()[0] for x in RUN.split(", ")])
+
+    # a group is one set's sums: at most 2 V^2 rows, whatever the corpus; dealt over more tasks than there are cores
+    width = max(4 * spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    return stats.repartition(width, "run_id").groupBy("run_id").applyInPandas(one, RUN)
+
+
+RUN = (
+    "recipe string, topic string, seed long, target string, bench string, acc_base double, acc double, gamma double, gamma_exact double, steps long, stop_reason string, "
+    "forget_ppl_base double, forget_ppl double, retain_ppl_base double, retain_ppl double, text_ppl_base double, text_ppl double, target_ppl double"
+)
+
+
+def ledger_of(runs: DataFrame, benches: tuple) -> DataFrame:
+    """Runs as a ledger (recipe, topic, seed, target, bench, gamma, steps): a set that was made for no target counts for each."""
+    every = F.array(*[F.lit(b) for b in benches])
+    goals = F.when(F.col("target").isNull(), every).otherwise(F.array("target"))
+    return runs.select("recipe", "topic", "seed", F.explode(goals).alias("target"), "bench", "gamma", "steps")
+
+
+def collateral_ppl(runs: DataFrame) -> DataFrame:
+    """Relative change of the whole corpus' perplexity under each recipe: median and largest over its runs."""
+    x = runs.select("recipe", "topic", "seed", "target", (F.col("text_ppl") / F.col("text_ppl_base") - 1).alias("x")).distinct()
+    return x.groupBy("recipe").agg(F.count("*").alias("n_runs"), F.median("x").alias("median_increase"), F.max("x").alias("largest_increase"))
+
+
+def net_of_null(runs: DataFrame) -> DataFrame:
+    """(topic, bench, n, net): a topic's damage less the null-bin control's of the same seed, over seeds."""
+    c = runs.where("recipe = 'null'").groupBy("seed", "bench").agg(F.avg("gamma").alias("c"))
+    t = runs.where("recipe = 'random'").join(c, ["seed", "bench"])
+    return t.groupBy("topic", "bench").agg(F.count("*").alias("n"), F.avg(F.col("gamma") - F.col("c")).alias("net"))
