@@ -105,8 +105,13 @@ def compress(ids: np.ndarray, per_round: int = PER_ROUND, least: int = 4) -> Gra
     base = int(seq.max(initial=0)) + 1
     lefts, rights, lengths, fresh = [], [], np.empty(0, np.int64), base
     while len(seq) > 1:
-        key = (seq[:-1].astype(np.uint64) << np.uint64(32)) | seq[1:]
-        ordered = np.sort(key)
+        common = np.bincount(seq, minlength=fresh) >= least  # a pair can't occur more often than its members
+        both = common[seq]
+        both = both[:-1] & both[1:]
+        ordered = (seq[:-1][both].astype(np.uint64) << np.uint64(32)) | seq[1:][both]
+        if not len(ordered):
+            break
+        ordered.sort()
         cut = np.flatnonzero(np.concatenate([[True], ordered[1:] != ordered[:-1]]))
         count = np.diff(np.append(cut, len(ordered)))
         often = np.flatnonzero(count >= least)
@@ -117,14 +122,17 @@ def compress(ids: np.ndarray, per_round: int = PER_ROUND, least: int = 4) -> Gra
         if not len(pair):
             break
         left, right = (pair >> np.uint64(32)).astype(np.uint32), (pair & np.uint64(0xFFFFFFFF)).astype(np.uint32)
-        opens, ends = np.zeros(fresh, bool), np.zeros(fresh, bool)
-        opens[left] = ends[right] = True
-        begin = np.flatnonzero(opens[seq[:-1]] & ends[seq[1:]])  # only here can a chosen pair stand
-        ordered = np.sort(pair)
-        name = np.argsort(pair, kind="stable").astype(np.uint32) + np.uint32(fresh)
-        where = np.minimum(np.searchsorted(ordered, key[begin]), len(ordered) - 1)
-        hit = ordered[where] == key[begin]
-        at, sym = begin[hit], name[where[hit]]
+        # a table of all (left member, right member), at most per_round^2 numbers of two or four bytes
+        opens, ends = np.full(fresh, -1, np.int32), np.full(fresh, -1, np.int32)
+        starts, stops = np.unique(left), np.unique(right)
+        opens[starts], ends[stops] = np.arange(len(starts)), np.arange(len(stops))
+        table = np.full(len(starts) * len(stops), -1, np.int16 if len(pair) < 1 << 15 else np.int32)
+        table[opens[left].astype(np.int64) * len(stops) + ends[right]] = np.arange(len(pair))
+        a, b = opens[seq[:-1]], ends[seq[1:]]
+        begin = np.flatnonzero((a | b) >= 0)  # only here can a chosen pair stand
+        which = table[a[begin].astype(np.int64) * len(stops) + b[begin]]
+        hit = which >= 0
+        at, sym = begin[hit], which[hit].astype(np.uint32) + np.uint32(fresh)
         # runs of one id: every second place, from the left
         same = seq[at] == seq[at + 1]
         if same.any():

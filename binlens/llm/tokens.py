@@ -23,7 +23,7 @@ from binlens.llm.common import slices, text_buffers
 from binlens.llm.words import Alphabet, span_hashes
 
 SLOTS = 17  # table slots at first, as a power of two; it grows when half full
-MOST_SLOTS = 20  # and is emptied when half full at this size, some 25 MB
+MOST_SLOTS = 21  # and is emptied when half full at this size, some 50 MB
 _EXACT = Alphabet(np.ones(256, bool), np.arange(256, dtype=np.uint8))
 _SPACE = np.zeros(256, bool)
 _SPACE[list(b" \t\n\x0b\x0c\r\x1c\x1d\x1e\x1f")] = True
@@ -120,37 +120,53 @@ class Encoder:
             self.slot_entry[slot[won]] = entry[todo[won]]
             todo, slot = todo[~won], (slot[~won] + 1) & mask
 
-    def _learn(self, h: np.ndarray, raw: bytes, start: np.ndarray, end: np.ndarray) -> None:
+    def _plain(self, data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+        """Chunks that may go to the library side by side: short ones without the separator, special tokens or white space
+        but for one blank at their beginning."""
+        if self.separator is None:
+            return np.zeros(len(start), bool)
+
+        def inside(mask, first, last):
+            run = np.zeros(len(mask) + 1, np.int32)
+            np.cumsum(mask, out=run[1:])
+            return run[last] > run[first]
+
+        blank = data == 32
+        special = np.zeros(len(data), bool)
+        special[:-1] = (data[:-1] == 60) & (data[1:] == 124)
+        odd = inside(data == self.byte, start, end) | inside(blank, start + 1, end) | inside(special, start, np.maximum(end - 1, start))
+        return (end - start <= 64) & ~odd & ~_SPACE[data[end - 1]]
+
+    def _learn(self, h: np.ndarray, data: np.ndarray, start: np.ndarray, end: np.ndarray) -> None:
         self._insert(h, np.arange(self.entries, self.entries + len(h), dtype=np.int32))
-        texts = [raw[a:b] for a, b in zip(start.tolist(), end.tolist())]
-        plain = np.ones(len(texts), bool)
-        for k, t in enumerate(texts):
-            if self.separator is None or self.byte in t or len(t) > 64 or (b"<|" in t) or len(t.split(b" ")) > 1 + t.startswith(b" ") or t[-1:].isspace() or t == b" ":
-                plain[k] = False
-        ids: list[np.ndarray] = [None] * len(texts)  # type: ignore[list-item]
+        raw, plain = data.tobytes(), self._plain(data, start, end)
+        n, at, parts, used = np.zeros(len(h), np.int32), np.zeros(len(h), np.int64), [], self.used
+        between = (self.separator or "").encode()
         rows = np.flatnonzero(plain)
         groups = [rows[k : k + 512] for k in range(0, len(rows), 512)]
-        joined = [self.separator.join(texts[i].decode() for i in g) for g in groups]
+        joined = [between.join([raw[a:b] for a, b in zip(start[g].tolist(), end[g].tolist())]).decode() for g in groups]
         for g, e in zip(groups, self.library.encode_batch_fast(joined, add_special_tokens=False)):
             got = np.array(e.ids, np.uint32)
-            where = np.concatenate([[-1], np.flatnonzero(got == self.mark), [len(got)]])
-            if len(where) != len(g) + 1:
+            marks = np.flatnonzero(got == self.mark)
+            if len(marks) != len(g) - 1:
                 plain[g] = False
                 continue
-            for i, a, b in zip(g.tolist(), where[:-1].tolist(), where[1:].tolist()):
-                ids[i] = got[a + 1 : b]
+            size = np.diff(np.concatenate([[-1], marks, [len(got)]])) - 1
+            n[g], at[g] = size, used + np.cumsum(size) - size
+            parts.append(np.delete(got, marks))
+            used += len(parts[-1])
         rest = np.flatnonzero(~plain)
-        for i, e in zip(rest.tolist(), self.library.encode_batch_fast([texts[i].decode() for i in rest], add_special_tokens=False)):
-            ids[i] = np.array(e.ids, np.uint32)
-        n = np.array([len(x) for x in ids], np.int32)
-        new = np.concatenate(ids)
-        while self.used + len(new) > len(self.flat):
+        texts = [raw[a:b].decode() for a, b in zip(start[rest].tolist(), end[rest].tolist())]
+        for i, e in zip(rest.tolist(), self.library.encode_batch_fast(texts, add_special_tokens=False)):
+            parts.append(np.array(e.ids, np.uint32))
+            n[i], at[i] = len(parts[-1]), used
+            used += len(parts[-1])
+        while used > len(self.flat):
             self.flat = np.concatenate([self.flat, np.empty(len(self.flat), np.uint32)])
-        self.flat[self.used : self.used + len(new)] = new
+        self.flat[self.used : used] = np.concatenate(parts)
         span = slice(self.entries, self.entries + len(n))
-        self.n[span] = n
-        self.at[span] = self.used + np.cumsum(n) - n
-        self.used += len(new)
+        self.n[span], self.at[span] = n, at
+        self.used = used
         self.entries += len(n)
 
     def encode(self, column: pa.Array, end_id: int | None = None, slice_bytes: int = 1 << 19) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
@@ -175,7 +191,7 @@ class Encoder:
                     new, first = np.unique(h, return_index=True)
                     self._forget(max(SLOTS, len(new).bit_length() + 1))
             first = lost[first]
-            self._learn(new, data.tobytes(), start[first], end[first])
+            self._learn(new, data, start[first], end[first])
             entry[lost] = self._find(h[lost])
         n = self.n[entry].astype(np.int64)
         run = np.concatenate([[0], np.cumsum(n)])
@@ -192,7 +208,7 @@ _KNOWN: dict[str, Encoder] = {}
 
 def encoder(path: str) -> Encoder:
     """The worker's encoder for a tokenizer file, with what it has learnt so far: learning a chunk costs some ten times
-    as much as finding it, and a tokenizer with its table stays under 60 MB.  Another file takes its place."""
+    as much as finding it, and a tokenizer with its table stays under 80 MB.  Another file takes its place."""
     if path not in _KNOWN:
         _KNOWN.clear()
         _KNOWN[path] = Encoder(path)
