@@ -11,7 +11,8 @@ never paired.  The join is exact; the sketches only order shingles or prune what
    summed coordinate minima of its count vectors (shingles hashed into groups, counts of each group) reach the
    overlap that t asks for, and is then verified on the full sets.
 4. Round two looks at lists whose members are still in different components: an R-tree over the members' count
-   vectors gives each member the others that its bound admits, and those pairs are verified.
+   vectors gives each member the others that its bound admits, and those pairs are verified.  A component that fills
+   half a block of a list gets blocks of its own, which are compared with the other blocks but not among themselves.
 5. Components come from alternating star rounds; their ids are mapped back to documents.
 
 Large lists are cut into blocks of ``block`` members and block pairs, so no task holds an unbounded list.
@@ -25,6 +26,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from binlens.llm.common import Bitmap, bitmap_bits, bitmap_of, mix64, narrow, runs, settle, shuffle_width, slices, text_buffers
 from binlens.llm.components import components
@@ -430,9 +432,21 @@ def _verified(pairs: DataFrame, docs: DataFrame, size: int, percent: int) -> Dat
 
 def _tree_pairs(lists: DataFrame, vectors: DataFrame, percent: int, block: int) -> DataFrame:
     """(a, b): pairs of one list, in different components, that an R-tree probe admits.  lists: (g, fp, root)."""
-    sized = lists.groupBy("g").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count("*").alias("k")).where("lo <> hi")
-    members = lists.join(sized.select("g", "k"), "g").withColumn("blocks", F.expr(f"cast(ceil(k / {block}) as int)"))
-    members = members.withColumn("own", F.expr("cast(pmod(xxhash64(fp), blocks) as int)")).withColumn("other", F.explode(F.expr("sequence(0, blocks - 1)")))
+    # members of a root that fills half a block have blocks of their own, and those aren't compared with each other
+    mixed = lists.groupBy("g").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("g")
+    lists = lists.join(mixed, "g", "left_semi")
+    own = lists.groupBy("g", "root").agg(F.count("*").alias("c")).withColumn("big", F.col("c") >= max(1, block // 2))
+    own = own.withColumn("parts", F.when(F.col("big"), F.ceil(F.col("c") / block)).otherwise(0))
+    light = own.groupBy("g").agg(F.ceil(F.sum(F.when(F.col("big"), 0).otherwise(F.col("c"))) / block).alias("shared"), F.sum("parts").alias("parts"))
+    light = light.select("g", F.col("shared").cast("int").alias("shared"), (F.col("shared") + F.col("parts")).cast("int").alias("blocks"))
+    run = F.sum("parts").over(Window.partitionBy("g").orderBy("root").rowsBetween(Window.unboundedPreceding, 0)) - F.col("parts")
+    big = own.where("big").select("g", "root", run.cast("int").alias("before"), F.col("parts").cast("int").alias("parts"))  # few rows: each stands for half a block
+    members = lists.join(light, "g").join(big, ["g", "root"], "left")
+    first = F.when(F.col("parts").isNull(), F.lit(0)).otherwise(F.col("shared") + F.col("before"))
+    members = members.withColumn("first", first).withColumn("last", F.col("first") + F.coalesce("parts", F.lit(0)) - 1)
+    members = members.withColumn("own", F.col("first") + F.expr("cast(pmod(xxhash64(fp), coalesce(parts, shared)) as int)"))
+    others = F.filter(F.sequence(F.lit(0), F.col("blocks") - 1), lambda x: (x < F.col("first")) | (x > F.col("last")))
+    members = members.withColumn("other", F.explode(others))
     members = members.select("g", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "fp", "root")
     members = members.join(vectors.select("fp", "n", "vec"), "fp")
 
@@ -465,7 +479,7 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     first = settle(_bounded(centred(lists), vectors, percent), "pairs")
     links = settle(_verified(first, docs, size, percent), "links")
     roots = components(links)
-    lists = lists.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("g", "fp", F.coalesce("root", "fp").alias("root"))
+    lists = settle(lists.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("g", "fp", F.coalesce("root", "fp").alias("root")), "rooted")
     second = settle(_tree_pairs(lists, vectors, percent, block), "pairs")
     if not second.isEmpty():
         links = links.unionByName(settle(_verified(second, docs, size, percent), "links"))
