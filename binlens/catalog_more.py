@@ -162,10 +162,10 @@ def l10(spark, d):
     return _top_lex(spark, d).groupBy("bench", "family").agg(r6(F.avg("lz")).alias("loading"))
 
 
-@query("l11_range_dims", f"with {TL}, m as (select bench, dim, avg(lz) as m from tl group by all) select dim, round(max(m) - min(m), 6) as range from m group by dim order by max(m) - min(m) desc nulls last, dim limit 5")
+@query("l11_range_dims", f"with {TL}, m as (select bench, dim, avg(lz) as m from tl group by all) select dim, round(max(m) - min(m), 6) as range from m group by dim order by max(m) - min(m) desc nulls last, dim limit 18")
 def l11(spark, d):
     m = _top_lex(spark, d).groupBy("bench", "dim").agg(F.avg("lz").alias("m")).groupBy("dim").agg((F.max("m") - F.min("m")).alias("x"))
-    return m.orderBy(F.desc_nulls_last("x"), "dim").limit(5).select("dim", r6("x").alias("range"))
+    return m.orderBy(F.desc_nulls_last("x"), "dim").limit(18).select("dim", r6("x").alias("range"))
 
 
 _GZ = "coalesce(max(case when dim = '{}' then m end), 0)"
@@ -184,6 +184,14 @@ def l12(spark, d):
     return b.join(_lex(spark, d), ["topic", "format"]).select("topic", "format", "n_docs", "dim", r6("rate").alias("rate"))
 
 
+@query("l18_doc_mean_matrix", f"with {LC}, sz as (select topic, format, count(*) as n_docs from corpus where n_words > 0 group by all), gm as (select topic, format, dim, sum(1000 * count / n_words) as total from lc join corpus using (doc_id, topic, format) group by all), "
+       "dm as (select distinct dim, family from lex) select topic, format, dim, round(coalesce(total, 0) / n_docs, 6) as rate from sz cross join dm left join gm using (topic, format, dim)")
+def l18(spark, d):
+    """The other estimator: a bin's mean of its documents' rates."""
+    c = src.corpus(spark, d)
+    return _rounded(lx.doc_mean_matrix(lx.counts(c, tokens(F.col("text"))), c).select("topic", "format", "dim", "rate"))
+
+
 # ---- unlearning --------------------------------------------------------------------------------------------
 
 _RK = U.format("'42|' || doc_id")
@@ -269,3 +277,9 @@ def s04(spark, d):
 @query("s05_dedup", "select count(*) as n from (select distinct event_id from events)")
 def s05(spark, d):
     return st.run_once(st.deduplicated(st.score_stream(spark, d)), "append").agg(F.count("*").alias("n"))
+
+
+@query("s05b_dedup_bloom", "select count(*) as n from (select distinct event_id from events)")
+def s05b(spark, d):
+    """The filter is wide enough here that no first delivery is dropped."""
+    return st.run_once(st.deduplicated_bloom(st.score_stream(spark, d)), "append").agg(F.count("*").alias("n"))

@@ -157,17 +157,19 @@ def l03(spark, d):
     return _rounded(lx.densities(lx.counts(c, tokens(F.col("text"))), c.select("doc_id", "n_words")))
 
 
-GROUPS = {"social": ("SR", "SK"), "stem": ("TR", "TK")}
+GROUPS = {"social": ("SR",), "commonsense": ("TR",), "expository": ("SK", "TK")}
+CONTRASTS = [("commonsense", "expository"), ("social", "expository"), ("social", "commonsense")]
+_GRP = "case bench when 'SR' then 'social' when 'TR' then 'commonsense' else 'expository' end"
 _GC = (
-    f"{TL}, gr as (select case when bench in ('SR', 'SK') then 'social' else 'stem' end as grp, dim, lz, row_number() over (partition by case when bench in ('SR', 'SK') then 'social' else 'stem' end, dim order by bench, rank) - 1 as i, count(*) over (partition by case when bench in ('SR', 'SK') then 'social' else 'stem' end, dim) as n from tl where lz is not null), "
+    f"{TL}, gr0 as (select {_GRP} as grp, bench, rank, dim, lz from tl where lz is not null), gr as (select grp, dim, lz, row_number() over (partition by grp, dim order by bench, rank) - 1 as i, count(*) over (partition by grp, dim) as n from gr0), "
     f"gk as (select grp, dim, rep, {_key(repr(SEED), 'rep', 'grp', 'i')} % n as i from gr, range({REPS}) t(rep)), gx as (select rep, grp, dim, avg(lz) as m from gk join gr using (grp, dim, i) group by all union all select -1, grp, dim, avg(lz) from gr group by all), "
-    "gd as (select rep, dim, max(case when grp = 'social' then m end) - max(case when grp = 'stem' then m end) as d from gx group by all)"
+    f"ct(a, b) as (values {_values(CONTRASTS)}), gd as (select rep, a, b, dim, max(case when grp = a then m end) - max(case when grp = b then m end) as d from gx, ct group by all)"
 )
 
 
-@query("l08_group_contrast", f"with {_GC} select 'social' as a, 'stem' as b, dim, round(max(case when rep < 0 then d end), 6) as delta, round(quantile_cont(case when rep >= 0 then d end, 0.025), 6) as lo, round(quantile_cont(case when rep >= 0 then d end, 0.975), 6) as hi from gd group by dim")
+@query("l08_group_contrast", f"with {_GC} select a, b, dim, round(max(case when rep < 0 then d end), 6) as delta, round(quantile_cont(case when rep >= 0 then d end, 0.025), 6) as lo, round(quantile_cont(case when rep >= 0 then d end, 0.975), 6) as hi from gd group by a, b, dim")
 def l08(spark, d):
-    return _rounded(lx.group_contrast(_top_lex(spark, d), GROUPS, [("social", "stem")], REPS, SEED))
+    return _rounded(lx.group_contrast(_top_lex(spark, d), GROUPS, CONTRASTS, REPS, SEED))
 
 
 @query("l13_bimodal_split", f"with {TOP} select bench, count_if(format in ('en', 'fr')) as interactional, count_if(format in ('de', 'es')) as expository, count_if(format in ('en', 'fr')) >= 8 and count_if(format in ('de', 'es')) >= 8 as bimodal from top group by bench")

@@ -19,6 +19,21 @@ LEXICON = {
     "auxiliary": ("function", "is are was were be have ist sind war sein haben est sont était être avoir es son era ser haber"),
     "negation": ("cognition", "not no never nicht kein nie ne pas jamais no nunca"),
     "mental_state": ("cognition", "think know believe want feel denken wissen glauben penser savoir croire pensar saber creer"),
+    "insight": ("cognition", "understand learn see idea reason verstehen lernen sehen idee grund comprendre apprendre voir raison entender aprender ver razón"),
+    "certainty": ("cognition", "always sure must certain immer sicher muss toujours sûr doit siempre seguro debe"),
+    "past": ("tense", "was were had did went war waren hatte ging était avait fut alla era fue había"),
+    "present": ("tense", "is are has does goes ist sind hat geht est sont va es son tiene"),
+    "future": ("tense", "will shall soon tomorrow wird bald morgen sera bientôt demain será pronto mañana"),
+    "see": ("perception", "see look view sehen blick voir regard ver mirar"),
+    "hear": ("perception", "hear sound listen hören klang entendre son oír sonido"),
+    "feel": ("perception", "feel touch warm fühlen warm sentir toucher sentir tocar"),
+    "affiliation": ("drives", "friend together help freund zusammen hilfe ami ensemble aide amigo juntos ayuda"),
+    "achievement": ("drives", "win work best gewinnen arbeit beste gagner travail mieux ganar trabajo mejor"),
+    "home": ("lifestyle", "home house family haus familie maison famille casa familia"),
+    "money": ("lifestyle", "money pay price geld preis argent prix dinero precio"),
+    "body": ("physical", "hand head eye kopf auge main tête mano cabeza ojo"),
+    "health": ("physical", "health doctor ill arzt krank santé médecin salud médico"),
+    "informal": ("informal", "ok yeah hey lol ja hm bah ouais vale oye"),
     "affect": ("affect", "good bad happy sad love gut schlecht liebe bon mauvais amour bueno malo amor"),
 }
 #: Dimensions without a reproducible route.
@@ -49,8 +64,8 @@ def text_stats(df: DataFrame, words) -> DataFrame:
 def counts(df: DataFrame, words) -> DataFrame:
     """(doc_id, topic, format, dim, family, count): the lexicon is broadcast; only matching words leave the row."""
     lex = df.sparkSession.createDataFrame(pairs(), "dim string, family string, t string")
-    vocabulary = F.array(*[F.lit(w) for w in sorted({w for _, _, w in pairs()})])
-    t = df.select("doc_id", "topic", "format", F.explode(F.filter(words, lambda x: F.array_contains(vocabulary, x))).alias("t"))
+    vocabulary = sorted({w for _, _, w in pairs()})  # looked up in a hash set, as the optimizer makes one of a long list
+    t = df.select("doc_id", "topic", "format", F.explode(F.filter(words, lambda x: x.isin(*vocabulary))).alias("t"))
     return t.join(F.broadcast(lex), "t").groupBy("doc_id", "topic", "format", "dim", "family").agg(F.count("*").alias("count"))
 
 
@@ -62,6 +77,15 @@ def bin_matrix(c: DataFrame, sizes: DataFrame) -> DataFrame:
     return full.select("topic", "format", "dim", "family", (1000 * F.try_divide(F.coalesce("count", F.lit(0)).cast("double"), F.col("n_words").cast("double"))).alias("rate"))
 
 
+def doc_mean_matrix(c: DataFrame, docs: DataFrame) -> DataFrame:
+    """(topic, format, dim, family, rate): mean over a bin's documents with words of their occurrences per 1,000 words."""
+    dims = c.sparkSession.createDataFrame([(d, f) for d, (f, _) in LEXICON.items()], "dim string, family string")
+    sizes = docs.where("n_words > 0").groupBy("topic", "format").agg(F.count("*").alias("n_docs"))
+    own = c.join(docs.select("doc_id", "n_words"), "doc_id").groupBy("topic", "format", "dim").agg(F.sum(1000 * F.col("count") / F.col("n_words")).alias("total"))
+    full = sizes.crossJoin(F.broadcast(dims)).join(own, ["topic", "format", "dim"], "left")  # bins x dims of the lexicon
+    return full.select("topic", "format", "dim", "family", (F.coalesce("total", F.lit(0.0)) / F.col("n_docs")).alias("rate"))
+
+
 def lex_z(m: DataFrame) -> DataFrame:
     w = Window.partitionBy("dim")
     return m.withColumn("lz", F.try_divide(F.col("rate") - F.avg("rate").over(w), F.stddev_pop("rate").over(w)))
@@ -109,7 +133,7 @@ def group_contrast(top: DataFrame, groups: dict[str, tuple], pairs_: list[tuple[
     rows = rows.withColumn("i", F.row_number().over(w.orderBy("bench", "rank")) - 1).withColumn("n", F.count("*").over(w))
     pick = rows.select("grp", "dim", "n", F.col("i").alias("slot"), F.explode(F.sequence(F.lit(0), F.lit(reps - 1))).alias("rep"))
     pick = pick.withColumn("i", u32(F.lit(seed), F.col("rep"), F.col("grp"), F.col("slot")) % F.col("n"))
-    drawn = pick.join(rows.select("grp", "dim", "i", "lz"), ["grp", "dim", "i"]).groupBy("rep", "grp", "dim").agg(F.avg("lz").alias("m"))
+    drawn = pick.join(F.broadcast(rows.select("grp", "dim", "i", "lz")), ["grp", "dim", "i"]).groupBy("rep", "grp", "dim").agg(F.avg("lz").alias("m"))
     seen = rows.groupBy("grp", "dim").agg(F.avg("lz").alias("m")).withColumn("rep", F.lit(-1))
     both = seen.unionByName(drawn)
     which = F.explode(F.array(*[F.struct(F.lit(a).alias("a"), F.lit(b).alias("b")) for a, b in pairs_])).alias("p")
@@ -122,6 +146,7 @@ def group_contrast(top: DataFrame, groups: dict[str, tuple], pairs_: list[tuple[
 def claim_tiers() -> list[tuple[str, str, str]]:
     """(family, tier, claim): what may be said of each dimension family; families are those of the lexicon."""
     tiers = {"function": ("descriptive", "style of the supporting bins"), "social": ("supported", "contrast with an interval that excludes 0"), "cognition": ("suggestive", "contrast, same sign in most benchmarks"), "affect": ("suggestive", "contrast, same sign in most benchmarks")}
+    tiers |= {f: ("exploratory", "descriptive of the given words only") for f in ("tense", "perception", "drives", "lifestyle", "physical", "informal")}
     return [(f, *tiers[f]) for f in sorted({f for f, _ in LEXICON.values()})] + [(d, "refused", "no reproducible route") for d in NO_ROUTE]
 
 
