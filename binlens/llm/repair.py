@@ -104,17 +104,22 @@ def compress(ids: np.ndarray, per_round: int = PER_ROUND, least: int = 4) -> Gra
     seq = ids.astype(np.uint32)
     base = int(seq.max(initial=0)) + 1
     lefts, rights, lengths, fresh = [], [], np.empty(0, np.int64), base
+    # ids that may stand on the left or right of a frequent pair: at first those that are frequent themselves, then members
+    # of pairs that were frequent before, and new ids (what stands beside a new id stood beside one of its parts)
+    first = second = np.bincount(seq, minlength=fresh) >= least
     while len(seq) > 1:
-        common = np.bincount(seq, minlength=fresh) >= least  # a pair can't occur more often than its members
-        both = common[seq]
-        both = both[:-1] & both[1:]
-        ordered = (seq[:-1][both].astype(np.uint64) << np.uint64(32)) | seq[1:][both]
-        if not len(ordered):
+        at = np.flatnonzero(first[seq[:-1]] & second[seq[1:]])
+        if not len(at):
             break
+        x, y = seq[at], seq[at + 1]
+        ordered = (x.astype(np.uint64) << np.uint64(32)) | y
         ordered.sort()
         cut = np.flatnonzero(np.concatenate([[True], ordered[1:] != ordered[:-1]]))
         count = np.diff(np.append(cut, len(ordered)))
         often = np.flatnonzero(count >= least)
+        pair = ordered[cut[often]]
+        first, second = np.zeros(fresh, bool), np.zeros(fresh, bool)
+        first[pair >> np.uint64(32)] = second[pair & np.uint64(0xFFFFFFFF)] = True
         often = often[np.lexsort((ordered[cut[often]], -count[often]))][: 2 * per_round]
         pair = ordered[cut[often]]
         keep = _chosen(pair >> np.uint64(32), pair & np.uint64(0xFFFFFFFF))
@@ -128,11 +133,11 @@ def compress(ids: np.ndarray, per_round: int = PER_ROUND, least: int = 4) -> Gra
         opens[starts], ends[stops] = np.arange(len(starts)), np.arange(len(stops))
         table = np.full(len(starts) * len(stops), -1, np.int16 if len(pair) < 1 << 15 else np.int32)
         table[opens[left].astype(np.int64) * len(stops) + ends[right]] = np.arange(len(pair))
-        a, b = opens[seq[:-1]], ends[seq[1:]]
-        begin = np.flatnonzero((a | b) >= 0)  # only here can a chosen pair stand
-        which = table[a[begin].astype(np.int64) * len(stops) + b[begin]]
+        x, y = opens[x], ends[y]
+        known = np.flatnonzero((x | y) >= 0)  # only here can a chosen pair stand
+        which = table[x[known].astype(np.int64) * len(stops) + y[known]]
         hit = which >= 0
-        at, sym = begin[hit], which[hit].astype(np.uint32) + np.uint32(fresh)
+        at, sym = at[known[hit]], which[hit].astype(np.uint32) + np.uint32(fresh)
         # runs of one id: every second place, from the left
         same = seq[at] == seq[at + 1]
         if same.any():
@@ -158,6 +163,7 @@ def compress(ids: np.ndarray, per_round: int = PER_ROUND, least: int = 4) -> Gra
         lefts.append(left)
         rights.append(right)
         fresh += len(pair)
+        first, second = (np.concatenate([old, np.ones(len(pair), bool)]) for old in (first, second))
     empty = np.empty(0, np.uint32)
     return Grammar(base, np.concatenate(lefts or [empty]), np.concatenate(rights or [empty]), lengths, seq)
 
