@@ -6,7 +6,9 @@ driver see it, so a lost executor costs only a re-read.  Nothing is kept in a ma
 
 from __future__ import annotations
 
+import atexit
 import ctypes
+import shutil
 import sys
 import tempfile
 import uuid
@@ -23,15 +25,17 @@ SLICE_BYTES = 512 << 10
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where the session names none (tests)."""
+    """The folder that driver and executors share; a temporary one, removed at exit, only where the session names none
+    (tests).  What is written to a named folder stays until its owner clears it: results are read from it lazily."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if not folder:
         if not spark.sparkContext.master.startswith("local"):
             raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         folder = getattr(spark, "_binlens_shared", None)
         if folder is None:
-            folder = "file://" + tempfile.mkdtemp(prefix="binlens-")
-            spark._binlens_shared = folder
+            made = tempfile.mkdtemp(prefix="binlens-")
+            atexit.register(shutil.rmtree, made, ignore_errors=True)
+            folder = spark._binlens_shared = f"file://{made}"
     return folder.rstrip("/")
 
 

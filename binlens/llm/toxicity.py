@@ -190,7 +190,9 @@ def score(docs: DataFrame, model: OrdinalModel, reject_at: float = 0.5) -> DataF
 
 
 def keep_clean(docs: DataFrame, model: OrdinalModel, reject_at: float = 0.5) -> DataFrame:
-    """The rows of ``docs``, all columns, that aren't rejected; a narrow pass."""
+    """The rows of ``docs``, all columns, that aren't rejected; a narrow pass.
+
+    Null and empty texts have no features and stay, unless the cuts alone reject them; repeated rows go or stay alike."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
     at = docs.columns.index("text")
 
