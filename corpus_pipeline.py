@@ -17,7 +17,9 @@ BROADCAST_IDS = 1_000_000
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The model is fitted on this stage's own documents that carry labels."""
+    """Rows that the model rejects go.  It is fitted on this stage's own documents that carry labels; with none, or of one
+    class only, nothing goes.  Rows are judged by their text alone, so null ids, repeated rows and further columns are
+    kept as they are; null and empty texts stay; an empty table stays empty."""
     return toxicity.keep_clean(docs, toxicity.fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
 
 
@@ -36,10 +38,14 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Rows that hold a benchmark item's template go, judged by their text alone: null and empty texts and those with null
+    ids stay, repeated rows go or stay alike, and without benchmark items nothing goes."""
     return decontaminate.keep_clean(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of every row: null and empty texts give one piece, the end id; null ids are kept; repeated rows are packed
+    each for itself; an empty table gives no pieces."""
     return packing.pack(docs, tokenizer("word_bpe_49k.json"))
 
 
