@@ -100,6 +100,21 @@ def p11(spark, d):
     return spark.createDataFrame([(k, *m) for k, m in enumerate(merges)], "step int, left string, right string, height double, size int")
 
 
+@query("p11c_clusters")
+def p11c(spark, d):
+    """Leaf order of the dendrogram and its cut into three clusters."""
+    r = {(str(x.a), str(x.b)): x.r for x in ag.profile_corr(_probe_bins(spark, d)).collect()}
+    names = sorted({a for a, _ in r})
+    merges = ag.linkage(r, names)
+    cut = ag.cut_tree(merges, names, 3)
+    return spark.createDataFrame([(k, n, cut[n]) for k, n in enumerate(ag.leaf_order(merges))], "position int, probe string, cluster int")
+
+
+@query("p15_macro_average", f"with {CH}, sb as (select bench, query_id // 4 % 2 as subset, count(*) as n, count_if(chosen = 0) as k, count_if(margin is null) as bad from ou group by all) select bench, count(*) as n_subsets, round(sum(k) / sum(n), 6) as micro, round(avg(k / n), 6) as macro, round(sum(bad) / sum(n), 6) as invalid from sb group by bench")
+def p15(spark, d):
+    return _rounded(pr.macro_average(_outcomes(spark, d).withColumn("subset", F.floor(F.col("query_id") / 4) % 2)))
+
+
 @query("p12_pairwise_count", f"with {PB}{PR}, k as (select a, avg(case when b in (1, 2) then r end) as k, max(case when b = 0 then r end) as s from r where a not in (0, 1, 2) group by a) select count_if(k > s) as closer, count(*) as n from k")
 def p12(spark, d):
     return pr.pairwise_count(ag.profile_corr(_probe_bins(spark, d)), 0, [1, 2])

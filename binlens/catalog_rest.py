@@ -279,6 +279,26 @@ def r04(spark, d):
     return _rounded(rp.register_flip(rp.register_loading(_e1(spark, d)), rp.register_loading(_e2(spark, d)), tiers))
 
 
+@query("r10_ecosystem_products", f"with {QRYS}, {_eco('x2', _E2)}, tm as (select bench, topic, avg(z) as z from x2 group by all), fm as (select bench, format, avg(z) as z from x2 group by all), "
+       "r as (select x.bench as a, y.bench as b, corr(x.z, y.z) as r from x2 x join x2 y using (topic, format) group by all), "
+       "l as (select bench, avg(case when format < 12 then z end) - avg(case when format >= 12 then z end) as loading from x2 group by bench) "
+       "select 'bins' as product, bench, topic::varchar as a, format::varchar as b, round(z, 6) as value from x2 union all select 'topics', bench, topic::varchar, null, round(z, 6) from tm union all "
+       "select 'formats', bench, format::varchar, null, round(z, 6) from fm union all select 'correlation', a, b, null, round(r, 6) from r union all select 'loading', bench, null, null, round(loading, 6) from l")
+def r10(spark, d):
+    """One runner's products of the second corpus."""
+    return _rounded(rp.as_long(rp.run_ecosystem(rp.labelled(_e2_docs(spark, d)), src.bench_queries(spark, d))))
+
+
+@query("r11_product_parity")
+def r11(spark, d):
+    """Products of the second ecosystem against those of the first, which has no minted ids to report."""
+    items = src.bench_queries(spark, d)
+    first = rp.run_ecosystem(rp.labelled(src.table(spark, d, "documents").select("doc_id", "text")), items)
+    docs = _e2_docs(spark, d)
+    second = rp.run_ecosystem(rp.labelled(docs), items) | {"minted_ids": docs.select("doc_id")}
+    return rp.parity(spark, first, second).groupBy("status").agg(F.count("*").alias("n"))
+
+
 _TQ = f"c0 as (select conv_id, turn, role, {TOK} as w from conversations), q as (select b.conv_id * 100 + b.turn as query_id, b.conv_id % 9 as bench, a.w as prompt, b.w as completion from c0 a join c0 b on a.conv_id = b.conv_id and b.turn = a.turn + 1 where a.role = 'user' and b.role = 'assistant'), " + CH[CH.index("qi as"):]
 
 

@@ -251,6 +251,19 @@ def gap_bootstrap(bins: DataFrame, axis: str, target: str, reps: int, seed: str)
     return m.groupBy("rep", axis).agg((own - rest).alias("gap"))
 
 
+def leaf_order(merges: list[tuple[str, str, float, int]]) -> list[str]:
+    """Names in the order in which a dendrogram of the merges draws them."""
+    return (merges[-1][0] + "," + merges[-1][1]).replace("(", "").replace(")", "").split(",") if merges else []
+
+
+def cut_tree(merges: list[tuple[str, str, float, int]], names: list[str], k: int) -> dict[str, int]:
+    """Cluster number of each name when the last k - 1 merges are undone; clusters are numbered by their smallest name."""
+    groups = {n: [n] for n in names}
+    for p, q, _, _ in merges[: max(0, len(names) - k)]:
+        groups[f"({p},{q})"] = groups.pop(p) + groups.pop(q)
+    return {n: i for i, g in enumerate(sorted(groups.values(), key=min)) for n in g}
+
+
 def linkage(r: dict[tuple[str, str], float], names: list[str]) -> list[tuple[str, str, float, int]]:
     """Average linkage on 1 - r over a few probes, on the driver: merges (left, right, height, size)."""
     groups = {n: [n] for n in names}

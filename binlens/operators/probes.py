@@ -69,6 +69,13 @@ def subset_masks(out: DataFrame, chance: float = 0.25) -> DataFrame:
     return s.groupBy("bench").agg(F.count_if("kept").alias("n_kept"), F.count("*").alias("n_subsets"), F.try_divide(k.cast("double"), n.cast("double")).alias("masked_acc"))
 
 
+def macro_average(out: DataFrame) -> DataFrame:
+    """(bench, n_subsets, micro, macro, invalid): accuracy over items and over subsets, and the share without a margin."""
+    s = out.groupBy("bench", "subset").agg(F.count("*").alias("n"), F.count_if("correct").alias("k"), F.count_if(F.col("margin").isNull()).alias("bad"))
+    share = lambda x: F.sum(x) / F.sum("n")
+    return s.groupBy("bench").agg(F.count("*").alias("n_subsets"), share("k").alias("micro"), F.avg(F.col("k") / F.col("n")).alias("macro"), share("bad").alias("invalid"))
+
+
 def retained(out: DataFrame, chance: float = 0.25) -> DataFrame:
     """(bench, query_id, subset): the items of subsets at chance or better."""
     w = Window.partitionBy("bench", "subset")

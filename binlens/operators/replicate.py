@@ -2,13 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from binlens.operators import aggregate as ag
 from binlens.operators import attribution as at
 from binlens.operators.corpus import vote_label
-from binlens.sources.tables import tokens, votes
+from binlens.sources.tables import BENCHES, tokens, votes
 
 #: Labels of each axis; formats below GROUP are the prescriptive register, the others the interpersonal one.
 LABELS, GROUP = 24, 12
@@ -34,6 +34,47 @@ def ecosystem_bins(docs: DataFrame, queries: DataFrame) -> DataFrame:
     return ag.zscore(ag.bin_mean(at.score_index(at.gradients(sums, base), q, ["doc_id", "topic", "format"], ["bench"])))
 
 
+def run_ecosystem(docs: DataFrame, queries: DataFrame) -> dict[str, DataFrame]:
+    """Every product of the analysis of one corpus (doc_id, text, topic, format), by name: what runs on one ecosystem runs
+    on another by giving it other documents.  All are plans; nothing is computed before one is asked for."""
+    bins = ecosystem_bins(docs, queries)
+    topics, formats = ag.marginal_z(bins, "topic"), ag.marginal_z(bins, "format")
+    r = ag.profile_corr(bins)
+    benches = tuple(BENCHES)
+    return {
+        "composition": docs.groupBy("topic", "format").agg(F.count("*").alias("n_docs")), "bins": bins, "topics": topics, "formats": formats, "capped": ag.capped(bins), "tests": ag.bin_tests(bins),
+        "signed": ag.signed_split(bins), "topic_extremes": ag.extremes(topics, "topic"), "format_extremes": ag.extremes(formats, "format"), "correlation": r, "rank_correlation": ag.profile_corr(bins, how="spearman"),
+        "outlier": ag.outlier_stat(r, benches), "topic_outlier": ag.outlier_stat(ag.profile_corr(topics, ["topic"]), benches), "format_outlier": ag.outlier_stat(ag.profile_corr(formats, ["format"]), benches),
+        "loading": register_loading(bins),
+    }
+
+
+def parity(spark: SparkSession, ours: dict[str, DataFrame], theirs: dict[str, DataFrame]) -> DataFrame:
+    """(product, status): equivalent where both ecosystems have a product with the same columns, generated where only the
+    second has it, missing where only the first has it, blocked where the columns differ."""
+    rows = []
+    for name in sorted(ours.keys() | theirs.keys()):
+        if name not in theirs:
+            status = "missing"
+        elif name not in ours:
+            status = "generated"
+        else:
+            status = "equivalent" if ours[name].columns == theirs[name].columns else "blocked"
+        rows.append((name, status))
+    return spark.createDataFrame(rows, "product string, status string")
+
+
+def as_long(products: dict[str, DataFrame]) -> DataFrame:
+    """The numeric products as one table (product, bench, a, b, value)."""
+    cols = {"bins": ("bench", "topic", "format", "z"), "topics": ("bench", "topic", None, "z"), "formats": ("bench", "format", None, "z"), "correlation": ("a", "b", None, "r"), "loading": ("bench", None, None, "loading")}
+    out = None
+    for name, (bench, a, b, value) in cols.items():
+        key = [(F.col(c) if c else F.lit(None)).cast("string").alias(n) for c, n in ((bench, "bench"), (a, "a"), (b, "b"))]
+        one = products[name].select(F.lit(name).alias("product"), *key, F.col(value).alias("value"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 def register_loading(bins: DataFrame) -> DataFrame:
     low = F.col("format") < GROUP
     return bins.groupBy("bench").agg((F.avg(F.when(low, F.col("z"))) - F.avg(F.when(~low, F.col("z")))).alias("loading"))
