@@ -17,6 +17,7 @@ from binlens.operators import replicate as rp
 from binlens.operators import selectivity as se
 from binlens.operators import unlearn as un
 from binlens.sources import tables as src
+from binlens.sources.index import kept
 from binlens.sources.tables import tokens
 from binlens.streaming import scores as st
 
@@ -246,16 +247,22 @@ def _eco(tag: str, source: str) -> str:
 ECO = QRYS + ", " + _eco("x1", "select doc_id, text from documents") + ", " + _eco("x2", _E2)
 
 
+def _eco_bins(spark, d, name, table, docs):
+    """Bins of one ecosystem: its index and model are made once for a state of its tables, and only the bins are kept."""
+    sources = [src.table(spark, d, table), src.table(spark, d, "benchmark")]
+    return kept(spark, name, sources, lambda path: rp.ecosystem_bins(rp.labelled(docs), src.bench_queries(spark, d)).write.parquet(path))
+
+
 def _e1(spark, d):
-    return rp.ecosystem_bins(rp.labelled(src.table(spark, d, "documents").select("doc_id", "text")), src.bench_queries(spark, d))
+    return _eco_bins(spark, d, "e1_bins", "documents", src.spread(src.table(spark, d, "documents").select("doc_id", "text")))
 
 
 def _e2_docs(spark, d):
-    return rp.minted(src.table(spark, d, "pages"), src.page_text(F.col("html")))
+    return rp.minted(src.spread(src.table(spark, d, "pages").select("html")), src.page_text(F.col("html")))
 
 
 def _e2(spark, d):
-    return rp.ecosystem_bins(rp.labelled(_e2_docs(spark, d)), src.bench_queries(spark, d))
+    return _eco_bins(spark, d, "e2_bins", "pages", _e2_docs(spark, d))
 
 
 @query("r01_page_documents", f"select doc_id, text, cast(length(text) as bigint) as n_chars from ({_E2})")
