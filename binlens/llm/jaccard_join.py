@@ -267,7 +267,7 @@ def frequent(docs: DataFrame, size: int, hot: int, n_sets: int) -> Frequent:
 
 
 def prefix_lists(docs: DataFrame, size: int, percent: int, often: Frequent) -> DataFrame:
-    """(g, fp): lists of entities that share a prefix shingle; lists with the same members are one list."""
+    """(g, k, fp): lists of k entities that share a prefix shingle; lists with the same members are one list."""
     spark = docs.sparkSession
     lanes, cells = often.lanes, often.size
     known = spark.sparkContext.broadcast(np.packbits(often.bits))
@@ -314,19 +314,32 @@ def prefix_lists(docs: DataFrame, size: int, percent: int, often: Frequent) -> D
                 keep[once] = True
                 keep &= count > 1
                 rows = np.repeat(keep, count)
-                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(name, count)[rows]), pa.array(who[rows])], ["g", "fp"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(name, count)[rows]), pa.array(np.repeat(count, count)[rows], pa.int64()), pa.array(who[rows])], ["g", "k", "fp"])
 
     dealt = narrow(docs, deal, "lane int, low binary, fp binary").repartition(shuffle_width(spark), "lane").sortWithinPartitions("lane")
-    return narrow(dealt, lists, "g long, fp long").distinct()
+    return narrow(dealt, lists, "g long, k long, fp long").distinct()
+
+
+PIECE = 512  # members of a list that one key of a join by list holds, about
+
+
+def _pieces() -> F.Column:
+    return F.ceil(F.col("k") / PIECE).cast("int")
+
+
+def by_list(lists: DataFrame, facts: DataFrame, how: str = "inner", also: tuple[str, ...] = ()) -> DataFrame:
+    """Join list members with facts about lists (g, k, ...): a long list's members are dealt over several keys, and its
+    facts stand under each of them, so no list is one task's alone.  A list of up to ``PIECE`` members has one key."""
+    members = lists.withColumn("salt", F.pmod(F.xxhash64("fp"), _pieces()).cast("int"))
+    known = facts.withColumn("salt", F.explode(F.sequence(F.lit(0), _pieces() - 1))).drop("k")
+    return members.join(known, ["g", "salt", *also], how).drop("salt")
 
 
 def centred(lists: DataFrame) -> DataFrame:
     """(a, b): the centre of each list with each other member."""
-    size = lists.groupBy("g").agg(F.count("*").alias("k"))
-    degree = lists.join(size, "g").groupBy("fp").agg(F.sum("k").alias("degree"))
-    ranked = lists.join(degree, "fp")
-    centre = ranked.groupBy("g").agg(F.max(F.struct("degree", "fp")).alias("top")).select("g", F.col("top.fp").alias("a"))
-    return lists.join(centre, "g").where("a <> fp").select(F.least("a", "fp").alias("a"), F.greatest("a", "fp").alias("b")).distinct()
+    degree = lists.groupBy("fp").agg(F.sum("k").alias("degree"))
+    top = lists.join(degree, "fp").groupBy("g").agg(F.max(F.struct("degree", "fp")).alias("top"), F.max("k").alias("k"))
+    return by_list(lists, top.select("g", "k", F.col("top.fp").alias("a"))).where("a <> fp").select(F.least("a", "fp").alias("a"), F.greatest("a", "fp").alias("b")).distinct()
 
 
 def _joined(parts: list[pa.RecordBatch], column: int, kind: type) -> np.ndarray:
@@ -431,17 +444,17 @@ def _verified(pairs: DataFrame, docs: DataFrame, size: int, percent: int) -> Dat
 
 
 def _tree_pairs(lists: DataFrame, vectors: DataFrame, percent: int, block: int) -> DataFrame:
-    """(a, b): pairs of one list, in different components, that an R-tree probe admits.  lists: (g, fp, root)."""
+    """(a, b): pairs of one list, in different components, that an R-tree probe admits.  lists: (g, k, fp, root)."""
     # members of a root that fills half a block have blocks of their own, and those aren't compared with each other
-    mixed = lists.groupBy("g").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("g")
-    lists = lists.join(mixed, "g", "left_semi")
-    own = lists.groupBy("g", "root").agg(F.count("*").alias("c")).withColumn("big", F.col("c") >= max(1, block // 2))
+    mixed = lists.groupBy("g").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.max("k").alias("k")).where("lo <> hi").select("g", "k")
+    lists = by_list(lists, mixed, "left_semi")
+    own = lists.groupBy("g", "root").agg(F.count("*").alias("c"), F.max("k").alias("k")).withColumn("big", F.col("c") >= max(1, block // 2))
     own = own.withColumn("parts", F.when(F.col("big"), F.ceil(F.col("c") / block)).otherwise(0))
-    light = own.groupBy("g").agg(F.ceil(F.sum(F.when(F.col("big"), 0).otherwise(F.col("c"))) / block).alias("shared"), F.sum("parts").alias("parts"))
-    light = light.select("g", F.col("shared").cast("int").alias("shared"), (F.col("shared") + F.col("parts")).cast("int").alias("blocks"))
+    light = own.groupBy("g").agg(F.ceil(F.sum(F.when(F.col("big"), 0).otherwise(F.col("c"))) / block).alias("shared"), F.sum("parts").alias("parts"), F.max("k").alias("k"))
+    light = light.select("g", "k", F.col("shared").cast("int").alias("shared"), (F.col("shared") + F.col("parts")).cast("int").alias("blocks"))
     run = F.sum("parts").over(Window.partitionBy("g").orderBy("root").rowsBetween(Window.unboundedPreceding, 0)) - F.col("parts")
-    big = own.where("big").select("g", "root", run.cast("int").alias("before"), F.col("parts").cast("int").alias("parts"))  # few rows: each stands for half a block
-    members = lists.join(light, "g").join(big, ["g", "root"], "left")
+    big = own.where("big").select("g", "k", "root", run.cast("int").alias("before"), F.col("parts").cast("int").alias("parts"))  # few rows: each stands for half a block
+    members = by_list(by_list(lists, light), big, "left", ("root",))
     first = F.when(F.col("parts").isNull(), F.lit(0)).otherwise(F.col("shared") + F.col("before"))
     members = members.withColumn("first", first).withColumn("last", F.col("first") + F.coalesce("parts", F.lit(0)) - 1)
     members = members.withColumn("own", F.col("first") + F.expr("cast(pmod(xxhash64(fp), coalesce(parts, shared)) as int)"))
@@ -479,7 +492,7 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     first = settle(_bounded(centred(lists), vectors, percent), "pairs")
     links = settle(_verified(first, docs, size, percent), "links")
     roots = components(links)
-    lists = settle(lists.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("g", "fp", F.coalesce("root", "fp").alias("root")), "rooted")
+    lists = settle(lists.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("g", "k", "fp", F.coalesce("root", "fp").alias("root")), "rooted")
     second = settle(_tree_pairs(lists, vectors, percent, block), "pairs")
     if not second.isEmpty():
         links = links.unionByName(settle(_verified(second, docs, size, percent), "links"))
