@@ -81,7 +81,8 @@ def wilcoxon(df: DataFrame, d: str, by: list[str]) -> DataFrame:
     """One-sided signed-rank test (upper): n, w_plus, z, p.  Zeros dropped, average ranks, tie-corrected variance."""
     rows = df.where(F.col(d) != 0).withColumn("_abs", F.abs(F.col(d)))
     rows = average_rank(rows, "_abs", by, "_rank").withColumn("_ties", F.count("*").over(Window.partitionBy(*by, "_abs")))
-    agg = rows.groupBy(*by).agg(F.count("*").alias("n"), F.sum(F.when(F.col(d) > 0, F.col("_rank")).otherwise(0.0)).alias("w_plus"), F.sum((F.col("_ties") * F.col("_ties") - 1) / 48.0).alias("_corr"))
+    agg = rows.groupBy(*by).agg(F.count("*").alias("n"), F.sum(F.when(F.col(d) > 0, F.col("_rank")).otherwise(0.0)).alias("w_plus"),
+        F.sum((F.col("_ties") * F.col("_ties") - 1) / 48.0).alias("_corr"))
     n = F.col("n").cast("double")
     z = F.try_divide(F.col("w_plus") - n * (n + 1) / 4, F.sqrt(n * (n + 1) * (2 * n + 1) / 24 - F.col("_corr")))
     return agg.withColumn("z", z).withColumn("p", normal_upper(F.col("z"))).drop("_corr")

@@ -41,14 +41,16 @@ def signed_split(bins: DataFrame, value: str = "mean") -> DataFrame:
     x = F.col(value)
     up, down, size = F.when(x > 0, x), F.when(x < 0, x), F.abs(value)
     return bins.groupBy("bench").agg(
-        F.count(up).alias("n_supportive"), F.count(down).alias("n_suppressive"), F.avg(size).alias("absolute"), F.avg(up).alias("supportive"), F.avg(down).alias("suppressive"),
+        F.count(up).alias("n_supportive"), F.count(down).alias("n_suppressive"), F.avg(size).alias("absolute"), F.avg(up).alias("supportive"),
+            F.avg(down).alias("suppressive"),
         F.try_divide(F.sum(F.when(x > 0, x).otherwise(0.0)), F.sum(size)).alias("share_supportive"),
     )
 
 
 def differential_extremes(cohorts: DataFrame) -> DataFrame:
     """The strongest bin on either side of each benchmark's correctness differential.  cohorts: bench, correct, bin, z."""
-    z = cohorts.groupBy("bench", *BIN).agg(F.max(F.when(F.col("correct"), F.col("z"))).alias("z_correct"), F.max(F.when(~F.col("correct"), F.col("z"))).alias("z_incorrect"))
+    z = cohorts.groupBy("bench", *BIN).agg(F.max(F.when(F.col("correct"), F.col("z"))).alias("z_correct"), F.max(F.when(~F.col("correct"),
+        F.col("z"))).alias("z_incorrect"))
     z = z.withColumn("delta", F.col("z_correct") - F.col("z_incorrect")).where("delta is not null")
     w = Window.partitionBy("bench")
     ends = z.withColumn("up", F.row_number().over(w.orderBy(F.desc("delta"), *BIN))).withColumn("down", F.row_number().over(w.orderBy("delta", *BIN)))
@@ -68,7 +70,8 @@ def capped(bins: DataFrame, q: float = 0.95) -> DataFrame:
 def bin_tests(bins: DataFrame, alpha: float = 0.05) -> DataFrame:
     """Two-sided t test of each bin mean against 0, adjusted within the benchmark; bins of one document have no p."""
     t = F.try_divide(F.col("mean"), F.col("sd") / F.sqrt("n_docs"))
-    rows = bins.withColumn("t", t).withColumn("p", F.when((F.col("n_docs") > 1) & F.col("t").isNotNull(), F.least(F.lit(1.0), 2 * t_upper(F.abs("t"), (F.col("n_docs") - 1).cast("int")))))
+    rows = bins.withColumn("t", t).withColumn("p", F.when((F.col("n_docs") > 1) & F.col("t").isNotNull(), F.least(F.lit(1.0), 2 * t_upper(F.abs("t"),
+        (F.col("n_docs") - 1).cast("int")))))
     return bh(rows, "p", ["bench"]).withColumn("significant", F.col("p_adj") < alpha)
 
 
@@ -114,7 +117,8 @@ def outlier_stat(r: DataFrame, benches: tuple, extra: list[str] | None = None) -
     b = r.sparkSession.createDataFrame([(x,) for x in benches], "bench string")
     pairs = r.where("a < b").crossJoin(F.broadcast(b))  # four or a few benchmarks
     mine = (F.col("a") == F.col("bench")) | (F.col("b") == F.col("bench"))
-    return pairs.groupBy("bench", *extra).agg(F.avg(F.when(mine, F.col("r"))).alias("c"), (F.avg(F.when(~mine, F.col("r"))) - F.avg(F.when(mine, F.col("r")))).alias("delta"))
+    return pairs.groupBy("bench", *extra).agg(F.avg(F.when(mine, F.col("r"))).alias("c"), (F.avg(F.when(~mine, F.col("r"))) - F.avg(F.when(mine,
+        F.col("r")))).alias("delta"))
 
 
 def numbered(bins: DataFrame, key: list[str] = BIN) -> DataFrame:
@@ -131,7 +135,8 @@ def bin_pairs(bins: DataFrame, key: list[str] = BIN) -> DataFrame:
 
 def _couples(cell) -> Column:
     def with_others(x):
-        return F.transform(F.filter(cell, lambda y: y["bench"] > x["bench"]), lambda y: F.struct(x["bench"].alias("a"), y["bench"].alias("b"), x["z"].alias("za"), y["z"].alias("zb")))
+        return F.transform(F.filter(cell, lambda y: y["bench"] > x["bench"]), lambda y: F.struct(x["bench"].alias("a"), y["bench"].alias("b"),
+            x["z"].alias("za"), y["z"].alias("zb")))
 
     return F.flatten(F.transform(cell, with_others))
 
@@ -190,7 +195,8 @@ def doc_bootstrap(scores: DataFrame, reps: int, seed: str, blocks: int = BLOCKS)
     """
     at = F.struct("block", "n", "total")
     cells = doc_blocks(scores, seed, blocks).groupBy("bench", *BIN).agg(F.array_sort(F.collect_list(at)).alias("own"))  # at most ``blocks``
-    sums = cells.groupBy(*BIN).agg(F.collect_list(F.struct("bench", F.col("own.n").alias("n"), F.col("own.total").alias("total"))).alias("cells"), F.max(F.size("own")).alias("m"))
+    sums = cells.groupBy(*BIN).agg(F.collect_list(F.struct("bench", F.col("own.n").alias("n"), F.col("own.total").alias("total"))).alias("cells"),
+        F.max(F.size("own")).alias("m"))
     rows = sums.withColumn("rep", F.explode(F.sequence(F.lit(0), F.lit(reps - 1))))
     pick = F.transform(F.sequence(F.lit(0), F.col("m") - 1), lambda i: (u32(F.lit(seed), F.col("rep"), F.col("topic"), F.col("format"), i) % F.col("m")).cast("int"))
     rows = rows.select("rep", *BIN, "cells", pick.alias("pick")).select("rep", *BIN, "pick", F.inline("cells"))
@@ -204,7 +210,8 @@ def doc_bootstrap(scores: DataFrame, reps: int, seed: str, blocks: int = BLOCKS)
 def delta_floor(means: DataFrame, observed: DataFrame, a: str, b: str) -> DataFrame:
     """(topic, format, delta, floor, reported): bins whose difference of z passes its own noise floor, half the width of
     the difference's interval over resamples.  means: (rep, bench, topic, format, mean); observed: bins with z."""
-    deltas = zscore(means, ("rep", "bench")).groupBy("rep", *BIN).agg((F.max(F.when(F.col("bench") == a, F.col("z"))) - F.max(F.when(F.col("bench") == b, F.col("z")))).alias("delta"))
+    deltas = zscore(means, ("rep", "bench")).groupBy("rep", *BIN).agg((F.max(F.when(F.col("bench") == a,
+        F.col("z"))) - F.max(F.when(F.col("bench") == b, F.col("z")))).alias("delta"))
     ci = percentile_ci(deltas, BIN, "delta")
     out = contrast(observed, a, b).join(ci, BIN).withColumn("floor", (F.col("hi") - F.col("lo")) / 2)
     return out.withColumn("reported", F.abs("delta") > F.col("floor")).select(*BIN, "delta", "floor", "reported")

@@ -196,9 +196,11 @@ def planted(docs: DataFrame, items: DataFrame, size: int = 5) -> DataFrame:
     holds it; only documents with that window are searched.  Items too short for a window are searched for everywhere."""
     words = lambda c: F.filter(F.split(c, r"\s+"), lambda t: t != "")
     asked = items.withColumn("w", words(F.col("t"))).withColumn("key", F.when(F.size("w") >= size + 2, F.array_join(F.slice("w", 2, size), " ")))
-    keyed, short = F.broadcast(asked.where("key is not null").select("query_id", "t", "key")), asked.where("key is null").select("query_id", "t")  # the benchmark is bounded
+    keyed, short = F.broadcast(asked.where("key is not null").select("query_id", "t", "key")), asked.where("key is null").select("query_id",
+        "t")  # the benchmark is bounded
     n = F.size("w") - size
-    windows = F.when(n >= 0, F.transform(F.sequence(F.lit(1), n + 1), lambda i: F.array_join(F.slice("w", i, F.lit(size)), " "))).otherwise(F.array().cast("array<string>"))
+    windows = F.when(n >= 0, F.transform(F.sequence(F.lit(1), n + 1), lambda i: F.array_join(F.slice("w", i, F.lit(size)),
+        " "))).otherwise(F.array().cast("array<string>"))
     rows = docs.select("doc_id", "text", words(F.col("text")).alias("w")).select("doc_id", "text", F.explode(F.array_distinct(windows)).alias("key"))
     found = rows.join(keyed, "key").where(F.col("text").contains(F.col("t"))).select("query_id", "doc_id")
     return found.unionByName(docs.join(F.broadcast(short), F.col("text").contains(F.col("t"))).select("query_id", "doc_id")).distinct()
@@ -208,4 +210,5 @@ def planted_recall(pair_scores: DataFrame, truth: DataFrame, ks=(1, 10)) -> Data
     """Recall and mean reciprocal rank of the documents known to hold a query's text."""
     w = Window.partitionBy("query_id").orderBy(F.desc("score"), "doc_id")
     hit = pair_scores.withColumn("rank", F.row_number().over(w)).join(truth, ["query_id", "doc_id"], "left_semi")
-    return hit.agg(F.count("*").alias("n_pairs"), *[r6(F.avg((F.col("rank") <= k).cast("double"))).alias(f"recall_{k}") for k in ks], r6(F.avg(1.0 / F.col("rank"))).alias("mrr"))
+    return hit.agg(F.count("*").alias("n_pairs"), *[r6(F.avg((F.col("rank") <= k).cast("double"))).alias(f"recall_{k}") for k in ks],
+        r6(F.avg(1.0 / F.col("rank"))).alias("mrr"))

@@ -68,7 +68,8 @@ def effective_bins(bins: DataFrame, measure: str) -> DataFrame:
 
 def skew_summary(bins: DataFrame, measure: str) -> DataFrame:
     c = F.col(measure)
-    return bins.agg(F.max(c).alias("largest"), F.min(F.when(c > 0, c)).alias("smallest"), F.count_if(c == 0).alias("n_empty"), r6(F.try_divide(F.max(c), F.min(F.when(c > 0, c)))).alias("ratio"))
+    return bins.agg(F.max(c).alias("largest"), F.min(F.when(c > 0, c)).alias("smallest"), F.count_if(c == 0).alias("n_empty"),
+        r6(F.try_divide(F.max(c), F.min(F.when(c > 0, c)))).alias("ratio"))
 
 
 def head_tail(bins: DataFrame, measure: str, k: int = 20) -> DataFrame:
@@ -78,13 +79,15 @@ def head_tail(bins: DataFrame, measure: str, k: int = 20) -> DataFrame:
     out = []
     for side, order in (("head", F.desc(measure)), ("tail", F.asc(measure))):
         w = Window.orderBy(order, "topic", "format")
-        one = ranked.withColumn("rank", F.row_number().over(w)).withColumn("run", F.sum(measure).over(w.rowsBetween(Window.unboundedPreceding, 0))).where(F.col("rank") <= k)
+        one = ranked.withColumn("rank", F.row_number().over(w)).withColumn("run", F.sum(measure).over(w.rowsBetween(Window.unboundedPreceding,
+            0))).where(F.col("rank") <= k)
         out.append(one.select(F.lit(side).alias("side"), "rank", "topic", "format", measure, r6(F.col("run") / F.col("_t")).alias("running_share")))
     return out[0].union(out[1])
 
 
 def log_grid(bins: DataFrame) -> DataFrame:
-    return bins.select("topic", "format", r6(F.when(F.col("n_docs") > 0, F.log10("n_docs"))).alias("log_docs"), r6(F.when(F.col("n_words") > 0, F.log10("n_words"))).alias("log_words"))
+    return bins.select("topic", "format", r6(F.when(F.col("n_docs") > 0, F.log10("n_docs"))).alias("log_docs"), r6(F.when(F.col("n_words") > 0,
+        F.log10("n_words"))).alias("log_words"))
 
 
 def population(df: DataFrame) -> DataFrame:
@@ -183,16 +186,19 @@ def accuracy_report(rows: DataFrame, variants: dict[str, str], min_conf: float)
     the teacher's labels.  ``variants``: name -> column of labels."""
     pairs = F.explode(F.array(*[F.struct(F.lit(n).alias("variant"), F.col(c).alias("guess")) for n, c in variants.items()])).alias("p")
     sure = rows.where(F.col("teacher_conf") >= min_conf).select("teacher", "gold", pairs).select("teacher", "gold", "p.*")
-    by = sure.groupBy("variant", "teacher").agg(F.count("*").alias("n"), F.count_if(F.col("guess") == F.col("teacher")).alias("ok"), F.count_if(F.col("guess") == F.col("gold")).alias("gold_ok"))
+    by = sure.groupBy("variant", "teacher").agg(F.count("*").alias("n"), F.count_if(F.col("guess") == F.col("teacher")).alias("ok"),
+        F.count_if(F.col("guess") == F.col("gold")).alias("gold_ok"))
     share = lambda x: r6(F.sum(x) / F.sum("n"))
-    return by.groupBy("variant").agg(F.sum("n").alias("n"), share("ok").alias("mean_acc"), r6(F.min(F.col("ok") / F.col("n"))).alias("worst_group_acc"), share("gold_ok").alias("gold_acc"))
+    return by.groupBy("variant").agg(F.sum("n").alias("n"), share("ok").alias("mean_acc"),
+        r6(F.min(F.col("ok") / F.col("n"))).alias("worst_group_acc"), share("gold_ok").alias("gold_acc"))
 
 
 def coverage_receipt(df: DataFrame, expected: DataFrame, shards: int = 8) -> DataFrame:
     """One row: rows, distinct ids, repeats, shards and bins that hold rows, a content hash that no order or partitioning
     changes, and expected ids that are missing."""
     content = F.bit_xor(u32(F.col("doc_id"), F.md5("text")))
-    got = df.agg(F.count("*").alias("n_rows"), F.countDistinct("doc_id").alias("n_ids"), F.countDistinct(u32(F.lit("shard"), F.col("doc_id")) % shards).alias("n_shards"), F.countDistinct("source").alias("n_sources"), content.alias("content"))
+    got = df.agg(F.count("*").alias("n_rows"), F.countDistinct("doc_id").alias("n_ids"), F.countDistinct(u32(F.lit("shard"),
+        F.col("doc_id")) % shards).alias("n_shards"), F.countDistinct("source").alias("n_sources"), content.alias("content"))
     missing = expected.join(df.select("doc_id").distinct(), "doc_id", "left_anti").agg(F.count("*").alias("n_missing"))
     return got.crossJoin(F.broadcast(missing)).withColumn("n_repeats", F.col("n_rows") - F.col("n_ids"))
 

@@ -17,14 +17,16 @@ def normalise_hours(jobs: DataFrame) -> DataFrame:
 
     ``jobs``: phase, device, hours.  A device without a rate makes the phase's hours null rather than too low."""
     rate = F.coalesce(*[F.when(F.col("device") == d, F.lit(r)) for d, r in RATES.items()])
-    g = jobs.withColumn("h", F.col("hours") * rate).groupBy("phase").agg(F.count("*").alias("n_jobs"), F.sum("h").alias("h"), F.count_if(F.col("h").isNull()).alias("lost"))
+    g = jobs.withColumn("h", F.col("hours") * rate).groupBy("phase").agg(F.count("*").alias("n_jobs"), F.sum("h").alias("h"),
+        F.count_if(F.col("h").isNull()).alias("lost"))
     return g.select("phase", "n_jobs", F.when(F.col("lost") == 0, F.ceil(F.round("h", 6))).alias("hours"))
 
 
 def steps_report(runs: DataFrame) -> DataFrame:
     """Runs, steps and evaluations (one every 250 steps and one at the end) of each recipe."""
     evals = F.floor(F.col("steps") / EVAL_EVERY) + 1
-    return runs.groupBy("recipe").agg(F.count("*").alias("n_runs"), F.min("steps").alias("least"), F.avg("steps").alias("mean"), F.max("steps").alias("most"), F.sum(evals).alias("n_evals"))
+    return runs.groupBy("recipe").agg(F.count("*").alias("n_runs"), F.min("steps").alias("least"), F.avg("steps").alias("mean"),
+        F.max("steps").alias("most"), F.sum(evals).alias("n_evals"))
 
 
 def phase_report(spark, phases: dict) -> DataFrame:
@@ -33,7 +35,8 @@ def phase_report(spark, phases: dict) -> DataFrame:
     for name, make in phases.items():
         began = time.perf_counter()
         df = make()
-        n = df.select(F.struct(*[F.col(c) for c in df.columns]).alias("x")).agg(F.count("x").alias("n"), F.max(F.xxhash64("x")).alias("h")).first().n  # the hash keeps columns from being pruned
+        n = df.select(F.struct(*[F.col(c) for c in df.columns]).alias("x")).agg(F.count("x").alias("n"),
+            F.max(F.xxhash64("x")).alias("h")).first().n  # the hash keeps columns from being pruned
         took = time.perf_counter() - began
         rows.append((name, took, n, n / took))
     return spark.createDataFrame(rows, "phase string, seconds double, n_rows long, rows_per_s double")

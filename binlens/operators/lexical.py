@@ -43,7 +43,8 @@ CLUSTERS = {"en": "dialogic", "fr": "personal", "de": "expository", "es": "struc
 
 
 #: Composite -> dimensions whose z it averages.
-COMPOSITES = {"dialogue": ("pronoun_1", "pronoun_2", "negation"), "social": ("pronoun_2", "pronoun_3"), "mental": ("mental_state",), "expository": ("article", "preposition", "conjunction")}
+COMPOSITES = {"dialogue": ("pronoun_1", "pronoun_2", "negation"), "social": ("pronoun_2", "pronoun_3"), "mental": ("mental_state",),
+    "expository": ("article", "preposition", "conjunction")}
 
 
 def require_route(dim: str) -> str:
@@ -58,7 +59,9 @@ def pairs() -> list[tuple[str, str, str]]:
 
 def text_stats(df: DataFrame, words) -> DataFrame:
     t = F.coalesce("text", F.lit(""))
-    return df.select("doc_id", F.size(words).cast("long").alias("n_words"), F.length(t).cast("long").alias("n_chars"), F.regexp_count(t, F.lit("[.!?]")).cast("long").alias("n_stops"), F.regexp_count(t, F.lit(",")).cast("long").alias("n_commas"), F.regexp_count(t, F.lit("\n")).cast("long").alias("n_lines"))
+    return df.select("doc_id", F.size(words).cast("long").alias("n_words"), F.length(t).cast("long").alias("n_chars"), F.regexp_count(t,
+        F.lit("[.!?]")).cast("long").alias("n_stops"), F.regexp_count(t, F.lit(",")).cast("long").alias("n_commas"), F.regexp_count(t,
+        F.lit("\n")).cast("long").alias("n_lines"))
 
 
 def counts(df: DataFrame, words) -> DataFrame:
@@ -74,7 +77,8 @@ def bin_matrix(c: DataFrame, sizes: DataFrame) -> DataFrame:
     dims = c.sparkSession.createDataFrame([(d, f) for d, (f, _) in LEXICON.items()], "dim string, family string")
     g = c.groupBy("topic", "format", "dim").agg(F.sum("count").alias("count"))
     full = sizes.crossJoin(F.broadcast(dims)).join(g, ["topic", "format", "dim"], "left")  # bins x dims of the lexicon
-    return full.select("topic", "format", "dim", "family", (1000 * F.try_divide(F.coalesce("count", F.lit(0)).cast("double"), F.col("n_words").cast("double"))).alias("rate"))
+    return full.select("topic", "format", "dim", "family", (1000 * F.try_divide(F.coalesce("count", F.lit(0)).cast("double"),
+        F.col("n_words").cast("double"))).alias("rate"))
 
 
 def doc_mean_matrix(c: DataFrame, docs: DataFrame) -> DataFrame:
@@ -101,7 +105,8 @@ def proxies(p: DataFrame) -> DataFrame:
     z = lambda d: F.coalesce(F.col("m")[d], F.lit(0.0))
     scale = lambda x: 50 + 10 * F.greatest(F.lit(-5.0), F.least(F.lit(5.0), x))
     return p.select(
-        "bench", scale(z("article") + z("preposition") - z("pronoun_1") - z("auxiliary") - z("negation")).alias("analytic"), scale(z("affect") - z("negation")).alias("tone"),
+        "bench", scale(z("article") + z("preposition") - z("pronoun_1") - z("auxiliary") - z("negation")).alias("analytic"),
+            scale(z("affect") - z("negation")).alias("tone"),
         scale(z("pronoun_2") - z("pronoun_1")).alias("clout"), scale(z("pronoun_1") + z("mental_state") - z("negation")).alias("authentic"),
     )
 
@@ -120,7 +125,8 @@ def bimodal_split(top: DataFrame, least: int = 8) -> DataFrame:
     """Top bins of the interactional and the expository side; bimodal where each side has ``least`` of them."""
     side = F.coalesce(*[F.when(F.col("format") == f, c) for f, c in CLUSTERS.items()])
     a, b = F.count_if(side.isin("dialogic", "personal")), F.count_if(side.isin("expository", "structured"))
-    return top.groupBy("bench").agg(a.alias("interactional"), b.alias("expository")).withColumn("bimodal", (F.col("interactional") >= least) & (F.col("expository") >= least))
+    return top.groupBy("bench").agg(a.alias("interactional"), b.alias("expository")).withColumn("bimodal",
+        (F.col("interactional") >= least) & (F.col("expository") >= least))
 
 
 def group_contrast(top: DataFrame, groups: dict[str, tuple], pairs_: list[tuple[str, str]], reps: int, seed: str) -> DataFrame:
@@ -138,14 +144,17 @@ def group_contrast(top: DataFrame, groups: dict[str, tuple], pairs_: list[tuple[
     both = seen.unionByName(drawn)
     which = F.explode(F.array(*[F.struct(F.lit(a).alias("a"), F.lit(b).alias("b")) for a, b in pairs_])).alias("p")
     cols = both.select("rep", "dim", "grp", "m", which).select("rep", "dim", "grp", "m", "p.*")
-    d = cols.groupBy("rep", "dim", "a", "b").agg((F.max(F.when(F.col("grp") == F.col("a"), F.col("m"))) - F.max(F.when(F.col("grp") == F.col("b"), F.col("m")))).alias("d"))
+    d = cols.groupBy("rep", "dim", "a", "b").agg((F.max(F.when(F.col("grp") == F.col("a"), F.col("m"))) - F.max(F.when(F.col("grp") == F.col("b"),
+        F.col("m")))).alias("d"))
     boot = F.when(F.col("rep") >= 0, F.col("d"))
-    return d.groupBy("a", "b", "dim").agg(F.max(F.when(F.col("rep") < 0, F.col("d"))).alias("delta"), F.percentile(boot, 0.025).alias("lo"), F.percentile(boot, 0.975).alias("hi"))
+    return d.groupBy("a", "b", "dim").agg(F.max(F.when(F.col("rep") < 0, F.col("d"))).alias("delta"), F.percentile(boot, 0.025).alias("lo"),
+        F.percentile(boot, 0.975).alias("hi"))
 
 
 def claim_tiers() -> list[tuple[str, str, str]]:
     """(family, tier, claim): what may be said of each dimension family; families are those of the lexicon."""
-    tiers = {"function": ("descriptive", "style of the supporting bins"), "social": ("supported", "contrast with an interval that excludes 0"), "cognition": ("suggestive", "contrast, same sign in most benchmarks"), "affect": ("suggestive", "contrast, same sign in most benchmarks")}
+    tiers = {"function": ("descriptive", "style of the supporting bins"), "social": ("supported", "contrast with an interval that excludes 0"),
+        "cognition": ("suggestive", "contrast, same sign in most benchmarks"), "affect": ("suggestive", "contrast, same sign in most benchmarks")}
     tiers |= {f: ("exploratory", "descriptive of the given words only") for f in ("tense", "perception", "drives", "lifestyle", "physical", "informal")}
     return [(f, *tiers[f]) for f in sorted({f for f, _ in LEXICON.values()})] + [(d, "refused", "no reproducible route") for d in NO_ROUTE]
 

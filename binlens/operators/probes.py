@@ -23,8 +23,10 @@ def choices(queries: DataFrame, n: int = 4) -> DataFrame:
     """(bench, query_id, choice, words, prompt): own completion as choice 0, then those of the next items of the benchmark."""
     w = Window.partitionBy("bench").orderBy("query_id")
     q = queries.withColumn("i", F.row_number().over(w) - 1).withColumn("m", F.count("*").over(Window.partitionBy("bench")))
-    mine = q.select("bench", "query_id", "prompt", "i", "m", F.explode(F.sequence(F.lit(0), F.lit(n - 1))).alias("choice")).withColumn("j", (F.col("i") + F.col("choice")) % F.col("m"))
-    return mine.join(q.select("bench", F.col("i").alias("j"), F.col("completion").alias("words")), ["bench", "j"]).select("bench", "query_id", "choice", "words", "prompt")
+    mine = q.select("bench", "query_id", "prompt", "i", "m", F.explode(F.sequence(F.lit(0), F.lit(n - 1))).alias("choice")).withColumn("j",
+        (F.col("i") + F.col("choice")) % F.col("m"))
+    return mine.join(q.select("bench", F.col("i").alias("j"), F.col("completion").alias("words")), ["bench", "j"]).select("bench", "query_id",
+        "choice", "words", "prompt")
 
 
 def score_choices(ch: DataFrame, counts: DataFrame) -> DataFrame:
@@ -66,14 +68,16 @@ def subset_masks(out: DataFrame, chance: float = 0.25) -> DataFrame:
     """Per benchmark: subsets kept (accuracy at chance or better), and accuracy over those only."""
     s = out.groupBy("bench", "subset").agg(F.count("*").alias("n"), F.count_if("correct").alias("k")).withColumn("kept", F.col("k") >= chance * F.col("n"))
     k, n = F.sum(F.when(F.col("kept"), F.col("k"))), F.sum(F.when(F.col("kept"), F.col("n")))
-    return s.groupBy("bench").agg(F.count_if("kept").alias("n_kept"), F.count("*").alias("n_subsets"), F.try_divide(k.cast("double"), n.cast("double")).alias("masked_acc"))
+    return s.groupBy("bench").agg(F.count_if("kept").alias("n_kept"), F.count("*").alias("n_subsets"), F.try_divide(k.cast("double"),
+        n.cast("double")).alias("masked_acc"))
 
 
 def macro_average(out: DataFrame) -> DataFrame:
     """(bench, n_subsets, micro, macro, invalid): accuracy over items and over subsets, and the share without a margin."""
     s = out.groupBy("bench", "subset").agg(F.count("*").alias("n"), F.count_if("correct").alias("k"), F.count_if(F.col("margin").isNull()).alias("bad"))
     share = lambda x: F.sum(x) / F.sum("n")
-    return s.groupBy("bench").agg(F.count("*").alias("n_subsets"), share("k").alias("micro"), F.avg(F.col("k") / F.col("n")).alias("macro"), share("bad").alias("invalid"))
+    return s.groupBy("bench").agg(F.count("*").alias("n_subsets"), share("k").alias("micro"), F.avg(F.col("k") / F.col("n")).alias("macro"),
+        share("bad").alias("invalid"))
 
 
 def retained(out: DataFrame, chance: float = 0.25) -> DataFrame:
@@ -96,7 +100,8 @@ def cross_mask(bins: DataFrame) -> DataFrame:
 def consensus(bins: DataFrame, controls: list) -> DataFrame:
     """Bins ranked by (probes positive, probes with z >= 1, mean z); specificity = mean z less the controls' mean z."""
     head, ctl = ~F.col("bench").isin(controls), F.col("bench").isin(controls)
-    g = bins.groupBy("topic", "format").agg(F.count_if(head & (F.col("z") > 0)).alias("n_positive"), F.count_if(head & (F.col("z") >= 1)).alias("n_strong"), F.avg(F.when(head, F.col("z"))).alias("mean_z"), F.avg(F.when(ctl, F.col("z"))).alias("control_z"))
+    g = bins.groupBy("topic", "format").agg(F.count_if(head & (F.col("z") > 0)).alias("n_positive"),
+        F.count_if(head & (F.col("z") >= 1)).alias("n_strong"), F.avg(F.when(head, F.col("z"))).alias("mean_z"), F.avg(F.when(ctl, F.col("z"))).alias("control_z"))
     return g.withColumn("specificity", F.col("mean_z") - F.col("control_z"))
 
 
@@ -110,7 +115,8 @@ def recurrence(topk: DataFrame, strong: float = 1.0, min_probes: int = 2) -> Dat
 
 
 def register_loading(bins: DataFrame) -> DataFrame:
-    return bins.groupBy("bench").agg((F.avg(F.when(F.col("format").isin(*PRESCRIPTIVE), F.col("z"))) - F.avg(F.when(F.col("format").isin(*INTERPERSONAL), F.col("z")))).alias("loading"))
+    return bins.groupBy("bench").agg((F.avg(F.when(F.col("format").isin(*PRESCRIPTIVE),
+        F.col("z"))) - F.avg(F.when(F.col("format").isin(*INTERPERSONAL), F.col("z")))).alias("loading"))
 
 
 def register_rule(loadings: DataFrame, block: float = 0.3, positive: int = 5) -> DataFrame:

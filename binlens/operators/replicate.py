@@ -15,14 +15,16 @@ LABELS, GROUP = 24, 12
 #: What a corpus allows to be claimed, and what is refused on it.
 SCOPES = {"E1": "causal", "E2": "causal", "E3": "descriptive"}
 #: Method family -> scope of what it shows.
-FAMILIES = {"attribution": "attributional", "inference": "attributional", "probes": "attributional", "lexical": "descriptive", "unlearning": "causal", "selectivity": "causal", "recurrence": "attributional"}
+FAMILIES = {"attribution": "attributional", "inference": "attributional", "probes": "attributional", "lexical": "descriptive", "unlearning": "causal",
+    "selectivity": "causal", "recurrence": "attributional"}
 REFUSED = {"descriptive": ("unlearning", "selectivity", "recurrence")}
 
 
 def labelled(docs: DataFrame) -> DataFrame:
     """(doc_id, text, topic, format): both labels by votes of the words, without any URL; texts without words go."""
     w = docs.select("doc_id", "text", tokens(F.col("text")).alias("w"))
-    v = w.select("doc_id", "text", votes(F.col("w"), "topic", LABELS).alias("a"), votes(F.col("w"), "format", LABELS).alias("b")).where(F.size("a") > 0)  # columns, so that no label hashes a word again
+    v = w.select("doc_id", "text", votes(F.col("w"), "topic", LABELS).alias("a"), votes(F.col("w"), "format",
+        LABELS).alias("b")).where(F.size("a") > 0)  # columns, so that no label hashes a word again
     return v.select("doc_id", "text", vote_label(F.col("a"))["label"].alias("topic"), vote_label(F.col("b"))["label"].alias("format"))
 
 
@@ -42,9 +44,12 @@ def run_ecosystem(docs: DataFrame, queries: DataFrame) -> dict[str, DataFrame]:
     r = ag.profile_corr(bins)
     benches = tuple(BENCHES)
     return {
-        "composition": docs.groupBy("topic", "format").agg(F.count("*").alias("n_docs")), "bins": bins, "topics": topics, "formats": formats, "capped": ag.capped(bins), "tests": ag.bin_tests(bins),
-        "signed": ag.signed_split(bins), "topic_extremes": ag.extremes(topics, "topic"), "format_extremes": ag.extremes(formats, "format"), "correlation": r, "rank_correlation": ag.profile_corr(bins, how="spearman"),
-        "outlier": ag.outlier_stat(r, benches), "topic_outlier": ag.outlier_stat(ag.profile_corr(topics, ["topic"]), benches), "format_outlier": ag.outlier_stat(ag.profile_corr(formats, ["format"]), benches),
+        "composition": docs.groupBy("topic", "format").agg(F.count("*").alias("n_docs")), "bins": bins, "topics": topics, "formats": formats,
+            "capped": ag.capped(bins), "tests": ag.bin_tests(bins),
+        "signed": ag.signed_split(bins), "topic_extremes": ag.extremes(topics, "topic"), "format_extremes": ag.extremes(formats, "format"),
+            "correlation": r, "rank_correlation": ag.profile_corr(bins, how="spearman"),
+        "outlier": ag.outlier_stat(r, benches), "topic_outlier": ag.outlier_stat(ag.profile_corr(topics, ["topic"]), benches),
+            "format_outlier": ag.outlier_stat(ag.profile_corr(formats, ["format"]), benches),
         "loading": register_loading(bins),
     }
 
@@ -66,7 +71,8 @@ def parity(spark: SparkSession, ours: dict[str, DataFrame], theirs: dict[str, Da
 
 def as_long(products: dict[str, DataFrame]) -> DataFrame:
     """The numeric products as one table (product, bench, a, b, value)."""
-    cols = {"bins": ("bench", "topic", "format", "z"), "topics": ("bench", "topic", None, "z"), "formats": ("bench", "format", None, "z"), "correlation": ("a", "b", None, "r"), "loading": ("bench", None, None, "loading")}
+    cols = {"bins": ("bench", "topic", "format", "z"), "topics": ("bench", "topic", None, "z"), "formats": ("bench", "format", None, "z"),
+        "correlation": ("a", "b", None, "r"), "loading": ("bench", None, None, "loading")}
     out = None
     for name, (bench, a, b, value) in cols.items():
         key = [(F.col(c) if c else F.lit(None)).cast("string").alias(n) for c, n in ((bench, "bench"), (a, "a"), (b, "b"))]
@@ -83,7 +89,8 @@ def register_loading(bins: DataFrame) -> DataFrame:
 def profile_agreement(a: DataFrame, b: DataFrame) -> DataFrame:
     """(bench, n_bins, r) over bins that both corpora fill."""
     other = b.select("bench", "topic", "format", F.col("z").alias("zb"))
-    return a.select("bench", "topic", "format", "z").join(other, ["bench", "topic", "format"]).groupBy("bench").agg(F.count("*").alias("n_bins"), F.corr("z", "zb").alias("r"))
+    return a.select("bench", "topic", "format", "z").join(other, ["bench", "topic", "format"]).groupBy("bench").agg(F.count("*").alias("n_bins"),
+        F.corr("z", "zb").alias("r"))
 
 
 def register_flip(a: DataFrame, b: DataFrame, tiers: DataFrame) -> DataFrame:

@@ -76,7 +76,8 @@ def regression(runs: DataFrame, influence: DataFrame) -> DataFrame:
     """On-target damage against the topic's influence score, for each target and arm.  influence: (bench, topic, z)."""
     x = influence.select(F.col("bench").alias("target"), "topic", "z")
     rows = on_target(runs).join(x, ["target", "topic"]).groupBy("recipe", "target")
-    return rows.agg(F.count("*").alias("n"), F.regr_slope("gamma", "z").alias("slope"), F.regr_intercept("gamma", "z").alias("intercept"), F.regr_r2("gamma", "z").alias("r2"))
+    return rows.agg(F.count("*").alias("n"), F.regr_slope("gamma", "z").alias("slope"), F.regr_intercept("gamma", "z").alias("intercept"),
+        F.regr_r2("gamma", "z").alias("r2"))
 
 
 def damage(runs: DataFrame, by: list[str]) -> DataFrame:
@@ -90,13 +91,17 @@ def selectivity(runs: DataFrame, by: list[str]) -> DataFrame:
     own, other = F.col("bench") == F.col("target"), F.col("bench") != F.col("target")
     a = F.abs("gamma")
     s = g.groupBy(*by, "target").agg(
-        F.sum(F.when(own, F.col("gamma"))).alias("t"), F.avg(F.when(other, a)).alias("rest"), F.max(F.when(other, a)).alias("worst"), F.avg(F.when(other & (F.col("bench") != "TR"), a)).alias("no_tr"),
-        F.avg(F.when(other, F.col("gamma"))).alias("signed"), F.sqrt(F.sum(F.col("gamma") ** 2)).alias("norm"), F.sum(a).alias("total"), F.sum(F.when(a > 0, a * F.ln(a))).alias("xlogx"),
+        F.sum(F.when(own, F.col("gamma"))).alias("t"), F.avg(F.when(other, a)).alias("rest"), F.max(F.when(other, a)).alias("worst"),
+            F.avg(F.when(other & (F.col("bench") != "TR"), a)).alias("no_tr"),
+        F.avg(F.when(other, F.col("gamma"))).alias("signed"), F.sqrt(F.sum(F.col("gamma") ** 2)).alias("norm"), F.sum(a).alias("total"),
+            F.sum(F.when(a > 0, a * F.ln(a))).alias("xlogx"),
     )
     div = F.try_divide
     return s.select(
-        *by, "target", div(F.abs("t"), F.col("rest")).alias("mean_ratio"), div(F.abs("t"), F.col("worst")).alias("worst_ratio"), div(F.abs("t"), F.col("no_tr")).alias("excluding_ratio"),
-        div(F.col("t"), F.col("signed")).alias("signed_ratio"), div(F.col("t"), F.col("norm")).alias("cosine"), (div(F.col("xlogx"), F.col("total")) - F.ln(F.nullif("total", F.lit(0.0)))).alias("neg_entropy"),
+        *by, "target", div(F.abs("t"), F.col("rest")).alias("mean_ratio"), div(F.abs("t"), F.col("worst")).alias("worst_ratio"), div(F.abs("t"),
+            F.col("no_tr")).alias("excluding_ratio"),
+        div(F.col("t"), F.col("signed")).alias("signed_ratio"), div(F.col("t"), F.col("norm")).alias("cosine"), (div(F.col("xlogx"),
+            F.col("total")) - F.ln(F.nullif("total", F.lit(0.0)))).alias("neg_entropy"),
     )
 
 
@@ -107,13 +112,15 @@ def factorial(runs: DataFrame, eps: float = 0.003) -> DataFrame:
     """Influence effect and topic effect as ratios of selectivity; targets with damage near 0 can't be scored."""
     s = selectivity(runs, ["recipe"]).groupBy("target").pivot("recipe", ["influence", "naive", "random"]).agg(F.first("mean_ratio"))
     own = on_target(runs).where("recipe = 'influence'").groupBy("target").agg((F.abs(F.avg("gamma")) > eps).alias("scorable"))
-    return s.join(own, "target").select("target", "influence", "naive", "random", F.try_divide("influence", "random").alias("influence_effect"), F.try_divide("influence", "naive").alias("topic_effect"), "scorable")
+    return s.join(own, "target").select("target", "influence", "naive", "random", F.try_divide("influence", "random").alias("influence_effect"),
+        F.try_divide("influence", "naive").alias("topic_effect"), "scorable")
 
 
 def robustness(runs: DataFrame, a: str = "influence", b: str = "naive") -> DataFrame:
     """For each metric the targets of which recipe a beats b."""
     s = selectivity(runs, ["recipe"]).unpivot(["recipe", "target"], list(METRICS), "metric", "value")
-    both = s.where(F.col("recipe") == a).select("target", "metric", F.col("value").alias("x")).join(s.where(F.col("recipe") == b).select("target", "metric", F.col("value").alias("y")), ["target", "metric"])
+    both = s.where(F.col("recipe") == a).select("target", "metric", F.col("value").alias("x")).join(s.where(F.col("recipe") == b).select("target",
+        "metric", F.col("value").alias("y")), ["target", "metric"])
     return both.groupBy("metric").agg(F.count_if(F.col("x") > F.col("y")).alias("wins"), F.count("*").alias("n"))
 
 
@@ -139,7 +146,8 @@ def rank_gap(runs: DataFrame, bins: DataFrame) -> DataFrame:
     g = damage(runs.where("recipe = 'influence'"), ["topic"]).where("target = bench").select("target", "topic", "gamma")
     rows = g.join(bins.select(F.col("bench").alias("target"), "topic", "z"), ["target", "topic"])
     w = Window.partitionBy("target")
-    rows = rows.withColumn("by_influence", F.row_number().over(w.orderBy(F.desc("z"), "topic"))).withColumn("by_damage", F.row_number().over(w.orderBy(F.desc("gamma"), "topic")))
+    rows = rows.withColumn("by_influence", F.row_number().over(w.orderBy(F.desc("z"), "topic"))).withColumn("by_damage",
+        F.row_number().over(w.orderBy(F.desc("gamma"), "topic")))
     return rows.withColumn("n", F.count("*").over(w)).where("by_influence = 1").select("target", "topic", "by_damage", "n")
 
 
@@ -162,9 +170,11 @@ def pilot(bins: DataFrame, runs: DataFrame, n: int = 3) -> DataFrame:
     w = Window.partitionBy("topic")
     k = F.count("*").over(w)
     unique = bins.withColumn("u", F.col("z") - (F.sum("z").over(w) - F.col("z")) / (k - 1))
-    short = unique.withColumn("r", F.row_number().over(Window.partitionBy("bench").orderBy(F.desc("u"), "topic"))).where(F.col("r") <= n).select(F.col("bench").alias("target"), "topic", "r")
+    short = unique.withColumn("r", F.row_number().over(Window.partitionBy("bench").orderBy(F.desc("u"),
+        "topic"))).where(F.col("r") <= n).select(F.col("bench").alias("target"), "topic", "r")
     s = selectivity(runs.where("recipe = 'influence'"), ["topic"]).join(short, ["target", "topic"]).where("mean_ratio is not null")
-    return s.withColumn("k", F.row_number().over(Window.partitionBy("target").orderBy(F.desc("mean_ratio"), "topic"))).where("k = 1").select("target", "topic", F.col("r").alias("shortlist_rank"), "mean_ratio")
+    return s.withColumn("k", F.row_number().over(Window.partitionBy("target").orderBy(F.desc("mean_ratio"), "topic"))).where("k = 1").select("target",
+        "topic", F.col("r").alias("shortlist_rank"), "mean_ratio")
 
 
 def task_definitions(runs: DataFrame) -> DataFrame:
@@ -175,31 +185,37 @@ def task_definitions(runs: DataFrame) -> DataFrame:
 
 def collateral(runs: DataFrame) -> DataFrame:
     """Off-target damage of each arm: mean, median, largest."""
-    return runs.where("bench <> target and recipe in ('influence', 'random')").groupBy("recipe").agg(F.avg("gamma").alias("mean"), F.median("gamma").alias("middle"), F.max("gamma").alias("largest"))
+    return runs.where("bench <> target and recipe in ('influence', 'random')").groupBy("recipe").agg(F.avg("gamma").alias("mean"),
+        F.median("gamma").alias("middle"), F.max("gamma").alias("largest"))
 
 
 def net_effect(runs: DataFrame, control: str = "random") -> DataFrame:
     """A topic's damage less that of the control over all topics."""
     c = runs.where(F.col("recipe") == control).groupBy("bench").agg(F.avg("gamma").alias("c"))
-    return runs.where("recipe = 'influence'").groupBy("topic", "bench").agg(F.avg("gamma").alias("g")).join(c, "bench").select("topic", "bench", (F.col("g") - F.col("c")).alias("net"))
+    return runs.where("recipe = 'influence'").groupBy("topic", "bench").agg(F.avg("gamma").alias("g")).join(c, "bench").select("topic", "bench",
+        (F.col("g") - F.col("c")).alias("net"))
 
 
 def control_by_seed(runs: DataFrame, control: str = "random") -> DataFrame:
     """Each seed's control mean against the quartiles of the topics' damage."""
-    t = runs.where("recipe = 'influence'").groupBy("bench", "topic").agg(F.avg("gamma").alias("g")).groupBy("bench").agg(F.percentile("g", 0.25).alias("q1"), F.percentile("g", 0.75).alias("q3"))
+    t = runs.where("recipe = 'influence'").groupBy("bench", "topic").agg(F.avg("gamma").alias("g")).groupBy("bench").agg(F.percentile("g",
+        0.25).alias("q1"), F.percentile("g", 0.75).alias("q3"))
     c = runs.where(F.col("recipe") == control).groupBy("bench", "seed").agg(F.avg("gamma").alias("control")).join(t, "bench")
-    return c.select("bench", "seed", "control", F.when(F.col("control") > F.col("q3"), "above").when(F.col("control") < F.col("q1"), "below").otherwise("inside").alias("place"))
+    return c.select("bench", "seed", "control", F.when(F.col("control") > F.col("q3"), "above").when(F.col("control") < F.col("q1"),
+        "below").otherwise("inside").alias("place"))
 
 
 def heldout_unlearning(runs: DataFrame, control: str = "random") -> DataFrame:
     """One row for each topic: damage less the control's of the same benchmark and seed, pooled over both, with its
     interval, sign test, range with one benchmark left out, and how far it stands out among the topics."""
     c = runs.where(F.col("recipe") == control).groupBy("bench", "seed").agg(F.avg("gamma").alias("c"))
-    net = runs.where("recipe = 'influence'").groupBy("topic", "bench", "seed").agg(F.avg("gamma").alias("g")).join(c, ["bench", "seed"]).select("topic", "bench", (F.col("g") - F.col("c")).alias("d"))
+    net = runs.where("recipe = 'influence'").groupBy("topic", "bench", "seed").agg(F.avg("gamma").alias("g")).join(c, ["bench",
+        "seed"]).select("topic", "bench", (F.col("g") - F.col("c")).alias("d"))
     half = 1.959964 * F.col("sd") / F.sqrt("n")
     a = net.groupBy("topic").agg(F.count("*").alias("n"), F.count_if(F.col("d") < 0).alias("n_negative"), F.avg("d").alias("mean"), F.stddev_samp("d").alias("sd"))
     whole = Window.partitionBy()  # one row for each topic
-    a = a.withColumn("lo", F.col("mean") - half).withColumn("hi", F.col("mean") + half).withColumn("z", F.try_divide(F.col("mean") - F.avg("mean").over(whole), F.stddev_pop("mean").over(whole))).drop("sd")
+    a = a.withColumn("lo", F.col("mean") - half).withColumn("hi", F.col("mean") + half).withColumn("z",
+        F.try_divide(F.col("mean") - F.avg("mean").over(whole), F.stddev_pop("mean").over(whole))).drop("sd")
     signs = sign_test(net.select(F.col("topic").alias("target"), "d")).select(F.col("target").alias("topic"), "p")
     left = jackknife(net.select(F.col("topic").alias("target"), F.col("bench").alias("topic"), "d")).withColumnRenamed("target", "topic")
     return a.join(signs, "topic").join(left, "topic")
@@ -230,10 +246,12 @@ def topic_local(runs: DataFrame, floor: float = 0.03) -> DataFrame:
 
 
 def convergence(runs: DataFrame, cap: int = 450) -> DataFrame:
-    return runs.groupBy("recipe").agg(F.percentile("steps", 0.25).alias("q1"), F.percentile("steps", 0.5).alias("middle"), F.percentile("steps", 0.75).alias("q3"), F.count_if(F.col("steps") >= cap).alias("at_cap"))
+    return runs.groupBy("recipe").agg(F.percentile("steps", 0.25).alias("q1"), F.percentile("steps", 0.5).alias("middle"), F.percentile("steps",
+        0.75).alias("q3"), F.count_if(F.col("steps") >= cap).alias("at_cap"))
 
 
 def cross_method(a: DataFrame, b: DataFrame) -> DataFrame:
     """Agreement of two constructions' on-target signs.  a, b: (target, gamma)."""
     both = a.withColumnRenamed("gamma", "x").join(b.withColumnRenamed("gamma", "y"), "target")
-    return both.select("target", F.when((F.col("x") > 0) & (F.col("y") > 0), "both").when(F.col("x") > 0, "first").when(F.col("y") > 0, "second").otherwise("neither").alias("pattern"))
+    return both.select("target", F.when((F.col("x") > 0) & (F.col("y") > 0), "both").when(F.col("x") > 0, "first").when(F.col("y") > 0,
+        "second").otherwise("neither").alias("pattern"))

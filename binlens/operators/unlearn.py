@@ -33,7 +33,8 @@ def forget_influence(scores: DataFrame, n: int) -> DataFrame:
 
 def forget_naive(scores: DataFrame, n: int) -> DataFrame:
     w = Window.partitionBy("bench").orderBy(F.desc("score"), "doc_id")
-    return scores.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= n).select("bench", F.lit(None).cast("string").alias("topic"), "doc_id", F.lit("naive").alias("arm"))
+    return scores.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= n).select("bench", F.lit(None).cast("string").alias("topic"),
+        "doc_id", F.lit("naive").alias("arm"))
 
 
 def forget_random(docs: DataFrame, n: int, seed: str, by_topic: bool = True) -> DataFrame:
@@ -115,7 +116,8 @@ def retain_set(docs: DataFrame, forget: DataFrame, n: int, seed: str, mode: str
 def shuffle_segments(words, doc_id, seed: str, size: int = 8):
     """Words cut into segments, segments in hash order: the stop rule's random text."""
     n = F.ceil(F.size(words) / size).cast("int")
-    seg = F.transform(F.sequence(F.lit(0), F.greatest(n - 1, F.lit(0))), lambda i: F.struct(u32(F.lit(seed), doc_id, i).alias("k"), i.alias("i"), F.slice(words, i * size + 1, F.lit(size)).alias("w")))
+    seg = F.transform(F.sequence(F.lit(0), F.greatest(n - 1, F.lit(0))), lambda i: F.struct(u32(F.lit(seed), doc_id, i).alias("k"), i.alias("i"),
+        F.slice(words, i * size + 1, F.lit(size)).alias("w")))
     return F.flatten(F.transform(F.array_sort(seg), lambda s: s["w"]))
 
 
@@ -126,7 +128,8 @@ def set_stats(membership: DataFrame, docs: DataFrame, words, v: int = V) -> Data
     big = F.zip_with(F.slice(h, 1, F.greatest(n - 1, F.lit(0))), F.slice(h, 2, F.greatest(n - 1, F.lit(0))), lambda a, b: F.struct(a.alias("u"), b.alias("v")))
     rows = docs.where(n > 1).select("doc_id", F.explode(big).alias("b"), (1.0 / (n - 1)).alias("f")).groupBy("doc_id", "b.u", "b.v").agg(F.sum("f").alias("f"))
     size = membership.groupBy("run_id", "role").agg(F.count("*").alias("n"))
-    return membership.join(rows, "doc_id").groupBy("run_id", "role", "u", "v").agg(F.sum("f").alias("f")).join(F.broadcast(size), ["run_id", "role"]).select("run_id", "role", "u", "v", (F.col("f") / F.col("n")).alias("f"), "n")
+    return membership.join(rows, "doc_id").groupBy("run_id", "role", "u", "v").agg(F.sum("f").alias("f")).join(F.broadcast(size), ["run_id",
+        "role"]).select("run_id", "role", "u", "v", (F.col("f") / F.col("n")).alias("f"), "n")
 
 
 SCALE = 1e5  # documents that the base head's counts stand for
@@ -142,7 +145,8 @@ def forget_stats(members: DataFrame, docs: DataFrame, words, seed: str) -> DataF
     """(run_id, role, u, v, f) of forget sets (run_id, doc_id), as they are and with their segments shuffled."""
     few = docs.join(members.select("doc_id").distinct(), "doc_id", "left_semi").select("doc_id", words.alias("w"))  # split once, members only
     plain = set_stats(members.withColumn("role", F.lit("forget")), few, F.col("w"))
-    return plain.unionByName(set_stats(members.withColumn("role", F.lit("shuffled")), few.where("size(w) > 0").select("doc_id", shuffle_segments(F.col("w"), F.col("doc_id"), seed).alias("w")), F.col("w")))
+    return plain.unionByName(set_stats(members.withColumn("role", F.lit("shuffled")), few.where("size(w) > 0").select("doc_id",
+        shuffle_segments(F.col("w"), F.col("doc_id"), seed).alias("w")), F.col("w")))
 
 
 def stop_targets(everything: DataFrame, stats: DataFrame, v: int = V) -> DataFrame:
@@ -152,7 +156,8 @@ def stop_targets(everything: DataFrame, stats: DataFrame, v: int = V) -> DataFra
     c = grid.join(everything, ["u", "v"], "left").withColumn("c", 0.5 + F.coalesce("f", F.lit(0.0))).drop("f")
     logp = c.withColumn("lp", F.ln(F.col("c") / F.sum("c").over(Window.partitionBy("u")))).drop("c")
     p = stats.join(F.broadcast(logp), ["u", "v"]).groupBy("run_id", "role").agg(F.exp(-F.sum(F.col("f") * F.col("lp")) / F.sum("f")).alias("ppl"))
-    return p.groupBy("run_id").agg(F.max(F.when(F.col("role") == "forget", F.col("ppl"))).alias("base_ppl"), F.max(F.when(F.col("role") == "shuffled", F.col("ppl"))).alias("target_ppl"))
+    return p.groupBy("run_id").agg(F.max(F.when(F.col("role") == "forget", F.col("ppl"))).alias("base_ppl"), F.max(F.when(F.col("role") == "shuffled",
+        F.col("ppl"))).alias("target_ppl"))
 
 
 def soft(w: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -221,7 +226,8 @@ def eval_items(ch: DataFrame, v: int = V) -> dict:
     sizes = [len(r.h) - 1 for r in rows]
     return {
         "u": np.array([x for r in rows for x in r.h[:-1]], int), "v": np.array([x for r in rows for x in r.h[1:]], int), "slot": np.repeat(np.arange(len(rows)), sizes),
-        "chars": np.array([max(r.chars, 1) for r in rows], float), "query": np.array([r.choice == 0 for r in rows], int).cumsum() - 1, "bench": np.array([r.bench for r in rows if r.choice == 0]),
+        "chars": np.array([max(r.chars, 1) for r in rows], float), "query": np.array([r.choice == 0 for r in rows], int).cumsum() - 1,
+            "bench": np.array([r.bench for r in rows if r.choice == 0]),
     }
 
 
@@ -255,7 +261,8 @@ def gamma(base, unlearned, mode: str = "raw"):
     raise ValueError(f"no such mode: {mode}")
 
 
-def train_run(base: np.ndarray, forget: np.ndarray, retain: np.ndarray, target: float, held: np.ndarray | None = None, max_steps: int = 200, lr_every: int = 10, guard: float = 1.1, rank: int = 8, items: dict | None = None, eval_every: int = 250, least: float = 0.9) -> tuple[np.ndarray, int, str]:
+def train_run(base: np.ndarray, forget: np.ndarray, retain: np.ndarray, target: float, held: np.ndarray | None = None, max_steps: int = 200,
+    lr_every: int = 10, guard: float = 1.1, rank: int = 8, items: dict | None = None, eval_every: int = 250, least: float = 0.9) -> tuple[np.ndarray, int, str]:
     """Unlearn until the forget perplexity reaches ``target``, at most ``max_steps``.
 
     Stops early on held-out loss beyond ``guard`` times the base's, or, every ``eval_every`` steps, on accuracy on
@@ -324,7 +331,8 @@ def run_grid(stats: DataFrame, retain: DataFrame, everything: DataFrame, items:
             ppl = [float(np.exp(loss(m, x))) for x in (f, retained, every) for m in (base, w)]
             after = {b: accuracy(w, ask, b) for b in benches}
             for b in benches:
-                out.append((arm, topic or None, s, goal or None, b, before[b], after[b], gamma(before[b], after[b]), gamma(before[b], exactly[b]), steps, why, *ppl, target))
+                out.append((arm, topic or None, s, goal or None, b, before[b], after[b], gamma(before[b], after[b]), gamma(before[b], exactly[b]),
+                    steps, why, *ppl, target))
         return pd.DataFrame(out, columns=[x.split()[0] for x in RUN.split(", ")])
 
     # a group is one set's sums: at most 2 V^2 rows, whatever the corpus; dealt over more tasks than there are cores

@@ -44,7 +44,8 @@ def bench_queries(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = table(spark, sf_dir, "benchmark").select(F.col("item_id").alias("query_id"), tokens(F.col("text")).alias("w"))
     half = F.floor(F.size("w") / 2).cast("int")
     names = F.element_at(F.array(*[F.lit(b) for b in BENCHES]), (F.col("query_id") % 4 + 1).cast("int"))
-    return rows.select("query_id", names.alias("bench"), F.slice("w", 1, half).alias("prompt"), F.slice("w", half + 1, F.greatest(F.size("w") - half, F.lit(0))).alias("completion"), F.when(half > 0, F.element_at("w", half)).alias("last_word"))
+    return rows.select("query_id", names.alias("bench"), F.slice("w", 1, half).alias("prompt"), F.slice("w", half + 1, F.greatest(F.size("w") - half,
+        F.lit(0))).alias("completion"), F.when(half > 0, F.element_at("w", half)).alias("last_word"))
 
 
 def ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -55,21 +56,26 @@ def ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
     mapped = F.coalesce(*[F.when(F.col("o_orderpriority") == k, v) for k, v in bench.items()])
     recipe = F.when(F.col("o_orderstatus") == "F", "influence").when(F.col("o_orderstatus") == "O", "random").otherwise("naive")
     target = F.element_at(F.array(*[F.lit(b) for b in BENCHES]), (F.col("o_orderkey") % 4 + 1).cast("int"))
-    rows = o.select(recipe.alias("recipe"), F.col("c_nationkey").cast("long").alias("topic"), (F.col("o_orderkey") % 3 + 42).alias("seed"), target.alias("target"), mapped.alias("bench"), "o_totalprice", "o_orderkey")
-    return rows.groupBy("recipe", "topic", "seed", "target", "bench").agg(F.round(F.avg("o_totalprice") / 1e6 - 0.15, 9).alias("gamma"), (F.sum("o_orderkey") % 400 + 100).alias("steps"))
+    rows = o.select(recipe.alias("recipe"), F.col("c_nationkey").cast("long").alias("topic"), (F.col("o_orderkey") % 3 + 42).alias("seed"),
+        target.alias("target"), mapped.alias("bench"), "o_totalprice", "o_orderkey")
+    return rows.groupBy("recipe", "topic", "seed", "target", "bench").agg(F.round(F.avg("o_totalprice") / 1e6 - 0.15, 9).alias("gamma"),
+        (F.sum("o_orderkey") % 400 + 100).alias("steps"))
 
 
 def star_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Numeric stand-in at scale: brand x nation bins, order priority as benchmark, net revenue as score."""
-    line = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", (F.col("l_extendedprice") * (1 - F.col("l_discount"))).alias("score"))
+    line = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber",
+        (F.col("l_extendedprice") * (1 - F.col("l_discount"))).alias("score"))
     part = table(spark, sf_dir, "part").select("p_partkey", F.col("p_brand").alias("topic"))
     supp = table(spark, sf_dir, "supplier").select("s_suppkey", F.col("s_nationkey").alias("format"))
     orders = table(spark, sf_dir, "orders").select("o_orderkey", F.col("o_orderpriority").alias("bench"))
-    return line.join(part, F.col("l_partkey") == F.col("p_partkey")).join(supp, F.col("l_suppkey") == F.col("s_suppkey")).join(orders, F.col("l_orderkey") == F.col("o_orderkey")).select("l_orderkey", "l_linenumber", "topic", "format", "bench", "score")
+    return line.join(part, F.col("l_partkey") == F.col("p_partkey")).join(supp, F.col("l_suppkey") == F.col("s_suppkey")).join(orders,
+        F.col("l_orderkey") == F.col("o_orderkey")).select("l_orderkey", "l_linenumber", "topic", "format", "bench", "score")
 
 
 def write_queries_jsonl(queries: DataFrame, path: str) -> None:
-    queries.select("query_id", "bench", F.array_join("prompt", " ").alias("prompt"), F.array_join("completion", " ").alias("completion")).write.mode("overwrite").json(path)
+    queries.select("query_id", "bench", F.array_join("prompt", " ").alias("prompt"), F.array_join("completion",
+        " ").alias("completion")).write.mode("overwrite").json(path)
 
 
 def read_queries_jsonl(spark: SparkSession, path: str) -> DataFrame:

@@ -34,11 +34,13 @@ def bin_sums(s: DataFrame) -> DataFrame:
 
 def tumbling(s: DataFrame, width: str = "1 day", slide: str | None = None, late: str = "1 hour") -> DataFrame:
     w = F.window("ts", width, slide) if slide else F.window("ts", width)
-    return s.withWatermark("ts", late).groupBy(w.alias("w"), "format").agg(F.count("*").alias("n"), F.sum("value").alias("total")).select(F.col("w.start").alias("start"), "format", "n", "total")
+    return s.withWatermark("ts", late).groupBy(w.alias("w"), "format").agg(F.count("*").alias("n"),
+        F.sum("value").alias("total")).select(F.col("w.start").alias("start"), "format", "n", "total")
 
 
 def sessions(s: DataFrame, gap: str = "6 hours") -> DataFrame:
-    return s.withWatermark("ts", "1 hour").groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count("*").alias("n")).select("user_id", F.col("w.start").alias("start"), "n")
+    return s.withWatermark("ts", "1 hour").groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count("*").alias("n")).select("user_id",
+        F.col("w.start").alias("start"), "n")
 
 
 def deduplicated(s: DataFrame) -> DataFrame:
@@ -81,7 +83,8 @@ def replayed(first: DataFrame, second: DataFrame, width: str = "1 day", late: st
 def late_report(kept: DataFrame, events: DataFrame) -> DataFrame:
     """(format, n_kept, n_late): rows that reached a window, and those that came behind the watermark."""
     k = kept.groupBy("format").agg(F.sum("n").alias("n_kept"))
-    return events.groupBy("format").agg(F.count("*").alias("n")).join(k, "format", "left").select("format", F.coalesce("n_kept", F.lit(0)).alias("n_kept"), (F.col("n") - F.coalesce("n_kept", F.lit(0))).alias("n_late"))
+    return events.groupBy("format").agg(F.count("*").alias("n")).join(k, "format", "left").select("format", F.coalesce("n_kept",
+        F.lit(0)).alias("n_kept"), (F.col("n") - F.coalesce("n_kept", F.lit(0))).alias("n_late"))
 
 
 def deduplicated_bloom(s: DataFrame, lanes: int = 16, bits: int = 1 << 23, hashes: int = 7) -> DataFrame:
@@ -106,7 +109,8 @@ def deduplicated_bloom(s: DataFrame, lanes: int = 16, bits: int = 1 << 23, hashe
             yield pd.DataFrame({"event_id": ids[new].astype(np.int64)})
         state.update((zlib.compress(seen.tobytes(), 1),))
 
-    return s.withColumn("lane", F.pmod(F.xxhash64("event_id"), F.lit(lanes))).groupBy("lane").applyInPandasWithState(step, "event_id long", "bits binary", "append", GroupStateTimeout.NoTimeout)
+    return s.withColumn("lane", F.pmod(F.xxhash64("event_id"), F.lit(lanes))).groupBy("lane").applyInPandasWithState(step, "event_id long",
+        "bits binary", "append", GroupStateTimeout.NoTimeout)
 
 
 def with_owner(s: DataFrame, owners: DataFrame) -> DataFrame:
@@ -117,7 +121,8 @@ def with_owner(s: DataFrame, owners: DataFrame) -> DataFrame:
 def followed_by(s: DataFrame, first: str, then: str, within: str = "1 hour") -> DataFrame:
     """Stream-stream interval join of one user's events; both watermarks let state older than the interval go."""
     a = s.where(F.col("format") == first).select(F.col("user_id"), F.col("event_id").alias("first_id"), F.col("ts").alias("first_ts")).withWatermark("first_ts", "1 hour")
-    b = s.where(F.col("format") == then).select(F.col("user_id").alias("u"), F.col("event_id").alias("then_id"), F.col("ts").alias("then_ts")).withWatermark("then_ts", "1 hour")
+    b = s.where(F.col("format") == then).select(F.col("user_id").alias("u"), F.col("event_id").alias("then_id"),
+        F.col("ts").alias("then_ts")).withWatermark("then_ts", "1 hour")
     near = (F.col("user_id") == F.col("u")) & (F.col("then_ts") >= F.col("first_ts")) & (F.col("then_ts") <= F.col("first_ts") + F.expr(f"interval {within}"))
     return a.join(b, near).select("user_id", "first_id", "then_id")
 
@@ -134,7 +139,8 @@ def running_topk(s: DataFrame, k: int = 5) -> DataFrame:
         for b in batches:
             best = pd.concat([best, b[["event_id", "value"]].dropna()]).sort_values(["value", "event_id"], ascending=[False, True]).head(k)
         state.update((best.event_id.astype(int).tolist(), best.value.astype(float).tolist(), version + 1))
-        yield pd.DataFrame({"topic": key[0], "format": key[1], "rank": range(1, len(best) + 1), "event_id": best.event_id.to_numpy(), "value": best.value.to_numpy(), "version": version + 1})
+        yield pd.DataFrame({"topic": key[0], "format": key[1], "rank": range(1, len(best) + 1), "event_id": best.event_id.to_numpy(),
+            "value": best.value.to_numpy(), "version": version + 1})
 
     out = "topic long, format string, rank int, event_id long, value double, version long"
     return s.groupBy("topic", "format").applyInPandasWithState(step, out, "ids array<long>, vals array<double>, version long", "update", GroupStateTimeout.NoTimeout)
