@@ -189,7 +189,8 @@ def items_of(ids: list[int], texts: list[str | None], window: int = WINDOW, lite
         at = np.unique(np.concatenate([np.column_stack([w[kind == k], t.kinds[k].begin[place[kind == k]] - t.first[w[kind == k]]]) for k in kinds]), axis=0)
         return np.split(at[:, 1], np.searchsorted(at[:, 0], np.arange(1, len(texts))))
 
-    return Items(h[order], w[order], kind[order], place[order], size[order], np.array(ids, np.int64), begins(range(5)), begins((0, 1)), np.unique(size[kind == 4]), t, units)
+    return Items(h[order], w[order], kind[order], place[order], size[order], np.array(ids, np.int64), begins(range(5)), begins((0, 1)),
+        np.unique(size[kind == 4]), t, units)
 
 
 def _chain(hits: list[tuple[int, int]]) -> list[tuple[int, int]]:
@@ -306,7 +307,8 @@ def matches(data: np.ndarray, offsets: np.ndarray, items: Items, coverage: float
                 ones = [(at, one) for at in whole for one in kept[at]]
                 cover = np.unique(np.concatenate([np.arange(at[0], one[0]) for at, one in ones]))
                 changed = any(a != b for _, one in ones for a, b in one[4][level])
-                best = (r, i, len(starts), len(whole), _share(whole, counted), whole[0][1], max(one[1] for _, one in ones) - 1, int(known.slot[known.first[i] + cover].sum()), changed)
+                best = (r, i, len(starts), len(whole), _share(whole, counted), whole[0][1], max(one[1] for _, one in ones) - 1,
+                    int(known.slot[known.first[i] + cover].sum()), changed)
         if best:
             out.append(best)
     return out
@@ -347,7 +349,8 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, coverage: float = COVERA
                         r, item, *rest = (list(x) for x in zip(*got))
                         ids = b.column(0).take(pa.array([i + k for k in r]))
                         kinds = [pa.int64(), pa.int64(), pa.float64(), pa.int64(), pa.int64(), pa.int64(), pa.bool_()]
-                        yield pa.RecordBatch.from_arrays([ids, pa.array(known.ids[item]), *(pa.array(x, k) for x, k in zip(rest, kinds))], [c.split()[0] for c in SCHEMA.split(", ")])
+                        yield pa.RecordBatch.from_arrays([ids, pa.array(known.ids[item]), *(pa.array(x, k) for x, k in zip(rest, kinds))],
+                            [c.split()[0] for c in SCHEMA.split(", ")])
 
         out = out.unionByName(narrow(rows, find, SCHEMA))
     return out

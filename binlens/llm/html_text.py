@@ -28,15 +28,18 @@ STOP = frozenset(
     "de la le et les des en un du une que est pour qui dans a par plus pas au sur ne se ce il sont avec son cette ou "
     "que el y los del se las por un para con no una su al lo como más pero sus le ya o este sí porque esta entre cuando".split()
 )
-BLOCK_TAGS = frozenset("address article aside blockquote body caption center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hgroup hr html legend li main menu nav ol option p pre section select summary table tbody td tfoot th thead title tr ul".split())
+BLOCK_TAGS = frozenset("address article aside blockquote body caption center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 "
+    "h3 h4 h5 h6 head header hgroup hr html legend li main menu nav ol option p pre section select summary table tbody td tfoot th thead title tr ul".split())
 RAW_TAGS = frozenset("script style noscript template iframe object svg math textarea canvas".split())
 VOID_TAGS = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 CHROME_TAGS = frozenset("head nav header footer aside form menu dialog button select title".split())
 CONTENT_TAGS = frozenset("article main".split())
 HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 CHROME_WORDS = frozenset(
-    "ad ads advert adverts advertisement advertising sponsor sponsored promo banner nav navbar navigation menu sidebar footer header masthead breadcrumb breadcrumbs cookie cookies consent notice "
-    "gdpr popup modal overlay newsletter subscribe signup login social share sharing related recommended comments comment respond disqus reply replies copyright legal widget toolbar pagination pager skip".split()
+    "ad ads advert adverts advertisement advertising sponsor sponsored promo banner nav navbar navigation menu sidebar footer header masthead "
+        "breadcrumb breadcrumbs cookie cookies consent notice "
+    "gdpr popup modal overlay newsletter subscribe signup login social share sharing related recommended comments comment respond disqus reply "
+        "replies copyright legal widget toolbar pagination pager skip".split()
 )
 #: First parts of class names that say something about the page, not what the element is.
 MODIFIERS = frozenset("has no with without is not show hide open enable enabled disable disabled".split())
@@ -231,7 +234,8 @@ def extract(pages: DataFrame) -> DataFrame:
             for k in range(0, b.num_rows, 512):
                 part = b.slice(k, 512)
                 texts = [main_text(t) for t in part.column(2).to_pylist()]
-                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], ["page_id", "url", "text", "n_chars"])
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts],
+                    pa.int64())], ["page_id", "url", "text", "n_chars"])
 
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))
     return narrow(rows, run, SCHEMA)

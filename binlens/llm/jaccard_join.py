@@ -314,7 +314,8 @@ def prefix_lists(docs: DataFrame, size: int, percent: int, often: Frequent) -> D
                 keep[once] = True
                 keep &= count > 1
                 rows = np.repeat(keep, count)
-                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(name, count)[rows]), pa.array(np.repeat(count, count)[rows], pa.int64()), pa.array(who[rows])], ["g", "k", "fp"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(name, count)[rows]), pa.array(np.repeat(count, count)[rows], pa.int64()),
+                    pa.array(who[rows])], ["g", "k", "fp"])
 
     dealt = narrow(docs, deal, "lane int, low binary, fp binary").repartition(shuffle_width(spark), "lane").sortWithinPartitions("lane")
     return narrow(dealt, lists, "g long, k long, fp long").distinct()
@@ -339,7 +340,8 @@ def centred(lists: DataFrame) -> DataFrame:
     """(a, b): the centre of each list with each other member."""
     degree = lists.groupBy("fp").agg(F.sum("k").alias("degree"))
     top = lists.join(degree, "fp").groupBy("g").agg(F.max(F.struct("degree", "fp")).alias("top"), F.max("k").alias("k"))
-    return by_list(lists, top.select("g", "k", F.col("top.fp").alias("a"))).where("a <> fp").select(F.least("a", "fp").alias("a"), F.greatest("a", "fp").alias("b")).distinct()
+    return by_list(lists, top.select("g", "k", F.col("top.fp").alias("a"))).where("a <> fp").select(F.least("a", "fp").alias("a"), F.greatest("a",
+        "fp").alias("b")).distinct()
 
 
 def _joined(parts: list[pa.RecordBatch], column: int, kind: type) -> np.ndarray:
@@ -383,7 +385,8 @@ def sets_of(docs: DataFrame, size: int, wanted: Bitmap) -> DataFrame:
             rows = _fresh(s, seen)
             rows = rows[pick.has(fps[rows].view(np.uint64))] if len(rows) else rows
             if len(rows):
-                yield pa.RecordBatch.from_arrays([pa.array(fps[rows]), pa.array(s.n[rows]), pa.array([count_vector(s[i]) for i in rows], pa.binary()), pa.array([s[i].tobytes() for i in rows], pa.binary())], ["fp", "n", "vec", "body"])
+                yield pa.RecordBatch.from_arrays([pa.array(fps[rows]), pa.array(s.n[rows]), pa.array([count_vector(s[i]) for i in rows], pa.binary()),
+                    pa.array([s[i].tobytes() for i in rows], pa.binary())], ["fp", "n", "vec", "body"])
 
     return narrow(docs, run, "fp long, n long, vec binary, body binary").dropDuplicates(["fp"])
 
@@ -399,7 +402,8 @@ def vectors_of(docs: DataFrame, size: int, wanted: Bitmap) -> DataFrame:
             rows = _fresh(s, seen)
             rows = rows[pick.has(fps[rows].view(np.uint64))] if len(rows) else rows
             if len(rows):
-                yield pa.RecordBatch.from_arrays([pa.array(fps[rows]), pa.array(s.n[rows]), pa.array([count_vector(s[i]) for i in rows], pa.binary())], ["fp", "n", "vec"])
+                yield pa.RecordBatch.from_arrays([pa.array(fps[rows]), pa.array(s.n[rows]), pa.array([count_vector(s[i]) for i in rows],
+                    pa.binary())], ["fp", "n", "vec"])
 
     return narrow(docs, run, "fp long, n long, vec binary").dropDuplicates(["fp"])
 
@@ -450,7 +454,8 @@ def _tree_pairs(lists: DataFrame, vectors: DataFrame, percent: int, block: int)
     lists = by_list(lists, mixed, "left_semi")
     own = lists.groupBy("g", "root").agg(F.count("*").alias("c"), F.max("k").alias("k")).withColumn("big", F.col("c") >= max(1, block // 2))
     own = own.withColumn("parts", F.when(F.col("big"), F.ceil(F.col("c") / block)).otherwise(0))
-    light = own.groupBy("g").agg(F.ceil(F.sum(F.when(F.col("big"), 0).otherwise(F.col("c"))) / block).alias("shared"), F.sum("parts").alias("parts"), F.max("k").alias("k"))
+    light = own.groupBy("g").agg(F.ceil(F.sum(F.when(F.col("big"), 0).otherwise(F.col("c"))) / block).alias("shared"), F.sum("parts").alias("parts"),
+        F.max("k").alias("k"))
     light = light.select("g", "k", F.col("shared").cast("int").alias("shared"), (F.col("shared") + F.col("parts")).cast("int").alias("blocks"))
     run = F.sum("parts").over(Window.partitionBy("g").orderBy("root").rowsBetween(Window.unboundedPreceding, 0)) - F.col("parts")
     big = own.where("big").select("g", "k", "root", run.cast("int").alias("before"), F.col("parts").cast("int").alias("parts"))  # few rows: each stands for half a block
@@ -477,7 +482,8 @@ def _tree_pairs(lists: DataFrame, vectors: DataFrame, percent: int, block: int)
     return narrow(dealt.sortWithinPartitions("g", "i", "j"), search, "a long, b long").distinct()
 
 
-def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = 5, percent: int = 75, hot: int = HOT_DF, block: int = BLOCK) -> DataFrame:
+def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = 5, percent: int = 75, hot: int = HOT_DF,
+    block: int = BLOCK) -> DataFrame:
     """One row for each input row: doc_id, n_shingles, component_id (smallest doc_id reachable by links, its own included).
 
     Null or wordless texts have an empty set and link with nothing.  Fewer than ``size`` words: one element, the

@@ -26,11 +26,13 @@ BASE = (("mit license", "mit"), ("apache license", "apache"), ("general public l
 #: Public licence notices: label, notice, phrases that must stand in it.
 TEMPLATES = (
     ("mit-notice", "released under the mit license", ("mit license",)),
-    ("mit-text", "permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files", ("free of charge", "obtaining a copy")),
+    ("mit-text", "permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files",
+        ("free of charge", "obtaining a copy")),
     ("apache-2.0", "licensed under the apache license version 2 0", ("apache license", "version 2 0")),
     ("gpl-2.0", "this work is licensed under the gnu general public license version 2", ("general public license version 2",)),
     ("gpl-3.0", "this work is licensed under the gnu general public license version 3", ("general public license version 3",)),
-    ("gpl-text", "this program is free software you can redistribute it and or modify it under the terms of the gnu general public license", ("free software", "general public license")),
+    ("gpl-text", "this program is free software you can redistribute it and or modify it under the terms of the gnu general public license",
+        ("free software", "general public license")),
     ("lgpl", "under the terms of the gnu lesser general public license", ("lesser general public license",)),
     ("agpl", "under the terms of the gnu affero general public license", ("affero general public license",)),
     ("bsd", "redistribution and use in source and binary forms with or without modification are permitted", ("source and binary forms",)),

@@ -110,7 +110,8 @@ def _packed(rows: DataFrame, size: int, key: str, scale: int) -> DataFrame:
             wide = 2 if most < 1 << 15 else 8 if most < 1 << 53 else 0
             if wide:
                 body = whole.astype(np.int64 if wide == 8 else np.int16)
-            return pa.RecordBatch.from_arrays([pa.array([d], pa.int32()), pa.array([wide], pa.int32()), pa.array([np.array(ids, np.int64).tobytes()], pa.binary()), pa.array([body.tobytes()], pa.binary())], ["dim", "wide", "ids", "body"])
+            return pa.RecordBatch.from_arrays([pa.array([d], pa.int32()), pa.array([wide], pa.int32()), pa.array([np.array(ids, np.int64).tobytes()],
+                pa.binary()), pa.array([body.tobytes()], pa.binary())], ["dim", "wide", "ids", "body"])
 
         for b in batches:
             for i, v in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
@@ -145,7 +146,8 @@ def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, scale: int = 256,
     blocks = settle(_packed(asked, QUERIES, "block", scale), "blocks")
     # shards and query blocks meet by block number: every shard is sent once to each block of about a thousand queries
     numbers = blocks.select("dim", "block").groupBy("dim").agg(F.collect_list("block").alias("meets"))
-    pairs = shards.join(numbers, "dim").withColumn("block", F.explode("meets")).select("dim", "block", "shard", F.col("wide").alias("s_wide"), F.col("ids").alias("s_ids"), F.col("body").alias("s_body"))
+    pairs = shards.join(numbers, "dim").withColumn("block", F.explode("meets")).select("dim", "block", "shard", F.col("wide").alias("s_wide"),
+        F.col("ids").alias("s_ids"), F.col("body").alias("s_body"))
     pairs = pairs.repartition(max(2, int(spark.conf.get("spark.sql.shuffle.partitions"))), "block", "shard").join(blocks, ["dim", "block"])
 
     def search(batches):

@@ -24,7 +24,8 @@ def record_text(url: Column, body: Column) -> Column:
     target = F.coalesce(F.concat(F.lit("\nWARC-Target-URI: "), url), F.lit(""))
     mark = F.when(body.isNull(), "\nWARC-Truncated: unspecified").otherwise("")
     body = F.coalesce(body, F.lit(""))
-    return F.concat(F.lit("WARC/1.1\nWARC-Type: response"), target, mark, F.lit("\nContent-Length: "), F.octet_length(body).cast("string"), F.lit("\n\n"), body, F.lit("\n\n"))
+    return F.concat(F.lit("WARC/1.1\nWARC-Type: response"), target, mark, F.lit("\nContent-Length: "), F.octet_length(body).cast("string"),
+        F.lit("\n\n"), body, F.lit("\n\n"))
 
 
 def records(pages: DataFrame, key: str = "page_id", url: str = "url", body: str = "html") -> DataFrame:
@@ -41,7 +42,8 @@ def records(pages: DataFrame, key: str = "page_id", url: str = "url", body: str
 def _up(level: DataFrame, fan: int) -> DataFrame:
     """Nodes over at most ``fan`` children each."""
     children = F.sort_array(F.collect_list(F.struct("key", "hash")))
-    return level.groupBy(F.floor(F.col("key") / fan).cast("long").alias("key")).agg(F.sum("size").alias("size"), F.sha2(F.concat_ws("", F.transform(children, lambda c: c["hash"])), 256).alias("hash"))
+    return level.groupBy(F.floor(F.col("key") / fan).cast("long").alias("key")).agg(F.sum("size").alias("size"), F.sha2(F.concat_ws("",
+        F.transform(children, lambda c: c["hash"])), 256).alias("hash"))
 
 
 def tree(leaves: DataFrame, fan: int = FAN, height: int | None = None) -> list[DataFrame]:
@@ -67,7 +69,8 @@ def _offsets(levels: list[DataFrame], fan: int, wanted: list[DataFrame]) -> Data
     """(key, start, size) of the leaves below ``wanted`` nodes: sums over siblings only, from the root down."""
     at = levels[-1].select("key", F.lit(0).cast("long").alias("start"))
     for level, keep in zip(reversed(levels[:-1]), wanted):
-        siblings = level.withColumn("parent", F.floor(F.col("key") / fan).cast("long")).join(at.select(F.col("key").alias("parent"), F.col("start").alias("origin")), "parent")
+        siblings = level.withColumn("parent", F.floor(F.col("key") / fan).cast("long")).join(at.select(F.col("key").alias("parent"),
+            F.col("start").alias("origin")), "parent")
         before = F.sum("size").over(Window.partitionBy("parent").orderBy("key")) - F.col("size")
         at = siblings.withColumn("start", F.col("origin") + before).join(keep.select("key"), "key", "left_semi").select("key", "start", "size")
     return at

@@ -57,7 +57,8 @@ def pack(docs: DataFrame, tokenizer: str, end_id: int = 1, size: int = SIZE, wit
                         if with_ids:
                             body.append(flat[lo + at : lo + at + piece].astype(np.int32))
                         at += piece
-                columns = [pa.array(doc, pa.int64()), pa.array(start, pa.int64()), pa.array(length, pa.int64()), pa.array(crc, pa.int64()), pa.array(total, pa.int64()), pa.array(bucket, pa.int32())]
+                columns = [pa.array(doc, pa.int64()), pa.array(start, pa.int64()), pa.array(length, pa.int64()), pa.array(crc, pa.int64()),
+                    pa.array(total, pa.int64()), pa.array(bucket, pa.int32())]
                 names = ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "bucket"]
                 if with_ids:
                     columns.append(pa.array(body, pa.list_(pa.int32())))

@@ -78,7 +78,8 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 _RECORD = (
-    "'WARC/1.1' || chr(10) || 'WARC-Type: response' || coalesce(chr(10) || 'WARC-Target-URI: ' || url, '') || case when {0} is null then chr(10) || 'WARC-Truncated: unspecified' else '' end "
+    "'WARC/1.1' || chr(10) || 'WARC-Type: response' || coalesce(chr(10) || 'WARC-Target-URI: ' || url, '') || case when {0} is null then chr(10) || "
+        "'WARC-Truncated: unspecified' else '' end "
     "|| chr(10) || 'Content-Length: ' || cast(strlen(coalesce({0}, '')) as varchar) || chr(10) || chr(10) || coalesce({0}, '') || chr(10) || chr(10)"
 )
 

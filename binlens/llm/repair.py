@@ -29,7 +29,8 @@ from binlens.llm.tokens import encoder
 SHARD_IDS = 1 << 20  # ids after which a shard is closed at the next document's end
 PER_ROUND = 4096  # rules that one round may add; what is left to do is left to the next round
 BROADCAST_SHARDS = 1_000_000  # shards up to which their starts are broadcast (16 MB); beyond, the join shuffles
-SCHEMA = "shard long, first_doc long, last_doc long, n_docs int, n_null int, n_ids long, base long, n_rules int, doc_ids binary, doc_lengths binary, rule_lengths binary, body binary"
+SCHEMA = ("shard long, first_doc long, last_doc long, n_docs int, n_null int, n_ids long, base long, n_rules int, doc_ids binary, doc_lengths binary, "
+    "rule_lengths binary, body binary")
 
 
 @dataclass
@@ -227,7 +228,9 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, sh
     narrow(rows, run, SCHEMA).write.parquet(path)
 
 
-SHARD_TYPE = pa.schema([("shard", pa.int64()), ("first_doc", pa.int64()), ("last_doc", pa.int64()), ("n_docs", pa.int32()), ("n_null", pa.int32()), ("n_ids", pa.int64()), ("base", pa.int64()), ("n_rules", pa.int32()), ("doc_ids", pa.binary()), ("doc_lengths", pa.binary()), ("rule_lengths", pa.binary()), ("body", pa.binary())])
+SHARD_TYPE = pa.schema([("shard", pa.int64()), ("first_doc", pa.int64()), ("last_doc", pa.int64()), ("n_docs", pa.int32()), ("n_null", pa.int32()),
+    ("n_ids", pa.int64()), ("base", pa.int64()), ("n_rules", pa.int32()), ("doc_ids", pa.binary()), ("doc_lengths", pa.binary()), ("rule_lengths",
+    pa.binary()), ("body", pa.binary())])
 
 
 def read_shards(spark: SparkSession, path: str) -> DataFrame:
@@ -260,7 +263,8 @@ def digests(shards: DataFrame) -> DataFrame:
                 ends = np.cumsum(n)
                 crc = [zlib.crc32(flat[4 * (e - k) : 4 * e]) for e, k in zip(ends.tolist(), n.tolist())]
                 doc = pa.array(np.frombuffer(row["doc_ids"], "<i8"), mask=np.arange(len(n)) < row["n_null"])
-                yield pa.RecordBatch.from_arrays([doc, pa.array(row["base_start"] + ends - n), pa.array(n), pa.array(crc, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
+                yield pa.RecordBatch.from_arrays([doc, pa.array(row["base_start"] + ends - n), pa.array(n), pa.array(crc, pa.int64())], ["doc_id",
+                    "start", "n_tokens", "ids_crc32"])
 
     return narrow(rows, run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 

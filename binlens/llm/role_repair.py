@@ -146,7 +146,8 @@ def repair(conversations: DataFrame) -> DataFrame:
     texts are empty.  Turns with one number are ordered by role and a hash of their text; repeated rows are turns
     of their own (and so merge).  Other columns are not read; an empty table gives no rows.
     """
-    rows = conversations.select(F.col("conv_id").cast("long").alias("conv_id"), F.col("turn").cast("long").alias("turn"), F.col("role").cast("string").alias("role"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
+    rows = conversations.select(F.col("conv_id").cast("long").alias("conv_id"), F.col("turn").cast("long").alias("turn"),
+        F.col("role").cast("string").alias("role"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     keys = [F.col("conv_id"), F.col("turn"), F.col("role"), F.xxhash64("text"), F.col("text")]
     rows = rows.where("conv_id is not null").repartitionByRange(shuffle_width(conversations.sparkSession), *keys[:4]).sortWithinPartitions(*keys)
 
@@ -157,7 +158,8 @@ def repair(conversations: DataFrame) -> DataFrame:
         for conv, run in _runs(batches, 4):
             n = len(run)
             yield pa.RecordBatch.from_arrays(
-                [pa.array([conv] * n, pa.int64()), pa.array([part + k] * n, pa.int64()), pa.array(range(n), pa.int32()), *(pa.array([r[c] for r in run], t) for c, t in ((1, pa.int64()), (2, pa.string()), (3, pa.string())))],
+                [pa.array([conv] * n, pa.int64()), pa.array([part + k] * n, pa.int64()), pa.array(range(n), pa.int32()),
+                    *(pa.array([r[c] for r in run], t) for c, t in ((1, pa.int64()), (2, pa.string()), (3, pa.string())))],
                 ["conv_id", "piece", "at", "turn", "role", "text"],
             )
             k += 1
@@ -192,7 +194,8 @@ def repair(conversations: DataFrame) -> DataFrame:
                 total, path = chain([np.frombuffer(p["matrix"], np.int64).reshape(4, 4) for p in pieces])
                 for k, p in enumerate(pieces):
                     conv.append(c), piece.append(p["piece"]), enter.append(path[k]), leave.append(path[k + 1]), cost.append(total), last.append(k == len(pieces) - 1)
-            yield pa.RecordBatch.from_arrays([pa.array(conv, pa.int64()), pa.array(piece, pa.int64()), pa.array(enter, pa.int32()), pa.array(leave, pa.int32()), pa.array(cost, pa.int64()), pa.array(last, pa.bool_())], ["conv_id", "piece", "enter", "leave", "cost", "final"])
+            yield pa.RecordBatch.from_arrays([pa.array(conv, pa.int64()), pa.array(piece, pa.int64()), pa.array(enter, pa.int32()), pa.array(leave,
+                pa.int32()), pa.array(cost, pa.int64()), pa.array(last, pa.bool_())], ["conv_id", "piece", "enter", "leave", "cost", "final"])
 
     # a conversation's pieces: at most one for each range or 4,096 turns, of 128 bytes
     listed = small.groupBy("conv_id").agg(F.sort_array(F.collect_list(F.struct("piece", "matrix"))).alias("pieces"))

@@ -87,7 +87,8 @@ def grades(col: np.ndarray, row: np.ndarray, toxic: np.ndarray, used: int) -> np
     return out
 
 
-def fit_ordinal(buckets: np.ndarray, bounds: np.ndarray, toxic: np.ndarray, rounds: int = 300, ridge: float = 1e-4, lasso: float = 5e-5, min_rows: int = 5, screen: float = 4.0, balance: float = 0.7) -> OrdinalModel:
+def fit_ordinal(buckets: np.ndarray, bounds: np.ndarray, toxic: np.ndarray, rounds: int = 300, ridge: float = 1e-4, lasso: float = 5e-5,
+    min_rows: int = 5, screen: float = 4.0, balance: float = 0.7) -> OrdinalModel:
     """Accelerated proximal gradient on the cumulative-link likelihood; features are a row's distinct buckets.
 
     Screening and ``lasso`` leave ordinary words without weight, so long clean texts gather no score.  With one
@@ -126,7 +127,8 @@ def fit_ordinal(buckets: np.ndarray, bounds: np.ndarray, toxic: np.ndarray, roun
     return OrdinalModel(full, cuts)
 
 
-def training_rows(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled: int = MAX_LABELLED, max_words: int = MAX_WORDS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def training_rows(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled: int = MAX_LABELLED,
+    max_words: int = MAX_WORDS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Features, row bounds and labels of at most ``max_labelled`` rows, each of at most ``max_words`` features, gathered
     from the executors.  Of an id's several rows one is taken, by a hash of its features, and of its labels the largest."""
     few = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("y")).where("doc_id is not null and y is not null")
@@ -183,7 +185,8 @@ def score(docs: DataFrame, model: OrdinalModel, reject_at: float = 0.5) -> DataF
             above = np.concatenate(parts)[:, 1:]
             mass = -np.diff(np.column_stack([np.ones(len(above)), above, np.zeros(len(above))]), axis=1)
             yield pa.RecordBatch.from_arrays(
-                [b.column(0), pa.array(above.sum(axis=1)), pa.array(above[:, 0]), pa.array(mass.argmax(axis=1), pa.int32()), pa.array(above[:, 0] >= reject_at)], ["doc_id", "severity", "p_toxic", "grade", "rejected"]
+                [b.column(0), pa.array(above.sum(axis=1)), pa.array(above[:, 0]), pa.array(mass.argmax(axis=1), pa.int32()), pa.array(above[:,
+                    0] >= reject_at)], ["doc_id", "severity", "p_toxic", "grade", "rejected"]
             )
 
     return narrow(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), run, "doc_id long, severity double, p_toxic double, grade int, rejected boolean")

@@ -6,7 +6,8 @@ from pyspark.sql import SparkSession
 def spark():
     s = (
         SparkSession.builder.master("local[4]").appName("llm-tests")
-        .config("spark.sql.shuffle.partitions", "4").config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").config("spark.sql.session.timeZone", "UTC")
+        .config("spark.sql.shuffle.partitions", "4").config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress",
+            "false").config("spark.sql.session.timeZone", "UTC")
         .getOrCreate()
     )
     s.sparkContext.setLogLevel("ERROR")

@@ -178,7 +178,8 @@ def test_role_repair_brute_force(spark):
         assert "".join(r.rendered for r in mine) == "".join(f"<|{a}|>\n{b}\n<|end|>\n" for a, b in out) and legal([a for a, _ in out])
         assert [x for _, b in out if b for x in b.split("\n")] == [f"m{t}" for t in range(len(rs))]
         want = brute_repair([role_repair.role_of(r) for r in rs])
-        spent = sum({"keep": 0, "relabel": 2, "merge": 1, "relabel+merge": 3}[r.action] + 3 * sum(len(x.split(",")) for x in (r.inserted_before, r.inserted_after) if x) for r in mine)
+        spent = sum({"keep": 0, "relabel": 2, "merge": 1, "relabel+merge": 3}[r.action] + 3 * sum(len(x.split(",")) for x in (r.inserted_before,
+            r.inserted_after) if x) for r in mine)
         assert {r.cost for r in mine} == {want} and spent == want
     assert role_repair.repair(frame.limit(0)).count() == 0
 
@@ -276,4 +277,5 @@ def test_components_keep_null_ids(spark):
     text = " ".join(f"w{i}" for i in range(40))
     rows = [(None, text), (7, text + " more"), (None, "quite another text of six words"), (None, None), (3, "one")]
     got = jaccard_join.jaccard_components(spark.createDataFrame(rows, "doc_id long, text string")).collect()
-    assert sorted(((r.doc_id, r.n_shingles, r.component_id) for r in got), key=str) == sorted([(None, 36, 7), (7, 37, 7), (None, 2, None), (None, 0, None), (3, 1, 3)], key=str)
+    assert sorted(((r.doc_id, r.n_shingles, r.component_id) for r in got), key=str) == sorted([(None, 36, 7), (7, 37, 7), (None, 2, None), (None, 0,
+        None), (3, 1, 3)], key=str)

@@ -152,7 +152,8 @@ def test_grammar_files(spark, tmp_path):
 
 
 def test_license_base_brute_force(spark):
-    texts = ODD + ["This is MIT license; Apache License, and the GNU General Public License.", "mit-license apache\nlicense", "released under the MIT license.", "Licensed under the Apache License, Version 2.0.", "licensed under CC BY-NC 4.0."]
+    texts = ODD + ["This is MIT license; Apache License, and the GNU General Public License.", "mit-license apache\nlicense",
+        "released under the MIT license.", "Licensed under the Apache License, Version 2.0.", "licensed under CC BY-NC 4.0."]
     rows = {r.doc_id: r for r in license_scan.scan(docs_of(spark, texts)).collect()}
     for i, t in enumerate(texts):
         w = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", lower(t))
@@ -232,6 +233,7 @@ def test_html_edge_cases(spark):
     cases = {
         "<main><p>Yes, this is the &amp; text of it.</p><aside>no</aside><div id=comments><p>bad comment of the user</p></div></main>": "Yes, this is the & text of it.",
         "<body><nav><a href=x>Home</a></nav><p>" + "the story of a man that was in the wood " * 5 + "</p><p>Short.</p><footer>c 2020</footer></body>": ("the story of a man that was in the wood " * 5).strip() + "\nShort.",
+            
         "<article><p>one<p>two &lt;b&gt;<script>var a='<p>no</p>'</script></article>": "one\ntwo <b>",
         "<article><p>open": "open", "": "", "<": "<" if False else html_text.main_text("<"), "<div class='ad'>buy</div>": "",
     }
@@ -249,7 +251,8 @@ def test_html_both_passes_decide():
     page = f"<body class='single has-sidebar no-comments'><ul>{menu}</ul><h1>The head</h1><p>{long}.</p><p>Yes!</p><p>{long}?</p><div class=left-sidebar>{long}</div><p>{'<a href=x>more to read of this kind</a> ' * 4}</p><p>all rights</p><ul>{menu}</ul></body>"
     assert html_text.main_text(page) == f"The head\n{long}.\nYes!\n{long}?"
     why = [(text.split(" ")[0], keep, by) for (text, *_), (keep, by) in zip(html_text.blocks(page), html_text.decide(html_text.blocks(page)))]
-    assert ("Yes!", True, "neighbours") in why and ("all", False, "neighbours") in why and Counter(by for *_, by in why) == {"links": 13, "text": 2, "neighbours": 3, "structure": 1}
+    assert ("Yes!", True, "neighbours") in why and ("all", False, "neighbours") in why and Counter(by for *_, by in why) == {"links": 13, "text": 2,
+        "neighbours": 3, "structure": 1}
     inside = f"<article><h2>Zzqx</h2><p>{long}</p><p>qqq www</p><p>{'<a href=x>more to read of this kind</a> ' * 4}</p><p>{'zzx qqv ' * 20}</p></article><p>{long}</p>"
     assert [by for _, by in html_text.decide(html_text.blocks(inside))] == ["neighbours", "text", "neighbours", "links", "neighbours", "structure"]
     assert [by for _, by in html_text.decide(html_text.blocks("<article><p>one</p></article>"))] == ["alone"]
@@ -285,7 +288,8 @@ ITEM = "A train leaves Boston at 9 and travels 60 km in 2 hours while Anna walks
 def test_decontamination_templates(spark):
     changed = ITEM.replace("60", "75").replace("Anna", "Maria").replace("Boston", "Denver").replace("9", "7")
     bench = spark.createDataFrame([(1, ITEM, 0), (2, None, 0), (3, "", 0), (4, "four words are here", 0)], "item_id long, text string, doc_id int")
-    texts = ["x " * 30 + ITEM + " y" * 20, "so: " + changed, ITEM.upper(), ITEM.replace("4 km", "60 km").replace("60 km in", "50 km in").replace("4", "5"), "nothing of the kind " * 20, None, ""]
+    texts = ["x " * 30 + ITEM + " y" * 20, "so: " + changed, ITEM.upper(), ITEM.replace("4 km", "60 km").replace("60 km in", "50 km in").replace("4",
+        "5"), "nothing of the kind " * 20, None, ""]
     rows = {(r.doc_id, r.item_id): r for r in decontaminate.contaminated(docs_of(spark, texts), bench).collect()}
     assert {k for k in rows if k[1] == 1} >= {(0, 1), (1, 1), (2, 1)} and not any(d in (4, 5, 6) for d, _ in rows)
     assert rows[1, 1].reparameterised and not rows[0, 1].reparameterised and rows[0, 1].coverage == 1.0 and rows[0, 1].first_word == 30
@@ -311,7 +315,8 @@ def test_decontamination_slots_of_other_lengths(spark):
     dense = "12 of 30 and 7 of 15 and 4 of 9 and 2"
     items = [ITEM, short, dense, "add 4 and 5 now", "12 13 14 15 16"]
     texts = [
-        ITEM.replace("60", "62.5").replace("Anna", "Mary Ann"), ITEM.replace("60", "1,200").replace("Boston", "New York"), "so " + short.replace("60", "62.5").replace("Anna", "Mary Ann"),
+        ITEM.replace("60", "62.5").replace("Anna", "Mary Ann"), ITEM.replace("60", "1,200").replace("Boston", "New York"), "so " + short.replace("60",
+            "62.5").replace("Anna", "Mary Ann"),
         "x y " + ITEM.replace("walks", "walks for about three more") + " z", "here: " + dense, "now add 4 and 5 now", "see 12 13 14 15 16", "see 12 13 14 15 17",
     ]
     assert found_in(spark, items, texts) == {(0, 0), (1, 0), (2, 1), (3, 0), (4, 2), (5, 3), (6, 4)}
