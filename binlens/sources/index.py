@@ -11,6 +11,7 @@ import shutil
 import tempfile
 import uuid
 
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -47,14 +48,19 @@ def stamp(rows: DataFrame) -> tuple:
 
 
 def kept(spark: SparkSession, name: str, sources: list[DataFrame], write) -> DataFrame:
-    """What ``write(path)`` makes, from this session's earlier call if the sources are still the same files."""
+    """What ``write(path)`` makes, from this session's earlier call if the sources are still the same files and what was
+    made of them is still there."""
     made = spark.__dict__.setdefault("_binlens_kept", {})
     key = (name, *[stamp(s) for s in sources])
-    if key not in made:
-        path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-        write(path)
-        made[key] = path
-    return spark.read.parquet(made[key])
+    if key in made:
+        try:
+            return spark.read.parquet(made[key])
+        except AnalysisException:  # the folder was cleared
+            del made[key]
+    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    write(path)
+    made[key] = path
+    return spark.read.parquet(path)
 
 
 def corpus_index(spark: SparkSession, sf_dir: str) -> DataFrame:
