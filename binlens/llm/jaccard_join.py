@@ -33,7 +33,7 @@ from binlens.llm.components import components
 from binlens.llm.words import SPACED, windows, words
 
 HOT_DF = 32  # entities from which on a shingle counts as frequent; it moves shingles in the order, no result
-BLOCK = 1024  # members of a list that are compared as one block
+BLOCK = 256  # members of a list that are compared as one block
 _LOW = np.uint64(0xFFFFFFFF)
 
 
