@@ -229,11 +229,12 @@ class Frequent:
     """Which shingles are frequent: a segment of one bitmap, of 2 to 32 MB, for each lane."""
 
     def __init__(self, lanes: int, size: int):
-        self.lanes, self.size, self.cells = lanes, size, (1 << size) // lanes
-        self.bits = np.zeros(lanes * self.cells, bool)
+        self.lanes, self.size, self.cells = lanes, size, max(8, (1 << size) // lanes // 8 * 8)
+        self.bits = np.zeros(lanes * self.cells // 8, np.uint8)
 
     def has(self, h: np.ndarray) -> np.ndarray:
-        return self.bits[_lane(h, self.lanes) * self.cells + ((h & _LOW) % np.uint64(self.cells)).astype(np.int64)]
+        at = _lane(h, self.lanes) * self.cells + ((h & _LOW) % np.uint64(self.cells)).astype(np.int64)
+        return (self.bits[at >> 3] >> (at & 7).astype(np.uint8)) & 1 != 0
 
 
 def frequent(docs: DataFrame, size: int, hot: int, n_sets: int) -> Frequent:
@@ -258,11 +259,11 @@ def frequent(docs: DataFrame, size: int, hot: int, n_sets: int) -> Frequent:
                 if len(often):
                     bits = np.zeros(cells, bool)
                     bits[often % np.uint32(cells)] = True
-                    yield pa.RecordBatch.from_arrays([pa.array([lane], pa.int32()), pa.array([np.packbits(bits).tobytes()], pa.binary())], ["lane", "bits"])
+                    yield pa.RecordBatch.from_arrays([pa.array([lane], pa.int32()), pa.array([np.packbits(bits, bitorder="little").tobytes()], pa.binary())], ["lane", "bits"])
 
     dealt = narrow(docs, deal, "lane int, low binary").repartition(shuffle_width(docs.sparkSession), "lane").sortWithinPartitions("lane")
     for row in narrow(dealt, count, "lane int, bits binary").collect():  # one segment for each lane: 32 MB in all at most
-        out.bits[row.lane * cells : (row.lane + 1) * cells] = np.unpackbits(np.frombuffer(row.bits, np.uint8))[:cells].astype(bool)
+        out.bits[row.lane * cells // 8 : (row.lane + 1) * cells // 8] = np.frombuffer(row.bits, np.uint8)
     return out
 
 
@@ -270,11 +271,11 @@ def prefix_lists(docs: DataFrame, size: int, percent: int, often: Frequent) -> D
     """(g, k, fp): lists of k entities that share a prefix shingle; lists with the same members are one list."""
     spark = docs.sparkSession
     lanes, cells = often.lanes, often.size
-    known = spark.sparkContext.broadcast(np.packbits(often.bits))
+    known = spark.sparkContext.broadcast(often.bits)
 
     def deal(batches):
         order = Frequent(lanes, cells)
-        order.bits = np.unpackbits(known.value)[: len(order.bits)].astype(bool)
+        order.bits = known.value
         seen: set = set()
         for _, s in _rows(batches, size):
             rows, fps = _fresh(s, seen), s.prints().view(np.uint64)
