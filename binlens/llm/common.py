@@ -72,6 +72,25 @@ def narrow(df: DataFrame, run: Callable, schema) -> DataFrame:
     return df.mapInArrow(task, schema)
 
 
+HOT_ROWS = 1024  # rows of one key from which on it is joined apart
+HOT_KEYS = 1_000_000  # hot keys up to which they are broadcast
+
+
+def join_hot(rows: DataFrame, facts: DataFrame, key: str, least: int = HOT_ROWS) -> DataFrame:
+    """Left join with one row of facts for each key.  Keys of many rows are joined by broadcasting their facts, rows
+    without a key meet nothing, and only the others are dealt out by key, so no task gathers a large group.  Give it
+    rows that are written already, as they are read three times."""
+    none = [F.lit(None).cast(t).alias(c) for c, t in facts.dtypes if c != key]
+    hot = settle(rows.where(F.col(key).isNotNull()).groupBy(key).agg(F.count("*").alias("_n")).where(F.col("_n") >= least).select(key), "hot")
+    apart = rows.where(F.col(key).isNull()).select("*", *none)
+    if hot.count() > HOT_KEYS:
+        return rows.where(F.col(key).isNotNull()).join(facts, key, "left").unionByName(apart)
+    known = F.broadcast(facts.join(F.broadcast(hot), key, "left_semi"))
+    warm = rows.join(F.broadcast(hot), key, "left_semi").join(known, key, "left")
+    cold = rows.where(F.col(key).isNotNull()).join(F.broadcast(hot), key, "left_anti").join(facts, key, "left")
+    return cold.unionByName(warm).unionByName(apart)
+
+
 def shuffle_width(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 

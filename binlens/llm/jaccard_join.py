@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from binlens.llm.common import Bitmap, bitmap_bits, bitmap_of, mix64, narrow, runs, settle, shuffle_width, slices, text_buffers
+from binlens.llm.common import Bitmap, bitmap_bits, bitmap_of, join_hot, mix64, narrow, runs, settle, shuffle_width, slices, text_buffers
 from binlens.llm.components import components
 from binlens.llm.words import SPACED, windows, words
 
@@ -504,7 +504,7 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     if not second.isEmpty():
         links = links.unionByName(settle(_verified(second, docs, size, percent), "links"))
         roots = components(links)
-    named = base.join(roots.withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
-    smallest = named.where("fp is not null").groupBy("root").agg(F.min("doc_id").alias("component_id"))
-    out = named.join(smallest, "root", "left")
+    named = settle(join_hot(base, roots.withColumnRenamed("node", "fp"), "fp").withColumn("root", F.coalesce("root", "fp")), "named")
+    smallest = named.where("root is not null").groupBy("root").agg(F.min("doc_id").alias("component_id"))
+    out = join_hot(named, smallest, "root")
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))

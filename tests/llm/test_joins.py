@@ -93,6 +93,18 @@ def test_count_tree_admits_all_links():
     assert true <= found and len(found) < len(sets) ** 2 / 8 and {p for p in true if side[p[0]] != side[p[1]]} <= across
 
 
+@pytest.mark.parametrize("limit", [0, 10])
+def test_join_hot_is_a_left_join(spark, monkeypatch, limit):
+    from binlens.llm import common
+
+    monkeypatch.setattr(common, "HOT_KEYS", limit)
+    rows = spark.createDataFrame([(k, i) for k, n in ((1, 9), (2, 1), (3, 8), (None, 6), (4, 2)) for i in range(n)], "key long, i long")
+    facts = spark.createDataFrame([(1, "a"), (2, "b"), (9, "z")], "key long, fact string")
+    got = sorted((tuple(r) for r in common.join_hot(rows, facts, "key", 5).select("key", "i", "fact").collect()), key=str)
+    assert got == sorted((tuple(r) for r in rows.join(facts, "key", "left").select("key", "i", "fact").collect()), key=str)
+    assert common.join_hot(rows.limit(0), facts, "key").count() == 0
+
+
 def test_components_chain(spark):
     edges = [(k, k + 1) for k in range(0, 60)] + [(100, 90), (90, 100), (100, 100), (200, 200)]
     got = {r.node: r.root for r in components(spark.createDataFrame(edges, "a long, b long")).collect()}
