@@ -4,11 +4,14 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 from pyspark.sql.window import Window
 
-from binlens.functions.hashing import u32
+from binlens.functions.hashing import coded, flat_words, u32, u32_each
 from binlens.functions.stats import r6
 
 
@@ -174,6 +177,24 @@ def vote_label(vote: Column) -> Column:
     return F.when(n > 0, best[0])
 
 
+def vote_labels(docs: DataFrame, keys: list[str], words: Column, kind: str, n: int) -> DataFrame:
+    """Keys, label, conf: ``vote_label`` of the words' votes, counted for a batch of rows at once; null without words."""
+
+    def count(batches):
+        for batch in batches:
+            flat, starts = flat_words(batch.column("words"))
+            index, known = coded(flat)
+            row = np.repeat(np.arange(len(starts) - 1), np.diff(starts))
+            votes = np.bincount(row * n + (u32_each(known, kind) % n)[index], minlength=n * batch.num_rows).reshape(-1, n)
+            none, total = votes.sum(1) == 0, np.maximum(votes.sum(1), 1)
+            got = [pa.array(votes.argmax(1), pa.int64(), mask=none), pa.array(votes.max(1) / total, pa.float64(), mask=none)]
+            yield pa.RecordBatch.from_arrays([*[batch.column(k) for k in keys], *got], [*keys, "label", "conf"])
+
+    kept = docs.select(*keys)
+    schema = StructType(kept.schema.fields).add("label", "long").add("conf", "double")
+    return docs.select(*keys, words.alias("words")).mapInArrow(count, schema)
+
+
 def classifier_accuracy(pred: DataFrame, gold: DataFrame, group: str, min_conf: float) -> DataFrame:
     """Mean and worst-group accuracy on rows whose teacher is confident."""
     g = pred.join(gold, "doc_id").where(F.col("teacher_conf") >= min_conf)
