@@ -216,15 +216,15 @@ def _unlearning(spark, d):
 
     def write(path):
         s, words, n = _scores(spark, d), tokens(F.col("text")), docs.count()
-        sets = kept(spark, "forget_sets", [src.table(spark, d, "documents"), src.table(spark, d, "benchmark")], lambda at_: un.grid_sets(s,
-            _bins(spark, d), docs, n).write.parquet(at_))
+        sources = [src.table(spark, d, "documents"), src.table(spark, d, "benchmark")]
+        sets = kept(spark, "forget_sets", sources, lambda at_: un.grid_sets(s, _bins(spark, d), docs, n).write.parquet(at_))
         gone = sets.select("doc_id").withColumn("topic", F.lit(""))
         keep = [un.retain_set(docs, gone, max(1, min(un.SIZES["retain"][0], int(un.SIZES["retain"][1] * n))),
             f"{k}r").select(F.lit(str(k)).alias("run_id"), "doc_id", F.lit("retain").alias("role")) for k in un.SEEDS]
         keep = keep[0].union(keep[1]).union(keep[2])
         split = src.spread(docs.select("doc_id", "text"))
-        runs = un.run_grid(un.forget_stats(sets, split, words, "seg"), un.set_stats(keep, split, words), un.corpus_stats(split, words),
-            un.eval_items(pr.choices(items)), n)
+        retain = kept(spark, "retain_stats", sources, lambda at_: un.set_stats(keep, split, words).write.parquet(at_))
+        runs = un.run_grid(un.forget_texts(sets, split, words, "seg"), retain, un.corpus_stats(split, words), un.eval_items(pr.choices(items)), n)
         runs.write.parquet(path)
 
     return kept(spark, "unlearning", [src.table(spark, d, "documents"), src.table(spark, d, "benchmark")], write)

@@ -1,17 +1,18 @@
 """Unlearning on a conditional bigram head: forget and retain sets, normalised gradient difference, low-rank adapter.
 
 A set's gradient depends on its mean per-document bigram frequencies only, so one distributed count serves all
-runs, and a run is a loop over a V x V matrix in one process; runs are parallel by ``applyInPandas``.
+runs, and a run is a loop over a V x V matrix in one process; runs are dealt over tasks, which sum their sets as they read.
 """
 
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from binlens.functions.hashing import u32
+from binlens.functions.hashing import coded, flat_words, u32, u32_each
 from binlens.operators.corpus import lowest
 
 V = 1024  # hash buckets of words: the head has V x V logits
@@ -121,24 +122,86 @@ def shuffle_segments(words, doc_id, seed: str, size: int = 8):
     return F.flatten(F.transform(F.array_sort(seg), lambda s: s["w"]))
 
 
+def numbered(words: pa.ListArray, v: int) -> tuple[np.ndarray, np.ndarray]:
+    """Buckets of the words of all rows one after another, and where each row's begin."""
+    flat, starts = flat_words(words)
+    index, known = coded(flat)
+    return (u32_each(known, "v") % v)[index], starts
+
+
+def bigrams(h: np.ndarray, starts: np.ndarray, v: int) -> tuple[np.ndarray, np.ndarray]:
+    """(u * v + v, row) of each two adjacent buckets of a row."""
+    sizes = np.diff(starts)
+    later = np.ones(len(h), bool)
+    later[starts[:-1][sizes > 0]] = False
+    at = np.flatnonzero(later)
+    return h[at - 1] * v + h[at], np.repeat(np.arange(len(sizes)), sizes)[at]
+
+
+def cells(code: np.ndarray, f: np.ndarray, v: int) -> list[pa.Array]:
+    return [pa.array(code // v, pa.int32()), pa.array(code % v, pa.int32()), pa.array(f, pa.float64())]
+
+
+BROADCAST_MEMBERS = 1_000_000  # memberships up to which documents meet them by broadcast
+DENSE = 4 << 20  # cells that a task sums in place; with more sets than that, each batch gives its own sums
+
+
 def set_stats(membership: DataFrame, docs: DataFrame, words, v: int = V) -> DataFrame:
-    """(run_id, role, u, v, f): mean over a set's documents of their bigram frequencies; runs x V^2 rows at most."""
-    docs = docs.select("doc_id", F.transform(words, lambda t: (u32(F.lit("v"), t) % v).cast("int")).alias("h"))
-    h, n = F.col("h"), F.size("h")
-    big = F.zip_with(F.slice(h, 1, F.greatest(n - 1, F.lit(0))), F.slice(h, 2, F.greatest(n - 1, F.lit(0))), lambda a, b: F.struct(a.alias("u"), b.alias("v")))
-    rows = docs.where(n > 1).select("doc_id", F.explode(big).alias("b"), (1.0 / (n - 1)).alias("f")).groupBy("doc_id", "b.u", "b.v").agg(F.sum("f").alias("f"))
-    size = membership.groupBy("run_id", "role").agg(F.count("*").alias("n"))
-    return membership.join(rows, "doc_id").groupBy("run_id", "role", "u", "v").agg(F.sum("f").alias("f")).join(F.broadcast(size), ["run_id",
-        "role"]).select("run_id", "role", "u", "v", (F.col("f") / F.col("n")).alias("f"), "n")
+    """(run_id, role, u, v, f): mean over a set's documents of their bigram frequencies; runs x V^2 rows at most.
+
+    A document's words are hashed once whatever the sets that hold it, and tasks give sums of sets."""
+    sizes = membership.groupBy("run_id", "role").agg(F.count("*").alias("n")).collect()  # a row for each set
+    names = docs.sparkSession.createDataFrame([(k, *r) for k, r in enumerate(sizes)], "set int, run_id string, role string, n long")
+    own = membership.join(F.broadcast(names), ["run_id", "role"]).groupBy("doc_id").agg(F.collect_list("set").alias("sets"))
+    if sum(r.n for r in sizes) <= BROADCAST_MEMBERS:
+        own = F.broadcast(own)
+    dense = len(sizes) * v * v <= DENSE
+
+    def out(key, f):
+        return pa.RecordBatch.from_arrays([pa.array(key // (v * v), pa.int32()), *cells(key % (v * v), f, v)], ["set", "u", "v", "f"])
+
+    def count(batches):
+        total = np.zeros(len(sizes) * v * v if dense else 0)
+        for batch in batches:
+            h, starts = numbered(batch.column("words"), v)
+            code, row = bigrams(h, starts, v)
+            f = (1 / np.maximum(np.diff(starts) - 1, 1))[row]
+            sets, first = flat_words(batch.column("sets"))
+            sets, each = sets.to_numpy(zero_copy_only=False), np.diff(first)
+            for k in range(each.max(initial=0)):  # each document's k-th set
+                has = each[row] > k
+                key = sets[first[:-1][row[has]] + k].astype(np.int64) * (v * v) + code[has]
+                if dense:
+                    total += np.bincount(key, f[has], len(total))
+                else:
+                    few, index = np.unique(key, return_inverse=True)
+                    yield out(few, np.bincount(index, f[has], len(few)))
+        if dense:
+            some = np.flatnonzero(total)
+            yield out(some, total[some])
+
+    rows = docs.join(own, "doc_id").select("sets", words.alias("words")).mapInArrow(count, "set int, u int, v int, f double")
+    return rows.groupBy("set", "u", "v").agg(F.sum("f").alias("f")).join(F.broadcast(names), "set").select("run_id", "role", "u", "v",
+        (F.col("f") / F.col("n")).alias("f"), "n")
 
 
 SCALE = 1e5  # documents that the base head's counts stand for
 
 
-def corpus_stats(docs: DataFrame, words) -> DataFrame:
+def corpus_stats(docs: DataFrame, words, v: int = V) -> DataFrame:
     """(u, v, f): bigram frequencies of the whole corpus on the scale of 1e5 documents, for the base head."""
-    s = set_stats(docs.select(F.lit("all").alias("run_id"), "doc_id", F.lit("all").alias("role")), docs, words)
-    return s.select("u", "v", (F.col("f") * SCALE).alias("f"))
+
+    def count(batches):
+        total = np.zeros(v * v)
+        for batch in batches:
+            h, starts = numbered(batch.column("words"), v)
+            code, row = bigrams(h, starts, v)
+            total += np.bincount(code, (1 / np.maximum(np.diff(starts) - 1, 1))[row], v * v)
+        some = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays(cells(some, total[some], v), ["u", "v", "f"])
+
+    sums = docs.select(words.alias("words")).mapInArrow(count, "u int, v int, f double").groupBy("u", "v").agg(F.sum("f").alias("f"))
+    return sums.crossJoin(F.broadcast(docs.agg(F.count("*").alias("n")))).select("u", "v", (F.col("f") / F.col("n") * SCALE).alias("f"))  # one row
 
 
 def forget_stats(members: DataFrame, docs: DataFrame, words, seed: str) -> DataFrame:
@@ -149,6 +212,45 @@ def forget_stats(members: DataFrame, docs: DataFrame, words, seed: str) -> DataF
         shuffle_segments(F.col("w"), F.col("doc_id"), seed).alias("w")), F.col("w")))
 
 
+PIECE = 2048  # pairs of words in a row of ``forget_texts``
+
+
+def forget_texts(members: DataFrame, docs: DataFrame, words, seed: str, v: int = V, segment: int = 8) -> DataFrame:
+    """(run_id, n, n_words, plain, shuffled): buckets of the words of each forget set's documents, and those with the
+    segments of ``shuffle_segments`` in hash order, in pieces that share one word; ``n`` is the set's size.  A document
+    is hashed once, whatever the sets that hold it.  Sets are bounded by ``SIZES``, so membership is broadcast."""
+
+    def cut(batches):
+        for batch in batches:
+            h, starts = numbered(batch.column("words"), v)
+            rows, plain, shuffled = [], [], []
+            for i, name in enumerate(batch.column("name").to_pylist()):
+                one = h[starts[i] : starts[i + 1]].astype(np.int32)
+                n = len(one)
+                if n < 2 or name is None:
+                    continue
+                keys = u32_each([str(k).encode() for k in range(-(-n // segment))], seed, name)
+                at = (np.argsort(keys, kind="stable")[:, None] * segment + np.arange(segment)).ravel()
+                mixed = one[at[at < n]]
+                for k in range(0, n - 1, PIECE):
+                    rows.append(i)
+                    plain.append(one[k : k + PIECE + 1])
+                    shuffled.append(mixed[k : k + PIECE + 1])
+            if rows:
+                ends = pa.array(np.concatenate([[0], np.cumsum([len(x) for x in plain])]), pa.int32())
+                lists = [pa.ListArray.from_arrays(ends, pa.array(np.concatenate(x), pa.int32())) for x in (plain, shuffled)]
+                at = np.array(rows)
+                yield pa.RecordBatch.from_arrays([batch.column("doc_id").take(pa.array(at)), pa.array(np.diff(starts)[at], pa.int64()), *lists],
+                    ["doc_id", "n_words", "plain", "shuffled"])
+
+    few = docs.join(F.broadcast(members.select("doc_id").distinct()), "doc_id", "left_semi")
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    texts = few.select("doc_id", F.col("doc_id").cast("string").alias("name"), words.alias("words")).mapInArrow(cut,
+        f"doc_id {kind}, n_words long, plain array<int>, shuffled array<int>")
+    size = members.groupBy("run_id").agg(F.count("*").alias("n"))  # a row for each set
+    return texts.join(F.broadcast(members.join(F.broadcast(size), "run_id")), "doc_id").select("run_id", "n", "n_words", "plain", "shuffled")
+
+
 def stop_targets(everything: DataFrame, stats: DataFrame, v: int = V) -> DataFrame:
     """(run_id, base_ppl, target_ppl): the base head's perplexity on each forget set and on its shuffled text."""
     ids = everything.sparkSession.range(v)
@@ -298,52 +400,74 @@ def base_head(counts: np.ndarray, smooth: float = 0.5) -> np.ndarray:
     return np.log(c / c.sum(1, keepdims=True))
 
 
-def run_grid(stats: DataFrame, retain: DataFrame, everything: DataFrame, items: dict, n_docs: int, v: int = V, max_steps: int = 60, eval_every: int = 20) -> DataFrame:
+def run_grid(texts: DataFrame, retain: DataFrame, everything: DataFrame, items: dict, n_docs: int, v: int = V, max_steps: int = 60, eval_every: int = 20) -> DataFrame:
     """RUN: a row for each run and benchmark; a run is a forget set with a seed.
 
-    ``stats``: forget sets and their shuffled forms (``forget_stats``), whose base perplexity is a run's target, by
+    ``texts``: forget sets and their shuffled forms (``forget_texts``), whose base perplexity is a run's target, by
     run_id "arm/topic/target/seed", where seed * stands for all seeds; ``retain``: (run_id = seed, u, v, f), the retain
-    set of each seed; ``everything``: (u, v, f) of the corpus of ``n_docs`` documents, from which the base head is made.
+    set of each seed, read once for each; ``everything``: (u, v, f) of the corpus of ``n_docs`` documents, from which the base head is made.
     Both are at most V^2 numbers.  The exact reference is the head made anew without the set's counts.  Runs are independent, so a lost
     executor costs the runs that it held."""
-    spark = stats.sparkSession
+    spark = texts.sparkSession
     counts = matrix(everything.toArrow(), v)
-    kept = {int(s): matrix(retain.where(F.col("run_id") == s).toArrow(), v) for s in sorted({r.run_id for r in retain.select("run_id").distinct().collect()})}
+    kept = {s: matrix(retain.where(F.col("run_id") == str(s)).select("u", "v", "f").toArrow(), v) for s in sorted(int(r.run_id) for r in retain.select("run_id").distinct().collect())}
     shared = spark.sparkContext.broadcast((counts, kept, items))  # a few matrices of V^2 numbers
 
-    def one(pdf):
-        import pandas as pd
-
+    def one(run_id, n, f, shuffled, base, before):
         every, keep, ask = shared.value
-        base = base_head(every)
-        arm, topic, goal, seed = pdf.run_id.iloc[0].split("/")
-        f, shuffled = matrix(pdf[pdf.role == "forget"], v), matrix(pdf[pdf.role == "shuffled"], v)
+        arm, topic, goal, seed = run_id.split("/")
         target = float(np.exp(loss(base, shuffled))) if shuffled.any() else float("inf")
-        share = np.float32(SCALE * float(pdf[pdf.role == "forget"].n.iloc[0]) / max(n_docs, 1))
-        exact = base_head(np.maximum(every - f * share, 0))
-        benches = sorted(set(ask["bench"].tolist()))
-        before, exactly = ({b: accuracy(m, ask, b) for b in benches} for m in (base, exact))
+        exact = base_head(np.maximum(every - f * np.float32(SCALE * float(n) / max(n_docs, 1)), 0))
+        exactly = {b: accuracy(exact, ask, b) for b in before}
         out = []
         for s, retained in keep.items():
             if seed not in ("*", str(s)):
                 continue
             w, steps, why = train_run(base, f, retained, target, held=retained, max_steps=max_steps, items=ask, eval_every=eval_every)
             ppl = [float(np.exp(loss(m, x))) for x in (f, retained, every) for m in (base, w)]
-            after = {b: accuracy(w, ask, b) for b in benches}
-            for b in benches:
+            after = {b: accuracy(w, ask, b) for b in before}
+            for b in before:
                 out.append((arm, topic or None, s, goal or None, b, before[b], after[b], gamma(before[b], after[b]), gamma(before[b], exactly[b]),
                     steps, why, *ppl, target))
-        return pd.DataFrame(out, columns=[x.split()[0] for x in RUN.split(", ")])
+        return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out), KINDS, strict=True)], NAMES) if out else None
 
-    # a group is one set's sums: at most 2 V^2 rows, whatever the corpus; dealt over more tasks than there are cores
+    def train(batches):
+        every, _, ask = shared.value
+        base = base_head(every)
+        before = {b: accuracy(base, ask, b) for b in sorted(set(ask["bench"].tolist()))}
+        now, n, sums = None, 0, None
+
+        def done():
+            rows = one(now, n, *[(x / n).reshape(v, v).astype(np.float32) for x in sums], base, before) if now is not None else None
+            return [rows] if rows is not None else []
+
+        for batch in batches:  # sorted by run, so one set's sums are held at a time, however long its texts
+            ids = batch.column("run_id").to_pylist()
+            sizes, words = batch.column("n").to_numpy(), batch.column("n_words").to_numpy()
+            edges = [0, *[i for i in range(1, len(ids)) if ids[i] != ids[i - 1]], len(ids)]
+            for a, b in zip(edges, edges[1:], strict=False):
+                if a == b:
+                    continue
+                if ids[a] != now:
+                    yield from done()
+                    now, n, sums = ids[a], int(sizes[a]), [np.zeros(v * v), np.zeros(v * v)]
+                for total, name in zip(sums, ("plain", "shuffled"), strict=True):
+                    flat, starts = flat_words(batch.column(name).slice(a, b - a))
+                    code, row = bigrams(flat.to_numpy(zero_copy_only=False).astype(np.int64), starts, v)
+                    total += np.bincount(code, (1 / (words[a:b] - 1))[row], v * v)
+        yield from done()
+
+    # dealt over more tasks than there are cores
     width = max(4 * spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    return stats.repartition(width, "run_id").groupBy("run_id").applyInPandas(one, RUN)
+    return texts.repartition(width, "run_id").sortWithinPartitions("run_id").mapInArrow(train, RUN)
 
 
 RUN = (
     "recipe string, topic string, seed long, target string, bench string, acc_base double, acc double, gamma double, gamma_exact double, steps long, stop_reason string, "
     "forget_ppl_base double, forget_ppl double, retain_ppl_base double, retain_ppl double, text_ppl_base double, text_ppl double, target_ppl double"
 )
+NAMES = [x.split()[0] for x in RUN.split(", ")]
+KINDS = [{"string": pa.string(), "long": pa.int64(), "double": pa.float64()}[x.split()[1]] for x in RUN.split(", ")]
 
 
 def ledger_of(runs: DataFrame, benches: tuple) -> DataFrame:
