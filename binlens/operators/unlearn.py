@@ -388,11 +388,13 @@ def train_run(base: np.ndarray, forget: np.ndarray, retain: np.ndarray, target:
     return w, max_steps, "max_steps"
 
 
-def matrix(rows, v: int = V) -> np.ndarray:
-    """Sums of (u, v, f) rows of an Arrow table or a data frame as a matrix."""
-    m = np.zeros((v, v), np.float32)
-    np.add.at(m, (np.asarray(rows["u"]), np.asarray(rows["v"])), np.asarray(rows["f"], np.float32))
-    return m
+def matrix(rows: DataFrame, v: int = V) -> np.ndarray:
+    """(u, v, f) rows, one for each cell, as a matrix; a cell travels to the driver in eight bytes."""
+    m = np.zeros(v * v, np.float32)
+    for batch in rows.select((F.col("u") * v + F.col("v")).alias("k"), F.col("f").cast("float").alias("f")).toArrow().to_batches():
+        m[batch.column("k").to_numpy()] = batch.column("f").to_numpy()
+    pa.default_memory_pool().release_unused()
+    return m.reshape(v, v)
 
 
 def base_head(counts: np.ndarray, smooth: float = 0.5) -> np.ndarray:
@@ -409,8 +411,8 @@ def run_grid(texts: DataFrame, retain: DataFrame, everything: DataFrame, items:
     Both are at most V^2 numbers.  The exact reference is the head made anew without the set's counts.  Runs are independent, so a lost
     executor costs the runs that it held."""
     spark = texts.sparkSession
-    counts = matrix(everything.toArrow(), v)
-    kept = {s: matrix(retain.where(F.col("run_id") == str(s)).select("u", "v", "f").toArrow(), v) for s in sorted(int(r.run_id) for r in retain.select("run_id").distinct().collect())}
+    counts = matrix(everything, v)
+    kept = {s: matrix(retain.where(F.col("run_id") == str(s)), v) for s in sorted(int(r.run_id) for r in retain.select("run_id").distinct().collect())}
     shared = spark.sparkContext.broadcast((counts, kept, items))  # a few matrices of V^2 numbers
 
     def one(run_id, n, f, shuffled, base, before):
